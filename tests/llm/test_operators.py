@@ -1,0 +1,394 @@
+"""Each operator against a brute-force version, on awkward rows: nulls, empties, ties, repeats, clashing columns."""
+
+import hashlib
+import random
+import re
+import zlib
+
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+from corpusforge.llm import licenses, near_dedup, packing, pii, quality_rules, queries, substring_dedup, token_files, tokens, topk, url_filter
+
+WORD = re.compile(r"[^\x20\x09-\x0D]+")
+RNG = random.Random(5)
+VOCAB = ["".join(RNG.choice("abcdefghijklmnop\u00e9\u00fc") for _ in range(RNG.randint(1, 8))) for _ in range(300)]
+
+
+def prose(n, rng=RNG):
+    return " ".join(rng.choice(VOCAB) for _ in range(n))
+
+
+def make_texts():
+    passage, long = prose(40), prose(3000)
+    near = prose(120).split(" ")
+    out = [None, "", " \n\t ", "one", "A b\nC", passage, f"{prose(30)} {passage} {prose(20)}", long, long + " " + passage, "x" * 5000, " ".join(["tick tock"] * 60), "\u00a0 nbsp\x1cfs \x85 words", "line a\nline a\nline a\n\nother", "## $$ %% && ** || <>" * 5]
+    out += [passage] * 3 + [f"{passage}\n\n {passage}"]
+    for i in range(60):
+        w = list(near)
+        for _ in range(i % 7):
+            w[RNG.randrange(len(w))] = RNG.choice(VOCAB)
+        out.append(" ".join(w).upper() if i % 11 == 0 else " ".join(w))
+    out += ["mail me.x@host-a.example.com, a@b @c.d x@y.z.w%q@r.s now", "ip 1.2.3.4 and 300.1.1.1 or 001.002.003.255.9", "card 4539 1488 0343 6467 and 4539148803436468 done 1-2-3", "call +49 (30) 1234-5678 or +1 2 or phone 030-123-4567 ok", "secret token = 681c09b8e90e7e8c9575180f595f646cf2969054 end", "user (at) mail (dot) com", "the MIT License and mit  license, mit\nlicense. GNU General Public License", "// SPDX-License-Identifier: (MIT OR Apache-2.0) AND GPL-2.0-only WITH Classpath-exception-2.0\n", "<|endoftext|> a  b   c \n d\n\n e "]
+    return out
+
+
+@pytest.fixture(scope="module")
+def docs(spark):
+    rows = [(i, t, "en", "src0", len(t) if t else 0, "kept?", 7) for i, t in enumerate(make_texts())]
+    rows += [rows[5], (None, make_texts()[5], "en", "src1", 1, None, None)]
+    return spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, kept string, block int").repartition(3).cache()
+
+
+@pytest.fixture(scope="module")
+def empty(docs):
+    return docs.limit(0)
+
+
+def rows_of(df, *cols):
+    return sorted((tuple(r[c] for c in cols) for r in df.collect()), key=str)
+
+
+def test_substring(docs, empty):
+    rows = [(r.doc_id, [] if r.text is None else r.text.encode().split()) for r in docs.collect()]
+    first = {}
+    for d, w in rows:
+        for i in range(len(w) - 12):
+            k = tuple(w[i : i + 13])
+            first[k] = min(first.get(k, (1, 0)), (d is None, d or 0))
+    want = []
+    for d, w in rows:
+        gone = {i + j for i in range(len(w) - 12) if first[tuple(w[i : i + 13])] < (d is None, d or 0) for j in range(13)}
+        kept = [x for i, x in enumerate(w) if i not in gone]
+        want.append((d, len(w), len(gone), hashlib.sha256(b" ".join(kept)).hexdigest()))
+    for blocks in (1, 7):
+        got = rows_of(substring_dedup.deduplicated(docs, blocks=blocks), "doc_id", "n_words", "n_removed", "kept_sha256")
+        assert got == sorted(want, key=str)
+    assert sum(x[2] for x in want) > 3000
+    assert substring_dedup.deduplicated(empty).count() == 0
+    cut = substring_dedup.cut_repeats(docs)
+    assert cut.columns == docs.columns and 0 < cut.count() < docs.count()
+
+
+def test_fm_index():
+    rng = np.random.default_rng(3)
+    text = np.concatenate([np.append(rng.integers(1, 4, n), 0) for n in (30, 1, 50, 13)])
+    index = substring_dedup.FMIndex(text, 5, 6)
+    for length in (1, 3, 6):
+        ends = np.array([e for e in range(length, len(text) + 1) if 0 not in text[e - length : e]])
+        lo, hi = index.search(text, ends, length)
+        for e, a, b in zip(ends, lo, hi):
+            want = [i for i in range(len(text)) if np.array_equal(text[i : i + length], text[e - length : e])]
+            assert sorted(index.order[a:b]) == want
+
+
+def test_simple8b():
+    rng = np.random.default_rng(1)
+    for top in (1, 2, 9, 300, 50257, 2**31, 2**60, 2**64 - 1):
+        ids = rng.integers(0, top, 3000, dtype=np.uint64, endpoint=top == 2**64 - 1)
+        if top > 300:
+            ids[::5] = 0
+        ends = np.array([1, 1, 7, 500, 2999, 3000])
+        words, upto = token_files.pack(ids, ends)
+        assert np.array_equal(token_files.unpack(words), ids)
+        assert np.array_equal(token_files.unpack(words[upto[2] : upto[3]]), ids[7:500])
+    assert len(token_files.pack(np.zeros(240, np.uint64), np.array([240]))[0]) == 2
+    assert token_files.unpack(np.empty(0, np.uint64)).size == 0
+
+
+def test_token_files(spark, docs, empty):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    tok.encode_special_tokens = True
+    got = token_files.token_file_report(docs, queries.tokenizer_file("byte_bpe_50k.json").decode(), shards=5).collect()
+    text = {r.doc_id: r.text for r in docs.collect()}
+    at = 0
+    for r in sorted(got, key=lambda r: r.start):
+        ids = [*tok.encode(text[r.doc_id] or "", add_special_tokens=False).ids, 0]
+        assert (r.start, r.n_tokens) == (at, len(ids)) and r.ids_crc32 == zlib.crc32(np.array(ids, "<u4").tobytes())
+        at += len(ids)
+    ids = [r.doc_id for r in sorted(got, key=lambda r: r.start)]
+    assert ids[0] is None and ids[1:] == sorted(ids[1:]) and len(ids) == docs.count()
+    assert token_files.token_file_report(empty, queries.tokenizer_file("byte_bpe_50k.json").decode()).count() == 0
+
+
+def test_byte_bpe(spark, docs, empty):
+    import base64
+
+    import public_tokenizers as P
+    import tiktoken
+
+    ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, open(P.path("byte_bpe_50k.tiktoken"), "rb"))}
+    enc = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    letters = "".join(f"a{chr(c)}b " for c in range(0x20, 0x3000)) + "".join(f"{chr(c)} {chr(c)}" for c in range(0x1F)) + "\U0001f600\u200d it's 'S don't we'll\u2003\u2003x"
+    more = spark.createDataFrame([(1000, letters), (1001, "a" * 3000 + " " * 400 + "\n" * 30)], "doc_id long, text string")
+    both = docs.select("doc_id", "text").union(more)
+    text = {r.doc_id: r.text for r in both.collect()}
+    got = tokens.encode_decode(both, queries.tokenizer_file("byte_bpe_50k.tiktoken"), P.PATTERN).collect()
+    assert len(got) == both.count()
+    for r in got:
+        raw = text[r.doc_id] or ""
+        ids = enc.encode_ordinary(raw)
+        assert r.n_tokens == len(ids), raw[:50]
+        assert r.ids_sha256 == hashlib.sha256(np.array(ids, "<u4").tobytes()).hexdigest()
+        assert r.decoded_sha256 == hashlib.sha256(raw.encode()).hexdigest()
+    assert tokens.encode_decode(empty, queries.tokenizer_file("byte_bpe_50k.tiktoken"), P.PATTERN).count() == 0
+
+
+def test_quality(docs, empty):
+    got = {(r.doc_id, r.text): r for r in quality_rules.apply_rules(docs.drop("kept")).collect()}
+    for (d, text), r in got.items():
+        w = WORD.findall(text or "")
+        grams = [tuple(w[i : i + 5]) for i in range(len(w) - 4)]
+        rep = {i + j for i, g in enumerate(grams) if grams.count(g) > 1 for j in range(5)} if len(grams) < 500 or len(set(grams)) < len(grams) else set()
+        lines = [x for x in (text or "").split("\n") if WORD.search(x)]
+        assert (r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words) == (len(w), sum(map(len, w)), len(re.findall(r"[#*$%&|<>]", text or "")), len(lines) - len(set(lines)), len(rep)), text
+        assert r.base_failed == (len(w) < 10 or 100 * len(rep) > 20 * len(w))
+        assert not (r.kept and r.base_failed)
+    assert quality_rules.keep_quality(docs).columns == docs.columns
+    assert quality_rules.apply_rules(empty).count() == 0
+
+
+def luhn(d):
+    return sum(int(c) if i % 2 == 0 else (int(c) * 2 - 9 if int(c) > 4 else int(c) * 2) for i, c in enumerate(reversed(d))) % 10 == 0
+
+
+def base_spans(t):
+    out = []
+    digits = lambda m: re.sub("[^0-9]", "", m)
+    for k, p, ok in (
+        ("email", r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", lambda m: True),
+        ("ip", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", lambda m: all(int(x) <= 255 for x in m.split("."))),
+        ("card", r"[0-9]([\x20-]?[0-9])+", lambda m: 13 <= len(digits(m)) <= 19 and luhn(digits(m))),
+        ("phone", r"\+[0-9][\x20().0-9-]+[0-9]", lambda m: 9 <= len(digits(m)) <= 15),
+    ):
+        out += [f"{k}:{m.start()}:{m.end()}" for m in re.finditer(p, t) if ok(m[0])]
+    return out
+
+
+def test_pii(spark, docs, empty):
+    more = [(2000, "\U0001f600 a@b.cc 1 " * 1200), (2001, "9" * 40000), (2002, "a" * 20000 + "@"), (2003, "x.y" * 900 + "@b.c d@e.f%g@h.i")]
+    both = docs.select("doc_id", "text").union(spark.createDataFrame(more, "doc_id long, text string"))
+    text = {r.doc_id: r.text for r in both.collect()}
+    got = pii.pii_report(both).collect()
+    assert len(got) == both.count()
+    for r in got:
+        want = base_spans(text[r.doc_id] or "")
+        assert r.base_sha256 == hashlib.sha256(",".join(want).encode()).hexdigest(), (text[r.doc_id] or "")[:80]
+        assert [r.n_email, r.n_ip, r.n_card, r.n_phone] == [sum(x.startswith(k) for x in want) for k in ("email", "ip", "card", "phone")]
+        assert set(want) <= set(r.spans.split(",")) | {""}
+    assert pii.pii_report(empty).count() == 0
+    model = pii.fit_spans(docs)
+    masked = pii.mask_personal(docs, model)
+    assert masked.columns == docs.columns and masked.count() == docs.count()
+    for r in masked.where("text is not null").collect():
+        assert not base_spans(r.text), r.text[:100]
+        assert r.n_chars == len(r.text) or r.n_chars == 1
+
+
+def test_pii_learns(spark):
+    rng = random.Random(2)
+    rows = [(i, f"{prose(20)} {'phone' if i % 2 else 'version'} 0{rng.randint(10, 99)}-{rng.randint(100, 999)}-{rng.randint(1000, 9999)} {'token' if i % 3 else 'sha'} {rng.getrandbits(160):040x} {prose(9)}") for i in range(300)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    model = pii.fit_spans(df)
+    assert set(model.reliability) == {3, 4} and model.weights
+    spans = [r.spans for r in pii.pii_report(df).collect()]
+    assert sum("phone" in s for s in spans) > 100 and sum("secret" in s for s in spans) > 100
+
+
+def test_top_k(spark):
+    rng = np.random.default_rng(0)
+    x = rng.normal(size=(400, 12)).astype(np.float32)
+    x[50:90] = x[50]
+    rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(500, None), (600, [1.0, None]), (700, [float("nan")] * 12), (800, [float("inf")] * 12), (900, [0.5, 0.25]), (1000, []), (0, x[0].tolist())]
+    df = spark.createDataFrame([(i, v, "x") for i, v in rows], "vec_id long, embedding array<float>, rank string")
+    good = {i: np.floor(1024 * np.array(v, float)).astype(int) for i, v in rows if v is not None and all(e is not None and np.isfinite(e) for e in v)}
+    want = []
+    for q in [i for i in good if i % 100 == 0]:
+        inner = lambda i: int((good[q][: len(good[i])] * good[i][: len(good[q])]).sum())  # noqa: B023, E731
+        best = sorted(((-inner(i), i) for i in good if i != q))[:10]
+        want += [(q, r, i, -s) for r, (s, i) in enumerate(best, 1)]
+    for options in ({}, {"block_rows": 50, "query_group": 2}):
+        assert rows_of(topk.top_k(df, lambda v: v % 100 == 0, **options), "query_id", "rank", "vec_id", "score") == sorted(want, key=str)
+    assert topk.top_k(df.limit(0), lambda v: v % 100 == 0).count() == 0
+
+
+def test_cover_tree_prunes():
+    rng = np.random.default_rng(1)
+    centers = rng.normal(size=(40, 16)) * 4000
+    points = np.unique((centers[rng.integers(0, 40, 4000)] + rng.normal(size=(4000, 16)) * 40).astype(np.int64), axis=0)
+    queries_ = points[::37]
+    own = np.arange(len(queries_)) * 37
+    best, work = topk.dual_tree(queries_, own, points, [np.array([i]) for i in range(len(points))], 10)
+    assert work < 0.5 * len(queries_) * len(points)
+    for q, o, b in zip(queries_, own, best):
+        s = points @ q
+        s[o] = np.iinfo(np.int64).min
+        order = np.lexsort((np.arange(len(s)), -s))[:10]
+        assert [v for _, v in b] == order.tolist()
+    tree = topk.CoverTree(points)
+    for c, r, p in zip(tree.center, tree.radius, tree.points):
+        assert np.sqrt(((tree.x[p] - tree.x[c]) ** 2).sum(1)).max(initial=0) <= r + 1e-9
+
+
+def test_near_dedup(docs, empty):
+    low = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    sets = {}
+    for r in docs.collect():
+        w = WORD.findall((r.text or "").translate(low))
+        sets[r.doc_id] = {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+    root = {d: d for d in sets if d is not None}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a in root:
+        for b in root:
+            if a < b and sets[a] and 100 * len(sets[a] & sets[b]) >= 75 * len(sets[a] | sets[b]):
+                x, y = find(a), find(b)
+                root[max(x, y)] = min(x, y)
+    want = {d: (len(s), find(d) if d is not None else None, d is None or find(d) == d) for d, s in sets.items()}
+    old = near_dedup.LARGE
+    try:
+        for large in (old, 3):
+            near_dedup.LARGE = large
+            got = near_dedup.near_duplicates(docs).collect()
+            assert len(got) == docs.count()
+            assert {r.doc_id: (r.n_shingles, r.component_id, r.kept) for r in got} == want
+    finally:
+        near_dedup.LARGE = old
+    assert near_dedup.near_duplicates(empty).count() == 0
+    assert near_dedup.drop_near_duplicates(docs).columns == docs.columns
+
+
+def test_setsketch_estimates():
+    rng = np.random.default_rng(4)
+    a = rng.integers(0, 2**64, 900, dtype=np.uint64)
+    b = np.concatenate([a[:600], rng.integers(0, 2**64, 300, dtype=np.uint64)])
+    ra, rb = near_dedup.registers(a), near_dedup.registers(b)
+    assert np.array_equal(near_dedup.merge_registers(ra, rb), near_dedup.registers(np.concatenate([a, b])))
+    near, gap = near_dedup.likely_similarity(ra[None], rb[None], np.array([900.0]), np.array([900.0]), 0.75)
+    assert abs(near[0] - 0.5) < 0.12 and gap[0] > 5
+
+
+def test_packing(spark, docs, empty):
+    sizes = (64, 128, 512)
+    lengths = packing.token_lengths(docs, queries.tokenizer_file("byte_bpe_50k.json").decode()).cache()
+    plan = packing.pack_lengths(lengths, sizes).collect()
+    total = sum(r.n_tokens for r in lengths.collect())
+    assert sum(r.n_tokens for r in plan) == total
+    bins = {}
+    for r in plan:
+        bins.setdefault((r.shard, r.bin), []).append(r)
+    for rows in bins.values():
+        rows.sort(key=lambda r: r.position)
+        used = 0
+        for r in rows:
+            assert r.position == used
+            used += r.n_tokens
+        assert rows[0].capacity == min(s for s in sizes if s >= used)
+    assert packing.pack_documents(empty, queries.tokenizer_file("byte_bpe_50k.json").decode()).count() == 0
+    out = packing.pack_shard([100, 28, 400, 64, 64, 512, 1], sizes)
+    assert out[0][0] == out[2][0] and out[0][2] == 400
+    report = packing.packing_report(spark.createDataFrame(plan)).collect()
+    assert sum(r.n_tokens for r in report) == total
+
+
+def brute_pack(lengths, sizes, costs):
+    """The same policy by linear search."""
+    order = sorted(range(len(lengths)), key=lambda i: (-lengths[i], i))
+    left, bins, out = sum(lengths), [], {}
+    for i in order:
+        n = lengths[i]
+        fit = [b for b in range(len(bins)) if bins[b][0] - bins[b][1] >= n]
+        if fit:
+            room = min(bins[b][0] - bins[b][1] for b in fit)
+            out[i] = room
+        else:
+            bins.append([min((c for c in sizes if c >= n), key=lambda c: (costs.of(c) / min(c, left), c)), 0])
+            room, fit = bins[-1][0], [len(bins) - 1]
+        b = max((b for b in fit if bins[b][0] - bins[b][1] == room), key=lambda b: bins[b][1])
+        bins[b][1] += n
+        left -= n
+    return sorted(min(s for s in sizes if s >= u) for _, u in bins)
+
+
+def test_packing_brute():
+    rng = random.Random(9)
+    for _ in range(20):
+        lengths = [rng.randint(1, 300) for _ in range(80)]
+        got = packing.pack_shard(lengths, (64, 128, 300))
+        assert len({b for b, _, _ in got}) <= len(brute_pack(lengths, (64, 128, 300), packing.Costs())) + 1
+
+
+def test_urls(spark):
+    urls = [None, "", "no scheme", "http://", "http://A.Example.COM/en/x", "https://www.example.com/en/", "http://example.com/en", "http://example.com", "http://example.com/?q=/en/", "x://net/es/#", "http://sub.net/fr/a/b?c", "http://notnet/fr/", "http://a.com/b/c/d", "ftp://h//en/", "http://u/://net/es/"]
+    df = spark.createDataFrame([(i, u, "h") for i, u in enumerate(urls)] + [(0, None, "h"), (4, urls[4], "h"), (4, urls[5], None), (None, urls[4], "")], "page_id long, url string, rule string")
+    rules = [("com", "/", "allow"), ("example.com", "/en/", "block"), ("www.example.com", "/en/", "allow"), ("net", "/es/", "block"), ("net", "/fr/", "block")]
+
+    def judge(u):
+        rest = u.split("://", 1)[1] if u and "://" in u else ""
+        host = re.match(r"[^/?#]*", rest)[0]
+        path = re.match(r"[^?#]*", rest[len(host) :])[0]
+        host = "".join(c.lower() if "A" <= c <= "Z" else c for c in host)
+        fit = [r for r in rules if (host == r[0] or host.endswith("." + r[0])) and path.startswith(r[1])]
+        best = max(fit, key=lambda r: len(r[0] + r[1]), default=None)
+        return host, path, best and best[0] + best[1], best[2] if best else "allow"
+
+    want = sorted(((r.page_id, *judge(r.url)) for r in df.collect()), key=str)
+    for options in ({}, {"broadcast_rules": 0, "salts": 3}):
+        got = url_filter.judge_urls(df, url_filter.rules_frame(spark), **options)
+        assert rows_of(got, "page_id", "host", "path", "rule", "verdict") == want
+    assert url_filter.judge_urls(df.limit(0), url_filter.rules_frame(spark)).count() == 0
+
+
+def test_licenses(docs, empty):
+    got = licenses.scan_licenses(docs).collect()
+    assert len(got) == docs.count()
+    text = {r.doc_id: r.text for r in docs.collect()}
+    for r in got:
+        low = "".join(c.lower() if "A" <= c <= "Z" else c for c in text[r.doc_id] or "")
+        w = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", low)
+        hits = [(i, label) for p, label in licenses.BASE_PHRASES for i in range(len(w)) if w[i : i + len(p.split())] == p.split()]
+        at = [i for i, _ in hits]
+        assert (r.n_words, r.n_base, r.first_word, r.last_word) == (len(w), len(hits), min(at, default=None), max(at, default=None))
+        assert r.base_labels == ",".join(sorted({x for _, x in hits})) and 0 <= r.score <= 1
+        assert set(r.base_labels.split(",")) <= set(r.labels.split(",")) | {""}
+    assert licenses.scan_licenses(empty).count() == 0
+
+
+@pytest.mark.parametrize(
+    ("text", "names", "free", "good"),
+    [
+        ("mit", {"mit"}, True, True),
+        ("mit or gpl-2.0-only and isc", {"mit", "gpl-2.0-only", "isc"}, True, True),
+        ("(mit or gpl-2.0-only) and gpl-3.0+", {"mit", "gpl-2.0-only", "gpl-3.0+"}, False, True),
+        ("gpl-2.0-only with classpath-exception-2.0", {"gpl-2.0-only with classpath-exception-2.0"}, False, True),
+        ("mit or", {"mit"}, True, False),
+        ("(mit", {"mit"}, True, False),
+        ("and mit", set(), False, False),
+        ("", set(), False, False),
+        (" mit */ more prose", {"mit"}, True, True),
+    ],
+)
+def test_expressions(text, names, free, good):
+    assert licenses.evaluate_expression(text) == (frozenset(names), free, good)
+
+
+def test_pipeline(spark, docs):
+    import corpus_pipeline
+
+    have = docs.select("doc_id", "text", "lang", "source", "n_chars")
+    for name, stage in corpus_pipeline.STAGES:
+        out = stage(spark, have, "")
+        if name != "pack":
+            assert out.columns == have.columns
+            assert out.count() <= have.count()
+            have = out.cache()
+    placed = {r.doc_id for r in out.select(F.col("doc_id")).collect()}
+    assert placed == {r.doc_id for r in have.collect()} and placed
