@@ -20,6 +20,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -50,7 +51,8 @@ def numeric(*parts: np.ndarray) -> type:
 class CoverTree:
     """Nodes with centre, covering radius and children; each level halves the covering distance."""
 
-    def __init__(self, points: np.ndarray):
+    def __init__(self, points: np.ndarray, leaf: int = LEAF):
+        self.leaf = leaf
         self.x = points.astype(np.float64)
         self.norm = np.sqrt((self.x * self.x).sum(1))
         self.center, self.radius, self.children, self.points = [], [], [], []
@@ -74,7 +76,7 @@ class CoverTree:
             self.points.append(members)
             if parent >= 0:
                 self.children[parent].append(me)
-            if len(members) <= LEAF or self.radius[me] == 0:
+            if len(members) <= self.leaf or self.radius[me] == 0:
                 continue
             # Cover the members by balls of half the radius: first the node's own centre, then whoever is farthest.
             # Where balls would hold few points each, the node stays a leaf: one product beats many small ones.
@@ -100,7 +102,7 @@ def dual_tree(queries: np.ndarray, own: np.ndarray, points: np.ndarray, ids: lis
     """
     kind = numeric(queries, points)
     q, p = queries.astype(kind), points.astype(kind)
-    qt, pt = CoverTree(queries), CoverTree(points)
+    qt, pt = CoverTree(queries, 4), CoverTree(points)
     found: list[list[tuple[int, int]]] = [[] for _ in queries]  # ascending (score, -id)
     worst = np.full(len(queries), -np.inf)
     bound = np.full(len(qt.center), -np.inf)
