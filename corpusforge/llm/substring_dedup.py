@@ -55,21 +55,26 @@ class WaveletMatrix:
             self.zeros.append(self.n - int(bit.sum()))
             x = np.concatenate([x[~bit], x[bit]])
 
+        # Where each symbol's run begins in the last level's order.
+        every, at = np.arange(sigma), np.zeros(sigma, np.int64)
+        for level in range(self.levels):
+            at = self._down(level, every, at)
+        self.start = at
+
     def ones(self, level: int, at: np.ndarray) -> np.ndarray:
         word, bit = at >> 6, (at & 63).astype(np.uint64)
         return self.before[level][word] + np.bitwise_count(self.bits[level][word] & ((np.uint64(1) << bit) - np.uint64(1)))
 
-    def rank_pair(self, symbol: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Occurrences of each symbol before lo and before hi, counted from its first place in symbol order."""
-        start = np.zeros(len(symbol), np.int64)
-        for i in range(self.levels):
-            bit = (symbol >> (self.levels - 1 - i)) & 1 == 1
-            o = self.ones(i, np.concatenate([start, lo, hi]))
-            k = len(symbol)
-            ones = o[:k], o[k : 2 * k], o[2 * k :]
-            z = self.zeros[i]
-            start, lo, hi = (np.where(bit, z + one, p - one) for p, one in zip((start, lo, hi), ones))
-        return lo - start, hi - start
+    def _down(self, level: int, symbol: np.ndarray, at: np.ndarray) -> np.ndarray:
+        bit = (symbol >> (self.levels - 1 - level)) & 1 == 1
+        one = self.ones(level, at)
+        return np.where(bit, self.zeros[level] + one, at - one)
+
+    def rank(self, symbol: np.ndarray, at: np.ndarray) -> np.ndarray:
+        """Occurrences of each symbol before each position."""
+        for level in range(self.levels):
+            at = self._down(level, symbol, at)
+        return at - self.start[symbol]
 
 
 class FMIndex:
@@ -87,22 +92,29 @@ class FMIndex:
             # Prefix doubling: positions ordered by 2 * have symbols, past the end counts as lowest.
             second = np.full(n, -1, np.int64)
             second[: n - have] = rank[have:]
-            order = np.lexsort((second, rank))
-            a, b = rank[order], second[order]
+            key = rank * (n + 1) + second + 1
+            order = np.argsort(key)
             rank = np.empty(n, np.int64)
-            rank[order] = np.concatenate([[0], np.cumsum((np.diff(a) != 0) | (np.diff(b) != 0))])
+            rank[order] = np.concatenate([[0], np.cumsum(np.diff(key[order]) != 0)])
             have *= 2
         self.order = order
         self.bwt = WaveletMatrix(text[(order - 1) % n], sigma)
         self.first = np.concatenate([[0], np.cumsum(np.bincount(text, minlength=sigma))])
 
     def search(self, text: np.ndarray, ends: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
-        """Suffix intervals of the patterns text[end - length : end]; all patterns step back together."""
+        """Suffix intervals of the patterns text[end - length : end], which all occur.
+
+        Patterns step back together. One whose interval has a single suffix left occurs once, where it
+        was taken from; it is settled and takes no further steps (its interval stays that of a shorter
+        pattern, of size one).
+        """
         lo, hi = np.zeros(len(ends), np.int64), np.full(len(ends), self.bwt.n, np.int64)
+        live = np.arange(len(ends))
         for back in range(1, length + 1):
-            c = text[ends - back].astype(np.int64)
-            a, b = self.bwt.rank_pair(c, lo, hi)
-            lo, hi = self.first[c] + a, self.first[c] + b
+            c = text[ends[live] - back].astype(np.int64)
+            a = self.first[c] + self.bwt.rank(c, np.concatenate([lo[live], hi[live]]).reshape(2, -1))
+            lo[live], hi[live] = a
+            live = live[a[1] - a[0] > 1]
         return lo, hi
 
 
@@ -149,8 +161,10 @@ def first_documents(segments: list[bytes], docs: np.ndarray) -> list[np.ndarray]
     counts = sizes - WINDOW  # windows of each segment
     at = np.repeat(ends - counts + 1, counts) + np.arange(int(counts.sum())) - np.repeat(np.cumsum(counts) - counts, counts)
     lo, hi = index.search(text, at, WINDOW)
-    # Where a window's first occurrence lies, its owner is known: matches are read in suffix order.
-    low = smallest_in(owner[index.order], lo, hi)
+    # A window that occurs once belongs to its own segment; others take the smallest owner of their interval.
+    low = owner[at - 1]
+    many = np.nonzero(hi - lo > 1)[0]
+    low[many] = smallest_in(owner[index.order], lo[many], hi[many])
     return np.split(low, np.cumsum(counts)[:-1])
 
 
