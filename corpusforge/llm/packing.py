@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .shared import landed
-from .tokens import UnitEncoder, library_encoder
+from .tokens import LibraryEncoder, kept
 
 PLAN = "doc_id long, piece int, n_tokens int, shard int, bin int, capacity int, position int"
 
@@ -76,10 +76,10 @@ def token_lengths(docs: DataFrame, tokenizer: str, text: str = "text", key: str
     """doc_id and tokens of each text plus its end mark."""
 
     def run(batches):
-        encoder = UnitEncoder(library_encoder(tokenizer))
+        encoder = kept(LibraryEncoder, tokenizer)
         for b in batches:
-            n = [len(ids) // 4 + 1 for _, out in encoder.columns(b.column(1)) for ids in out]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64())], names=["doc_id", "n_tokens"])
+            _, n = encoder.column(b.column(1))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n + 1)], names=["doc_id", "n_tokens"])
 
     return docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text")).mapInArrow(run, "doc_id long, n_tokens long")
 

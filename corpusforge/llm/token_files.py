@@ -1,7 +1,7 @@
 """Token ids in Simple-8b files: 64-bit words, each a 4-bit selector and as many ids as fit.
 
 A file is a shard of ascending documents, stored as rows of a Parquet container, so that Spark's
-commit protocol protects it and any Hadoop store can hold it. A row is a block of about a million
+commit protocol protects it and any Hadoop store can hold it. A row is a block of about 130,000
 ids: documents, ids per document, the word at which each document starts (so one document can be
 decoded alone), the ids before the block in its shard, and the packed words. Selector 0 is the
 escape: the next word holds one raw 64-bit id.
@@ -26,12 +26,12 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .shared import block_count, shared_folder
-from .tokens import UnitEncoder, library_encoder
+from .tokens import LibraryEncoder, kept
 
 #: Ids per word and bits per id, by selector; 0 is the escape.
 COUNTS = (1, 120, 60, 30, 20, 15, 12, 10, 8, 7, 6, 5, 4, 3, 2, 1)
 BITS = (64, 0, 1, 2, 3, 4, 5, 6, 7, 8, 10, 12, 15, 20, 30, 60)
-BLOCK_IDS = 1 << 20
+BLOCK_IDS = 1 << 17
 FILE_SCHEMA = "shard int, block int, before long, n_ids long, doc_ids array<long>, id_counts array<long>, word_offsets array<long>, words binary"
 
 
@@ -120,34 +120,28 @@ def write_token_files(docs: DataFrame, path: str, tokenizer: str, *, end_id: int
     def run(batches):
         from pyspark import TaskContext
 
-        encoder = UnitEncoder(library_encoder(tokenizer))
+        encoder = kept(LibraryEncoder, tokenizer)
         shard, block, before = TaskContext.get().partitionId(), 0, 0
-        tail = np.array([end_id], "<u4").tobytes()
-        held: list[tuple] = []
-
-        def flush():
-            nonlocal block, before
-            ids = np.concatenate([np.frombuffer(x, "<u4") for _, x in held])
-            counts = np.array([len(x) // 4 for _, x in held], np.int64)
-            words, upto = pack(ids, np.cumsum(counts))
-            row = {"shard": [shard], "block": [block], "before": [before], "n_ids": [len(ids)], "doc_ids": [[d for d, _ in held]], "id_counts": [counts.tolist()], "word_offsets": [[0, *upto[:-1].tolist()]], "words": [words.astype("<u8").tobytes()]}
-            block, before = block + 1, before + len(ids)
-            held.clear()
-            kinds = {"shard": pa.int32(), "block": pa.int32(), "before": pa.int64(), "n_ids": pa.int64(), "words": pa.binary()}
-            return pa.RecordBatch.from_arrays([pa.array(v, kinds.get(k, pa.list_(pa.int64()))) for k, v in row.items()], names=list(row))
-
-        size = 0
+        kinds = {"shard": pa.int32(), "block": pa.int32(), "before": pa.int64(), "n_ids": pa.int64(), "words": pa.binary()}
         for b in batches:
             keys = b.column(0).to_pylist()
-            for at, out in encoder.columns(b.column(1)):
-                for d, ids in zip(keys[at : at + len(out)], out):
-                    held.append((d, ids + tail))
-                    size += len(ids) // 4 + 1
-                    if size >= BLOCK_IDS:
-                        yield flush()
-                        size = 0
-        if held:
-            yield flush()
+            ids, counts = encoder.column(b.column(1))
+            # Each document's ids, then its end mark.
+            counts = counts + 1
+            ends = np.cumsum(counts)
+            all_ids = np.full(int(ends[-1]) if len(ends) else 0, end_id, np.uint32)
+            inner = np.ones(len(all_ids), bool)
+            inner[ends - 1] = False
+            all_ids[inner] = ids
+            first = 0
+            while first < len(keys):
+                base = int(ends[first] - counts[first])
+                last = max(first + 1, int(np.searchsorted(ends, base + BLOCK_IDS, "right")))
+                words, upto = pack(all_ids[base : ends[last - 1]], ends[first:last] - base)
+                n = int(ends[last - 1]) - base
+                row = {"shard": [shard], "block": [block], "before": [before], "n_ids": [n], "doc_ids": [keys[first:last]], "id_counts": [counts[first:last]], "word_offsets": [np.concatenate([[0], upto[:-1]])], "words": [words.astype("<u8").tobytes()]}
+                yield pa.RecordBatch.from_arrays([pa.array(v, kinds.get(k, pa.list_(pa.int64()))) for k, v in row.items()], names=list(row))
+                first, block, before = last, block + 1, before + n
 
     rows = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"))
     ordered = rows.withColumn("_tie", F.xxhash64("text")).repartitionByRange(shards, "doc_id", "_tie").sortWithinPartitions("doc_id", "_tie").select("doc_id", "text")

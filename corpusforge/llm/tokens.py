@@ -5,9 +5,8 @@ pieces are those strings with every byte mapped to one printable character, scor
 with identity normalisation. Merging by highest score is then merging by lowest rank, so pre-tokens
 encode to the ids of the rank file; decoding looks the bytes up again.
 
-Encoders work on units: a text is cut before every single space that stands alone, where no pre-token
-can cross, and each distinct unit is encoded once per cache lifetime. Texts in which white space
-stands beside a space are encoded whole. The cache is emptied at `limit` units, so memory stays bounded.
+Encoders cut texts into pre-tokens and encode each distinct one once per cache lifetime. The cache is
+kept by the worker process and emptied at `limit` pre-tokens, so memory stays bounded.
 
 Edge cases: null and empty texts have no ids (n_tokens 0, digests of nothing); special tokens in a
 text are ordinary text; repeated rows are encoded alike; further columns don't matter.
@@ -20,6 +19,7 @@ import hashlib
 import re
 import struct
 from collections.abc import Callable, Iterator
+from itertools import filterfalse
 
 import numpy as np
 import pyarrow as pa
@@ -27,7 +27,6 @@ import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-_CROWDED = re.compile(r"\s (?:\s|\Z)")
 #: Characters of text that are cut and looked up at once.
 CHUNK = 2_000_000
 
@@ -74,34 +73,36 @@ def sentencepiece_model(pieces: list[bytes]) -> bytes:
     return b"".join(body)
 
 
+#: The pattern of GPT-2-like byte-level pre-tokenisers, as their published vocabularies use it. A fixed value.
+PRE_TOKENS = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
+
+
 class UnitEncoder:
-    """Texts to little-endian unsigned 32-bit ids, through a bounded cache of units."""
+    """Texts to little-endian unsigned 32-bit ids, through a bounded cache of pre-tokens.
+
+    `encode` maps a list of distinct pre-tokens to the ids of each.
+    """
+
+    def __init__(self, encode: Callable[[list[str]], list[bytes]], pattern: str = PRE_TOKENS, limit: int = 500_000):
+        import regex
 
-    def __init__(self, encode: Callable[[list[str]], list[bytes]], limit: int = 250_000):
-        self.encode, self.limit = encode, limit
+        self.encode, self.limit, self.cut = encode, limit, regex.compile(pattern).findall
         self.known: dict[str, bytes] = {}
-        self.first: dict[str, bytes] = {}
 
     def texts(self, texts: list[str]) -> list[bytes]:
-        if len(self.known) + len(self.first) > self.limit:
-            self.known, self.first = {}, {}
-        cut = [None if _CROWDED.search(t) else t.split(" ") for t in texts]
-        new, heads = set(), set()
-        for t, units in zip(texts, cut):
-            if units is None:
-                heads.add(t)
-            else:
-                heads.add(units[0])
-                new.update(units[1:])
-        new, heads = [*(new - self.known.keys())], [*(heads - self.first.keys())]
-        ids = self.encode([*(" " + u for u in new), *heads])
-        self.known.update(zip(new, ids))
-        self.first.update(zip(heads, ids[len(new) :]))
+        if len(self.known) > self.limit:
+            self.known = {}
+        parts = [self.cut(t) for t in texts]
+        new: set[str] = set()
+        for p in parts:
+            new.update(filterfalse(self.known.__contains__, p))
+        tokens = [*new]
+        self.known.update(zip(tokens, self.encode(tokens)))
         get = self.known.__getitem__
-        out = [self.first[t] if units is None else b"".join([self.first[units[0]], *map(get, units[1:])]) for t, units in zip(texts, cut)]
-        for h in heads:
-            if len(h) > 100:  # whole texts are not kept
-                del self.first[h]
+        out = [b"".join(map(get, p)) for p in parts]
+        for t in tokens:
+            if len(t) > 100:  # long runs are not kept
+                del self.known[t]
         return out
 
     def columns(self, texts: pa.Array) -> Iterator[tuple[int, list[bytes]]]:
@@ -115,42 +116,148 @@ class UnitEncoder:
             at = end
 
 
-def piece_encoder(model: bytes, pattern: str) -> Callable[[list[str]], list[bytes]]:
-    """Encodes strings by pre-token with a sentencepiece model."""
-    import regex
+_KEPT: dict[tuple, object] = {}
+
+
+def kept(make: Callable, *spec):
+    """make(*spec), kept in the worker process from task to task; one at a time."""
+    key = make.__qualname__, hash(spec)
+    if key not in _KEPT:
+        _KEPT.clear()
+        _KEPT[key] = make(*spec)
+    return _KEPT[key]
+
+
+def piece_texts(model: bytes, pattern: str) -> UnitEncoder:
+    return UnitEncoder(piece_encoder(model), pattern)
+
+
+def piece_encoder(model: bytes) -> Callable[[list[str]], list[bytes]]:
+    """Encodes pre-tokens with a sentencepiece model over byte letters."""
     import sentencepiece
 
     sp = sentencepiece.SentencePieceProcessor(model_proto=model)
-    cut, letters = regex.compile(pattern), dict(enumerate(byte_letters()))
-
-    def encode(texts: list[str]) -> list[bytes]:
-        words, sizes = [], []
-        for t in texts:
-            found = cut.findall(t)
-            sizes.append(len(found))
-            words += [w.encode().decode("latin-1").translate(letters) for w in found]
-        ids = sp.encode(words, out_type=int, num_threads=1) if words else []
-        out, at = [], 0
-        for n in sizes:
-            out.append(np.array([i for x in ids[at : at + n] for i in x], "<u4").tobytes())
-            at += n
-        return out
-
-    return encode
+    letters = dict(enumerate(byte_letters()))
 
+    def encode(tokens: list[str]) -> list[bytes]:
+        if not tokens:
+            return []
+        ids = sp.encode([t.encode().decode("latin-1").translate(letters) for t in tokens], out_type=int, num_threads=1)
+        sizes = np.cumsum([0, *map(len, ids)]) * 4
+        flat = np.fromiter((i for x in ids for i in x), "<u4", int(sizes[-1]) // 4).tobytes()
+        return [flat[a:b] for a, b in zip(sizes[:-1].tolist(), sizes[1:].tolist())]
 
-def library_encoder(spec: str) -> Callable[[list[str]], list[bytes]]:
-    """Encodes strings with the tokenizers library, without special tokens."""
-    import os
+    return encode
 
-    os.environ["TOKENIZERS_PARALLELISM"] = "false"
-    from tokenizers import Tokenizer
 
-    tok = Tokenizer.from_str(spec)
-    tok.encode_special_tokens = True
-    tok.no_padding()
-    tok.no_truncation()
-    return lambda texts: [np.array(e.ids, "<u4").tobytes() for e in tok.encode_batch_fast(texts, add_special_tokens=False)] if texts else []
+#: What Unicode counts as white space, with the separators U+001C to U+001F.
+_WHITE = r"\x09-\x0D\x1C-\x20\x{85}\x{A0}\x{1680}\x{2000}-\x{200A}\x{2028}\x{2029}\x{202F}\x{205F}\x{3000}"
+
+
+class LibraryEncoder:
+    """Columns of texts to ids with the tokenizers library, without special tokens.
+
+    A text is cut before every space that stands alone: no pre-token crosses such a place. Arrow cuts
+    and finds the distinct units of a batch; the library encodes each once, many in one string with
+    line feeds between them (one token, apart from its neighbours); ids are gathered by index. Units
+    that hold white space, and texts with white space on both sides of a space, are encoded alone.
+    Nothing is kept between batches; memory follows the batch.
+    """
+
+    def __init__(self, spec: str):
+        import os
+
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"
+        from tokenizers import Tokenizer
+
+        self.tok = Tokenizer.from_str(spec)
+        self.tok.encode_special_tokens = True
+        self.tok.no_padding()
+        self.tok.no_truncation()
+        self.mark = self.tok.encode("\n", add_special_tokens=False).ids
+
+    def _each(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        if not texts:
+            return np.empty(0, np.uint32), np.empty(0, np.int64)
+        ids = [np.array(e.ids, np.uint32) for e in self.tok.encode_batch_fast(texts, add_special_tokens=False)]
+        return np.concatenate(ids), np.array([len(x) for x in ids], np.int64)
+
+    def _joined(self, units: list[str], size: int = 512) -> tuple[np.ndarray, np.ndarray]:
+        """Ids and counts of units without inner white space."""
+        if len(self.mark) != 1:
+            return self._each(units)
+        ids, counts = [np.empty(0, np.uint32)], [np.empty(0, np.int64)]
+        for i in range(0, len(units), size):
+            group = units[i : i + size]
+            got = np.array(self.tok.encode_batch_fast(["\n".join(group)], add_special_tokens=False)[0].ids, np.uint32)
+            feeds = np.nonzero(got == self.mark[0])[0]
+            if len(feeds) != len(group) - 1:
+                got, n = self._each(group)
+            else:
+                n = np.diff(np.concatenate([[-1], feeds, [len(got)]])) - 1
+                got = np.delete(got, feeds)
+            ids.append(got)
+            counts.append(n)
+        return np.concatenate(ids), np.concatenate(counts)
+
+    def _units(self, units: pa.Array, lead: str) -> tuple[np.ndarray, np.ndarray]:
+        """Ids (in order of the units) and counts of units, each after `lead`."""
+        inner = pa.compute.match_substring_regex(units, f"[{_WHITE}]").to_numpy(zero_copy_only=False)
+        # An empty unit is its lead alone: a space is white space too.
+        alone = inner | (pa.compute.binary_length(units).to_numpy(zero_copy_only=False) == 0)
+        where = np.nonzero(alone)[0]
+        plain = np.nonzero(~alone)[0]
+        a, na = self._joined([lead + u for u in units.take(pa.array(plain)).to_pylist()])
+        b, nb = self._each([lead + u for u in units.take(pa.array(where)).to_pylist()])
+        counts = np.empty(len(units), np.int64)
+        counts[plain], counts[where] = na, nb
+        starts = np.empty(len(units), np.int64)
+        starts[plain], starts[where] = np.cumsum(na) - na, np.cumsum(nb) - nb + len(a)
+        flat = np.concatenate([a, b])
+        return flat[_slices(starts, counts)], counts
+
+    def column(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """All ids of a column of texts, and how many each text has; null is empty."""
+        texts = texts.fill_null("").cast(pa.large_string())
+        if not len(texts):
+            return np.empty(0, np.uint32), np.empty(0, np.int64)
+        crowded = pa.compute.match_substring_regex(texts, f"[{_WHITE}] (?:[{_WHITE}]|\\z)").to_numpy(zero_copy_only=False)
+        whole = np.nonzero(crowded)[0]
+        cut = np.nonzero(~crowded)[0]
+        pieces = pa.compute.split_pattern(texts.take(pa.array(cut)), " ")
+        offsets = pieces.offsets.to_numpy()
+        flat = pieces.flatten()
+        first = np.zeros(len(flat), bool)
+        first[offsets[:-1] - offsets[0]] = True
+        coded = flat.filter(pa.array(~first)).dictionary_encode()
+        heads = flat.filter(pa.array(first)).dictionary_encode()
+        ids_u, n_u = self._units(coded.dictionary, " ")
+        ids_h, n_h = self._units(heads.dictionary, "") if len(heads) else (np.empty(0, np.uint32), np.empty(0, np.int64))
+        ids_w, n_w = self._each(texts.take(pa.array(whole)).to_pylist())
+        # Every piece of every text as a slice of one pool.
+        pool = np.concatenate([ids_u, ids_h, ids_w])
+        begin_u, begin_h = np.cumsum(n_u) - n_u, np.cumsum(n_h) - n_h + len(ids_u)
+        start, count = np.empty(len(flat), np.int64), np.empty(len(flat), np.int64)
+        at = coded.indices.to_numpy()
+        start[~first], count[~first] = begin_u[at], n_u[at]
+        at = heads.indices.to_numpy()
+        start[first], count[first] = begin_h[at], n_h[at]
+        before = np.concatenate([[0], np.cumsum(count)])
+        counts = np.zeros(len(texts), np.int64)
+        counts[cut] = before[offsets[1:] - offsets[0]] - before[offsets[:-1] - offsets[0]]
+        counts[whole] = n_w
+        ids = pool[_slices(start, count)]
+        if len(whole):
+            own = np.empty(len(texts), np.int64)
+            own[cut], own[whole] = np.cumsum(counts[cut]) - counts[cut], np.cumsum(n_w) - n_w + len(ids)
+            ids = np.concatenate([ids, ids_w])[_slices(own, counts)]
+        return ids, counts
+
+
+def _slices(starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """Indices of the concatenated ranges [start, start + count)."""
+    ends = np.cumsum(counts)
+    return np.repeat(starts - (ends - counts), counts) + np.arange(int(ends[-1]) if len(ends) else 0)
 
 
 def encode_decode(docs: DataFrame, ranks: bytes, pattern: str, text: str = "text", key: str = "doc_id") -> DataFrame:
@@ -159,7 +266,7 @@ def encode_decode(docs: DataFrame, ranks: bytes, pattern: str, text: str = "text
     model = sentencepiece_model(pieces)
 
     def run(batches):
-        encoder = UnitEncoder(piece_encoder(model, pattern))
+        encoder = kept(piece_texts, model, pattern)
         for b in batches:
             n, ids_sha, text_sha = [], [], []
             for _, out in encoder.columns(b.column(1)):
