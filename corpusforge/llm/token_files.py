@@ -43,11 +43,13 @@ def pack(ids: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     n = len(ids)
     if not n:
         return np.empty(0, np.uint64), np.zeros(len(ends), np.int64)
-    ids = ids.astype(np.uint64, copy=False)
-    narrow = ids.astype(np.uint32) if int(ids.max()) < 1 << 32 else ids
-    room = np.repeat(ends, np.diff(ends, prepend=0)) - np.arange(n)
-    select = np.where(ids < np.uint64(1 << 60), 15, 0).astype(np.uint8)
-    top, have = narrow, 1
+    if not len(ids) or int(ids.max()) < 1 << 32:
+        ids = ids.astype(np.uint32, copy=False)
+        select = np.full(n, 15, np.uint8)
+    else:
+        select = np.where(ids < np.uint64(1 << 60), 15, 0).astype(np.uint8)
+    room = (np.repeat(ends, np.diff(ends, prepend=0)) - np.arange(n)).astype(np.int32)
+    top, have = ids, 1
     for s in range(14, 0, -1):
         count, bits = COUNTS[s], BITS[s]
         if count > n:
@@ -76,10 +78,10 @@ def pack(ids: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         if s == 0:
             words[first[own] + 1] = ids[chain[own]]
             continue
-        word = np.full(len(own), int(s) << 60, np.uint64)
+        word, at = np.full(len(own), int(s) << 60, np.uint64), chain[own]
         if BITS[s]:
             for k in range(COUNTS[s]):
-                word |= ids[chain[own] + k] << np.uint64(k * BITS[s])
+                word |= ids[at + k].astype(np.uint64) << np.uint64(k * BITS[s])
         words[first[own]] = word
     upto = np.searchsorted(chain, ends, "left")
     return words, np.concatenate([[0], slots])[upto]
@@ -115,7 +117,7 @@ def unpack(words: np.ndarray) -> np.ndarray:
 
 def write_token_files(docs: DataFrame, path: str, tokenizer: str, *, end_id: int = 0, text: str = "text", key: str = "doc_id", shards: int | None = None) -> None:
     """Encode, order and write; `tokenizer` is the content of a tokenizers JSON file."""
-    shards = shards or block_count(docs, text, target=16 << 20, least=24)
+    shards = shards or block_count(docs, text, target=40 << 20, least=24)
 
     def run(batches):
         from pyspark import TaskContext

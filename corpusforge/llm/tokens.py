@@ -257,7 +257,11 @@ class LibraryEncoder:
 def _slices(starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
     """Indices of the concatenated ranges [start, start + count)."""
     ends = np.cumsum(counts)
-    return np.repeat(starts - (ends - counts), counts) + np.arange(int(ends[-1]) if len(ends) else 0)
+    total = int(ends[-1]) if len(ends) else 0
+    kind = np.int32 if total + int(starts.max(initial=0)) < 1 << 31 else np.int64
+    out = np.repeat((starts - (ends - counts)).astype(kind), counts)
+    out += np.arange(total, dtype=kind)
+    return out
 
 
 def encode_decode(docs: DataFrame, ranks: bytes, pattern: str, text: str = "text", key: str = "doc_id") -> DataFrame:
