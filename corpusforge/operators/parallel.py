@@ -1,0 +1,105 @@
+"""Parallel text: derived pairs, directions, repair, dedup, scores, thresholds, document pairs, report."""
+
+from __future__ import annotations
+
+from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from ..functions import text as T
+from . import language
+
+#: Thresholds of the two scores; es stands in for the exception language.
+CLEAN, QE = 0.5, 0.7
+OVERRIDES = {"es": 0.6}
+LANGS = ("fr", "de", "es")
+
+
+def derived_pairs(docs: DataFrame, tgt: str) -> DataFrame:
+    """Lines of English documents with their rank-lexicon rendering; every fifth line gets its neighbour's."""
+    lex = language.rank_lexicon(docs, "en", tgt)
+    lines = docs.where("lang = 'en'").select("doc_id", F.posexplode(T.paragraphs(F.col("text"))).alias("pos", "src_text")).withColumn("pair_id", F.col("doc_id") * 100_000 + F.col("pos"))
+    there = language.translate(lines, lex, "pair_id", "src_text").withColumnRenamed("src_text", "own")
+    x = lines.join(there, "pair_id").withColumn("next", F.lead("own").over(Window.partitionBy("doc_id").orderBy("pos")))
+    shifted = (F.col("pair_id") % 5 == 0) & F.col("next").isNotNull()
+    return x.select("pair_id", "doc_id", "pos", F.lit("en").alias("src_lang"), F.lit(tgt).alias("tgt_lang"), "src_text", F.when(shifted, F.col("next")).when(F.col("pair_id") % 10 == 1, F.col("src_text")).otherwise(F.col("own")).alias("tgt_text"), (~(shifted | (F.col("pair_id") % 10 == 1))).cast("int").alias("is_aligned"))
+
+
+def both_directions(pairs: DataFrame) -> DataFrame:
+    a = F.struct(F.lit("from_en").alias("direction"), F.col("src_lang"), F.col("tgt_lang"), F.col("src_text"), F.col("tgt_text"))
+    b = F.struct(F.lit("to_en").alias("direction"), F.col("tgt_lang").alias("src_lang"), F.col("src_lang").alias("tgt_lang"), F.col("tgt_text").alias("src_text"), F.col("src_text").alias("tgt_text"))
+    return pairs.select("pair_id", F.explode(F.array(a, b)).alias("x")).select("pair_id", "x.*")
+
+
+def repair_pairs(pairs: DataFrame) -> DataFrame:
+    """Quotes, entities, control characters and spacing repaired on both sides; emptied pairs dropped."""
+    def fixed(c: str) -> Column:
+        x = F.translate(F.col(c), "‘’“”", "''\"\"")
+        x = F.regexp_replace(F.regexp_replace(x, "&amp;", "&"), r"[\x00-\x08\x0E-\x1F]", "")
+        return F.btrim(F.regexp_replace(x, r"[\x20\x09-\x0D]+", " "))
+
+    out = pairs.withColumns({"src_text": fixed("src_text"), "tgt_text": fixed("tgt_text")})
+    return out.where("src_text <> '' and tgt_text <> ''")
+
+
+def clean_score(pairs: DataFrame) -> DataFrame:
+    """Stand-in for a pair classifier: hard rules, then agreement of lengths and of digits."""
+    a, b = F.length("src_text"), F.length("tgt_text")
+    ratio = F.least(a, b) / F.greatest(a, b)
+    digits = F.regexp_replace("src_text", "[^0-9]", "") == F.regexp_replace("tgt_text", "[^0-9]", "")
+    words = F.size(T.words(F.col("src_text"))), F.size(T.words(F.col("tgt_text")))
+    even = F.least(*words) / F.greatest(*words)
+    s = F.when(F.col("src_text") == F.col("tgt_text"), 0.0).otherwise(0.3 * ratio + 0.4 * even + 0.3 * digits.cast("double"))
+    return pairs.withColumn("clean_proxy", F.round(s, 6))
+
+
+def qe_score(pairs: DataFrame) -> DataFrame:
+    """Stand-in for learned quality estimation: agreement of word-length profiles, as a cosine of counts."""
+    sizes = lambda c: F.transform(T.words(F.col(c)), lambda x: F.least(F.length(x), F.lit(12)))
+    p = pairs.withColumns({"_sa": sizes("src_text"), "_sb": sizes("tgt_text")})
+    profile = lambda c: F.array(*[F.size(F.filter(c, lambda x: x == k)).cast("double") for k in range(1, 13)])  # noqa: B023, E731
+    p = p.withColumns({"_a": profile("_sa"), "_b": profile("_sb")}).drop("_sa", "_sb")
+    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda i, j: i * j), F.lit(0.0), lambda s, v: s + v)
+    cos = F.try_divide(dot(F.col("_a"), F.col("_b")), F.sqrt(dot(F.col("_a"), F.col("_a")) * dot(F.col("_b"), F.col("_b"))))
+    return p.withColumn("qe_proxy", F.round(F.coalesce(cos, F.lit(0.0)), 6)).drop("_a", "_b")
+
+
+def dedup_pairs(pairs: DataFrame, mode: str = "normalized") -> DataFrame:
+    """Best-scored of equal pairs; mode exact, normalized or source."""
+    norm = T.normalized if mode != "exact" else (lambda c: c)
+    key = [norm(F.col("src_text"))] + ([] if mode == "source" else [norm(F.col("tgt_text"))])
+    keyed = pairs.withColumn("_k", F.md5(F.concat_ws("\n", "tgt_lang", *key)))
+    best = keyed.groupBy("_k").agg(F.max_by("pair_id", F.struct("clean_proxy", -F.col("pair_id"))).alias("pair_id")).select("pair_id")
+    return pairs.join(best, "pair_id", "left_semi")
+
+
+def bound_of(lang: Column, default: float = CLEAN, overrides: dict[str, float] = OVERRIDES) -> Column:
+    out = F.lit(default)
+    for k, v in overrides.items():
+        out = F.when(lang == k, F.lit(v)).otherwise(out)
+    return out
+
+
+def filter_pairs(pairs: DataFrame, clean: bool = True, qe: bool = True) -> DataFrame:
+    """What scores below a bound goes; the cheap score is tested first."""
+    if clean:
+        pairs = pairs.where(F.col("clean_proxy") >= bound_of(F.col("tgt_lang")))
+    return pairs.where(F.col("qe_proxy") >= QE) if qe else pairs
+
+
+def doc_pairs(pairs: DataFrame) -> DataFrame:
+    """Pairs by document, scored by the mean of their segments, same thresholds."""
+    d = pairs.groupBy("doc_id", "src_lang", "tgt_lang").agg(F.count(F.lit(1)).alias("segments"), F.round(F.avg("clean_proxy"), 6).alias("clean_proxy"), F.round(F.avg("qe_proxy"), 6).alias("qe_proxy"))
+    return filter_pairs(d)
+
+
+def pair_report(pairs: DataFrame) -> DataFrame:
+    """Retention, precision and recall of the filter, by target language and overall."""
+    keep = (F.col("clean_proxy") >= bound_of(F.col("tgt_lang"))) & (F.col("qe_proxy") >= QE)
+    x = pairs.select("tgt_lang", "is_aligned", keep.cast("int").alias("k"))
+    out = x.rollup("tgt_lang").agg(F.count(F.lit(1)).alias("pairs"), F.sum("k").cast("bigint").alias("kept"), F.sum(F.col("k") * F.col("is_aligned")).cast("bigint").alias("good"), F.sum("is_aligned").cast("bigint").alias("aligned"))
+    return out.select(F.coalesce("tgt_lang", F.lit("(all)")).alias("tgt_lang"), "pairs", "kept", F.round(F.try_divide(F.col("good").cast("double"), F.col("kept")), 6).alias("precision"), F.round(F.try_divide(F.col("good").cast("double"), F.col("aligned")), 6).alias("recall"))
+
+
+def source_registry(spark: SparkSession, n: int = 37) -> DataFrame:
+    """As many parallel corpora as published, by number; names stay out."""
+    return spark.range(1, n + 1).select(F.format_string("parallel-%02d", "id").alias("source"), F.lit("parallel").alias("category"), F.array(*[F.lit(i) for i in (1, 2, 3)]).alias("phases"))
