@@ -121,7 +121,10 @@ def apply_rules(df: DataFrame, text: str = "text", rules: tuple[Rule, ...] = DEF
 def keep_quality(docs: DataFrame, rules: tuple[Rule, ...] = DEFAULT_RULES) -> DataFrame:
     """The rows that pass, with the columns they came with."""
     boxed = docs.select(F.struct(*docs.columns).alias("_row"), F.col("text"))
-    return apply_rules(boxed, rules=rules).where("kept").select("_row.*")
+    # Spark would push the filter below the features and copy their expressions into it, each many times
+    # over; it does not push through a projection that numbers rows.
+    judged = apply_rules(boxed, rules=rules).select("_row", "kept", F.monotonically_increasing_id().alias("_no"))
+    return judged.where("kept and _no >= 0").select("_row.*")
 
 
 __all__ = ["DEFAULT_RULES", "SPACES_RE", "Rule", "apply_rules", "compile_rules", "keep_quality", "quality_features"]
