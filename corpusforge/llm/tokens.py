@@ -160,7 +160,7 @@ class LibraryEncoder:
     A text is cut before every space that stands alone: no pre-token crosses such a place. Arrow cuts
     and finds the distinct units of a batch; the library encodes each once, many in one string with
     line feeds between them (one token, apart from its neighbours); ids are gathered by index. Units
-    that hold white space, and texts with white space on both sides of a space, are encoded alone.
+    that hold other white space, and texts with white space on both sides of a space, are encoded alone.
     Nothing is kept between batches; memory follows the batch.
     """
 
@@ -182,8 +182,8 @@ class LibraryEncoder:
         ids = [np.array(e.ids, np.uint32) for e in self.tok.encode_batch_fast(texts, add_special_tokens=False)]
         return np.concatenate(ids), np.array([len(x) for x in ids], np.int64)
 
-    def _joined(self, units: list[str], size: int = 512) -> tuple[np.ndarray, np.ndarray]:
-        """Ids and counts of units without inner white space."""
+    def _joined(self, units: list[str], inner: np.ndarray, size: int = 512) -> tuple[np.ndarray, np.ndarray]:
+        """Ids and counts of units whose only inner white space is `inner` line feeds that stand alone."""
         if len(self.mark) != 1:
             return self._each(units)
         ids, counts = [np.empty(0, np.uint32)], [np.empty(0, np.int64)]
@@ -191,9 +191,11 @@ class LibraryEncoder:
             group = units[i : i + size]
             got = np.array(self.tok.encode_batch_fast(["\n".join(group)], add_special_tokens=False)[0].ids, np.uint32)
             feeds = np.nonzero(got == self.mark[0])[0]
-            if len(feeds) != len(group) - 1:
+            own = np.cumsum(inner[i : i + size] + 1)
+            if len(feeds) != own[-1] - 1:
                 got, n = self._each(group)
             else:
+                feeds = feeds[own[:-1] - 1]
                 n = np.diff(np.concatenate([[-1], feeds, [len(got)]])) - 1
                 got = np.delete(got, feeds)
             ids.append(got)
@@ -202,12 +204,11 @@ class LibraryEncoder:
 
     def _units(self, units: pa.Array, lead: str) -> tuple[np.ndarray, np.ndarray]:
         """Ids (in order of the units) and counts of units, each after `lead`."""
-        inner = pa.compute.match_substring_regex(units, f"[{_WHITE}]").to_numpy(zero_copy_only=False)
-        # An empty unit is its lead alone: a space is white space too.
-        alone = inner | (pa.compute.binary_length(units).to_numpy(zero_copy_only=False) == 0)
-        where = np.nonzero(alone)[0]
-        plain = np.nonzero(~alone)[0]
-        a, na = self._joined([lead + u for u in units.take(pa.array(plain)).to_pylist()])
+        joins = pa.compute.match_substring_regex(units, f"^[^{_WHITE}]+(?:\n[^{_WHITE}]+)*$").to_numpy(zero_copy_only=False)
+        where, plain = np.nonzero(~joins)[0], np.nonzero(joins)[0]
+        some = units.take(pa.array(plain))
+        feeds = pa.compute.count_substring(some, "\n").to_numpy(zero_copy_only=False).astype(np.int64)
+        a, na = self._joined([lead + u for u in some.to_pylist()], feeds)
         b, nb = self._each([lead + u for u in units.take(pa.array(where)).to_pylist()])
         counts = np.empty(len(units), np.int64)
         counts[plain], counts[where] = na, nb
