@@ -125,7 +125,7 @@ def write_token_files(docs: DataFrame, path: str, tokenizer: str, *, end_id: int
         encoder = kept(LibraryEncoder, tokenizer)
         shard, block, before = TaskContext.get().partitionId(), 0, 0
         kinds = {"shard": pa.int32(), "block": pa.int32(), "before": pa.int64(), "n_ids": pa.int64(), "words": pa.binary()}
-        for b in batches:
+        for b in (x.slice(i, 7000) for x in batches for i in range(0, x.num_rows, 7000)):
             keys = b.column(0).to_pylist()
             ids, counts = encoder.column(b.column(1))
             # Each document's ids, then its end mark.
