@@ -8,12 +8,14 @@ must be cut first (a rare tail of words can be dropped by the caller), as the me
 from __future__ import annotations
 
 from collections import Counter, defaultdict
+from heapq import heapify, heappop, heappush
 
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import text as T
+from ..sources.tables import cut_lineage
 
 MARK = "▁"
 
@@ -38,37 +40,41 @@ def merge_word(symbols: list[str], pair: tuple[str, str]) -> list[str]:
     return out
 
 
+def pairs(s: list[str]):
+    """Adjacent pairs; overlapping equal symbols count without overlap."""
+    last = None
+    for p in zip(s, s[1:]):
+        if p == last and p[0] == p[1]:
+            last = None
+        else:
+            yield p
+            last = p
+
+
 def learn(words: list[tuple[str, int]], merges: int, alphabet: set[str]) -> list[tuple[str, str, int]]:
     """Merge list (left, right, weight): heaviest pair first, ties to the smaller pair; stops under weight 2."""
     state = [(spell(MARK + w, alphabet), n) for w, n in words]
     weight: Counter = Counter()
     where: dict = defaultdict(set)
-
-    def pairs(s: list[str]):
-        """Adjacent pairs; overlapping equal symbols count without overlap."""
-        i, last = 0, None
-        while i + 1 < len(s):
-            p = (s[i], s[i + 1])
-            if p == last and p[0] == p[1]:
-                last = None
-            else:
-                yield p
-                last = p
-            i += 1
-
     for i, (s, n) in enumerate(state):
         for p in pairs(s):
             weight[p] += n
             where[p].add(i)
     out = []
-    while len(out) < merges and weight:
-        best = min(weight, key=lambda p: (-weight[p], p))
-        if weight[best] < 2:
+    heap = [(-n, p) for p, n in weight.items()]
+    heapify(heap)
+    while len(out) < merges and heap:
+        n, best = heappop(heap)
+        if weight.get(best, 0) != -n:
+            continue  # an older weight of this pair; the current one has its own entry
+        if -n < 2:
             break
         out.append((*best, weight[best]))
+        touched = set()
         for i in list(where[best]):
             s, n = state[i]
             for p in pairs(s):
+                touched.add(p)
                 weight[p] -= n
                 where[p].discard(i)
                 if weight[p] <= 0:
@@ -76,8 +82,12 @@ def learn(words: list[tuple[str, int]], merges: int, alphabet: set[str]) -> list
             s = merge_word(s, best)
             state[i] = (s, n)
             for p in pairs(s):
+                touched.add(p)
                 weight[p] += n
                 where[p].add(i)
+        for p in touched:
+            if p in weight:
+                heappush(heap, (-weight[p], p))
     return out
 
 
@@ -154,3 +164,96 @@ def fertility_baselines(words: DataFrame) -> DataFrame:
 
 def words_of(df: DataFrame) -> DataFrame:
     return df.select("lang", F.explode(T.letter_words(F.col("text"))).alias("word")).groupBy("lang", "word").agg(F.count(F.lit(1)).alias("cnt"))
+
+
+def safe_picks(rows: list[tuple[str, str, int]], floor: int, limit: int, made: set[str]) -> list[tuple[str, str, int]]:
+    """The longest head of a ranked pair list that one-by-one training would take in the same order.
+
+    A later pick must share no symbol with an earlier one (its weight then cannot change) and outweigh
+    every pair an earlier merge can create: such a pair weighs at most as much as the pair that reaches
+    the merged symbol's edge. `floor` bounds pairs below the list. A merge that spells an existing
+    symbol ends the batch, as it adds to pairs that exist.
+    """
+    before, after = defaultdict(lambda: floor), defaultdict(lambda: floor)
+    for a, b, n in rows:
+        before[b], after[a] = max(before[b], n), max(after[a], n)
+    out, used, bound = [], set(), 0
+    for a, b, n in rows[:limit]:
+        if n < 2 or (out and (a in used or b in used or n <= bound)):
+            break
+        out.append((a, b, n))
+        if a + b in made or (a + b).startswith("<0x"):
+            break
+        made.add(a + b)
+        used |= {a, b}
+        bound = max(bound, min(n, max(before[a], after[b])))
+    return out
+
+
+def train_bpe_batched(words: DataFrame, merges: int, coverage: float = 0.9995, per_round: int = 32, listed: int = 512, cut_every: int = 2) -> list[tuple[str, str, int]]:
+    """Merge list equal to train_bpe's, with the word table spread over all tasks.
+
+    Each round counts pairs (combined inside a task before the shuffle), takes `listed` of them to the
+    driver, and applies every merge that is safe at once. For word tables no single task can hold.
+    """
+    known = {MARK, *alphabet(words, coverage)}
+    table = words.groupBy("word").agg(F.sum("cnt").alias("cnt"))
+
+    def spelled(batches):
+        for b in batches:
+            yield pd.DataFrame({"cnt": b["cnt"], "s": [spell(MARK + w, known) for w in b["word"]]})
+
+    def counted(batches):
+        weight: Counter = Counter()
+        for b in batches:
+            for s, n in zip(b["s"], b["cnt"]):
+                for p in pairs(list(s)):
+                    weight[p] += n
+        yield pd.DataFrame({"left": [a for a, _ in weight], "right": [b for _, b in weight], "n": list(weight.values())})
+
+    def rewritten(picks):
+        def run(batches):
+            for b in batches:
+                out = []
+                for s in b["s"]:
+                    s = list(s)
+                    for p in picks:
+                        if p[0] in s:
+                            s = merge_word(s, p)
+                    out.append(s)
+                yield pd.DataFrame({"cnt": b["cnt"], "s": out})
+
+        return run
+
+    state, out, made, rounds = cut_lineage(table.mapInPandas(spelled, "cnt bigint, s array<string>")), [], set(), 0
+    while len(out) < merges:
+        top = state.mapInPandas(counted, "left string, right string, n bigint").groupBy("left", "right").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "left", "right").limit(listed).collect()
+        rows = [(r["left"], r["right"], r["n"]) for r in top]
+        picks = safe_picks(rows, rows[-1][2] if len(rows) == listed else 0, min(per_round, merges - len(out)), made)
+        if not picks:
+            break
+        out += picks
+        rounds += 1
+        state = state.mapInPandas(rewritten([p[:2] for p in picks]), "cnt bigint, s array<string>")
+        if rounds % cut_every == 0:
+            state = cut_lineage(state)
+    return out
+
+
+def decode_words(encoded: DataFrame) -> DataFrame:
+    """(word, decoded) of encoded words."""
+    def run(batches):
+        for b in batches:
+            yield pd.DataFrame({"word": b["word"], "decoded": [decode(list(p)) for p in b["pieces"]]})
+
+    return encoded.mapInPandas(run, "word string, decoded string")
+
+
+def vocab_sweep(words: DataFrame, merges: list[tuple[str, str]], sizes: tuple[int, ...], known: set[str], width: int = 4096) -> DataFrame:
+    """(size, embedding parameters, tokens, words, fertility): every size is a prefix of one merge list."""
+    out = None
+    for size in sizes:
+        x = words.join(encode_words(words, merges[:size], known).select("word", F.size("pieces").alias("n")), "word")
+        part = x.agg(F.sum(F.col("cnt") * F.col("n")).alias("tokens"), F.sum("cnt").alias("words")).select(F.lit(size).alias("size"), F.lit(2 * size * width).cast("bigint").alias("embedding"), "tokens", "words", F.round(F.col("tokens") / F.col("words"), 6).alias("fertility"))
+        out = part if out is None else out.unionByName(part)
+    return out

@@ -126,3 +126,48 @@ def translate(df: DataFrame, lexicon: DataFrame, key: str = "doc_id", text: str
     w = df.select(key, F.posexplode(T.words(F.col(text))).alias("pos", "w"))
     out = w.join(lexicon.select(F.col("src_word").alias("_s"), "tgt_word"), F.lower("w") == F.col("_s"), "left")
     return out.groupBy(key).agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("pos", F.coalesce("tgt_word", "w").alias("w")))), lambda x: x["w"]), " ").alias(text))
+
+
+def distance_langid(df: DataFrame, train: DataFrame, top: int = 300, sizes: tuple[int, ...] = (1, 2, 3)) -> DataFrame:
+    """Variant: ranked n-gram profiles; a gram's cost is its change of rank, `top` where the language lacks it."""
+    def profile(words: DataFrame, key: str) -> DataFrame:
+        grams = words.select("word").distinct().select("word", F.explode(_grams(F.col("word"), sizes)).alias("gram"))
+        c = words.join(grams, "word").groupBy(key, "gram").agg(F.sum("cnt").alias("c"))
+        r = F.row_number().over(Window.partitionBy(key).orderBy(F.desc("c"), "gram"))
+        return c.withColumn("r", r).where(F.col("r") <= top).select(key, "gram", "r")
+
+    known = profile(doc_words(train).groupBy("lang", "word").agg(F.sum("cnt").alias("cnt")), "lang").withColumnsRenamed({"lang": "guess", "r": "l"})
+    words = doc_words(df)
+    mine = profile(words, "doc_id")
+    # A gram costs `top` unless it is known: only the savings are joined, never document x language x gram.
+    gain = mine.join(F.broadcast(known), "gram").groupBy("doc_id", "guess").agg(F.sum(F.lit(top) - F.abs(F.col("r") - F.col("l"))).cast("bigint").alias("gain"))
+    best = gain.groupBy("doc_id").agg(F.min_by("guess", F.struct(-F.col("gain"), "guess")).alias("predicted"), F.max("gain").alias("gain"))
+    size = mine.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
+    return words.select("doc_id", "lang").distinct().join(best, "doc_id").join(size, "doc_id").select("doc_id", "lang", "predicted", (F.col("n") * top - F.col("gain")).alias("distance"))
+
+
+def perplexity_backoff(df: DataFrame, trusted: DataFrame, factor: float = 0.4) -> DataFrame:
+    """Stupid back-off of order 2: the bigram's share of its context, else a factor times the word's share."""
+    c = bigrams(trusted).groupBy("lang", "u", "w").agg(F.sum("cnt").alias("c"))
+    ctx = c.groupBy("lang", "u").agg(F.sum("c").alias("cu"))
+    uni = c.groupBy("lang", "w").agg(F.sum("c").alias("cw"))
+    size = c.groupBy("lang").agg(F.sum("c").alias("total"))
+    x = bigrams(df).join(c, ["lang", "u", "w"], "left").join(ctx, ["lang", "u"], "left").join(uni, ["lang", "w"], "left").join(F.broadcast(size), "lang")
+    s = F.when(F.col("c").isNotNull(), F.col("c") / F.col("cu")).otherwise(factor * F.coalesce("cw", F.lit(1)) / F.col("total"))
+    return x.groupBy("doc_id", "lang").agg(F.round(F.exp(-F.sum(F.col("cnt") * F.log(s)) / F.sum("cnt")), 3).alias("perplexity"))
+
+
+def perplexity_bands(scored: DataFrame, cuts: tuple[float, float] = (1 / 3, 2 / 3), exact: bool = True) -> DataFrame:
+    """head, middle or tail by the language's percentiles."""
+    cut = lambda q: F.percentile("perplexity", F.lit(q)) if exact else F.percentile_approx("perplexity", F.lit(q), F.lit(10_000))
+    bound = scored.groupBy("lang").agg(cut(cuts[0]).alias("lo"), cut(cuts[1]).alias("hi"))
+    band = F.when(F.col("perplexity") <= F.col("lo"), "head").when(F.col("perplexity") <= F.col("hi"), "middle").otherwise("tail")
+    return scored.join(F.broadcast(bound), "lang").withColumn("band", band).drop("lo", "hi")
+
+
+def perplexity_below(scored: DataFrame, bounds: dict[str, float], default: float) -> DataFrame:
+    """Variant: an absolute bound by language."""
+    b = F.lit(default)
+    for lang, v in bounds.items():
+        b = F.when(F.col("lang") == lang, F.lit(v)).otherwise(b)
+    return scored.where(F.col("perplexity") <= b)

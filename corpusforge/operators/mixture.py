@@ -108,3 +108,27 @@ def choose_mix(scores: DataFrame) -> DataFrame:
 
 def shuffle_key(df: DataFrame, seed: int = 0) -> DataFrame:
     return df.withColumn("shuffle_key", T.uniform(F.col("doc_id"), F.lit(seed)))
+
+
+def category_shares(avail: DataFrame, fixed: dict[str, float]) -> DataFrame:
+    """Share of each category: some set, the rest raised or cut in proportion to what is available."""
+    by = avail.groupBy("category").agg(F.sum("tokens").cast("double").alias("tokens"))
+    named = F.lit(None).cast("double")
+    for k, v in fixed.items():
+        named = F.when(F.col("category") == k, F.lit(v)).otherwise(named)
+    free = F.when(named.isNull(), F.col("tokens"))
+    rest = F.lit(1 - sum(fixed.values())) * free / F.sum(free).over(Window.partitionBy(F.lit(1)))
+    return by.select("category", F.round(F.coalesce(named, rest), 6).alias("share"))
+
+
+def mix_distance(report: DataFrame) -> DataFrame:
+    """L1 distance of achieved and target shares, and the entropy of what was achieved."""
+    a = F.col("achieved")
+    return report.agg(F.round(F.sum("deviation"), 5).alias("l1"), F.round(-F.sum(F.when(a > 0, a * F.log(a))), 5).alias("entropy"))
+
+
+def balanced_sample(df: DataFrame, seed: int = 0) -> DataFrame:
+    """Documents for tokenizer training: every language thinned towards the smallest one's words."""
+    by = df.groupBy("lang").agg(F.sum(F.size(T.words(F.col("text"))).cast("bigint")).alias("n"))
+    rate = by.select("lang", F.round(F.min("n").over(Window.partitionBy(F.lit(1))) / F.col("n"), 6).alias("rate"))
+    return df.join(F.broadcast(rate), "lang").where(T.uniform(F.col("doc_id"), F.lit("tokenizer"), F.lit(seed)) < F.col("rate")).drop("rate")

@@ -54,13 +54,13 @@ def clean_score(pairs: DataFrame) -> DataFrame:
 
 def qe_score(pairs: DataFrame) -> DataFrame:
     """Stand-in for learned quality estimation: agreement of word-length profiles, as a cosine of counts."""
+    # Lambda arguments are computed once, even where a filter on the score is pushed below it.
+    once = lambda x, f: F.get(F.transform(F.array(x), f), F.lit(0))
     sizes = lambda c: F.transform(T.words(F.col(c)), lambda x: F.least(F.length(x), F.lit(12)))
-    p = pairs.withColumns({"_sa": sizes("src_text"), "_sb": sizes("tgt_text")})
-    profile = lambda c: F.array(*[F.size(F.filter(c, lambda x: x == k)).cast("double") for k in range(1, 13)])  # noqa: B023, E731
-    p = p.withColumns({"_a": profile("_sa"), "_b": profile("_sb")}).drop("_sa", "_sb")
+    profile = lambda c: once(sizes(c), lambda s: F.array(*[F.size(F.filter(s, lambda x: x == k)).cast("double") for k in range(1, 13)]))  # noqa: B023, E731
     dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda i, j: i * j), F.lit(0.0), lambda s, v: s + v)
-    cos = F.try_divide(dot(F.col("_a"), F.col("_b")), F.sqrt(dot(F.col("_a"), F.col("_a")) * dot(F.col("_b"), F.col("_b"))))
-    return p.withColumn("qe_proxy", F.round(F.coalesce(cos, F.lit(0.0)), 6)).drop("_a", "_b")
+    cos = once(F.struct(profile("src_text").alias("a"), profile("tgt_text").alias("b")), lambda p: F.try_divide(dot(p["a"], p["b"]), F.sqrt(dot(p["a"], p["a"]) * dot(p["b"], p["b"]))))
+    return pairs.withColumn("qe_proxy", F.round(F.coalesce(cos, F.lit(0.0)), 6))
 
 
 def dedup_pairs(pairs: DataFrame, mode: str = "normalized") -> DataFrame:
@@ -88,7 +88,7 @@ def filter_pairs(pairs: DataFrame, clean: bool = True, qe: bool = True) -> DataF
 
 def doc_pairs(pairs: DataFrame) -> DataFrame:
     """Pairs by document, scored by the mean of their segments, same thresholds."""
-    d = pairs.groupBy("doc_id", "src_lang", "tgt_lang").agg(F.count(F.lit(1)).alias("segments"), F.round(F.avg("clean_proxy"), 6).alias("clean_proxy"), F.round(F.avg("qe_proxy"), 6).alias("qe_proxy"))
+    d = pairs.groupBy("doc_id", "src_lang", "tgt_lang").agg(F.count(F.lit(1)).alias("segments"), F.avg("clean_proxy").alias("clean_proxy"), F.avg("qe_proxy").alias("qe_proxy"))
     return filter_pairs(d)
 
 

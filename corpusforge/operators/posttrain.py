@@ -109,3 +109,100 @@ def make_instructions(docs: DataFrame, langs: tuple[str, ...], templates: dict[s
     cats = F.array(*[F.struct(F.lit(k).alias("category"), F.lit(v).alias("template")) for k, v in sorted(templates.items())])
     x = docs.select("doc_id", "lang", F.explode(F.array(*[F.lit(x) for x in langs])).alias("tgt_lang")).withColumn("t", F.explode(cats))
     return x.select("doc_id", "tgt_lang", F.col("t.category").alias("category"), F.concat(F.col("t.template"), F.lit(" ["), F.col("tgt_lang"), F.lit("] #"), F.col("doc_id").cast("string")).alias("instruction"))
+
+
+def human_pairs(conv: DataFrame) -> DataFrame:
+    """(conv_id, turn, prompt, answer): user turns with the assistant turn that follows."""
+    u = conv.where("role = 'user'").select("conv_id", "turn", F.col("text").alias("prompt"))
+    return u.join(conv.where("role = 'assistant'").select("conv_id", (F.col("turn") - 1).alias("turn"), F.col("text").alias("answer")), ["conv_id", "turn"])
+
+
+def collect_instructions(frames: dict[str, DataFrame]) -> DataFrame:
+    """Union of instruction sets by name, each row with its origin."""
+    out = None
+    for origin, df in frames.items():
+        part = df.withColumn("origin", F.lit(origin))
+        out = part if out is None else out.unionByName(part, allowMissingColumns=True)
+    return out
+
+
+def license_gate(df: DataFrame, allowed: tuple[str, ...], column: str = "generator") -> DataFrame:
+    """Rows of permitted generators; a row without a generator is human and stays."""
+    return df.where(F.col(column).isNull() | F.col(column).isin(*allowed))
+
+
+def dedup_instructions(conv: DataFrame) -> DataFrame:
+    """Conversations whose first user turn is new: the smallest id of each normal form."""
+    first = conv.where("role = 'user'").groupBy("conv_id").agg(F.min_by("text", "turn").alias("text"))
+    return first.groupBy(F.md5(T.normalized(F.col("text"))).alias("_k")).agg(F.min("conv_id").alias("conv_id")).select("conv_id")
+
+
+def reward_robustness(original: DataFrame, rendered: DataFrame) -> DataFrame:
+    """Pearson correlation of each score between prompts and their renderings in another language."""
+    keys, scores = ["conv_id", "turn"], ("complexity", "readability", "reward")
+    x = original.select(*keys, *scores).join(rendered.select(*keys, *[F.col(c).alias(f"r_{c}") for c in scores]), keys)
+    return x.agg(*[F.round(F.corr(c, f"r_{c}"), 6).alias(c) for c in scores])
+
+
+def answer_from_doc(docs: DataFrame, k: int = 2) -> DataFrame:
+    """Grounded answer: the k lines that share most words with the document's first line, in their order."""
+    x = docs.select("doc_id", T.paragraphs(F.col("text")).alias("ps")).where(F.size("ps") > 1)
+    x = x.select("doc_id", F.get("ps", F.lit(0)).alias("instruction"), F.slice("ps", F.lit(2), F.size("ps")).alias("ps"))
+    x = x.withColumn("q", T.words(F.lower("instruction")))
+    scored = F.transform("ps", lambda p, i: F.struct(-F.size(F.array_intersect(T.words(F.lower(p)), F.col("q"))).alias("s"), i.alias("i"), p.alias("p")))
+    best = F.slice(F.sort_array(scored), 1, k)
+    ordered = F.sort_array(F.transform(best, lambda b: F.struct(b["i"].alias("i"), b["p"].alias("p"))))
+    return x.select("doc_id", "instruction", F.array_join(F.transform(ordered, lambda b: b["p"]), "\n").alias("answer"))
+
+
+def mt_items(pairs: DataFrame, last_train: int = 2022) -> DataFrame:
+    """Pairs of editions that may train, without any whose source text an evaluation edition holds too."""
+    held = pairs.where(F.col("edition") > last_train).select(F.md5("src_text").alias("_k")).distinct()
+    return pairs.where(F.col("edition") <= last_train).withColumn("_k", F.md5("src_text")).join(held, "_k", "left_anti").drop("_k")
+
+
+def pack_bins(items: DataFrame, mode: str = "first_fit_decreasing", length: int = LENGTH, per_shard: int = 50_000) -> DataFrame:
+    """(conv_id, part, shard, bin, n_tokens): items never split unless longer than a row; shards follow the item count.
+
+    Modes: none (a row an item), next_fit, first_fit_decreasing. A shard holds about `per_shard` items whatever the size of the input.
+    """
+    import pandas as pd
+
+    shards = max(1, -(-items.count() // per_shard))
+    cuts = F.transform(F.sequence(F.lit(0), ((F.col("n_tokens") - 1) / length).cast("int")), lambda p: F.struct(p.alias("part"), F.least(F.lit(length), F.col("n_tokens") - p * length).cast("bigint").alias("n_tokens")))
+    x = items.where("n_tokens > 0").select("conv_id", F.explode(cuts).alias("c")).select("conv_id", "c.part", "c.n_tokens").withColumn("shard", F.pmod(F.crc32(F.col("conv_id").cast("string")), F.lit(shards)).cast("int"))
+
+    def place(b: pd.DataFrame) -> pd.DataFrame:
+        order = ["n_tokens", "conv_id", "part"] if mode == "first_fit_decreasing" else ["conv_id", "part"]
+        b = b.sort_values(order, ascending=[c != "n_tokens" for c in order]).reset_index(drop=True)
+        room: list[int] = []
+        tree_size = 1
+        while tree_size < len(b):
+            tree_size *= 2
+        # A tournament tree over open rows finds the first one with room in log time.
+        tree = [length] * (2 * tree_size) if mode == "first_fit_decreasing" else []
+        bins = []
+        for n in b["n_tokens"]:
+            if mode == "none" or (mode == "next_fit" and (not room or room[-1] < n)):
+                room.append(length)
+            if mode != "first_fit_decreasing":
+                room[-1] -= n
+                bins.append(len(room) - 1)
+                continue
+            i = 1
+            while i < tree_size:
+                i = 2 * i if tree[2 * i] >= n else 2 * i + 1
+            bins.append(i - tree_size)
+            tree[i] -= n
+            while i > 1:
+                i //= 2
+                tree[i] = max(tree[2 * i], tree[2 * i + 1])
+        return b.assign(bin=bins)[["conv_id", "part", "shard", "bin", "n_tokens"]]
+
+    return x.groupBy("shard").applyInPandas(lambda b: place(b), "conv_id bigint, part int, shard int, bin bigint, n_tokens bigint")
+
+
+def bin_report(packed: DataFrame, length: int = LENGTH) -> DataFrame:
+    """Rows, tokens and fill of a packing."""
+    x = packed.groupBy("shard", "bin").agg(F.sum("n_tokens").alias("n"))
+    return x.agg(F.count(F.lit(1)).alias("rows"), F.sum("n").alias("tokens"), F.max("n").alias("fullest")).withColumn("fill", F.round(F.col("tokens") / (F.col("rows") * length), 6))

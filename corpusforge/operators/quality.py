@@ -6,7 +6,7 @@ n-grams and length ratios. Its column ends in _proxy and it is never reported as
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import text as T
@@ -79,3 +79,24 @@ def letter_share_score(df: DataFrame) -> DataFrame:
     """Baseline: one feature, the share of letters, as a score of 0 to 5."""
     n = F.greatest(F.length("text"), F.lit(1))
     return df.withColumn("edu_proxy", F.round(5.0 * T.count_class(F.col("text"), r"\p{L}") / n, 6))
+
+
+def majority_score(df: DataFrame) -> DataFrame:
+    """Baseline: every document gets the commoner side of its language's annotation."""
+    good = F.count_if(F.col("edu_score") > 2.5)
+    by = df.groupBy("lang").agg(F.when(2 * good >= F.count(F.lit(1)), 5.0).otherwise(0.0).alias("edu_proxy"))
+    return df.join(F.broadcast(by), "lang")
+
+
+def area_under_curve(df: DataFrame, score: str, truth: str, bound: float) -> DataFrame:
+    """AUC by language from mid-ranks of distinct scores: one aggregate, then a window over distinct scores."""
+    g = df.groupBy("lang", F.col(score).alias("_s")).agg(F.count_if(F.col(truth) > bound).alias("p"), F.count_if(F.col(truth) <= bound).alias("q"))
+    below = F.sum("q").over(Window.partitionBy("lang").orderBy("_s")) - F.col("q")
+    wins = g.withColumn("w", F.col("p") * (below + F.col("q") / 2.0))
+    return wins.groupBy("lang").agg(F.round(F.try_divide(F.sum("w"), F.sum("p") * F.sum("q")), 6).alias("auc"))
+
+
+def kept_by_threshold(df: DataFrame, score: str, bounds: tuple[float, ...]) -> DataFrame:
+    """Share of documents above each bound, by language."""
+    x = df.select("lang", score, F.explode(F.array(*[F.lit(b) for b in bounds])).alias("bound"))
+    return x.groupBy("lang", "bound").agg(F.count_if(F.col(score) > F.col("bound")).alias("kept"), F.count(F.lit(1)).alias("n"))

@@ -63,3 +63,20 @@ def make_mcq(df: DataFrame, k: int = 3, buckets: int = 16, seed: int = 0) -> Dat
 def sources_for_phase(registry: DataFrame, phase: int) -> DataFrame:
     """Categories that enter in a phase: code/maths and higher quality from the second on."""
     return registry.where((F.col("category") == "web") | (F.col("category") == "parallel") | F.lit(phase >= 2))
+
+
+def mix_generators(frames: dict[str, DataFrame]) -> DataFrame:
+    """Originals and several generators' answers in one frame, by name."""
+    out = None
+    for name, df in frames.items():
+        part = df.withColumn("generator", F.lit(name))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def rewrite_questions(df: DataFrame, lexicon: DataFrame) -> DataFrame:
+    """Stand-in for rewriting: a polite frame around the question with its words replaced through a lexicon; ids stay."""
+    from . import language
+
+    said = language.translate(df, lexicon, "prompt_id", "prompt")
+    return df.drop("prompt").join(said, "prompt_id").withColumn("prompt", F.concat(F.lit("Please answer: "), "prompt"))

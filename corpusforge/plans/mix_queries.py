@@ -71,12 +71,6 @@ for _k, _sql in _RATE.items():
     query(f"acct_lr_{_k}", f"select s step, (case when s < {round(0.9 * _N)} then 1 when s < {_N} then 2 else 3 end)::int phase, round(({_sql})::double, 12) lr from range(0, {_N + _L + 1}, 100) t(s)")(lambda spark, d, k=_k: account.lr_schedule(spark, kind=k))
 
 
-@query("acct_assign_phase")
-def acct_assign_phase(spark, d):
-    x = docs(spark, d).select("doc_id", "lang", "n_chars")
-    return account.assign_phase(x, "n_chars", [1_000_000, 2_000_000], ["doc_id"])
-
-
 @query("mix_available", f"select lang, category, tokens, docs from {AVAIL}")
 def mix_available(spark, d):
     return mixture.available_tokens(docs(spark, d))
@@ -189,16 +183,6 @@ def par_registry(spark, d):
     return parallel.source_registry(spark)
 
 
-query("par_directions")(lambda spark, d: parallel.both_directions(parallel.derived_pairs(docs(spark, d), "de")))
-query("par_dedup")(lambda spark, d: parallel.dedup_pairs(_pairs(spark, d)).select("pair_id"))
-query("par_dedup_source")(lambda spark, d: parallel.dedup_pairs(_pairs(spark, d), "source").select("pair_id"))
-query("par_thresholds")(lambda spark, d: parallel.filter_pairs(_pairs(spark, d, "es")).select("pair_id", "clean_proxy", "qe_proxy"))
-query("par_ablation_clean")(lambda spark, d: parallel.filter_pairs(_pairs(spark, d), qe=False).select("pair_id"))
-query("par_ablation_qe")(lambda spark, d: parallel.filter_pairs(_pairs(spark, d), clean=False).select("pair_id"))
-query("par_documents")(lambda spark, d: parallel.doc_pairs(_pairs(spark, d)))
-query("par_report")(lambda spark, d: parallel.pair_report(_pairs(spark, d).unionByName(_pairs(spark, d, "es"))))
-query("eval_mt_chrf")(lambda spark, d: evalkit.chrf(_pairs(spark, d), "tgt_text", "src_text").groupBy("tgt_lang", "is_aligned").agg(F.round(F.avg("chrf_proxy"), 6).alias("chrf_proxy"), F.count(F.lit(1)).alias("n")))
-
 LWORDS = lambda c: rf"regexp_extract_all(lower({c}), '[^\x20\x09-\x0D]+')"
 CANDS = f"""(select u.conv_id * 1000 + u.turn prompt_id, row_number() over (partition by u.conv_id, u.turn order by a.turn) cand_no, 'gen' || (a.turn % 3) generator, u.text prompt, a.text answer,
  (1 + least(5, len({LWORDS('a.text')}) // 12) + least(4, len(list_distinct(list_intersect({LWORDS('a.text')}, {LWORDS('u.text')})))))::bigint judge_proxy
@@ -298,7 +282,6 @@ for _w in ("base", "tuned"):
     query(f"eval_leads_{_w}", f"select model_group, task, model, score::double score, round(score - second, 6)::double as lead from (select *, row_number() over (partition by model_group, task order by score desc, model) r, lead(score) over (partition by model_group, task order by score desc, model) as second from {_v}) where r = 1")(lambda spark, d, w=_w: evalkit.leaders(evalkit.score_frame(spark, w)))
 _BASE = values_sql(evalkit.long_rows("base"), "model, model_group, task, score")
 query("eval_normalize", f"select model, task, round(greatest(0, (score / 100 - 0.1) / 0.9) * 100, 6)::double score from {_BASE} where task = 'MMLU-pro'")(lambda spark, d: evalkit.score_frame(spark, "base").where("task = 'MMLU-pro'").select("model", "task", F.round(evalkit.normalized_score(F.col("score") / 100, F.lit(0.1)), 6).alias("score")))
-query("eval_scoreboard")(lambda spark, d: evalkit.scoreboard(evalkit.score_frame(spark, "tuned"), evalkit.TUNED_TASKS))
 _GEN = "(select 'm' || m as model, 't' || t task, l lang, (m * 31 + t * 17 + hash_l * 7) % 11 / 10.0 score from range(4) a(m), range(3) b(t), (select distinct lang l, length(lang) + ascii(lang) hash_l from documents))"
 
 

@@ -45,3 +45,13 @@ def write_jsonl(df: DataFrame, path: str) -> None:
 def manifest(df: DataFrame, key: str) -> DataFrame:
     """Row count and an order-free digest of a data set."""
     return df.agg(F.count(F.lit(1)).alias("n_rows"), F.sum(F.conv(F.substring(F.md5(F.col(key).cast("string")), 1, 8), 16, 10).cast("bigint")).alias("digest"))
+
+
+def cut_lineage(df: DataFrame) -> DataFrame:
+    """df written to the shared checkpoint folder and read back; loops stay restartable and their plans short."""
+    context = df.sparkSession.sparkContext
+    if context.getCheckpointDir() is None:
+        import tempfile
+
+        context.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", "") or tempfile.mkdtemp())
+    return df.checkpoint()

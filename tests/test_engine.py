@@ -3,8 +3,8 @@
 import pytest
 from pyspark.sql import functions as F
 
-from corpusforge.operators import account, bpe, evalkit, language, mixture, synth, web
-from corpusforge.plans import mix_queries, web_queries  # noqa: F401
+from corpusforge.operators import account, bpe, evalkit, language, mixture, parallel, posttrain, synth, web
+from corpusforge.plans import curation_queries, mix_queries, surface_queries, web_queries  # noqa: F401
 from corpusforge.plans.registry import QUERIES, SQL
 from corpusforge.sources.tables import check, table
 from corpusforge.streaming import ingest
@@ -109,5 +109,70 @@ def test_stream_equals_batch(spark, tmp_path):
     assert got.exceptAll(want).count() == 0 and want.exceptAll(got).count() == 0
 
 
+def test_batched_training_equals_one_by_one(spark):
+    text = "the cat sat on the mat and the dog ate the cat food aaaa aaa abab abcabc newest widest lowest low lower " * 3
+    words: dict = {}
+    for w in text.split():
+        words[w] = words.get(w, 0) + 1
+    frame = spark.createDataFrame([("en", w, n) for w, n in words.items()], "lang string, word string, cnt bigint")
+    want = bpe.learn(sorted(words.items()), 20, {bpe.MARK, *bpe.alphabet(frame)})
+    assert bpe.train_bpe_batched(frame, 20) == want
+    assert bpe.train_bpe_batched(frame, 20, listed=5) == want
+
+
+def test_safe_picks():
+    rows = [("a", "b", 9), ("c", "d", 7), ("b", "e", 6), ("f", "g", 5)]
+    assert [r[:2] for r in bpe.safe_picks(rows, 0, 9, set())] == [("a", "b"), ("c", "d")]  # (b, e) shares b
+    assert [r[:2] for r in bpe.safe_picks(rows[:2], 7, 9, set())] == [("a", "b")]  # a pair below the list may tie
+    assert bpe.safe_picks([("a", "b", 1)], 0, 9, set()) == []
+
+
+def test_bins(spark):
+    sizes = [4096, 4097, 1, 4095, 0, 2000, 2096, 9000]
+    items = spark.createDataFrame(list(enumerate(sizes)), "conv_id bigint, n_tokens bigint")
+    rows = {}
+    for mode in ("none", "next_fit", "first_fit_decreasing"):
+        got = posttrain.pack_bins(items, mode).toPandas()
+        assert got.groupby("conv_id").n_tokens.sum().to_dict() == {i: n for i, n in enumerate(sizes) if n}
+        fill = got.groupby(["shard", "bin"]).n_tokens.sum()
+        assert fill.max() <= 4096
+        rows[mode] = len(fill)
+    assert rows["first_fit_decreasing"] <= rows["next_fit"] <= rows["none"] and rows["first_fit_decreasing"] == 7
+
+
+def test_pair_filters(spark):
+    rows = [(1, "a b", "x y", 2020), (2, "c d", "z", 2022), (3, "a b", "q", 2023)]
+    pairs = spark.createDataFrame(rows, "pair_id bigint, src_text string, tgt_text string, edition int")
+    assert [r.pair_id for r in posttrain.mt_items(pairs).collect()] == [2]  # the first leaks into a later edition
+    scored = parallel.qe_score(spark.createDataFrame([("aa bb", "cc dd"), ("a", "bbbb"), ("", "x")], "src_text string, tgt_text string"))
+    assert [r.qe_proxy for r in scored.collect()] == [1.0, 0.0, 0.0]
+
+
+def test_bleu_and_areas(spark):
+    pairs = spark.createDataFrame([(1, "g", "a b c d e", "a b c d e"), (2, "h", "a b c d x", "a b c d e f")], "pair_id bigint, k string, h string, r string")
+    got = {r.k: r.bleu_proxy for r in evalkit.bleu(pairs, "h", "r", ["k"]).collect()}
+    assert got["g"] == 100 and got["h"] == pytest.approx(100 * (4 / 5 * 3 / 4 * 2 / 3 * 1 / 2) ** 0.25 * 2.718281828 ** (1 - 6 / 5), abs=1e-3)
+    from corpusforge.operators import quality
+
+    s = spark.createDataFrame([("en", 1.0, 5.0), ("en", 2.0, 0.0), ("en", 3.0, 5.0), ("en", 3.0, 0.0)], "lang string, s double, y double")
+    assert quality.area_under_curve(s, "s", "y", 2.5).first().auc == pytest.approx((0 + 1.5) / 4)
+
+
+def test_robustness_of_word_for_word_renderings(spark):
+    r = QUERIES["sft_reward_robustness"](spark, SF).first()
+    assert r.reward > 0.7 and r.complexity > 0.7 and r.readability > 0.7
+
+
+def test_joint_weights_meet_their_margins(spark):
+    rows = QUERIES["mix_joint"](spark, SF).collect()
+    assert sum(r.weight for r in rows) == pytest.approx(1, abs=1e-6)
+    assert sum(r.weight for r in rows if r.category == "higher_quality") == pytest.approx(0.34, abs=1e-6)
+
+
+def test_larger_vocabularies_need_fewer_pieces(spark):
+    rows = QUERIES["tok_vocab_sweep"](spark, SF).orderBy("size").collect()
+    assert all(a.fertility >= b.fertility for a, b in zip(rows, rows[1:])) and rows[-1].embedding == 16 * rows[0].embedding
+
+
 def test_every_sql_has_a_query():
     assert set(SQL) <= set(QUERIES) and len(QUERIES) > 90
