@@ -71,11 +71,11 @@ def rel_statistics(spark, d):
     return x.groupBy("event_type").agg(F.round(F.stddev_samp("value"), 5).alias("sd"), F.round(F.percentile("value", F.lit(0.5)), 5).alias("median"), F.round(F.corr("value", "user_id"), 5).alias("r"), F.round(F.regr_slope("value", "user_id"), 6).alias("slope"))
 
 
-@query("rel_running", "select o_orderkey::bigint orderkey, round(sum(o_totalprice) over w, 2) running, lag(o_orderkey::bigint) over w prev, ntile(4) over w as quartile, dense_rank() over w dr from orders window w as (partition by o_custkey order by o_orderdate, o_orderkey)")
+@query("rel_running", "select o_orderkey::bigint orderkey, round(sum(o_totalprice) over w, 2) running, coalesce(lag(o_orderkey::bigint) over w, -1) prev, ntile(4) over w as quartile, dense_rank() over w dr from orders window w as (partition by o_custkey order by o_orderdate, o_orderkey)")
 def rel_running(spark, d):
     w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
     k = F.col("o_orderkey").cast("bigint")
-    return table(spark, d, "orders").select(k.alias("orderkey"), F.round(F.sum("o_totalprice").over(w), 2).alias("running"), F.lag(k).over(w).alias("prev"), F.ntile(4).over(w).cast("bigint").alias("quartile"), F.dense_rank().over(w).cast("bigint").alias("dr"))
+    return table(spark, d, "orders").select(k.alias("orderkey"), F.round(F.sum("o_totalprice").over(w), 2).alias("running"), F.coalesce(F.lag(k).over(w), F.lit(-1)).alias("prev"), F.ntile(4).over(w).cast("bigint").alias("quartile"), F.dense_rank().over(w).cast("bigint").alias("dr"))
 
 
 @query("rel_max_by", "select o_custkey::bigint cust, arg_max(o_orderkey::bigint, (o_totalprice, o_orderkey)) dearest, count(distinct o_orderdate) as n_days from orders group by o_custkey")
