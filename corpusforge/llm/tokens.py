@@ -152,19 +152,24 @@ def piece_encoder(model: bytes) -> Callable[[list[str]], list[bytes]]:
 
 #: What Unicode counts as white space, with the separators U+001C to U+001F.
 _WHITE = r"\x09-\x0D\x1C-\x20\x{85}\x{A0}\x{1680}\x{2000}-\x{200A}\x{2028}\x{2029}\x{202F}\x{205F}\x{3000}"
+#: ASCII punctuation without the apostrophe, which may open a contraction.
+_CLOSING = r"[!-&(-/:-@\[-`{-~]"
 
 
 class LibraryEncoder:
     """Columns of texts to ids with the tokenizers library, without special tokens.
 
     A text is cut before every space that stands alone: no pre-token crosses such a place. Arrow cuts
-    and finds the distinct units of a batch; the library encodes each once, many in one string with
-    line feeds between them (one token, apart from its neighbours); ids are gathered by index. Units
-    that hold other white space, and texts with white space on both sides of a space, are encoded alone.
-    Nothing is kept between batches; memory follows the batch.
+    and finds the distinct units of a batch, then cuts these at line feeds that stand alone and before
+    their closing punctuation, which are pre-tokens of their own. The library encodes each unit once,
+    many in one string with line feeds between them; ids are gathered by index. Units that hold other
+    white space, and texts with white space on both sides of a space, are encoded alone.
+
+    Ids of short units are kept from batch to batch as flat arrays, and dropped when they are more than
+    `limit`; all other memory follows the batch.
     """
 
-    def __init__(self, spec: str):
+    def __init__(self, spec: str, limit: int = 1 << 20, longest: int = 64):
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -175,6 +180,8 @@ class LibraryEncoder:
         self.tok.no_padding()
         self.tok.no_truncation()
         self.mark = self.tok.encode("\n", add_special_tokens=False).ids
+        self.limit, self.longest = limit, longest
+        self.known: dict[str, tuple[pa.Array, np.ndarray, np.ndarray]] = {}
 
     def _each(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         if not texts:
@@ -182,40 +189,67 @@ class LibraryEncoder:
         ids = [np.array(e.ids, np.uint32) for e in self.tok.encode_batch_fast(texts, add_special_tokens=False)]
         return np.concatenate(ids), np.array([len(x) for x in ids], np.int64)
 
-    def _joined(self, units: list[str], inner: np.ndarray, size: int = 512) -> tuple[np.ndarray, np.ndarray]:
-        """Ids and counts of units whose only inner white space is `inner` line feeds that stand alone."""
+    def _joined(self, units: pa.Array, lead: str, size: int = 512) -> tuple[np.ndarray, np.ndarray]:
+        """Ids and counts of units without white space, each after `lead`."""
         if len(self.mark) != 1:
-            return self._each(units)
+            return self._each([lead + u for u in units.to_pylist()])
         ids, counts = [np.empty(0, np.uint32)], [np.empty(0, np.int64)]
-        for i in range(0, len(units), size):
-            group = units[i : i + size]
-            got = np.array(self.tok.encode_batch_fast(["\n".join(group)], add_special_tokens=False)[0].ids, np.uint32)
+        bounds = pa.array([*range(0, len(units), size), len(units)], pa.int64())
+        groups = pa.compute.binary_join(pa.LargeListArray.from_arrays(bounds, units), pa.scalar("\n" + lead, pa.large_string())) if len(units) else []
+        for i, group in enumerate(groups):
+            group = lead + group.as_py()
+            got = np.array(self.tok.encode_batch_fast([group], add_special_tokens=False)[0].ids, np.uint32)
             feeds = np.nonzero(got == self.mark[0])[0]
-            own = np.cumsum(inner[i : i + size] + 1)
-            if len(feeds) != own[-1] - 1:
-                got, n = self._each(group)
+            if len(feeds) != min(size, len(units) - i * size) - 1:
+                got, n = self._each(group.split("\n"))
             else:
-                feeds = feeds[own[:-1] - 1]
                 n = np.diff(np.concatenate([[-1], feeds, [len(got)]])) - 1
                 got = np.delete(got, feeds)
             ids.append(got)
             counts.append(n)
         return np.concatenate(ids), np.concatenate(counts)
 
+    def _lines(self, units: pa.Array, lead: str) -> tuple[np.ndarray, np.ndarray]:
+        """Ids (in order of the units) and counts of units, each after `lead`, cut at line feeds that stand alone."""
+        lone = pa.compute.match_substring_regex(units, f"^[^{_WHITE}]+(?:\n[^{_WHITE}]+)+$").to_numpy(zero_copy_only=False)
+        if not lone.any():
+            return self._units(units, lead)
+        lines = pa.compute.split_pattern(units.filter(pa.array(lone)), "\n")
+        size = np.ones(len(units), np.int64)
+        size[lone] = pa.compute.list_value_length(lines).to_numpy()
+        begin = np.cumsum(size) - size
+        opens = np.zeros(int(size.sum()), bool)
+        opens[begin] = True
+        flat = lines.flatten()
+        own = opens[np.repeat(lone, size)]
+        heads = pa.concat_arrays([units.filter(pa.array(~lone)), flat.filter(pa.array(own))]).dictionary_encode()
+        later = flat.filter(pa.array(~own)).dictionary_encode()
+        ids_a, n_a = self._units(heads.dictionary, lead)
+        ids_b, n_b = self._units(later.dictionary, "")
+        # Two slices a line: the line feed before it, empty for a unit's first line, and its ids.
+        pool = np.concatenate([np.array(self.mark, np.uint32), ids_a, ids_b])
+        start, count = np.zeros((len(opens), 2), np.int64), np.zeros((len(opens), 2), np.int64)
+        count[~opens, 0] = len(self.mark)
+        firsts, at = begin[np.concatenate([np.nonzero(~lone)[0], np.nonzero(lone)[0]])], heads.indices.to_numpy()
+        start[firsts, 1], count[firsts, 1] = (np.cumsum(n_a) - n_a + len(self.mark))[at], n_a[at]
+        at = later.indices.to_numpy()
+        start[~opens, 1], count[~opens, 1] = (np.cumsum(n_b) - n_b + len(self.mark) + len(ids_a))[at], n_b[at]
+        return pool[_slices(start.ravel(), count.ravel())], np.add.reduceat(count.sum(1), begin)
+
     def _units(self, units: pa.Array, lead: str) -> tuple[np.ndarray, np.ndarray]:
         """Ids (in order of the units) and counts of units, each after `lead`.
 
-        A pre-token ends between a letter or digit and the commas and full stops that close a unit, so
-        bodies and endings are encoded apart: fewer of them are distinct.
+        A pre-token ends between a letter or digit and the punctuation that closes a unit, so bodies and
+        endings are encoded apart: fewer of them are distinct.
         """
-        parts = pa.compute.extract_regex(units, r"(?s)^(?P<body>.*[\p{L}\p{N}])(?P<tail>[.,]+)$")
+        parts = pa.compute.extract_regex(units, rf"(?s)^(?P<body>.*[\p{{L}}\p{{N}}])(?P<tail>{_CLOSING}+)$")
         split = pa.compute.is_valid(parts).to_numpy(zero_copy_only=False)
         if not split.any():
-            return self._whole(units, lead)
+            return self._cached(units, lead)
         bodies = pa.compute.coalesce(pa.compute.struct_field(parts, "body"), units).dictionary_encode()
         tails = pa.compute.struct_field(parts.filter(pa.array(split)), "tail").dictionary_encode()
-        ids_b, n_b = self._whole(bodies.dictionary, lead)
-        ids_t, n_t = self._whole(tails.dictionary, "")
+        ids_b, n_b = self._cached(bodies.dictionary, lead)
+        ids_t, n_t = self._cached(tails.dictionary, "")
         # Two slices a unit, the second empty where there is no ending.
         start, count = np.zeros((len(units), 2), np.int64), np.zeros((len(units), 2), np.int64)
         at = bodies.indices.to_numpy()
@@ -224,19 +258,39 @@ class LibraryEncoder:
         start[split, 1], count[split, 1] = (np.cumsum(n_t) - n_t + len(ids_b))[at], n_t[at]
         return np.concatenate([ids_b, ids_t])[_slices(start.ravel(), count.ravel())], count.sum(1)
 
+    def _cached(self, units: pa.Array, lead: str) -> tuple[np.ndarray, np.ndarray]:
+        """Ids and counts of distinct units; those not met before are encoded, and short ones kept."""
+        keys, ids, counts = self.known.get(lead) or (pa.array([], pa.large_string()), np.empty(0, np.uint32), np.empty(0, np.int64))
+        found = pa.compute.index_in(units, value_set=keys)
+        fresh = pa.compute.is_null(found)
+        new = units.filter(fresh)
+        new_ids, new_counts = self._whole(new, lead)
+        at = pa.compute.fill_null(found, 0).to_numpy().astype(np.int64)
+        at[fresh.to_numpy(zero_copy_only=False)] = len(keys) + np.arange(len(new))
+        all_ids, all_counts = np.concatenate([ids, new_ids]), np.concatenate([counts, new_counts])
+        starts = np.cumsum(all_counts) - all_counts
+        short = pa.compute.less_equal(pa.compute.binary_length(new), self.longest)
+        new = new.filter(short)
+        if len(keys) + len(new) > self.limit:
+            self.known.pop(lead, None)
+        elif len(new):
+            stay = np.concatenate([np.ones(len(keys), bool), short.to_numpy(zero_copy_only=False)])
+            held = all_ids if stay.all() else all_ids[_slices(starts[stay], all_counts[stay])]
+            self.known[lead] = pa.concat_arrays([keys, new]), held, all_counts[stay]
+        return all_ids[_slices(starts[at], all_counts[at])], all_counts[at]
+
     def _whole(self, units: pa.Array, lead: str) -> tuple[np.ndarray, np.ndarray]:
-        joins = pa.compute.match_substring_regex(units, f"^[^{_WHITE}]+(?:\n[^{_WHITE}]+)*$").to_numpy(zero_copy_only=False)
+        joins = pa.compute.match_substring_regex(units, f"^[^{_WHITE}]+$").to_numpy(zero_copy_only=False)
         where, plain = np.nonzero(~joins)[0], np.nonzero(joins)[0]
-        some = units.take(pa.array(plain))
-        feeds = pa.compute.count_substring(some, "\n").to_numpy(zero_copy_only=False).astype(np.int64)
-        a, na = self._joined([lead + u for u in some.to_pylist()], feeds)
-        b, nb = self._each([lead + u for u in units.take(pa.array(where)).to_pylist()])
+        a, na = self._joined(units.filter(pa.array(joins)), lead)
+        b, nb = self._each([lead + u for u in units.filter(pa.array(~joins)).to_pylist()])
         counts = np.empty(len(units), np.int64)
         counts[plain], counts[where] = na, nb
+        if not len(where):
+            return a, counts
         starts = np.empty(len(units), np.int64)
         starts[plain], starts[where] = np.cumsum(na) - na, np.cumsum(nb) - nb + len(a)
-        flat = np.concatenate([a, b])
-        return flat[_slices(starts, counts)], counts
+        return np.concatenate([a, b])[_slices(starts, counts)], counts
 
     def column(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All ids of a column of texts, and how many each text has; null is empty."""
@@ -253,8 +307,8 @@ class LibraryEncoder:
         first[offsets[:-1] - offsets[0]] = True
         coded = flat.filter(pa.array(~first)).dictionary_encode()
         heads = flat.filter(pa.array(first)).dictionary_encode()
-        ids_u, n_u = self._units(coded.dictionary, " ")
-        ids_h, n_h = self._units(heads.dictionary, "") if len(heads) else (np.empty(0, np.uint32), np.empty(0, np.int64))
+        ids_u, n_u = self._lines(coded.dictionary, " ")
+        ids_h, n_h = self._lines(heads.dictionary, "") if len(heads) else (np.empty(0, np.uint32), np.empty(0, np.int64))
         ids_w, n_w = self._each(texts.take(pa.array(whole)).to_pylist())
         # Every piece of every text as a slice of one pool.
         pool = np.concatenate([ids_u, ids_h, ids_w])

@@ -4,6 +4,7 @@ import hashlib
 import random
 import re
 import zlib
+from pathlib import Path
 
 import numpy as np
 import pytest
@@ -116,6 +117,28 @@ def test_token_files(spark, docs, empty):
     assert token_files.token_file_report(empty, queries.tokenizer_file("byte_bpe_50k.json").decode()).count() == 0
 
 
+def test_library_encoder():
+    """Cuts at spaces, line feeds and closing punctuation, and ids kept between batches, change no id."""
+
+    import pyarrow as pa
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    spec = Path(public_tokenizers.path("byte_bpe_50k.json")).read_text()
+    whole = Tokenizer.from_str(spec)
+    whole.encode_special_tokens = True
+    parts = ["a", "b", " ", " ", " ", "\n", "'", "s", "t", ".", ",", "$", "###", "é", "ß", "1", "\t", "\r", "\x85", "\x1c", "\u2003", "\u200b", "\u0300", "x" * 70, "日", "-", "_", "I'm", "'ll", "<|endoftext|>", "²", "\U0001f600"]
+    rng = random.Random(5)
+    for limit in (0, 40, 1 << 20):
+        encoder = tokens.LibraryEncoder(spec, limit=limit)
+        for _ in range(60):
+            texts = [None, "", *("".join(rng.choices(parts, k=rng.randint(0, 40))) for _ in range(40))]
+            ids, counts = encoder.column(pa.array(texts, pa.string()))
+            want = [e.ids for e in whole.encode_batch([t or "" for t in texts], add_special_tokens=False)]
+            assert counts.tolist() == [len(w) for w in want] and ids.tolist() == [i for w in want for i in w]
+        assert all(len(keys) <= limit for keys, _, _ in encoder.known.values())
+
+
 def test_byte_bpe(spark, docs, empty):
     import base64
 
