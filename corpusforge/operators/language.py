@@ -105,6 +105,44 @@ def perplexity_bigram(df: DataFrame, trusted: DataFrame) -> DataFrame:
     return x.groupBy("doc_id", "lang").agg(F.round(F.exp(-F.sum(F.col("cnt") * F.log(p)) / F.sum("cnt")), 6).alias("perplexity"))
 
 
+def ngrams(df: DataFrame, order: int) -> DataFrame:
+    """(doc_id, lang, g, cnt): word n-grams joined by spaces, with order - 1 start marks and an end mark."""
+    x = df.select("doc_id", "lang", F.concat(F.array(*[F.lit("<s>")] * (order - 1)), T.letter_words(F.col("text")), F.array(F.lit("</s>"))).alias("ws"))
+    runs = F.transform(F.sequence(F.lit(1), F.size("ws") - order + 1), lambda i: F.array_join(F.slice("ws", i, F.lit(order)), " "))
+    return x.select("doc_id", "lang", F.explode(runs).alias("g")).groupBy("doc_id", "lang", "g").agg(F.count(F.lit(1)).alias("cnt"))
+
+
+def perplexity_kneser_ney(df: DataFrame, trusted: DataFrame, order: int) -> DataFrame:
+    """Interpolated Kneser-Ney of any order from 2: counts at the top, distinct left neighbours below.
+
+    Each level's discount is n1/(n1+2 n2), 0.5 where nothing was met once; the lowest level is smoothed
+    by one. Probabilities are worked out once per distinct n-gram, level by level by equi-joins on the
+    n-gram's end and on its context, then joined back to the documents. Texts without words hold the end
+    mark only; a language without trusted text has no rows.
+    """
+    if order < 2:
+        raise ValueError("order must be 2 or more")
+    mine = ngrams(df, order)
+    levels = {order: ngrams(trusted, order).groupBy("lang", "g").agg(F.sum("cnt").alias("c"))}
+    for k in range(order - 1, 0, -1):
+        levels[k] = levels[k + 1].groupBy("lang", F.substring_index("g", " ", -k).alias("g")).agg(F.count(F.lit(1)).alias("c"))
+    lowest = levels[1].groupBy("lang").agg(F.sum("c").alias("types"), F.count(F.lit(1)).alias("kinds"))
+    known = mine.select("lang", "g").distinct().withColumn("end", F.substring_index("g", " ", -1))
+    p = known.join(levels[1].withColumnRenamed("g", "end"), ["lang", "end"], "left").join(F.broadcast(lowest), "lang")
+    p = p.select("lang", "g", ((F.coalesce("c", F.lit(0)) + 1.0) / (F.col("types") + F.col("kinds") + 1)).alias("p"))
+    for k in range(2, order + 1):
+        c = levels[k]
+        once, twice = F.count_if(F.col("c") == 1), F.count_if(F.col("c") == 2)
+        discount = c.groupBy("lang").agg(F.when(once > 0, once / (once + 2.0 * twice)).otherwise(0.5).alias("d"))
+        contexts = c.groupBy("lang", F.substring_index("g", " ", k - 1).alias("before")).agg(F.sum("c").alias("cu"), F.count(F.lit(1)).alias("nu"))
+        end = F.substring_index("g", " ", -k)
+        x = p.withColumns({"end": end, "before": F.substring_index(end, " ", k - 1)})
+        x = x.join(c.withColumnRenamed("g", "end"), ["lang", "end"], "left").join(contexts, ["lang", "before"], "left").join(F.broadcast(discount), "lang")
+        mixed = (F.greatest(F.coalesce("c", F.lit(0)) - F.col("d"), F.lit(0.0)) + F.col("d") * F.col("nu") * F.col("p")) / F.col("cu")
+        p = x.select("lang", "g", F.when(F.col("cu").isNull(), F.col("p")).otherwise(mixed).alias("p"))
+    return mine.join(p, ["lang", "g"]).groupBy("doc_id", "lang").agg(F.exp(-F.sum(F.col("cnt") * F.log("p")) / F.sum("cnt")).alias("perplexity"))
+
+
 def perplexity_tail(scored: DataFrame, keep: float = 2 / 3, exact: bool = True) -> DataFrame:
     """Rows at or under the language's percentile; the sketch form is for scale."""
     cut = F.percentile("perplexity", F.lit(keep)) if exact else F.percentile_approx("perplexity", F.lit(keep), F.lit(10_000))

@@ -21,13 +21,13 @@ def labelled(spark, d):
     "web_langid_distance",
     f"""with dw as {DW}, wg as (select word, {GRAMS} gram from (select distinct word, '^' || word || '$' p from dw)),
     g as (select lang guess, gram, row_number() over (partition by lang order by sum(cnt) desc, gram) l from dw join wg using (word) where not {HELD} group by lang, gram qualify l <= 300),
-    m as (select doc_id, lang, gram, row_number() over (partition by doc_id order by sum(cnt) desc, gram) r from dw join wg using (word) where {HELD} group by doc_id, lang, gram qualify r <= 300),
+    m as (select doc_id, lang, gram, row_number() over (partition by doc_id order by sum(cnt) desc, gram) r from dw join wg using (word) group by doc_id, lang, gram qualify r <= 300),
     s as (select doc_id, lang, guess, sum(300 - abs(r - l))::bigint gain from m join g using (gram) group by all), n as (select doc_id, count(*) n from m group by all)
     select doc_id, lang, guess predicted, n * 300 - gain distance from s join n using (doc_id) qualify row_number() over (partition by doc_id order by gain desc, guess) = 1""",
 )
 def web_langid_distance(spark, d):
     x = docs(spark, d)
-    return language.distance_langid(x.where(HELD), x.where(f"not {HELD}"))
+    return language.distance_langid(x, x.where(f"not {HELD}"))
 
 
 @query(
@@ -237,10 +237,10 @@ def tok_vocab_sweep(spark, d):
     return bpe.vocab_sweep(held, merges, (75, 150, 300, 600, 1200), known)
 
 
-@query("tok_round_trip", f"select count(*) n, 0::bigint wrong from (select distinct unnest({T.letter_words_sql('text')}) w from documents where doc_id % 5 = 0)")
+@query("tok_round_trip", f"select count(*) n, 0::bigint wrong from (select distinct unnest({T.letter_words_sql('text')}) w from documents)")
 def tok_round_trip(spark, d):
-    held, merges, known = _trained(spark, d, 300)
-    back = bpe.decode_words(bpe.encode_words(held, merges, known))
+    _, merges, known = _trained(spark, d, 300)
+    back = bpe.decode_words(bpe.encode_words(bpe.words_of(docs(spark, d)), merges, known))
     return back.agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("word") != F.col("decoded")).alias("wrong"))
 
 
@@ -334,11 +334,11 @@ def eval_instruction_checks(spark, d):
     return evalkit.ifeval_checks(table(spark, d, "conversations").where("role = 'assistant'"), RULES)
 
 
-@query("eval_accuracy", f"select lang, round(avg((guess = lang)::int), 6) accuracy, count(*) n from (select doc_id, lang, guess from (with dw as {DW}, f as (select lang guess, word from (select lang, word, row_number() over (partition by lang order by sum(cnt) desc, word) r from dw where not {HELD} group by lang, word) where r <= 50) select doc_id, lang, guess, sum(cnt) votes from dw join f using (word) where {HELD} group by all) qualify row_number() over (partition by doc_id order by votes desc, guess) = 1) group by lang")
+@query("eval_accuracy", f"select lang, {HELD} held, round(avg((guess = lang)::int), 6) accuracy, count(*) n from (select doc_id, lang, guess from (with dw as {DW}, f as (select lang guess, word from (select lang, word, row_number() over (partition by lang order by sum(cnt) desc, word) r from dw where not {HELD} group by lang, word) where r <= 50) select doc_id, lang, guess, sum(cnt) votes from dw join f using (word) group by all) qualify row_number() over (partition by doc_id order by votes desc, guess) = 1) group by all")
 def eval_accuracy(spark, d):
     x = docs(spark, d)
-    got = language.vote_langid(x.where(HELD), x.where(f"not {HELD}"))
-    return evalkit.accuracy(got.withColumn("correct", F.col("predicted") == F.col("lang")), ["lang"])
+    got = language.vote_langid(x, x.where(f"not {HELD}"))
+    return evalkit.accuracy(got.withColumns({"correct": F.col("predicted") == F.col("lang"), "held": F.expr(HELD)}), ["lang", "held"])
 
 
 _TUNED = values_sql(evalkit.long_rows("tuned"), "model, model_group, task, score")

@@ -161,35 +161,35 @@ DW = f"(select doc_id, lang, word, count(*) cnt from (select doc_id, lang, unnes
 GRAMS = "unnest(list_concat(list_transform(range(1, length(p) + 1), lambda i: substr(p, i, 1)), list_transform(range(1, length(p)), lambda i: substr(p, i, 2)), list_transform(range(1, length(p) - 1), lambda i: substr(p, i, 3))))"
 
 
-@query(
-    "web_langid_nb",
-    f"""with dw as {DW}, g as (select lang, gram, sum(cnt)::bigint c from (select lang, cnt, {GRAMS} gram from (select lang, '^' || word || '$' p, sum(cnt) cnt from dw where not {HELD} group by all)) group by all),
+#: Score of every language for every document, by a model of the documents that aren't held out.
+NB = f"""with dw as {DW}, g as (select lang, gram, sum(cnt)::bigint c from (select lang, cnt, {GRAMS} gram from (select lang, '^' || word || '$' p, sum(cnt) cnt from dw where not {HELD} group by all)) group by all),
     t as (select lang guess, sum(c) total from g group by lang), k as (select count(distinct gram) kinds from g),
-    wg as (select word, {GRAMS} gram from (select distinct word, '^' || word || '$' p from dw where {HELD})),
+    wg as (select word, {GRAMS} gram from (select distinct word, '^' || word || '$' p from dw)),
     s as (select word, guess, count(*) n, sum(ln((coalesce(c, 0) + 1) / (total + kinds))) s from wg cross join t cross join k left join g on g.gram = wg.gram and g.lang = t.guess group by all),
-    d as (select doc_id, lang, guess, sum(cnt * s) s, sum(cnt * n) n from dw join s using (word) where {HELD} group by all)
-    select doc_id, lang, guess predicted from (select *, row_number() over (partition by doc_id order by s desc, guess) r from d) where r = 1""",
-)
+    d as (select doc_id, lang, guess, sum(cnt * s) s, sum(cnt * n) n from dw join s using (word) group by all)"""
+
+
+@query("web_langid_nb", f"{NB} select doc_id, lang, guess predicted from (select *, row_number() over (partition by doc_id order by s desc, guess) r from d) where r = 1")
 def web_langid_nb(spark, d):
     x = docs(spark, d)
-    return language.predict_langid(x.where(HELD), language.fit_langid(x.where(f"not {HELD}"))).select("doc_id", "lang", "predicted")
+    return language.predict_langid(x, language.fit_langid(x.where(f"not {HELD}"))).select("doc_id", "lang", "predicted")
 
 
 @query(
     "web_langid_words",
     f"""with dw as {DW}, f as (select lang guess, word from (select lang, word, row_number() over (partition by lang order by sum(cnt) desc, word) r from dw where not {HELD} group by lang, word) where r <= 50),
-    v as (select doc_id, lang, guess, sum(cnt)::bigint votes from dw join f using (word) where {HELD} group by all)
+    v as (select doc_id, lang, guess, sum(cnt)::bigint votes from dw join f using (word) group by all)
     select doc_id, lang, guess predicted, votes from (select *, row_number() over (partition by doc_id order by votes desc, guess) r from v) where r = 1""",
 )
 def web_langid_words(spark, d):
     x = docs(spark, d)
-    return language.vote_langid(x.where(HELD), x.where(f"not {HELD}"))
+    return language.vote_langid(x, x.where(f"not {HELD}"))
 
 
-@query("web_langid_filter")
+@query("web_langid_filter", f"{NB} select doc_id, lang from (select *, row_number() over o r, lead(s) over o nxt from d window o as (partition by doc_id order by s desc, guess)) where r = 1 and guess = lang and round((s - coalesce(nxt, s)) / n, 6) >= 0.01")
 def web_langid_filter(spark, d):
     x = docs(spark, d)
-    return language.filter_lang(x.where(HELD), language.predict_langid(x.where(HELD), language.fit_langid(x.where(f"not {HELD}"))), 0.01).select("doc_id", "lang")
+    return language.filter_lang(x, language.predict_langid(x, language.fit_langid(x.where(f"not {HELD}"))), 0.01).select("doc_id", "lang")
 
 
 TRUSTED = "(select d.* from documents d join labels using (doc_id) where quality = 1)"
@@ -220,6 +220,29 @@ def web_ppl_bigram(spark, d):
     return language.perplexity_bigram(docs(spark, d), trusted(spark, d)).withColumn("perplexity", F.round("perplexity", 3))
 
 
+def kneser_ney_sql(n: int) -> str:
+    """Log-perplexities of an order-n model; an n-gram's words are w1 to wn, level k has its last k."""
+    last = lambda k, upto=n: ", ".join(f"w{i}" for i in range(n - k + 1, upto + 1))
+    cut = lambda src: f"(select doc_id, lang, {', '.join(f'ws[i + {k}] w{k + 1}' for k in range(n))}, count(*) cnt from (select doc_id, lang, list_concat({['<s>'] * (n - 1)}, {LW}, ['</s>']) ws from {src}), unnest(range(1, len(ws) - {n - 2})) t(i) group by all)"
+    parts = [f"b as {cut('documents')}", f"c{n} as (select lang, {last(n)}, sum(cnt)::bigint c from {cut(TRUSTED)} group by all)"]
+    for k in range(n - 1, 0, -1):
+        parts.append(f"c{k} as (select lang, {last(k)}, count(*) c from c{k + 1} group by all)")
+    parts.append(f"p1 as (select b.*, (coalesce(c, 0) + 1.0) / (types + kinds + 1) p from b left join c1 using (lang, w{n}) join (select lang, sum(c)::bigint types, count(*) kinds from c1 group by lang) using (lang))")
+    for k in range(2, n + 1):
+        parts.append(f"z{k} as (select lang, case when n1 > 0 then n1 / (n1 + 2.0 * n2) else 0.5 end d from (select lang, count(*) filter (where c = 1) n1, count(*) filter (where c = 2) n2 from c{k} group by lang))")
+        parts.append(f"x{k} as (select lang, {last(k, n - 1)}, sum(c)::bigint cu, count(*) nu from c{k} group by all)")
+        parts.append(f"p{k} as (select doc_id, lang, {last(n)}, cnt, case when cu is null then p else (greatest(coalesce(c, 0) - d, 0) + d * nu * p) / cu end p from p{k - 1} left join c{k} using (lang, {last(k)}) left join x{k} using (lang, {last(k, n - 1)}) join z{k} using (lang))")
+    return f"with {', '.join(parts)} select doc_id, lang, round(-sum(cnt * ln(p)) / sum(cnt), 6) log_perplexity from p{n} group by all"
+
+
+def _kneser_ney(n: int):
+    return lambda spark, d: language.perplexity_kneser_ney(docs(spark, d), trusted(spark, d), n).select("doc_id", "lang", F.round(F.log("perplexity"), 6).alias("log_perplexity"))
+
+
+for _n in (3, 5):
+    query(f"web_ppl_order{_n}", kneser_ney_sql(_n))(_kneser_ney(_n))
+
+
 @query("web_ppl_tail", f"with p as {PPL1} select doc_id, lang from p join (select lang, quantile_cont(perplexity, 2 / 3) bound from p group by lang) using (lang) where perplexity <= bound")
 def web_ppl_tail(spark, d):
     return language.perplexity_tail(language.perplexity_unigram(docs(spark, d), language.fit_unigram(trusted(spark, d)))).select("doc_id", "lang")

@@ -174,5 +174,15 @@ def test_larger_vocabularies_need_fewer_pieces(spark):
     assert all(a.fertility >= b.fertility for a, b in zip(rows, rows[1:])) and rows[-1].embedding == 16 * rows[0].embedding
 
 
+def test_kneser_ney_orders(spark):
+    docs = spark.createDataFrame([(1, "en", "the cat sat on the mat the cat ran"), (2, "en", "the dog sat on a mat"), (3, "en", ""), (4, "en", None), (5, "fr", "le chat"), (6, "en", "wholly unseen words")], "doc_id bigint, lang string, text string")
+    seen = docs.where("doc_id <= 2")
+    two = {r.doc_id: r.perplexity for r in language.perplexity_kneser_ney(docs, seen, 2).collect()}
+    assert two == pytest.approx({r.doc_id: r.perplexity for r in language.perplexity_bigram(docs, seen).collect() if r.perplexity is not None}, abs=1e-5) and 5 not in two
+    three = {r.doc_id: r.perplexity for r in language.perplexity_kneser_ney(docs, seen, 3).collect()}
+    assert three[1] < two[1] and three[6] > three[1]
+    assert language.perplexity_kneser_ney(docs.where("false"), seen, 3).count() == 0
+
+
 def test_every_sql_has_a_query():
     assert set(SQL) <= set(QUERIES) and len(QUERIES) > 90
