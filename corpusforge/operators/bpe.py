@@ -1,8 +1,8 @@
 """Subword training by repeated pair merging with byte fallback; encoding, decoding, fertility.
 
 The corpus is read once for its word counts; by Heaps' law that table is small beside the corpus. One
-executor task then runs the merges over the table with an index of pairs; a table above `single_rows`
-must be cut first (a rare tail of words can be dropped by the caller), as the merge order is sequential.
+executor task then runs the merges over the table with an index of pairs; a table above SINGLE_ROWS is
+trained in batches of merges spread over all tasks. No word is left out, however rare.
 """
 
 from __future__ import annotations
@@ -18,6 +18,8 @@ from ..functions import text as T
 from ..sources.tables import cut_lineage
 
 MARK = "▁"
+#: Distinct words up to which one task trains (about 1 KB each with the index of pairs).
+SINGLE_ROWS = 500_000
 
 
 def spell(word: str, alphabet: set[str]) -> list[str]:
@@ -105,15 +107,19 @@ def alphabet(words: DataFrame, coverage: float = 0.9995) -> list[str]:
 
 
 def train_bpe(words: DataFrame, merges: int, coverage: float = 0.9995, byte_fallback: bool = True) -> DataFrame:
-    """(rank, left, right, freq) from (word, cnt); trained in one task over the word table."""
-    known = {MARK, *alphabet(words, coverage if byte_fallback else 1.0)}
+    """(rank, left, right, freq) from (word, cnt); trained in one task, or in batches where the table is above SINGLE_ROWS."""
+    table = cut_lineage(words.groupBy("word").agg(F.sum("cnt").alias("cnt")))
+    coverage = coverage if byte_fallback else 1.0
+    if table.count() > SINGLE_ROWS:
+        rows = [(i, *r) for i, r in enumerate(train_bpe_batched(table, merges, coverage))]
+        return words.sparkSession.createDataFrame(rows, "rank bigint, left string, right string, freq bigint")
+    known = {MARK, *alphabet(table, coverage)}
 
     def run(batch: pd.DataFrame) -> pd.DataFrame:
         rows = sorted(zip(batch["word"], batch["cnt"]))
         out = learn(rows, merges, known)
         return pd.DataFrame({"rank": range(len(out)), "left": [a for a, _, _ in out], "right": [b for _, b, _ in out], "freq": [n for _, _, n in out]})
 
-    table = words.groupBy("word").agg(F.sum("cnt").alias("cnt"))
     return table.groupBy(F.lit(1).alias("_one")).applyInPandas(lambda b: run(b), "rank bigint, left string, right string, freq bigint")
 
 
@@ -209,7 +215,8 @@ def train_bpe_batched(words: DataFrame, merges: int, coverage: float = 0.9995, p
             for s, n in zip(b["s"], b["cnt"]):
                 for p in pairs(list(s)):
                     weight[p] += n
-        yield pd.DataFrame({"left": [a for a, _ in weight], "right": [b for _, b in weight], "n": list(weight.values())})
+        if weight:  # a task may hold whole words only
+            yield pd.DataFrame({"left": [a for a, _ in weight], "right": [b for _, b in weight], "n": list(weight.values())})
 
     def rewritten(picks):
         def run(batches):

@@ -30,7 +30,7 @@ def tok_fertility_baselines(spark, d):
 
 @query("tok_train_bpe")
 def tok_train_bpe(spark, d):
-    return bpe.train_bpe(bpe.words_of(docs(spark, d)).where("cnt > 1"), 600)
+    return bpe.train_bpe(bpe.words_of(docs(spark, d)), 600)
 
 
 @query("tok_fertility_bpe")
@@ -39,7 +39,7 @@ def tok_fertility_bpe(spark, d):
     x = docs(spark, d)
     train, held = bpe.words_of(x.where("doc_id % 5 <> 0")), bpe.words_of(x.where("doc_id % 5 = 0"))
     known = {bpe.MARK, *bpe.alphabet(train)}
-    lists = {"all": train.where("cnt > 1"), "english": train.where("lang = 'en' and cnt > 1")}
+    lists = {"all": train, "english": train.where("lang = 'en'")}
     out = None
     for name, words in lists.items():
         merges = [(r["left"], r["right"]) for r in bpe.train_bpe(words, 1200).orderBy("rank").collect()]  # bounded by the vocabulary

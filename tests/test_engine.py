@@ -120,6 +120,20 @@ def test_batched_training_equals_one_by_one(spark):
     assert bpe.train_bpe_batched(frame, 20, listed=5) == want
 
 
+def test_words_met_once_are_trained_on(spark, tmp_path, monkeypatch):
+    rows = [(1, "newest widest lowest", "en"), (2, "newest widest lowest", "fr"), (5, "newest", "en")]
+    x = spark.createDataFrame([(i, t, lang, "src0", len(t)) for i, t, lang in rows], "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    x.write.parquet(str(tmp_path / "documents.parquet"))
+    got = [(r.left, r.right, r.freq) for r in QUERIES["tok_train_bpe"](spark, str(tmp_path)).orderBy("rank").collect()]
+    words = [("lowest", 2), ("newest", 3), ("widest", 2)]
+    want = bpe.learn(words, 600, {bpe.MARK, *"lowestnid"})
+    assert got == want and got[0] == ("e", "s", 7)
+    fertility = {(r.tokenizer, r.lang): r.fertility for r in QUERIES["tok_fertility_bpe"](spark, str(tmp_path)).collect()}
+    assert fertility["all-300", "en"] == 1
+    monkeypatch.setattr(bpe, "SINGLE_ROWS", 2)
+    assert [(r.left, r.right, r.freq) for r in QUERIES["tok_train_bpe"](spark, str(tmp_path)).orderBy("rank").collect()] == want
+
+
 def test_safe_picks():
     rows = [("a", "b", 9), ("c", "d", 7), ("b", "e", 6), ("f", "g", 5)]
     assert [r[:2] for r in bpe.safe_picks(rows, 0, 9, set())] == [("a", "b"), ("c", "d")]  # (b, e) shares b
