@@ -25,27 +25,32 @@ STOP_WORDS = (
     "der die und das den ist ein eine ver "
     "el los y con por las del una"
 ).split()
+#: The languages of the stop words. Texts of others, or of no stated language, are not judged by them.
+STOP_LANGUAGES = ("en", "fr", "de", "es")
 SYMBOLS = r"[#*$%&|<>]"
+#: Letters of scripts written without spaces between words: there, a run between spaces is no word.
+UNSPACED = r"[^\p{IsHan}\p{IsHiragana}\p{IsKatakana}\p{IsBopomofo}\p{IsYi}\p{IsThai}\p{IsLao}\p{IsKhmer}\p{IsMyanmar}\p{IsTibetan}\p{IsJavanese}\p{IsBalinese}\p{IsTai_Le}\p{IsNew_Tai_Lue}\p{IsTai_Tham}]"
 
 
 @dataclass(frozen=True)
 class Rule:
-    """A document fails if its feature is outside [low, high] and it has at least from_words words."""
+    """A document that the rule covers fails if its feature is outside [low, high] and it has at least from_words words."""
 
     name: str
     feature: str
     low: float | None = None
     high: float | None = None
     from_words: int = 0
+    #: "": every text; "spaced": texts of scripts with spaces; "stop_words": texts of STOP_LANGUAGES.
+    covers: str = ""
 
 
-#: The production table. Bounds leave wide room around running prose in any language.
+#: The production table. Each rule judges only texts that its measure means something for; none has a cap on size.
 DEFAULT_RULES = (
     Rule("symbols", "symbol_ratio", high=0.25),
-    Rule("word_length", "mean_word_chars", low=2.0, high=20.0),
-    Rule("stop_words", "stop_ratio", low=0.005, from_words=300),
+    Rule("word_length", "mean_word_chars", low=2.0, high=20.0, covers="spaced"),
+    Rule("stop_words", "stop_ratio", low=0.005, from_words=300, covers="stop_words"),
     Rule("duplicate_lines", "dup_line_ratio", high=0.6),
-    Rule("very_long", "n_words", high=10_000_000),
 )
 
 
@@ -94,9 +99,20 @@ def quality_features(df: DataFrame, text: str = "text") -> DataFrame:
     return df.drop("_t", "_w", "_wh", "_lines", "_g", "_p", "_stops")
 
 
-def compile_rules(rules: tuple[Rule, ...] = DEFAULT_RULES) -> Column:
+def _covers(text: Column, lang: Column) -> dict[str, Column]:
+    """What a rule may cover. Below a tenth of unspaced letters, words without them are long on their own when the mean is."""
+    text = F.coalesce(text.cast("string"), F.lit(""))
+    unspaced = F.length(F.regexp_replace(text, UNSPACED, ""))
+    return {
+        "": F.lit(True),
+        "spaced": 10 * unspaced < F.greatest(F.col("word_chars"), F.lit(1)),
+        "stop_words": F.coalesce(F.regexp_extract(F.lower(lang), "^[a-z]+", 0).isin(*STOP_LANGUAGES), F.lit(False)),
+    }
+
+
+def compile_rules(rules: tuple[Rule, ...] = DEFAULT_RULES, text: str = "text", lang: Column | None = None) -> Column:
     """The names of the rules that a row of features fails."""
-    found = []
+    found, covers = [], _covers(F.col(text), F.lit(None).cast("string") if lang is None else lang)
     for r in rules:
         x = F.col(r.feature).cast("double")
         out = F.lit(False)
@@ -104,7 +120,8 @@ def compile_rules(rules: tuple[Rule, ...] = DEFAULT_RULES) -> Column:
             out = out | (x < F.lit(float(r.low)))
         if r.high is not None:
             out = out | (x > F.lit(float(r.high)))
-        found.append(F.when(out & (F.col("n_words") >= r.from_words), F.lit(r.name)))
+        # What a rule covers comes last: it is worked out for texts outside the bounds only.
+        found.append(F.when(out & (F.col("n_words") >= r.from_words), F.when(covers[r.covers], F.lit(r.name))))
     return F.array_compact(F.array(*found))
 
 
@@ -112,15 +129,16 @@ def base_failed() -> Column:
     return (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
 
 
-def apply_rules(df: DataFrame, text: str = "text", rules: tuple[Rule, ...] = DEFAULT_RULES) -> DataFrame:
-    """df with features, base_failed, failed_rules and kept."""
-    out = quality_features(df, text).withColumns({"base_failed": base_failed(), "failed_rules": compile_rules(rules)})
+def apply_rules(df: DataFrame, text: str = "text", rules: tuple[Rule, ...] = DEFAULT_RULES, lang: str = "lang") -> DataFrame:
+    """df with features, base_failed, failed_rules and kept. Without a column of languages, no text is judged by stop words."""
+    known = F.col(lang).cast("string") if lang in df.columns else None
+    out = quality_features(df, text).withColumns({"base_failed": base_failed(), "failed_rules": compile_rules(rules, text, known)})
     return out.withColumn("kept", ~F.col("base_failed") & (F.size("failed_rules") == 0))
 
 
 def keep_quality(docs: DataFrame, rules: tuple[Rule, ...] = DEFAULT_RULES) -> DataFrame:
     """The rows that pass, with the columns they came with."""
-    boxed = docs.select(F.struct(*docs.columns).alias("_row"), F.col("text"))
+    boxed = docs.select(F.struct(*docs.columns).alias("_row"), F.col("text"), *[F.col(c) for c in docs.columns if c == "lang"])
     # Spark would push the filter below the features and copy their expressions into it, each many times
     # over; it does not push through a projection that numbers rows.
     judged = apply_rules(boxed, rules=rules).select("_row", "kept", F.monotonically_increasing_id().alias("_no"))

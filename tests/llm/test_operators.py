@@ -176,6 +176,23 @@ def test_quality(docs, empty):
     assert quality_rules.apply_rules(empty).count() == 0
 
 
+def test_quality_covers_other_languages(spark):
+    rng = random.Random(7)
+    word = lambda letters, n: "".join(rng.choice(letters) for _ in range(n))
+    greek = lambda n: " ".join(word("αβγδεηικλμνορστυ", rng.randint(2, 9)) for _ in range(n))
+    finnish = " ".join(word("aeijklmnopstuvyä", rng.randint(3, 10)) + "q" for _ in range(400))
+    chinese = " ".join(word("一二三四五六七八九十人口手山水火土木金日月", 30) for _ in range(40))
+    thai = " ".join(word("กขคงจฉชซฐดตถทธนบปผฝพ", 40) for _ in range(20))
+    spaced = " ".join(word("一二三四五六七八九十人口手山水火土木金日月", 1) for _ in range(3)) + " " + " ".join("".join(p) for p in zip("一二三四五六七八九十人口手山水火土木金日月"))
+    code = " ".join(word("0123456789abcdef", 64) for _ in range(40))
+    rows = [(1, greek(299), "el"), (2, greek(300), "el"), (3, finnish, "fi"), (4, chinese, "zh"), (5, thai, "th"), (6, spaced, "zh"), (7, finnish, None), (8, finnish, "en"), (9, code, "en"), (10, code, "zh")]
+    x = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    assert {r.doc_id for r in quality_rules.keep_quality(x).collect()} == {1, 2, 3, 4, 5, 6, 7}
+    assert {r.doc_id: r.failed_rules for r in quality_rules.apply_rules(x.where("doc_id > 7")).collect()} == {8: ["stop_words"], 9: ["word_length"], 10: ["word_length"]}
+    huge = spark.createDataFrame([(10_000_001,)], "n_words long").selectExpr("n_words", "n_words * 5 word_chars", "'' text", "'en' lang", "0.0D symbol_ratio", "5.0D mean_word_chars", "0.1D stop_ratio", "0.0D dup_line_ratio")
+    assert huge.select(quality_rules.compile_rules(lang=F.col("lang")).alias("f")).first().f == []
+
+
 def luhn(d):
     return sum(int(c) if i % 2 == 0 else (int(c) * 2 - 9 if int(c) > 4 else int(c) * 2) for i, c in enumerate(reversed(d))) % 10 == 0
 
