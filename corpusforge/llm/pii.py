@@ -257,11 +257,22 @@ def span_string(spans: Column) -> Column:
 
 
 def mask_personal(docs: DataFrame, model: SpanModel, text: str = "text") -> DataFrame:
-    """docs with every span replaced by its kind in angle brackets; n_chars, if present, follows."""
+    """docs with every span replaced by its kind in angle brackets; n_chars, if present, follows.
+
+    Overlapping spans are replaced as one, by the kind of the longest, so that nothing of them stays.
+    """
     boxed = docs.select(F.struct(*docs.columns).alias("_row"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("_raw"))
     df = find_spans(boxed, model, "_raw")
-    by_start = F.array_sort(F.transform("all", lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"), x["k"].alias("k"))))
-    apart = F.aggregate(by_start, F.array().cast("array<struct<s:int,e:int,k:int>>"), lambda a, x: F.when((F.size(a) > 0) & (F.coalesce(F.get(a, F.size(a) - 1)["e"], F.lit(0)) > x["s"]), a).otherwise(F.concat(a, F.array(x))))
+    by_start = F.array_sort(F.transform("all", lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"), x["k"].alias("k"), (x["e"] - x["s"]).alias("n"))))
+
+    def folded(a: Column, x: Column) -> Column:
+        last = F.get(a, F.size(a) - 1)
+        longer = x["n"] > last["n"]
+        union = F.struct(last["s"].alias("s"), F.greatest(last["e"], x["e"]).alias("e"), F.when(longer, x["k"]).otherwise(last["k"]).alias("k"), F.greatest(last["n"], x["n"]).alias("n"))
+        meets = (F.size(a) > 0) & F.coalesce(last["e"] > x["s"], F.lit(False))
+        return F.when(meets, F.concat(F.slice(a, 1, F.greatest(F.size(a) - 1, F.lit(0))), F.array(union))).otherwise(F.concat(a, F.array(x)))
+
+    apart = F.aggregate(by_start, F.array().cast("array<struct<s:int,e:int,k:int,n:int>>"), folded)
     df = df.withColumn("_apart", apart)
     names = F.array(*[F.lit(f"<{k.upper()}>") for k in KINDS])
     end = lambda i: F.coalesce(F.get("_apart", i - 1)["e"], F.lit(0))

@@ -230,6 +230,13 @@ def test_pii(spark, docs, empty):
         assert r.n_chars == len(r.text) or r.n_chars == 1
 
 
+def test_overlapping_spans_leave_nothing(spark):
+    rows = [(1, "to 4111111111111111@x.com now"), (2, "to 1.2.3.4@x.com, 1.2.3.4 and a@b.cc"), (3, "+49301234567@x.com"), (4, "none")]
+    x = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r.text for r in pii.mask_personal(x, pii.SpanModel()).collect()}
+    assert got == {1: "to <EMAIL> now", 2: "to <EMAIL>, <IP> and <EMAIL>", 3: "<EMAIL>", 4: "none"}
+
+
 def test_pii_learns(spark):
     rng = random.Random(2)
     rows = [(i, f"{prose(20)} {'phone' if i % 2 else 'version'} 0{rng.randint(10, 99)}-{rng.randint(100, 999)}-{rng.randint(1000, 9999)} {'token' if i % 3 else 'sha'} {rng.getrandbits(160):040x} {prose(9)}") for i in range(300)]
