@@ -77,6 +77,14 @@ def fit_unigram(df: DataFrame) -> tuple[DataFrame, DataFrame]:
     return c, c.groupBy("lang").agg(F.sum("c").alias("total"), F.count(F.lit(1)).alias("kinds"))
 
 
+def all_sizes(df: DataFrame, sizes: DataFrame) -> DataFrame:
+    """Sizes for every language of df: one without text is smoothed over the words of all languages with text."""
+    langs = df.select("lang").distinct()
+    words = sizes.agg(F.coalesce(F.sum("kinds"), F.lit(0)).alias("_all"))
+    out = langs.join(sizes, "lang", "left").crossJoin(F.broadcast(words))
+    return out.select("lang", F.coalesce("total", F.lit(0)).alias("total"), F.coalesce("kinds", "_all").alias("kinds"))
+
+
 def perplexity_unigram(df: DataFrame, lm: tuple[DataFrame, DataFrame]) -> DataFrame:
     """exp of the mean negative log-probability of a document's words, add-one smoothed."""
     counts, sizes = lm

@@ -10,6 +10,8 @@ from ..functions import text as T
 #: Shares of English and of code and maths by phase, and the candidates of the trials.
 PHASE_SHARES = {1: (0.50, 0.05), 2: (0.325, 0.07), 3: (0.325, 0.23)}
 TRIALS = {"p2": ((0.48, 0.07), (0.40, 0.15), (0.325, 0.07)), "p3": ((0.30, 0.095), (0.325, 0.23), (0.325, 0.23))}
+#: A trial's share of the tokens that its phase has: here, of all that is available.
+TRIAL_FRACTION = 0.2
 PARALLEL_THIRD, HIGH_SHARE = 0.02, 0.34
 #: The category of each source of the tables.
 CATEGORIES = tuple((f"src{i}", "web" if i < 12 else "parallel" if i < 15 else "code_math" if i < 18 else "higher_quality") for i in range(20))
@@ -67,6 +69,11 @@ def budget(weights: DataFrame, avail: DataFrame, tokens: int, bound: float = 4.0
     return out.withColumn("over", F.col("repetition") > bound)
 
 
+def trial_tokens(avail: DataFrame, fraction: float = TRIAL_FRACTION) -> int:
+    """The budget of a trial: it grows with the input. One number goes to the driver."""
+    return round(fraction * (avail.agg(F.sum("tokens").alias("n")).first()["n"] or 0))
+
+
 def copies(rate: Column, *key: Column) -> Column:
     """floor(rate), and one more with the fractional probability, from a hash of the key."""
     whole = F.floor(rate)

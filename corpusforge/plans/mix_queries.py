@@ -140,14 +140,15 @@ def mix_phase_delta(spark, d):
     return mixture.phase_delta(out)
 
 
-def _trial_scores(spark, d):
+def _trial_scores(spark, d, phase=2):
     """Each variant's sample trains unigrams per language; held-out likelihood per language is its score."""
     x, a, out = docs(spark, d), mixture.available_tokens(docs(spark, d)), None
-    held = x.where("doc_id % 5 = 0")
-    for i, s in enumerate(mixture.TRIALS["p2"], 1):
-        b = mixture.budget(mixture.language_weights(a, *s), a, 60_000).withColumn("rate", F.col("repetition"))
-        train = mixture.sample_to_budget(x.where("doc_id % 5 <> 0"), b, phase=2)
-        ppl = language.perplexity_unigram(held, language.fit_unigram(train))
+    held, tokens = x.where("doc_id % 5 = 0"), mixture.trial_tokens(a)
+    for i, s in enumerate(mixture.TRIALS[f"p{phase}"], 1):
+        b = mixture.budget(mixture.language_weights(a, *s), a, tokens).withColumn("rate", F.col("repetition"))
+        train = mixture.sample_to_budget(x.where("doc_id % 5 <> 0"), b, phase=phase)
+        counts, sizes = language.fit_unigram(train)
+        ppl = language.perplexity_unigram(held, (counts, language.all_sizes(held, sizes)))
         part = ppl.groupBy(F.col("lang").alias("task")).agg(F.round(-F.avg(F.log("perplexity")), 6).alias("score")).withColumn("variant", F.lit(i))
         out = part if out is None else out.unionByName(part)
     return out
@@ -163,6 +164,16 @@ def mix_choose_p2(spark, d):
     return mixture.choose_mix(_trial_scores(spark, d))
 
 
+@query("mix_trial_p3")
+def mix_trial_p3(spark, d):
+    return _trial_scores(spark, d, 3)
+
+
+@query("mix_choose_p3")
+def mix_choose_p3(spark, d):
+    return mixture.choose_mix(_trial_scores(spark, d, 3))
+
+
 @query("mix_progress")
 def mix_progress(spark, d):
     """Held-out likelihood by language over growing samples."""

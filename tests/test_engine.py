@@ -134,6 +134,18 @@ def test_words_met_once_are_trained_on(spark, tmp_path, monkeypatch):
     assert [(r.left, r.right, r.freq) for r in QUERIES["tok_train_bpe"](spark, str(tmp_path)).orderBy("rank").collect()] == want
 
 
+def test_mixture_trials_grow_and_keep_languages(spark, tmp_path):
+    rows = [(i, f"the cat sat on mat number x{i % 7} and y{i % 3}", "en") for i in range(40)] + [(5, "hyvää päivää", "fi")]
+    x = spark.createDataFrame([(i, t, lang, "src0", len(t)) for i, t, lang in rows], "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    x.coalesce(1).write.parquet(str(tmp_path / "documents.parquet"))
+    avail = mixture.available_tokens(x)
+    assert mixture.trial_tokens(avail) == round(0.2 * (40 * 9 + 2)) and mixture.trial_tokens(avail.union(avail)) == round(0.4 * (40 * 9 + 2))
+    for phase in (2, 3):
+        got = {(r.task, r.variant): r.score for r in QUERIES[f"mix_trial_p{phase}"](spark, str(tmp_path)).collect()}
+        assert set(got) == {(lang, v) for lang in ("en", "fi") for v in (1, 2, 3)}
+        assert all(got["fi", v] < got["en", v] < 0 for v in (1, 2, 3))
+
+
 def test_safe_picks():
     rows = [("a", "b", 9), ("c", "d", 7), ("b", "e", 6), ("f", "g", 5)]
     assert [r[:2] for r in bpe.safe_picks(rows, 0, 9, set())] == [("a", "b"), ("c", "d")]  # (b, e) shares b
