@@ -252,34 +252,78 @@ def test_top_k(spark):
     x = rng.normal(size=(400, 12)).astype(np.float32)
     x[50:90] = x[50]
     rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(500, None), (600, [1.0, None]), (700, [float("nan")] * 12), (800, [float("inf")] * 12), (900, [0.5, 0.25]), (1000, []), (0, x[0].tolist())]
+    rows += [(None, x[7].tolist()), (None, x[7].tolist()), (None, None), (61, x[300].tolist()), (61, x[300].tolist())]
     df = spark.createDataFrame([(i, v, "x") for i, v in rows], "vec_id long, embedding array<float>, rank string")
-    good = {i: np.floor(1024 * np.array(v, float)).astype(int) for i, v in rows if v is not None and all(e is not None and np.isfinite(e) for e in v)}
+    good = [(i, np.floor(1024 * np.array(v, float)).astype(int)) for i, v in rows if v is not None and all(e is not None and np.isfinite(e) for e in v)]
     want = []
-    for q in [i for i in good if i % 100 == 0]:
-        inner = lambda i: int((good[q][: len(good[i])] * good[i][: len(good[q])]).sum())  # noqa: B023, E731
-        best = sorted(((-inner(i), i) for i in good if i != q))[:10]
-        want += [(q, r, i, -s) for r, (s, i) in enumerate(best, 1)]
-    for options in ({}, {"block_rows": 50, "query_group": 2}):
+    for q, own in {i: v for i, v in good if i is not None and i % 100 == 0}.items():
+        inner = lambda v: int((own[: len(v)] * v[: len(own)]).sum())  # noqa: B023, E731
+        best = sorted(((-inner(v), i is None, i or 0) for i, v in good if i != q))[:10]
+        want += [(q, r, None if n else i, -s) for r, (s, n, i) in enumerate(best, 1)]
+    for options in ({}, {"block_rows": 20, "query_group": 2, "least_blocks": 3}, {"least_blocks": 1}):
         assert rows_of(topk.top_k(df, lambda v: v % 100 == 0, **options), "query_id", "rank", "vec_id", "score") == sorted(want, key=str)
     assert topk.top_k(df.limit(0), lambda v: v % 100 == 0).count() == 0
 
 
-def test_cover_tree_prunes():
-    rng = np.random.default_rng(1)
-    centers = rng.normal(size=(40, 16)) * 4000
-    points = np.unique((centers[rng.integers(0, 40, 4000)] + rng.normal(size=(4000, 16)) * 40).astype(np.int64), axis=0)
-    queries_ = points[::37]
-    own = np.arange(len(queries_)) * 37
-    best, work = topk.dual_tree(queries_, own, points, [np.array([i]) for i in range(len(points))], 10)
-    assert work < 0.5 * len(queries_) * len(points)
+def test_top_k_beyond_64_bits(spark):
+    """Components and scores that no 64-bit number holds count as the greatest or smallest one."""
+    big = (1 << 63) - 1
+    df = spark.createDataFrame([(0, [1e12, 1.0]), (1, [1e12, 0.0]), (2, [-1e12, 0.0]), (3, [1e-3, 0.5]), (4, [1e300, 0.0])], "vec_id long, embedding array<double>")
+    got = rows_of(topk.top_k(df, lambda v: v == 0), "rank", "vec_id", "score")
+    assert got == sorted([(1, 1, big), (2, 4, big), (3, 3, 1024 * 10**12 + 512 * 1024), (4, 2, -big - 1)], key=str)
+
+
+def searched(points, every=37):
+    queries_, own = points[::every], list(range(0, len(points), every))
+    best, work = topk.dual_tree(queries_, own, points, [[i] for i in range(len(points))], 10)
     for q, o, b in zip(queries_, own, best):
         s = points @ q
         s[o] = -(1 << 62)
         order = np.lexsort((np.arange(len(s)), -s))[:10]
         assert [v for _, v in b] == order.tolist()
+    return work.shares()
+
+
+def test_cover_tree_prunes():
+    rng = np.random.default_rng(1)
+    centers = rng.normal(size=(40, 16)) * 4000
+    points = np.unique((centers[rng.integers(0, 40, 4000)] + rng.normal(size=(4000, 16)) * 40).astype(np.int64), axis=0)
+    begun, finished, multiplied = searched(points)
+    assert finished <= multiplied <= begun < 0.3
     tree = topk.CoverTree(points)
-    for c, r, p in zip(tree.center, tree.radius, tree.points):
+    assert len(tree.center) > 100
+    for c, r, p, kids in zip(tree.center, tree.radius, tree.points, tree.children):
         assert np.sqrt(((tree.x[p] - tree.x[c]) ** 2).sum(1)).max(initial=0) <= r + 1e-9
+        assert not kids or sorted(i for k in kids for i in tree.points[k]) == sorted(p)
+        assert kids or len(p) <= topk.LEAF or r == 0
+
+
+def test_search_saves_work_on_the_tables():
+    """The given vectors are spread evenly over a sphere: the tree descends, the leaves' bound saves."""
+    import pyarrow.parquet as pq
+
+    x = np.array(pq.read_table("/root/testdata/sf0.1/embeddings.parquet").column("embedding").to_pylist())
+    points = np.floor(1024 * x.astype(float)).astype(np.int64)
+    assert len(topk.CoverTree(points).center) > 50
+    begun, finished, multiplied = searched(points, 100)
+    print(f"begun {begun:.3f} finished {finished:.3f} multiplied {multiplied:.3f}")
+    assert finished < 0.65 and multiplied < 0.9
+
+
+def test_routing_leaves_cells_out(spark):
+    """Clustered vectors: a query goes to few cells beyond its own."""
+    rng = np.random.default_rng(3)
+    centers = rng.normal(size=(24, 8)) * 4
+    x = centers[rng.integers(0, 24, 3000)] + rng.normal(size=(3000, 8)) * 0.05
+    v = spark.createDataFrame([(i, np.floor(1024 * r).astype(int).tolist()) for i, r in enumerate(x)], "vec_id long, x array<long>")
+    pivots = topk.fit_pivots(v, 3000, 100, 24)
+    placed = topk._placed(v, pivots).cache()
+    cells = {r.cell: (r.dist, r.length) for r in placed.groupBy("cell").agg(F.max("dist").alias("dist"), F.max("length").alias("length")).collect()}
+    held = {r.vec_id: np.array(r.x) for r in placed.collect()}
+    every = np.array([held[i] for i in range(3000)])
+    asked = [(q, held[q].tolist(), int(np.sort(every @ held[q])[-11])) for q in range(0, 3000, 100)]
+    routed = topk._routed(spark.createDataFrame([(*a, 0, 0) for a in asked], "vec_id long, x array<long>, kth long, own_cell int, own_part int"), pivots, cells).collect()
+    assert sum(len(r.cells) for r in routed) < 0.3 * len(routed) * len(cells)
 
 
 def test_near_dedup(docs, empty):
