@@ -5,8 +5,9 @@ built-in functions; `compile_rules` turns a table of (rule, feature, low, high,
 one array of failed rule names. Nothing is shuffled.
 
 Edge cases: a null text counts as empty and fails the base rule (no words); blank texts likewise;
-repeated rows and ties are judged row by row; empty tables give empty results; further columns of
-the input pass through `apply_rules` unless they carry the name of a feature, which is replaced.
+repeated rows and ties are judged row by row; empty tables give empty results; texts of any length
+are judged whole, one row at a time; further columns of the input, whatever their names, pass through
+`apply_rules` unless they are called like a column that it adds, which replaces them.
 """
 
 from __future__ import annotations
@@ -66,9 +67,23 @@ def _span(starts: Column) -> Column:
     return F.coalesce(step["n"], F.lit(0))
 
 
+#: The columns that `quality_features` adds.
+FEATURES = ("n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_repeat_words", "stop_ratio", "symbol_ratio", "mean_word_chars", "dup_line_ratio")
+
+
+def _boxed(df: DataFrame) -> Column:
+    """All columns as one, so that no name of theirs can meet a name used here."""
+    return F.struct(*[F.col(f"`{c}`") for c in df.columns])
+
+
+def _unboxed(row: str, columns: list[str]) -> list[Column]:
+    return [F.col(f"{row}.`{c}`").alias(c) for c in columns]
+
+
 def quality_features(df: DataFrame, text: str = "text") -> DataFrame:
     """df with the features of each text. The expensive arrays are dropped again."""
-    df = df.withColumn("_t", F.coalesce(F.col(text).cast("string"), F.lit("")))
+    columns = df.columns
+    df = df.select(_boxed(df).alias("_row"), F.coalesce(F.col(f"`{text}`").cast("string"), F.lit("")).alias("_t"))
     df = df.withColumn("_w", native_words(F.col("_t")))
     df = df.withColumns(
         {
@@ -96,7 +111,7 @@ def quality_features(df: DataFrame, text: str = "text") -> DataFrame:
     )
     ratio = lambda a, b: F.coalesce(F.try_divide(F.col(a).cast("double"), F.col(b)), F.lit(0.0))
     df = df.withColumns({"symbol_ratio": ratio("n_symbols", "n_words"), "mean_word_chars": ratio("word_chars", "n_words"), "dup_line_ratio": ratio("n_dup_lines", "n_lines")})
-    return df.drop("_t", "_w", "_wh", "_lines", "_g", "_p", "_stops")
+    return df.select(*_unboxed("_row", [c for c in columns if c not in FEATURES]), *FEATURES)
 
 
 def _covers(text: Column, lang: Column) -> dict[str, Column]:
@@ -138,11 +153,11 @@ def apply_rules(df: DataFrame, text: str = "text", rules: tuple[Rule, ...] = DEF
 
 def keep_quality(docs: DataFrame, rules: tuple[Rule, ...] = DEFAULT_RULES) -> DataFrame:
     """The rows that pass, with the columns they came with."""
-    boxed = docs.select(F.struct(*docs.columns).alias("_row"), F.col("text"), *[F.col(c) for c in docs.columns if c == "lang"])
+    boxed = docs.select(_boxed(docs).alias("_row"), F.col("text"), *[F.col(c) for c in docs.columns if c == "lang"])
     # Spark would push the filter below the features and copy their expressions into it, each many times
     # over; it does not push through a projection that numbers rows.
     judged = apply_rules(boxed, rules=rules).select("_row", "kept", F.monotonically_increasing_id().alias("_no"))
-    return judged.where("kept and _no >= 0").select("_row.*")
+    return judged.where("kept and _no >= 0").select(*_unboxed("_row", docs.columns))
 
 
 __all__ = ["DEFAULT_RULES", "SPACES_RE", "Rule", "apply_rules", "compile_rules", "keep_quality", "quality_features"]

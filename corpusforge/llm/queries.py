@@ -76,6 +76,7 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_substring_dedup, op2_token_files, op3_pii, op4_top_k, op5_near_dedup, op6_byte_bpe, op7_quality_rules, op8_packing, op9_url_filter, op10_licenses, pipeline)}
 
+_UNSPACED = quality_rules.UNSPACED.replace("{Is", "{")
 _WORDS = r"regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')"
 
 SQL = {
@@ -106,7 +107,7 @@ reach as (select a, b from sym union select reach.a, sym.b from reach join sym o
 select w.doc_id, coalesce(n.c, 0)::bigint n_shingles, least(w.doc_id, coalesce(m.lowest, w.doc_id)) component_id, w.doc_id = least(w.doc_id, coalesce(m.lowest, w.doc_id)) as kept
 from w left join n using (doc_id) left join (select a, min(b) lowest from reach group by a) m on m.a = w.doc_id""",
     "op7_quality_rules": f"""
-with w as (select doc_id, coalesce(text, '') t, {_WORDS} ws from documents),
+with w as (select doc_id, lang, coalesce(text, '') t, {_WORDS} ws from documents),
 g as (select doc_id, i, array_to_string(ws[i:i + 4], ' ') k from w, unnest(range(1, len(ws) - 3)) t(i)),
 twice as (select doc_id, k from g group by doc_id, k having count(*) > 1),
 rep as (select doc_id, count(distinct i + j) n from g semi join twice using (doc_id, k), range(5) r(j) group by doc_id),
@@ -114,12 +115,13 @@ f as (select w.doc_id, len(ws)::bigint n_words, length(array_to_string(ws, '')):
         (length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')))::bigint n_symbols,
         list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\\x20\\x09-\\x0D]')) lines,
         len(list_filter(ws, lambda x: lower(x) in ({", ".join(f"'{x}'" for x in sorted(set(quality_rules.STOP_WORDS)))}))) stops,
-        coalesce(rep.n, 0)::bigint n_repeat_words
+        coalesce(rep.n, 0)::bigint n_repeat_words, length(regexp_replace(t, '{_UNSPACED}', '', 'g')) unspaced,
+        coalesce(regexp_extract(lower(lang), '^[a-z]+') in ({", ".join(f"'{x}'" for x in quality_rules.STOP_LANGUAGES)}), false) judged
       from w left join rep using (doc_id)),
 x as (select *, (len(lines) - len(list_distinct(lines)))::bigint n_dup_lines, n_words < 10 or 100 * n_repeat_words > 20 * n_words as base_failed from f)
 select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
-  not base_failed and n_symbols / n_words <= 0.25 and word_chars / n_words between 2.0 and 20.0 and (n_words < 300 or stops / n_words >= 0.005)
-  and (len(lines) = 0 or n_dup_lines / len(lines) <= 0.6) and n_words <= 10000000 as kept
+  not base_failed and n_symbols / n_words <= 0.25 and (word_chars / n_words between 2.0 and 20.0 or 10 * unspaced >= greatest(word_chars, 1))
+  and (n_words < 300 or stops / n_words >= 0.005 or not judged) and (len(lines) = 0 or n_dup_lines / len(lines) <= 0.6) as kept
 from x""",
     "op9_url_filter": """
 with r(r_host, r_path, v) as (values ('com', '/', 'allow'), ('example.com', '/en/', 'block'), ('www.example.com', '/en/', 'allow'), ('net', '/es/', 'block'), ('net', '/fr/', 'block')),

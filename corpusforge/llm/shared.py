@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import atexit
 import uuid
 
 import numpy as np
@@ -16,10 +17,12 @@ SPACES_RE = r"[\x20\x09-\x0D]+"
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a fresh local one only where none is set."""
+    """The folder that driver and executors share. Where none is set, a fresh local one in local mode only."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if folder:
         return folder.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir is not set: driver and executors need a shared folder")
     import tempfile
 
     folder = spark.conf.get("corpusforge.scratch", None)
@@ -29,14 +32,37 @@ def shared_folder(spark: SparkSession) -> str:
     return folder
 
 
+_LANDED: list[str] = []
+
+
 def landed(df: DataFrame, what: str) -> DataFrame:
-    """Write df as Parquet into the shared folder and read it again: cuts lineage, survives lost executors."""
+    """Write df as Parquet into the shared folder and read it again: cuts lineage, survives lost executors.
+
+    The table goes when the driver ends, or before with `remove_landed`, once nothing reads it.
+    """
     spark = df.sparkSession
+    if not _LANDED:
+        atexit.register(remove_landed, spark)
     path = f"{shared_folder(spark)}/{what}-{uuid.uuid4().hex}"
+    _LANDED.append(path)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def landed_so_far() -> int:
+    return len(_LANDED)
+
+
+def remove_landed(spark: SparkSession, since: int = 0, keep: int = 0) -> None:
+    """Delete the tables landed from number `since` on, but for the last `keep`; a session that has ended deletes nothing."""
+    for path in _LANDED[since : len(_LANDED) - keep]:
+        try:
+            where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+        except Exception:  # noqa: BLE001
+            return
+
+
 def block_count(docs: DataFrame, text: str = "text", target: int = 4 << 20, least: int = 256) -> int:
     """How many hashed blocks hold about `target` bytes of text each; one narrow aggregation."""
     size = docs.agg(F.sum(F.octet_length(F.col(text)))).first()[0] or 0

@@ -163,7 +163,9 @@ def test_byte_bpe(spark, docs, empty):
 
 
 def test_quality(docs, empty):
-    got = {(r.doc_id, r.text): r for r in quality_rules.apply_rules(docs.drop("kept")).collect()}
+    named = docs.withColumns({c: F.lit(f"mine {c}") for c in ("_t", "_w", "_wh", "_lines", "_g", "_p", "_stops", "_row", "a.b", "n_words")})
+    got = {(r.doc_id, r.text): r for r in quality_rules.apply_rules(named).collect()}
+    assert all(r["_w"] == "mine _w" and r["_row"] == "mine _row" and r["a.b"] == "mine a.b" and r["block"] in (7, None) for r in got.values())
     for (d, text), r in got.items():
         w = WORD.findall(text or "")
         grams = [tuple(w[i : i + 5]) for i in range(len(w) - 4)]
@@ -172,7 +174,9 @@ def test_quality(docs, empty):
         assert (r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words) == (len(w), sum(map(len, w)), len(re.findall(r"[#*$%&|<>]", text or "")), len(lines) - len(set(lines)), len(rep)), text
         assert r.base_failed == (len(w) < 10 or 100 * len(rep) > 20 * len(w))
         assert not (r.kept and r.base_failed)
-    assert quality_rules.keep_quality(docs).columns == docs.columns
+    kept = quality_rules.keep_quality(named)
+    assert kept.columns == named.columns
+    assert {r.doc_id for r in kept.select("doc_id").collect()} == {d for (d, _), r in got.items() if r.kept}
     assert quality_rules.apply_rules(empty).count() == 0
 
 
