@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from corpusforge.llm import near_dedup, packing, pii, quality_rules, substring_dedup
 from corpusforge.llm.queries import tokenizer_file
-from corpusforge.llm.shared import landed
+from corpusforge.llm.shared import landed, landed_so_far, remove_landed
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -40,12 +40,15 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 STAGES = [("quality", quality), ("near_copies", near_copies), ("repeats", repeats), ("personal_data", personal_data), ("pack", pack)]
-#: Learned span scores, registers and bin packing have no SQL form; tests hold run() against brute force.
+#: Learned span scores, registers and bin packing have no SQL form; a test holds run() against a brute-force version.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES:
+        before = landed_so_far()
         docs = landed(stage(spark, docs, sf_dir), f"stage-{name}")
+        # What the stage landed on its way, and its input, are read no more.
+        remove_landed(spark, max(0, before - (name != STAGES[0][0])), keep=1)
     return docs
