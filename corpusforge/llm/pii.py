@@ -2,21 +2,27 @@
 
 Four strict patterns (email, ip, card, phone) give the base spans. Wider patterns propose further
 candidates (written-out emails, national phone numbers, access tokens). Four labelers vote on each
-candidate (+1, -1, 0): a shape expression, a gazetteer, the words before it, and its composition.
-Expectation-maximisation over the table of vote patterns estimates how reliable each labeler is;
-its posteriors train a logistic span classifier over votes, kind and length, which decides.
+candidate (+1, -1, 0): its shape, a gazetteer, the words before it, and its composition. Every
+labeler can vote both ways on every kind (but the gazetteer of secrets: for or not at all), so that
+agreement between them tells how reliable each is.
+Expectation-maximisation over the table of vote patterns estimates those reliabilities; its
+posteriors train a logistic span classifier over votes, kind and length, which decides.
 
 Only the vote-pattern table reaches the driver: at most kinds x 3^labelers x length classes rows
 (3 x 81 x 5), whatever the size of the corpus. It counts every document. Both passes are narrow
 scans apart from that aggregation.
 
-Edge cases: null and empty texts have no spans; ties cannot occur, since spans of one kind don't
-overlap; repeated rows are treated alike; with no candidates at all the classifier adds nothing;
-further columns pass through `mask_personal` untouched.
-
 Positions come from `split` and `regexp_extract_all` with one pattern: lengths of what stands between
-matches and of matches add up to code-point offsets. Patterns are written so that Java's engine
-neither recurses nor retries inside a run of matching characters.
+matches and of matches, summed by doubling steps over the array (n log n), give code-point offsets.
+Overlaps are found in one sorted array of spans with running greatest ends, texts are cut in blocks
+before they are masked: nothing compares all spans of a text with each other. Patterns are written so
+that Java's engine neither recurses nor retries inside a run of matching characters.
+
+Edge cases: null and empty texts have no spans; very long texts and texts full of matches are read
+whole, in time that grows with n log n; spans of one kind don't overlap, so ties within a kind cannot
+occur, and a candidate that meets a base span is dropped; repeated rows are treated alike; with no
+candidates at all, or an empty table, the classifier adds nothing; further columns pass through
+`mask_personal` untouched.
 """
 
 from __future__ import annotations
@@ -49,51 +55,43 @@ TOKEN_PREFIXES = ("sk-", "ghp_", "xox", "AKIA", "pk_")
 CUES = {"email": "mail|contact|write|reach", "phone": "phone|tel|call|mobile|fax|dial", "secret": "token|secret|key|password|passwd|credential|bearer"}
 COUNTER_CUES = "isbn|version|page|fig|table|chapter|section|order|item|year|sha|commit|http"
 VOTES = ("v_shape", "v_gazetteer", "v_context", "v_make")
-BLOCK = 512
-
-
-def _found(text: Column, pattern: str, needs: str) -> Column:
-    """array<struct<s,e,m>> of the pattern's matches; offsets in code points."""
-    m = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    both = F.zip_with(m, F.transform(F.split(text, pattern, -1), lambda p: F.length(p)), lambda a, b: F.struct(a.alias("m"), b.alias("g")))
-    both = F.filter(both, lambda x: x["m"].isNotNull())
-    return F.when(text.rlike(needs) & text.rlike(pattern), both).otherwise(F.array().cast("array<struct<m:string,g:int>>"))
+BLOCK = 4096
+NOWHERE = "array<struct<s:int,e:int,m:string,b:string>>"
 
 
-NOWHERE = "array<struct<s:int,e:int,m:string>>"
+def once(x: Column, f) -> Column:
+    """f(x) with x worked out once: a lambda's argument is a value, where a column would be an expression again."""
+    return F.get(F.transform(F.array(x), f), F.lit(0))
 
 
-def _total(a: Column) -> Column:
-    return F.aggregate(a, F.lit(0), lambda x, y: x + y)
+def running(a: Column, combine, forward: bool = True) -> Column:
+    """combine over all elements up to each (or from each on), by doubling steps."""
+    sign = -1 if forward else 1
 
+    def of(v: Column) -> Column:
+        rounds = F.ceil(F.log2(F.greatest(F.size(v), F.lit(2)).cast("double"))).cast("int")
+        steps = F.transform(F.sequence(F.lit(0), rounds - 1), lambda k: F.pow(F.lit(2.0), k).cast("int"))
+        return F.aggregate(steps, v, lambda acc, step: F.transform(acc, lambda x, i: combine(x, F.get(acc, i + sign * step))))
 
-def _with_matches(df: DataFrame, text: str, patterns: dict[str, str]) -> DataFrame:
-    """df with a column of placed matches per pattern.
+    return once(a, of)
 
-    Gaps and matches become offsets by prefix sums in two levels, so that many matches stay
-    affordable. Each step is a column of its own: lambdas read columns, never expressions.
-    """
-    df = df.withColumns({f"{k}_p": _found(F.col(text), p, NEEDS[k.removeprefix("_")]) for k, p in patterns.items()})
-    df = df.withColumns({f"{k}_n": F.transform(f"{k}_p", lambda x: x["g"] + F.length(x["m"])) for k in patterns})
 
-    def cut(k: str) -> Column:
-        blocks = F.sequence(F.lit(0), F.floor((F.size(f"{k}_p") - 1) / BLOCK).cast("int"))
-        return F.when(F.size(f"{k}_p") > 0, F.transform(blocks, lambda b: F.struct(F.slice(F.col(f"{k}_p"), b * BLOCK + 1, F.lit(BLOCK)).alias("p"), F.slice(F.col(f"{k}_n"), b * BLOCK + 1, F.lit(BLOCK)).alias("n"))))
+def _found(text: Column, pattern: str, needs: str) -> Column:
+    """array<struct<s,e,m,b>> of the pattern's matches: offsets in code points, match, and what stands before it."""
+    m = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
+    gaps = F.transform(F.split(text, pattern, -1), lambda p: F.struct(F.length(p).alias("n"), F.lower(F.right(p, F.lit(24))).alias("b")))
+    both = F.filter(F.zip_with(m, gaps, lambda a, b: F.struct(a.alias("m"), b["n"].alias("g"), b["b"].alias("b"))), lambda x: x["m"].isNotNull())
 
-    df = df.withColumns({f"{k}_c": cut(k) for k in patterns})
-    df = df.withColumns({f"{k}_s": F.transform(f"{k}_c", lambda c: _total(c["n"])) for k in patterns})
+    def placed(p: Column) -> Column:
+        ends = running(F.transform(p, lambda x: x["g"] + F.length(x["m"])), lambda x, y: x + F.coalesce(y, F.lit(0)))
+        return once(ends, lambda e: F.transform(p, lambda x, i: F.struct((F.get(e, i) - F.length(x["m"])).alias("s"), F.get(e, i).alias("e"), x["m"].alias("m"), x["b"].alias("b"))))
 
-    def place(k: str) -> Column:
-        def block(c: Column, b: Column) -> Column:
-            before = _total(F.slice(F.col(f"{k}_s"), F.lit(1), b))
-            return F.transform(c["p"], lambda x, i: F.struct((before + _total(F.slice(c["n"], F.lit(1), i)) + x["g"]).alias("s"), x["m"].alias("m")))
+    return F.when(text.rlike(needs) & text.rlike(pattern), once(both, placed)).otherwise(F.array().cast(NOWHERE))
 
-        return F.flatten(F.transform(f"{k}_c", block))
 
-    df = df.withColumns({f"{k}_s": place(k) for k in patterns})
-    ends = {k: F.transform(f"{k}_s", lambda x: F.struct(x["s"].alias("s"), (x["s"] + F.length(x["m"])).alias("e"), x["m"].alias("m"))) for k in patterns}
-    df = df.withColumns({k: F.coalesce(v, F.array().cast(NOWHERE)) for k, v in ends.items()})
-    return df.drop(*[f"{k}_{x}" for k in patterns for x in "pncs"])
+def _with_matches(df: DataFrame, text: str, patterns: dict[str, str]) -> DataFrame:
+    """df with a column of placed matches per pattern."""
+    return df.withColumns({k: _found(F.col(text), p, NEEDS[k.removeprefix("_")]) for k, p in patterns.items()})
 
 
 def _digits(m: Column) -> Column:
@@ -101,12 +99,14 @@ def _digits(m: Column) -> Column:
 
 
 def _luhn(m: Column) -> Column:
-    d = _digits(m)
-    n = F.length(d)
-    digit = lambda i: F.substring(d, i, F.lit(1)).cast("int")
-    twice = lambda x: F.when(x > 4, 2 * x - 9).otherwise(2 * x)
-    total = F.aggregate(F.sequence(F.lit(1), n), F.lit(0), lambda a, i: a + F.when((n - i) % 2 == 1, twice(digit(i))).otherwise(digit(i)))
-    return F.when(n.between(13, 19), total % 10 == 0).otherwise(F.lit(False))
+    def of(d: Column) -> Column:
+        n = F.length(d)
+        digit = lambda i: F.substring(d, i, F.lit(1)).cast("int")
+        twice = lambda x: F.when(x > 4, 2 * x - 9).otherwise(2 * x)
+        total = F.aggregate(F.sequence(F.lit(1), n), F.lit(0), lambda a, i: a + F.when((n - i) % 2 == 1, twice(digit(i))).otherwise(digit(i)))
+        return F.when(n.between(13, 19), total % 10 == 0).otherwise(F.lit(False))
+
+    return once(_digits(m), of)
 
 
 def _byte(part: Column) -> Column:
@@ -122,43 +122,65 @@ PASSES = {
 }
 
 
+def _vote(up: Column, down: Column) -> Column:
+    return F.when(F.coalesce(up, F.lit(False)), 1).when(F.coalesce(down, F.lit(False)), -1).otherwise(0)
+
+
+def _votes(kind: str, m: Column, before: Column) -> dict[str, Column]:
+    """The labelers' votes on a candidate of a kind."""
+    n, digits = F.length(m), F.length(_digits(m))
+    context = _vote(before.rlike(CUES[kind]), before.rlike(COUNTER_CUES))
+    if kind == "email":
+        last = F.element_at(F.split(F.lower(m), "[^a-z0-9]+"), -1)
+        # Written alike on both sides of the name: (at) with (dot), [at] with [dot].
+        alike = m.rlike(r"\(at\).*\(dot\)") | m.rlike(r"\[at\].*\[dot\]")
+        mixed = (m.contains("(") & m.contains("[")) | m.rlike(r"at[)\]].*[a-z0-9]\.[a-z0-9]")
+        return {"v_shape": _vote(m.rlike(r"^[A-Za-z][A-Za-z0-9._%+-]+"), m.rlike(r"^(?:[0-9._%+-]|.\x20?[(\[])")), "v_gazetteer": _vote(last.isin(TOP_DOMAINS), ~last.rlike("^[a-z]{2,6}$")), "v_context": context, "v_make": _vote(alike, mixed)}
+    if kind == "phone":
+        separators = F.size(F.array_distinct(F.regexp_extract_all(m, F.lit(r"[\x20.-]"), F.lit(0))))
+        return {"v_shape": _vote(digits.between(9, 15), ~digits.between(9, 15)), "v_gazetteer": _vote(m.rlike(r"^(?:\(|0)"), m.rlike(r"^(?:19|20)[0-9][0-9][\x20.-]|^97[89]")), "v_context": context, "v_make": _vote(separators == 1, separators > 1)}
+    known = F.lit(False)
+    for p in TOKEN_PREFIXES:
+        known = known | m.startswith(p)
+    mixed = (digits * 100).between(15 * n, 85 * n)
+    return {"v_shape": _vote(m.rlike("^[0-9a-fA-F]{32,}$"), m.rlike("^[a-z]+(?:[_-][a-z0-9]+)+$")), "v_gazetteer": _vote(known, F.lit(False)), "v_context": context, "v_make": _vote(mixed, ~mixed)}
+
+
 def _candidates(df: DataFrame, text: str) -> DataFrame:
-    """df with _c: all candidates with their votes."""
-    t = F.col(text)
+    """df with _c: all candidates with their votes, by kind and start."""
     df = _with_matches(df, text, {f"_{w}": p for w, p in WIDE.items()})
-    cast = lambda c, v: F.when(c, F.lit(v))
 
-    def votes(w: str):
+    def judged(w: str) -> Column:
         kind = WIDE_KIND[w]
 
         def of(x: Column) -> Column:
-            m, before = x["m"], F.lower(F.substring(t, F.greatest(x["s"] - 23, F.lit(1)), F.least(x["s"], F.lit(24))))
-            n, digits = F.length(m), F.length(_digits(m))
-            if kind == "email":
-                shape = F.lit(1)
-                gaz = cast(F.element_at(F.split(F.lower(m), "[^a-z0-9]+"), -1).isin(TOP_DOMAINS), 1).otherwise(-1)
-                make = F.lit(0)
-            elif kind == "phone":
-                shape = cast(digits.between(9, 15), 1).otherwise(-1)
-                gaz = cast(m.rlike(r"^(?:\(|0)"), 1).otherwise(0)
-                make = cast(F.size(F.array_distinct(F.regexp_extract_all(m, F.lit(r"[\x20.-]"), F.lit(0)))) == 1, 1).otherwise(-1)
-            else:
-                shape = cast(m.rlike(r"^[0-9a-fA-F]{32,}$"), 1).otherwise(0)
-                gaz = F.lit(0)
-                for p in TOKEN_PREFIXES:
-                    gaz = cast(m.startswith(p), 1).otherwise(gaz)
-                make = cast((digits * 100).between(15 * n, 85 * n), 1).otherwise(-1)
-            context = cast(before.rlike(CUES[kind]), 1).when(before.rlike(COUNTER_CUES), -1).otherwise(0)
-            long = cast(n <= 11, 0).when(n <= 15, 1).when(n <= 20, 2).when(n <= 32, 3).otherwise(4)
-            return F.struct(F.lit(KINDS.index(kind)).alias("k"), x["s"].alias("s"), x["e"].alias("e"), shape.alias("v_shape"), gaz.alias("v_gazetteer"), context.alias("v_context"), make.alias("v_make"), long.alias("long"))
+            n = F.length(x["m"])
+            long = F.when(n <= 11, 0).when(n <= 15, 1).when(n <= 20, 2).when(n <= 32, 3).otherwise(4)
+            return F.struct(F.lit(KINDS.index(kind)).alias("k"), x["s"].alias("s"), x["e"].alias("e"), *[v.alias(name) for name, v in _votes(kind, x["m"], x["b"]).items()], long.alias("long"))
 
         mixed = F.filter(F.col(f"_{w}"), lambda x: x["m"].rlike("[0-9]") & x["m"].rlike("[A-Za-z]")) if kind == "secret" else F.col(f"_{w}")
         return F.transform(mixed, of)
 
-    df = df.withColumn("_c", F.concat(*[votes(w) for w in WIDE]))
+    df = df.withColumn("_c", F.concat(*[judged(w) for w in WIDE]))
     return df.drop(*[f"_{w}" for w in WIDE])
 
 
+def _free_of(base: Column, added: Column) -> Column:
+    """Of `added` the spans that meet none of `base` (both of k, s, e)."""
+    part = lambda a, mine: F.transform(a, lambda x: F.struct(x["s"].alias("s"), F.lit(mine).alias("mine"), x["e"].alias("e"), x["k"].alias("k")))
+
+    def kept(a: Column) -> Column:
+        # Base ends so far, base starts from here on; at equal starts the base comes first.
+        ends = running(F.transform(a, lambda x: F.when(x["mine"] == 0, x["e"]).otherwise(0)), lambda x, y: F.greatest(x, y))
+        starts = running(F.transform(a, lambda x: F.when(x["mine"] == 0, x["s"])), lambda x, y: F.least(x, y), forward=False)
+        both = F.struct(ends.alias("ends"), starts.alias("starts"))
+        alone = lambda b: F.filter(a, lambda x, i: (x["mine"] == 1) & (F.get(b["ends"], i) <= x["s"]) & (F.coalesce(F.get(b["starts"], i), x["e"]) >= x["e"]))
+        return once(both, alone)
+
+    free = once(F.sort_array(F.concat(part(base, 0), part(added, 1))), kept)
+    return F.transform(free, lambda x: F.struct(x["k"].alias("k"), x["s"].alias("s"), x["e"].alias("e")))
+
+
 @dataclass
 class SpanModel:
     """Reliabilities per kind and labeler, P(vote | personal or not), and the classifier's weights."""
@@ -238,17 +260,16 @@ def find_spans(docs: DataFrame, model: SpanModel, text: str = "text") -> DataFra
     """docs with base and all: arrays of struct<k,s,e>, by kind and start; k indexes KINDS."""
     df = docs.withColumn("_text", F.coalesce(F.col(text).cast("string"), F.lit("")))
     df = _with_matches(df, "_text", {f"_{k}": p for k, p in BASE.items()})
+    span = lambda k: lambda x: F.struct(F.lit(k).alias("k"), x["s"].alias("s"), x["e"].alias("e"))
 
     def passing(k: str) -> Column:
-        span = lambda x: F.struct(F.lit(KINDS.index(k)).alias("k"), x["s"].alias("s"), x["e"].alias("e"))
-        return F.transform(F.filter(f"_{k}", lambda x: PASSES[k](x["m"])), span)
+        return F.transform(F.filter(f"_{k}", lambda x: PASSES[k](x["m"])), span(KINDS.index(k)))
 
-    df = df.withColumns({f"_{k}": passing(k) for k in BASE})
-    df = _candidates(df.withColumn("base", F.concat(*[F.col(f"_{k}") for k in BASE])), "_text")
-    free = lambda c: ~F.exists(F.col("base"), lambda b: (b["s"] < c["e"]) & (c["s"] < b["e"]))
-    added = F.filter("_c", lambda c: (model.score(c) > model.threshold) & free(c))
-    df = df.withColumn("all", F.array_sort(F.concat("base", F.transform(added, lambda c: F.struct(c["k"].alias("k"), c["s"].alias("s"), c["e"].alias("e"))))))
-    return df.drop("_text", "_c", *[f"_{k}" for k in BASE])
+    df = _candidates(df.withColumn("base", F.concat(*[passing(k) for k in BASE])).drop(*[f"_{k}" for k in BASE]), "_text")
+    likely = F.transform(F.filter("_c", lambda c: model.score(c) > model.threshold), lambda c: F.struct(c["k"].alias("k"), c["s"].alias("s"), c["e"].alias("e")))
+    both = F.struct(F.col("base").alias("base"), likely.alias("added"))
+    every = once(both, lambda x: F.when(F.size(x["added"]) == 0, x["base"]).otherwise(F.sort_array(F.concat(x["base"], _free_of(x["base"], x["added"])))))
+    return df.withColumn("all", every).drop("_text", "_c")
 
 
 def span_string(spans: Column) -> Column:
@@ -259,32 +280,53 @@ def span_string(spans: Column) -> Column:
 def mask_personal(docs: DataFrame, model: SpanModel, text: str = "text") -> DataFrame:
     """docs with every span replaced by its kind in angle brackets; n_chars, if present, follows.
 
-    Overlapping spans are replaced as one, by the kind of the longest, so that nothing of them stays.
+    Overlapping spans are replaced as one, by the kind of the longest (the first of equally long ones), so
+    that nothing of them stays.
     """
-    boxed = docs.select(F.struct(*docs.columns).alias("_row"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("_raw"))
+    boxed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"), F.coalesce(F.col(f"`{text}`").cast("string"), F.lit("")).alias("_raw"))
     df = find_spans(boxed, model, "_raw")
-    by_start = F.array_sort(F.transform("all", lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"), x["k"].alias("k"), (x["e"] - x["s"]).alias("n"))))
+    names = F.array(*[F.lit(f"<{k.upper()}>") for k in KINDS])
 
-    def folded(a: Column, x: Column) -> Column:
-        last = F.get(a, F.size(a) - 1)
-        longer = x["n"] > last["n"]
-        union = F.struct(last["s"].alias("s"), F.greatest(last["e"], x["e"]).alias("e"), F.when(longer, x["k"]).otherwise(last["k"]).alias("k"), F.greatest(last["n"], x["n"]).alias("n"))
-        meets = (F.size(a) > 0) & F.coalesce(last["e"] > x["s"], F.lit(False))
-        return F.when(meets, F.concat(F.slice(a, 1, F.greatest(F.size(a) - 1, F.lit(0))), F.array(union))).otherwise(F.concat(a, F.array(x)))
+    def apart(a: Column) -> Column:
+        """Spans that meet become one: it begins where a start reaches past all ends before."""
+        ends = running(F.transform(a, lambda x: x["e"]), lambda x, y: F.greatest(x, y))
 
-    apart = F.aggregate(by_start, F.array().cast("array<struct<s:int,e:int,k:int,n:int>>"), folded)
-    df = df.withColumn("_apart", apart)
-    names = F.array(*[F.lit(f"<{k.upper()}>") for k in KINDS])
-    end = lambda i: F.coalesce(F.get("_apart", i - 1)["e"], F.lit(0))
-    pieces = F.transform("_apart", lambda x, i: F.concat(F.substring(F.col("_raw"), end(i) + 1, x["s"] - end(i)), F.get(names, x["k"])))
-    tail = F.substring(F.col("_raw"), end(F.size("_apart")) + 1, F.length("_raw"))
-    same = F.size("_apart") == 0
-    new = {text: F.when(same, F.col(f"_row.{text}")).otherwise(F.concat(F.array_join(pieces, ""), tail))}
-    df = df.withColumn("_new", new[text])
-    new[text] = F.col("_new")
+        def groups(e: Column) -> Column:
+            heads = F.filter(F.transform(a, lambda x, i: F.when((i == 0) | (F.get(e, i - 1) <= x["s"]), i)), lambda i: i.isNotNull())
+
+            def fold(h: Column) -> Column:
+                def one(i: Column, j: Column) -> Column:
+                    last = F.coalesce(F.get(h, j + 1), F.size(a))
+                    longest = F.array_max(F.transform(F.slice(a, i + 1, last - i), lambda x: F.struct((x["e"] - x["s"]).alias("n"), (-x["s"]).alias("s"), (-x["k"]).alias("k"))))
+                    return F.struct(F.get(a, i)["s"].alias("s"), F.get(e, last - 1).alias("e"), (-longest["k"]).alias("k"))
+
+                return F.transform(h, one)
+
+            return once(heads, fold)
+
+        return once(ends, groups)
+
+    by_start = F.sort_array(F.transform("all", lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"), x["k"].alias("k"))))
+
+    def masked(spans: Column) -> Column:
+        def with_blocks(blocks: Column) -> Column:
+            def between(a: Column, b: Column) -> Column:
+                """Code points a to b of the text, from the blocks that hold them."""
+                at = F.floor(a / BLOCK).cast("int")
+                held = F.array_join(F.slice(blocks, at + 1, F.floor(b / BLOCK).cast("int") - at + 1), "")
+                return F.substring(held, a - at * BLOCK + 1, b - a)
+
+            end = lambda i: F.coalesce(F.get(spans, i - 1)["e"], F.lit(0))
+            pieces = F.transform(spans, lambda x, i: F.concat(between(end(i), x["s"]), F.get(names, x["k"])))
+            return F.concat(F.array_join(pieces, ""), between(end(F.size(spans)), F.length(F.col("_raw"))))
+
+        return once(F.regexp_extract_all(F.col("_raw"), F.lit(f"(?s).{{1,{BLOCK}}}"), F.lit(0)), with_blocks)
+
+    df = df.withColumn("_new", F.when(F.size("all") > 0, once(once(by_start, apart), masked)))
+    new = {text: F.coalesce(F.col("_new"), F.col(f"_row.`{text}`"))}
     if "n_chars" in docs.columns:
-        new["n_chars"] = F.when(same, F.col("_row.n_chars")).otherwise(F.length("_new")).cast(docs.schema["n_chars"].dataType)
-    return df.select(*[new.get(c, F.col(f"_row.{c}")).alias(c) for c in docs.columns])
+        new["n_chars"] = F.when(F.col("_new").isNull(), F.col("_row.n_chars")).otherwise(F.length("_new")).cast(docs.schema["n_chars"].dataType)
+    return df.select(*[new.get(c, F.col(f"_row.`{c}`")).alias(c) for c in docs.columns])
 
 
 def pii_report(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
