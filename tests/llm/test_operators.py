@@ -7,6 +7,7 @@ import zlib
 from pathlib import Path
 
 import numpy as np
+import pyarrow.compute as pc
 import pytest
 from pyspark.sql import functions as F
 
@@ -74,15 +75,57 @@ def test_substring(docs, empty):
 
 def test_fm_index():
     rng = np.random.default_rng(3)
-    text = np.concatenate([np.append(rng.integers(1, 4, n), 0) for n in (30, 1, 50, 13)])
-    index = substring_dedup.FMIndex(text, 5, 6)
-    for length in (1, 3, 6):
-        ends = np.array([e for e in range(length, len(text) + 1) if 0 not in text[e - length : e]])
-        lo, hi = index.search(text, ends, length)
-        for e, a, b in zip(ends, lo, hi):
-            want = [i for i in range(len(text)) if np.array_equal(text[i : i + length], text[e - length : e])]
-            assert b - a == len(want)
-            assert len(want) == 1 or sorted(index.order[a:b]) == want
+    text = np.concatenate([np.append(rng.integers(1, 4, n), 0) for n in (30, 1, 50, 13, 40, 40)] + [np.array([1, 2] * 30 + [0] + [1, 2] * 30 + [0])])
+    index = substring_dedup.FMIndex(text, 5)
+    assert sorted(index.locate(np.arange(len(text)))) == list(range(len(text)))
+    assert len(index.places) < len(text) / 4
+
+    def places(end, length):
+        return [i for i in range(len(text)) if np.array_equal(text[i : i + length], text[end - length : end])]
+
+    ends = np.arange(1, len(text) + 1)
+    for threshold, most in ((1, None), (3, 12), (6, 80)):
+        lengths, lo, hi = index.matching_statistics(text, ends, threshold, most)
+        for e, n, a, b in zip(ends.tolist(), lengths.tolist(), lo, hi):
+            longest = 0
+            while longest < max(threshold, most or 0) and longest < e and text[e - longest - 1] and len(places(e, longest + 1)) > 1:
+                longest += 1
+            assert n == longest
+            assert sorted(index.locate(np.arange(a, b))) == (places(e, threshold) if n >= threshold else [])
+
+
+def test_crowded_anchor_is_spread(spark):
+    """One phrase in every document, in ever new surroundings: its windows go to all shards."""
+    rng = random.Random(21)
+    phrase = "the very same twelve words stand in each of all these documents"
+    own_words = lambda: " ".join(f"{rng.getrandbits(40):x}" for _ in range(12))
+    texts = [f"{own_words()} {phrase} {own_words()}" for _ in range(3000)]
+    texts[2999] = texts[7]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    old, largest = substring_dedup.CROWDED, {}
+    try:
+        for substring_dedup.CROWDED in (200, 10**9):
+            rows = substring_dedup._with_blocks(df, "text", "doc_id", 32)
+            anchors = substring_dedup._shared_anchors(rows, 16)
+            every, sent, count = rows.toArrow(), anchors.toArrow(), {}
+            for b in range(32):
+                for _, _, segments in substring_dedup._block_segments(every.filter(pc.field("block") == b), sent.filter(pc.field("block") == b)):
+                    for _, key, s in segments:
+                        count[key] = count.get(key, 0) + 1
+            largest[substring_dedup.CROWDED] = max(count.values())
+            got = {r.doc_id: r.n_removed for r in substring_dedup.deduplicated(df, blocks=32).where("n_removed > 0").collect()}
+            assert got == {2999: len(texts[7].split())}
+    finally:
+        substring_dedup.CROWDED = old
+    assert largest[200] <= 200 and largest[10**9] > 1000
+
+
+def test_repeated_rows_become_one(spark):
+    rows = [(1, prose(30)), (2, prose(20))] + [(3, "a b c d e f g h i j k l m n o")] * 500
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert substring_dedup._with_blocks(df, "text", "doc_id", 4).count() == 3
+    got = substring_dedup.deduplicated(df, blocks=4)
+    assert got.where("doc_id = 3 and n_removed = 0").count() == 500 and got.count() == 502
 
 
 def test_simple8b():
