@@ -5,21 +5,25 @@
    registers merge by maximum and equal each other about as often as sets overlap.
 2. Documents with equal sets (128-bit digest) become one representative, so copies cost nothing more.
 3. Bands of registers are hashed. Small buckets pair all members. In large buckets every member meets
-   the bucket's leaders only (a star, by aggregation and join, which Spark can split), and what stays
+   the bucket's leaders only (a star; buckets of many members are salted by their size), and what stays
    unconnected is settled in step 6.
 4. For each pair the joint likelihood of the register order counts and both set sizes gives the most
    likely Jaccard similarity; pairs are dropped only where a similarity at the threshold is excluded
    by a log-likelihood gap of `doubt`.
 5. The rest is verified on full sets. Verified links give components (large-star / small-star).
 6. Large buckets that still hold several components: their members are compared exactly, in tiles of
-   bounded size, straggler against member, and new links merge components. No cap, no sampling.
+   bounded members and bytes, straggler against member, and new links merge components. No cap, no
+   sampling: a bucket of n documents that resemble each other without being linked costs n^2 comparisons
+   of registers, spread over its tiles, and their texts are copied once a tile.
 
 With 44 bands of 4, a pair at similarity 0.75 shares no band with probability 6e-8, one at 0.8 with 1e-10.
+Of 24,000 simulated pairs between 0.75 and 0.80, step 4 dropped none (test_doubt_keeps_pairs).
 
 Edge cases: null, empty and blank texts have an empty set, are linked with nothing and are kept;
 fewer than five words are one shingle; a null doc_id can't name a component and is left out of
-linking (component null, kept); repeated rows with one id form one document's component; empty
-tables give no rows; further columns don't matter to `near_duplicates` and pass `drop_near_duplicates`.
+linking (component null, kept); repeated rows with one id form one document's component; very long
+texts are read whole, a batch at a time; ties between equal sets go to the smallest id; empty tables
+give no rows; further columns don't matter to `near_duplicates` and pass `drop_near_duplicates`.
 """
 
 from __future__ import annotations
@@ -36,7 +40,8 @@ from .shared import gram_hashes, landed, mixed, word_hashes
 SHINGLE, BANDS, ROWS = 5, 44, 4
 BASE = 1.001
 LARGE = 32  # members from which a bucket uses leaders
-TILE = 512
+TILE, TILE_BYTES = 2048, 16 << 20  # most members and about most bytes of text on one side of a tile
+STAR = 2048  # members of a bucket that one task of a star takes
 LEADERS = 3
 _LOWER = bytes.maketrans(bytes(range(65, 91)), bytes(range(97, 123)))
 _M32 = np.array([(0x9E3779B1 * (2 * i + 1) ** 3 + 0x85EBCA77 * i) % 2**32 | 1 for i in range(BANDS * ROWS)], np.uint32)
@@ -223,10 +228,10 @@ def _settle(members: DataFrame, texts: DataFrame, sketches: DataFrame, percent:
     """
     sizes = members.groupBy("key", "component").agg(F.count(F.lit(1)).alias("n"))
     main = sizes.groupBy("key").agg(F.max_by("component", "n").alias("main"), F.sum("n").alias("total"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
-    m = members.join(main, "key").withColumns({"straggler": F.col("component") != F.col("main"), "tiles": F.ceil(F.col("total") / TILE).cast("int")})
-    m = m.withColumn("tile", F.pmod(F.xxhash64("id"), F.col("tiles")).cast("int"))
     full = texts.join(sketches.select(F.col("doc_id").alias("id"), "regs"), "id")
-    m = m.join(full, "id")
+    m = members.join(main, "key").withColumn("straggler", F.col("component") != F.col("main")).join(full, "id")
+    weight = m.groupBy("key").agg(F.greatest(F.ceil(F.max("total") / TILE), F.ceil(F.sum(F.octet_length("text")) / TILE_BYTES)).cast("int").alias("tiles"))
+    m = m.join(weight, "key").withColumn("tile", F.pmod(F.xxhash64("id"), F.col("tiles")).cast("int"))
     # Tile (i, j): stragglers of part i against members of part j.
     left = m.where("straggler").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))).select("key", F.col("tile").alias("i"), F.col("other").alias("j"), "id", "component", "straggler", "text", "regs")
     # Renamed, so that the two sides of the self-join can be told apart.
@@ -283,10 +288,13 @@ def near_duplicates(docs: DataFrame, *, text: str = "text", key: str = "doc_id",
     # Small buckets: every two members, by bucket.
     listed = members.where(F.col("n") <= LARGE).groupBy("key").agg(F.sort_array(F.collect_list("id")).alias("ids"))
     small_pairs = listed.select(F.posexplode("ids").alias("i", "b"), "ids").select(F.explode(F.slice("ids", F.lit(1), F.col("i"))).alias("a"), "b")
-    large = members.where(F.col("n") > LARGE).select("key", "id")
+    large = members.where(F.col("n") > LARGE).select("key", "id", "n")
     first = [F.min(F.struct(F.xxhash64("id", F.lit(i)).alias("o"), "id")).getField("id") for i in range(LEADERS)]
-    leaders = large.groupBy("key").agg(F.array(*first).alias("leaders"))
-    star = large.join(leaders, "key").select(F.explode("leaders").alias("l"), "id").where("l <> id").select(F.least("l", "id").alias("a"), F.greatest("l", "id").alias("b"))
+    leaders = large.groupBy("key", "n").agg(F.array(*first).alias("leaders"))
+    salts = F.ceil(F.col("n") / STAR).cast("int")
+    leaders = leaders.select("key", "leaders", F.explode(F.sequence(F.lit(0), salts - 1)).alias("salt"))
+    large = large.select("key", "id", F.pmod(F.xxhash64("id"), salts).cast("int").alias("salt"))
+    star = large.join(leaders, ["key", "salt"]).select(F.explode("leaders").alias("l"), "id").where("l <> id").select(F.least("l", "id").alias("a"), F.greatest("l", "id").alias("b"))
     pairs = small_pairs.union(star).where("a <> b").distinct()
     likely = landed(likely_pairs(pairs, reps, percent, doubt), "likely")
     asked = likely.select(F.explode(F.array("a", "b")).alias("doc_id")).union(large.select("id")).distinct()

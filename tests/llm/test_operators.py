@@ -479,15 +479,14 @@ def test_near_dedup(docs, empty):
                 x, y = find(a), find(b)
                 root[max(x, y)] = min(x, y)
     want = {d: (len(s), find(d) if d is not None else None, d is None or find(d) == d) for d, s in sets.items()}
-    old = near_dedup.LARGE
+    old, bounds = near_dedup.LARGE, (near_dedup.TILE, near_dedup.STAR)
     try:
-        for large in (old, 3):
-            near_dedup.LARGE = large
+        for near_dedup.LARGE, near_dedup.TILE, near_dedup.STAR in ((old, *bounds), (3, *bounds), (3, 5, 4)):
             got = near_dedup.near_duplicates(docs).collect()
             assert len(got) == docs.count()
             assert {r.doc_id: (r.n_shingles, r.component_id, r.kept) for r in got} == want
     finally:
-        near_dedup.LARGE = old
+        near_dedup.LARGE, near_dedup.TILE, near_dedup.STAR = old, *bounds
     assert near_dedup.near_duplicates(empty).count() == 0
     assert near_dedup.drop_near_duplicates(docs).columns == docs.columns
 
@@ -502,6 +501,30 @@ def test_setsketch_estimates():
     assert abs(near[0] - 0.5) < 0.12 and gap[0] > 5
 
 
+def test_doubt_keeps_pairs():
+    """Recall of the likelihood step on pairs whose similarity lies between 0.75 and 0.80."""
+    rng, lost, n = np.random.default_rng(17), 0, 0
+    for size in (40, 120, 400):
+        ra, rb, na, nb = [], [], [], []
+        for i in range(8000):
+            both = rng.integers(0, 2**64, size, dtype=np.uint64)
+            other = rng.integers(0, 2**64, int(size * (1 / rng.uniform(0.75, 0.80) - 1)), dtype=np.uint64)  # union less intersection
+            cut = rng.integers(0, len(other) + 1)
+            a, b = np.concatenate([both, other[:cut]]), np.concatenate([both, other[cut:]])
+            assert size / (size + len(other)) >= 0.75
+            ra.append(near_dedup.registers(a))
+            rb.append(near_dedup.registers(b))
+            na.append(len(a))
+            nb.append(len(b))
+        for at in range(0, 8000, 1000):
+            cut = slice(at, at + 1000)
+            _, gap = near_dedup.likely_similarity(np.array(ra[cut]), np.array(rb[cut]), np.array(na[cut], float), np.array(nb[cut], float), 0.75)
+            lost += int((gap > 18).sum())
+            n += 1000
+    print(f"recall {1 - lost / n:.6f} of {n}")
+    assert lost / n <= 1e-4
+
+
 def test_packing(spark, docs, empty):
     sizes = (64, 128, 512)
     lengths = packing.token_lengths(docs, queries.tokenizer_file("byte_bpe_50k.json").decode()).cache()
