@@ -8,7 +8,9 @@ and/or/with/parentheses/'+' into a set of licences and tells whether the express
 Narrow: one `mapInArrow` over the scan, one automaton per task, memory bounded by a batch.
 
 Edge cases: null and empty texts have no words, no labels, null first and last word and score 0;
-overlapping phrases all count; repeated rows and further columns don't matter.
+texts of any length are scanned whole, one at a time; overlapping phrases all count; ties between
+labels don't exist, as they are sets; repeated rows are scanned each; an empty table gives no rows;
+further columns don't matter.
 """
 
 from __future__ import annotations

@@ -2,7 +2,7 @@
 
 Several sequence lengths are permitted. Documents longer than the longest are cut; full pieces are
 bins of their own. The rest is packed in shards, longest first: a piece goes to the open bin with
-the least room that still holds it; if none does, the bin size with least cost per token it can
+the least room that still holds it (of several, the one filled last); if none does, the bin size with least cost per token it can
 still fill is opened (cost = fixed + length + length^2 / attention_span). At the end every bin
 shrinks to the smallest permitted length that holds its contents.
 
@@ -10,8 +10,10 @@ Only (document, length) rows are shuffled. Shards are hashed on document, piece
 `shard_pieces` rows each, so a hot source or a repeated id doesn't make one task; each shard leaves
 at most its last few bins loose.
 
-Edge cases: null and empty texts have one piece of length 1 (the end mark); null ids are packed like
-others; repeated rows are packed once each; an empty table gives no rows.
+Edge cases: null and empty texts have one piece of length 1 (the end mark); very long texts become as
+many pieces as they need; null ids are packed like others; repeated rows are packed once each; ties in
+length are ordered by id and piece, ties in cost go to the smaller size; an empty table gives no rows;
+further columns don't matter.
 """
 
 from __future__ import annotations

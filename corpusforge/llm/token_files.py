@@ -8,11 +8,12 @@ escape: the next word holds one raw 64-bit id.
 
 Writing range-partitions the texts by document (ties by text hash, so that one repeated id doesn't
 make one task), sorts within partitions and encodes there; every partition is a shard and shards
-ascend. Reading joins each block with the ids before its shard (one row a shard, broadcast: their
-number is the partition count) and decodes blocks with array operations.
+ascend. Reading joins each block with the ids before its shard (one row a shard, broadcast only while
+there are at most BROADCAST_SHARDS of them) and decodes blocks with array operations.
 
 Edge cases: null and empty texts hold the end id only; rows with a null doc_id come first; rows that
-share a doc_id are ordered by text hash; an empty table writes no blocks and reads as no rows.
+share a doc_id are ordered by text hash (equal ones are interchangeable); texts of any length are
+encoded whole, and a block ends with the document that fills it; further columns don't matter; an empty table writes no blocks and reads as no rows.
 """
 
 from __future__ import annotations
@@ -32,6 +33,7 @@ from .tokens import LibraryEncoder, kept
 COUNTS = (1, 120, 60, 30, 20, 15, 12, 10, 8, 7, 6, 5, 4, 3, 2, 1)
 BITS = (64, 0, 1, 2, 3, 4, 5, 6, 7, 8, 10, 12, 15, 20, 30, 60)
 BLOCK_IDS = 1 << 17
+BROADCAST_SHARDS = 100_000
 FILE_SCHEMA = "shard int, block int, before long, n_ids long, doc_ids array<long>, id_counts array<long>, word_offsets array<long>, words binary"
 
 
@@ -166,7 +168,8 @@ def read_token_files(spark: SparkSession, path: str) -> DataFrame:
                 crc = [zlib.crc32(ids[s:e].tobytes()) for s, e in zip(starts.tolist(), ends.tolist())]
                 yield pa.RecordBatch.from_arrays([pa.array(r["doc_ids"], pa.int64()), pa.array(starts + r["before"] + r["ahead"], pa.int64()), pa.array(counts, pa.int64()), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    blocks = files.join(F.broadcast(ahead), "shard").select("doc_ids", "id_counts", "before", "ahead", "words")
+    small = totals.count() <= BROADCAST_SHARDS
+    blocks = files.join(F.broadcast(ahead) if small else ahead, "shard").select("doc_ids", "id_counts", "before", "ahead", "words")
     return blocks.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 

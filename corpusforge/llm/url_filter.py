@@ -1,7 +1,7 @@
 """URL filters: host-suffix and path-prefix expressions, equi-joined on short hash prefixes.
 
-Each URL is expanded into the expressions that a rule could name: every suffix of its host (by
-label) with every prefix of its path whose length some rule has. An expression's 32-bit hash prefix
+Each URL is expanded into the expressions that a rule could name: every suffix of its host whose
+number of labels some rule's host has, with every prefix of its path whose length some rule's path has. An expression's 32-bit hash prefix
 meets the rules' prefixes in an equi-join; the full 256-bit digest then confirms. The longest rule
 wins; between equally long rules the longer host wins, then block.
 
@@ -11,7 +11,9 @@ level domain is spread over `salts` tasks. One shuffle by (page, url) gathers th
 
 Edge cases: a null url or one without '://' has an empty host and path, no rule, and the verdict
 `no_host_verdict`; other URLs that no rule fits get `default_verdict`; repeated rows come back as
-often as they occur; rules with null host or path are ignored; further columns of pages don't matter.
+often as they occur; rules with null host or path are ignored; of equally long rules with equal hosts
+a block wins; hosts and paths of any length cost in proportion to their length times the rules' distinct
+lengths; an empty table gives no rows; further columns of pages don't matter.
 """
 
 from __future__ import annotations
@@ -53,15 +55,19 @@ def judge_urls(pages: DataFrame, rules: DataFrame, *, page_id: str = "page_id",
     rules = rules.withColumns({"rule": F.concat("r_host", "r_path"), "digest": _digest(F.concat("r_host", F.lit("\n"), "r_path"))})
     rules = rules.groupBy("digest").agg(F.first("rule").alias("rule"), F.first("r_host").alias("r_host"), F.max("r_verdict").alias("r_verdict"))
     rules = rules.withColumn("short", F.substring("digest", 1, 8))
-    # Bounded by the longest path a rule has, not by the number of rules.
-    lengths = sorted(r[0] for r in rules.select((F.length("rule") - F.length("r_host")).alias("n")).distinct().collect())
+    # Bounded by the longest path and the deepest host a rule has, not by the number of rules.
+    path_size, depth = F.length("rule") - F.length("r_host"), F.size(F.split("r_host", r"\.", -1))
+    seen = rules.select(F.collect_set(path_size).alias("n"), F.collect_set(depth).alias("d")).first()
+    lengths, depths = sorted(seen["n"]), sorted(seen["d"])
     n_rules = rules.count()
     rows = pages.select(F.col(page_id).alias("page_id"), F.col(url).cast("string").alias("url")).groupBy("page_id", "url").agg(F.count(F.lit(1)).alias("_times"))
     host, path = url_parts(F.col("url"))
     rows = rows.withColumns({"host": host, "path": path})
     labels = F.split("host", r"\.", -1)
-    suffixes = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), "."))
-    sizes = F.filter(F.array(*[F.lit(n) for n in lengths]) if lengths else F.array().cast("array<int>"), lambda n: n <= F.length("path"))
+    numbers = lambda x: F.array(*[F.lit(n) for n in x]) if x else F.array().cast("array<int>")
+    # One slice a depth: regular expressions would read the host again for each.
+    suffixes = F.transform(F.filter(numbers(depths), lambda n: n <= F.size(labels)), lambda n: F.array_join(F.slice(labels, -n, n), "."))
+    sizes = F.filter(numbers(lengths), lambda n: n <= F.length("path"))
     every = F.flatten(F.transform(suffixes, lambda s: F.transform(sizes, lambda n: F.concat(s, F.lit("\n"), F.substring(F.col("path"), F.lit(1), n)))))
     rows = rows.withColumn("_expr", F.explode_outer(F.when(F.col("host") != "", every))).withColumn("_full", _digest(F.col("_expr"))).withColumn("_short", F.substring("_full", 1, 8))
     if n_rules <= broadcast_rules:
