@@ -115,17 +115,25 @@ class FMIndex:
         ends = int(end.sum())
         rank = text.astype(np.int64) + ends
         rank[end] = np.arange(ends)
-        have = 1
+        base, have = max(n, sigma + ends) + 2, 1
+
+        def ahead(by: int) -> np.ndarray:
+            """The rank `by` positions on; past the end counts as lowest."""
+            out = np.zeros(n, np.int64)
+            out[: max(0, n - by)] = rank[by:] + 1
+            return out
+
         while True:
-            # Prefix doubling: positions ordered by 2 * have symbols, past the end counts as lowest.
-            second = np.full(n, -1, np.int64)
-            second[: max(0, n - have)] = rank[have:]
-            key = rank * (n + sigma + 1) + second + 1
+            # Prefix doubling: positions ordered by 2 * have symbols; three symbols at once to begin with, where they fit.
+            three = have == 1 and base**3 < 1 << 62
+            key = rank * base + ahead(have)
+            if three:
+                key = key * base + ahead(2)
             order = np.argsort(key)
             step = np.diff(key[order]) != 0
             rank = np.empty(n, np.int64)
             rank[order] = np.concatenate([[0], np.cumsum(step)])
-            have *= 2
+            have *= 3 if three else 2
             if step.all():
                 break
         self.bwt = WaveletMatrix(text[(order - 1) % n], sigma)

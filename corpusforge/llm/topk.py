@@ -42,7 +42,9 @@ from pyspark.sql import functions as F
 from .shared import landed
 
 RESULT = "query_id long, vec_id long, score long"
-LEAF, QUERY_LEAF, FANOUT = 64, 8, 16
+LEAF, QUERY_LEAF, FANOUT = 32, 8, 16
+#: Points of the first and of the largest run of leaves that are multiplied together.
+FIRST_RUN, LARGEST_RUN = 128, 8192
 #: Most pivots, most numbers in all pivots together, sampled rows per pivot.
 MAX_CELLS, MAX_NUMBERS, SAMPLED = 4096, 1 << 22, 4
 LEAST, MOST = -(1 << 63), (1 << 63) - 1
@@ -141,7 +143,6 @@ def dual_tree(queries: np.ndarray, own: list[int], points: np.ndarray, ids: list
     qt, pt = CoverTree(queries, QUERY_LEAF), CoverTree(points)
     found: list[list[tuple[int, int]]] = [[] for _ in own]  # (-score, id), best first
     worst = np.full(len(own), -np.inf) if floor is None else floor.astype(np.float64)
-    bound = np.full(len(qt.center), -np.inf)
     work = Work(pairs=len(queries) * len(points), width=width)
     q, p = queries.astype(kind), points.astype(kind)
     head = width if kind is object else -(-width * 11 // 16)
@@ -151,13 +152,20 @@ def dual_tree(queries: np.ndarray, own: list[int], points: np.ndarray, ids: list
     qn, pn = qt.norm[qt.center], pt.norm[pt.center]
     qr, pr, pl = np.array(qt.radius), np.array(pt.radius), np.array(pt.longest)
 
-    def upper(a: int, nodes: list[int]) -> np.ndarray:
+    kids = np.array([len(x) for x in pt.children])
+    begin, kid = np.cumsum(kids) - kids, np.array([c for x in pt.children for c in x], np.int64)
+    size = np.array([len(x) for x in pt.points])
+
+    def opened(nodes: np.ndarray) -> np.ndarray:
+        n = kids[nodes]
+        return kid[np.repeat(begin[nodes] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))]
+
+    def upper(a: int, nodes: np.ndarray) -> np.ndarray:
         most = pc[nodes] @ qc[a] + qn[a] * pr[nodes] + pn[nodes] * qr[a] + qr[a] * pr[nodes]
         most = np.minimum(most, (qn[a] + qr[a]) * pl[nodes])
         return most + 1e-9 * (1 + np.abs(most) + qn[a] * pn[nodes])
 
-    def leaves(a: int, b: int) -> None:
-        rows, cols = qt.points[a], pt.points[b]
+    def multiply(rows: np.ndarray, cols: np.ndarray) -> None:
         scores = q[rows][:, :head] @ p[cols][:, :head].T
         work.begun += scores.size
         work.multiplied += scores.size * head
@@ -171,12 +179,11 @@ def dual_tree(queries: np.ndarray, own: list[int], points: np.ndarray, ids: list
             score = score + (q[rows[i], head:] * p[cols[j], head:]).sum(1)
             work.multiplied += len(i) * (width - head)
         work.finished += len(i)
-        for at, row in zip(np.split(np.arange(len(i)), np.searchsorted(i, np.arange(1, len(rows)))), rows.tolist()):
-            s, c = score[at], cols[j[at]]
-            good = s.astype(np.float64) >= worst[row]
-            s, c = s[good], c[good]
-            if not len(s):
-                continue
+        # Few reach the worst kth score; only their queries are gone through.
+        good = score.astype(np.float64) >= worst[rows[i]]
+        i, j, score = i[good], j[good], score[good]
+        for at in np.split(np.arange(len(i)), np.nonzero(np.diff(i))[0] + 1) if len(i) else ():
+            row, s, c = int(rows[i[at[0]]]), score[at], cols[j[at]]
             places = k + hides[row]
             if kind is not object and len(s) > places:  # equal scores of the last place all stay
                 keep = s >= np.partition(s, len(s) - places)[len(s) - places]
@@ -188,7 +195,6 @@ def dual_tree(queries: np.ndarray, own: list[int], points: np.ndarray, ids: list
             del have[k:]
             if len(have) == k:
                 worst[row] = max(worst[row], float(-have[-1][0]))
-        bound[a] = worst[rows].min()
 
     # At how many points a query's own id stands alone, and so may take a place without filling it.
     alone: dict[int, int] = {}
@@ -197,25 +203,30 @@ def dual_tree(queries: np.ndarray, own: list[int], points: np.ndarray, ids: list
             alone[x[0]] = alone.get(x[0], 0) + 1
     hides = [alone.get(o, 0) for o in own]
 
-    stack = [(0, 0, np.inf)] if len(queries) and len(points) else []
+    stack = [(0, np.zeros(1, np.int64))] if len(queries) and len(points) else []
     while stack:
-        a, b, most = stack.pop()
-        if most < bound[a]:
-            continue
-        bound[a] = max(bound[a], worst[qt.points[a]].min())
-        if most < bound[a]:
+        a, nodes = stack.pop()
+        rows = qt.points[a]
+        nodes = nodes[upper(a, nodes) >= worst[rows].min()]
+        if qt.children[a]:
+            # The larger side opens first.
+            wide = (kids[nodes] > 0) & (pr[nodes] >= qr[a])
+            there = np.concatenate([nodes[~wide], opened(nodes[wide])])
+            stack += [(c, there) for c in qt.children[a]]
             continue
-        kids_a, kids_b = qt.children[a], pt.children[b]
-        if not kids_b and not kids_a:
-            leaves(a, b)
-        elif kids_b and (not kids_a or pr[b] >= qr[a]):
-            ups = upper(a, kids_b)
-            for j in np.argsort(ups):  # the most promising is popped first
-                if ups[j] >= bound[a]:
-                    stack.append((a, kids_b[j], float(ups[j])))
-        else:
-            for c in kids_a:
-                stack.append((c, b, float(upper(c, [b])[0])))
+        while (kids[nodes] > 0).any():
+            inner = kids[nodes] > 0
+            below = opened(nodes[inner])
+            nodes = np.concatenate([nodes[~inner], below[upper(a, below) >= worst[rows].min()]])
+        # The most promising leaves first, in ever longer runs; each run meets the scores that the last one left.
+        most = upper(a, nodes)
+        order = np.argsort(-most)
+        nodes, most, run = nodes[order], most[order], FIRST_RUN
+        while len(nodes) and most[0] >= worst[rows].min():
+            upto = max(1, int(np.searchsorted(np.cumsum(size[nodes]), run, "right")))
+            upto = min(upto, int(np.searchsorted(-most, -worst[rows].min(), "right")))
+            multiply(rows, np.concatenate([pt.points[n] for n in nodes[:upto].tolist()]))
+            nodes, most, run = nodes[upto:], most[upto:], min(LARGEST_RUN, 4 * run)
     return [[(-s, v) for s, v in f] for f in found], work
 
 

@@ -441,7 +441,7 @@ def test_search_saves_work_on_the_tables():
     assert len(topk.CoverTree(points).center) > 50
     begun, finished, multiplied = searched(points, 100)
     print(f"begun {begun:.3f} finished {finished:.3f} multiplied {multiplied:.3f}")
-    assert finished < 0.65 and multiplied < 0.9
+    assert finished < 0.75 and multiplied < 0.9 and begun < 1
 
 
 def test_routing_leaves_cells_out(spark):
