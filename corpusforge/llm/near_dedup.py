@@ -228,10 +228,11 @@ def _settle(members: DataFrame, texts: DataFrame, sketches: DataFrame, percent:
     """
     sizes = members.groupBy("key", "component").agg(F.count(F.lit(1)).alias("n"))
     main = sizes.groupBy("key").agg(F.max_by("component", "n").alias("main"), F.sum("n").alias("total"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
+    m = landed(members.join(main.select("key", "main", "total"), "key").withColumn("straggler", F.col("component") != F.col("main")), "open")
+    size = texts.select("id", F.octet_length("text").alias("size"))
+    weight = m.join(size, "id").groupBy("key").agg(F.greatest(F.ceil(F.max("total") / TILE), F.ceil(F.sum("size") / TILE_BYTES)).cast("int").alias("tiles"))
     full = texts.join(sketches.select(F.col("doc_id").alias("id"), "regs"), "id")
-    m = members.join(main, "key").withColumn("straggler", F.col("component") != F.col("main")).join(full, "id")
-    weight = m.groupBy("key").agg(F.greatest(F.ceil(F.max("total") / TILE), F.ceil(F.sum(F.octet_length("text")) / TILE_BYTES)).cast("int").alias("tiles"))
-    m = m.join(weight, "key").withColumn("tile", F.pmod(F.xxhash64("id"), F.col("tiles")).cast("int"))
+    m = m.join(weight, "key").withColumn("tile", F.pmod(F.xxhash64("id"), F.col("tiles")).cast("int")).join(full, "id")
     # Tile (i, j): stragglers of part i against members of part j.
     left = m.where("straggler").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))).select("key", F.col("tile").alias("i"), F.col("other").alias("j"), "id", "component", "straggler", "text", "regs")
     # Renamed, so that the two sides of the self-join can be told apart.
@@ -301,7 +302,7 @@ def near_duplicates(docs: DataFrame, *, text: str = "text", key: str = "doc_id",
     texts = landed(docs.join(asked, "doc_id", "left_semi").select(F.col("doc_id").alias("id"), "text").dropDuplicates(["id"]), "texts")
     links = landed(verified_links(likely, texts, percent), "verified")
     label = landed(components(links), "components")
-    open_members = large.join(label, "id", "left").select("key", "id", F.coalesce("component", "id").alias("component"))
+    open_members = landed(large.join(label, "id", "left").select("key", "id", F.coalesce("component", "id").alias("component")), "members")
     more = landed(_settle(open_members, texts, reps, percent, doubt), "settled")
     if more.take(1):
         label = landed(components(links.union(more)), "components")
