@@ -71,23 +71,30 @@ def lr_schedule(spark: SparkSession, schedule: Schedule = Schedule(), stride: in
     return steps.select("step", F.when(s < round(0.9 * n), 1).when(s < n, 2).otherwise(3).alias("phase"), F.round(schedule.rate(s, kind), 12).alias("lr"))
 
 
-def assign_phase(df: DataFrame, tokens: str, bounds: list[int], order: list[str], shards: int = 64) -> DataFrame:
-    """Running token count to phase. Two-level prefix sum: no window over all rows.
+#: Rows that one task of a running sum takes.
+RUNNING_ROWS = 1_000_000
 
-    Rows are hashed into shards in order of their hash; shard totals (a small frame) give each shard's
-    offset, and sums run inside shards.
+
+def assign_phase(df: DataFrame, tokens: str, bounds: list[int], key: str = "doc_id") -> DataFrame:
+    """Running token count in shuffled order to phase. Two-level prefix sum: no window over all rows.
+
+    The order is a hash of the key, cut into slices; slice totals (a small frame) give each slice's offset,
+    and sums run inside slices.
     """
     from pyspark.sql import Window
 
-    sharded = df.withColumn("_shard", F.pmod(F.hash(*order), F.lit(shards)))
-    totals = sharded.groupBy("_shard").agg(F.sum(tokens).alias("_n"))
-    ahead = totals.select("_shard", (F.sum("_n").over(Window.orderBy("_shard")) - F.col("_n")).alias("_ahead"))
-    at = F.sum(tokens).over(Window.partitionBy("_shard").orderBy(*order)) + F.col("_ahead")
-    out = sharded.join(F.broadcast(ahead), "_shard").withColumn("running", at)
+    from ..functions import text as T
+
+    slices = max(8, -(-df.count() // RUNNING_ROWS))
+    sliced = df.withColumn("_u", T.uniform(F.col(key))).withColumn("_s", F.floor(F.col("_u") * slices).cast("int"))
+    totals = sliced.groupBy("_s").agg(F.sum(tokens).alias("_n"))
+    ahead = totals.select("_s", (F.sum("_n").over(Window.partitionBy(F.lit(0)).orderBy("_s")) - F.col("_n")).alias("_ahead"))
+    at = F.sum(tokens).over(Window.partitionBy("_s").orderBy("_u", key)) + F.col("_ahead")
+    out = sliced.join(ahead, "_s").withColumn("running", at)
     phase = F.lit(len(bounds) + 1)
     for i in range(len(bounds), 0, -1):
         phase = F.when(F.col("running") <= bounds[i - 1], F.lit(i)).otherwise(phase)
-    return out.withColumn("phase", phase).drop("_shard", "_ahead")
+    return out.withColumn("phase", phase).drop("_u", "_s", "_ahead")
 
 
 def sft_steps(rows: int, batch: int, epochs: int = EPOCHS) -> int:

@@ -7,7 +7,9 @@ trained in batches of merges spread over all tasks. No word is left out, however
 
 from __future__ import annotations
 
+import re
 from collections import Counter, defaultdict
+from dataclasses import dataclass
 from heapq import heapify, heappop, heappush
 
 import pandas as pd
@@ -22,11 +24,14 @@ MARK = "▁"
 SINGLE_ROWS = 500_000
 
 
-def spell(word: str, alphabet: set[str]) -> list[str]:
-    """Characters of the alphabet, others as UTF-8 byte pieces."""
+UNKNOWN = "<unk>"
+
+
+def spell(word: str, alphabet: set[str], byte_fallback: bool = True) -> list[str]:
+    """Characters of the alphabet, others as UTF-8 byte pieces, or as the unknown piece without the fallback."""
     out: list[str] = []
     for c in word:
-        out += [c] if c in alphabet else [f"<0x{b:02X}>" for b in c.encode()]
+        out += [c] if c in alphabet else [f"<0x{b:02X}>" for b in c.encode()] if byte_fallback else [UNKNOWN]
     return out
 
 
@@ -46,16 +51,21 @@ def pairs(s: list[str]):
     """Adjacent pairs; overlapping equal symbols count without overlap."""
     last = None
     for p in zip(s, s[1:]):
-        if p == last and p[0] == p[1]:
+        if UNKNOWN in p:
+            last = None
+        elif p == last and p[0] == p[1]:
             last = None
         else:
             yield p
             last = p
 
 
-def learn(words: list[tuple[str, int]], merges: int, alphabet: set[str]) -> list[tuple[str, str, int]]:
-    """Merge list (left, right, weight): heaviest pair first, ties to the smaller pair; stops under weight 2."""
-    state = [(spell(MARK + w, alphabet), n) for w, n in words]
+def learn(words: list[tuple[str, int]], merges: int, alphabet: set[str], byte_fallback: bool = True) -> list[tuple[str, str, int]]:
+    """Merge list (left, right, weight): heaviest pair first, ties to the smaller pair; stops under weight 2.
+
+    Nothing merges with the unknown piece.
+    """
+    state = [(spell(MARK + w, alphabet, byte_fallback), n) for w, n in words]
     weight: Counter = Counter()
     where: dict = defaultdict(set)
     for i, (s, n) in enumerate(state):
@@ -107,24 +117,26 @@ def alphabet(words: DataFrame, coverage: float = 0.9995) -> list[str]:
 
 
 def train_bpe(words: DataFrame, merges: int, coverage: float = 0.9995, byte_fallback: bool = True) -> DataFrame:
-    """(rank, left, right, freq) from (word, cnt); trained in one task, or in batches where the table is above SINGLE_ROWS."""
+    """(rank, left, right, freq) from (word, cnt); trained in one task, or in batches where the table is above SINGLE_ROWS.
+
+    Characters beyond the coverage are bytes, or the unknown piece without the fallback.
+    """
     table = cut_lineage(words.groupBy("word").agg(F.sum("cnt").alias("cnt")))
-    coverage = coverage if byte_fallback else 1.0
     if table.count() > SINGLE_ROWS:
-        rows = [(i, *r) for i, r in enumerate(train_bpe_batched(table, merges, coverage))]
+        rows = [(i, *r) for i, r in enumerate(train_bpe_batched(table, merges, coverage, byte_fallback=byte_fallback))]
         return words.sparkSession.createDataFrame(rows, "rank bigint, left string, right string, freq bigint")
     known = {MARK, *alphabet(table, coverage)}
 
     def run(batch: pd.DataFrame) -> pd.DataFrame:
         rows = sorted(zip(batch["word"], batch["cnt"]))
-        out = learn(rows, merges, known)
+        out = learn(rows, merges, known, byte_fallback)
         return pd.DataFrame({"rank": range(len(out)), "left": [a for a, _, _ in out], "right": [b for _, b, _ in out], "freq": [n for _, _, n in out]})
 
     return table.groupBy(F.lit(1).alias("_one")).applyInPandas(lambda b: run(b), "rank bigint, left string, right string, freq bigint")
 
 
-def encode_word(word: str, ranks: dict[tuple[str, str], int], known: set[str]) -> list[str]:
-    s = spell(MARK + word, known)
+def encode_word(word: str, ranks: dict[tuple[str, str], int], known: set[str], byte_fallback: bool = True, mark: str = MARK) -> list[str]:
+    s = spell(mark + word, known, byte_fallback)
     while len(s) > 1:
         best = min(((ranks.get(p, 1 << 60), p) for p in zip(s, s[1:])), default=None)
         if best is None or best[0] == 1 << 60:
@@ -196,7 +208,7 @@ def safe_picks(rows: list[tuple[str, str, int]], floor: int, limit: int, made: s
     return out
 
 
-def train_bpe_batched(words: DataFrame, merges: int, coverage: float = 0.9995, per_round: int = 32, listed: int = 512, cut_every: int = 2) -> list[tuple[str, str, int]]:
+def train_bpe_batched(words: DataFrame, merges: int, coverage: float = 0.9995, per_round: int = 32, listed: int = 512, cut_every: int = 2, byte_fallback: bool = True) -> list[tuple[str, str, int]]:
     """Merge list equal to train_bpe's, with the word table spread over all tasks.
 
     Each round counts pairs (combined inside a task before the shuffle), takes `listed` of them to the
@@ -207,7 +219,7 @@ def train_bpe_batched(words: DataFrame, merges: int, coverage: float = 0.9995, p
 
     def spelled(batches):
         for b in batches:
-            yield pd.DataFrame({"cnt": b["cnt"], "s": [spell(MARK + w, known) for w in b["word"]]})
+            yield pd.DataFrame({"cnt": b["cnt"], "s": [spell(MARK + w, known, byte_fallback) for w in b["word"]]})
 
     def counted(batches):
         weight: Counter = Counter()
@@ -256,6 +268,86 @@ def decode_words(encoded: DataFrame) -> DataFrame:
     return encoded.mapInPandas(run, "word string, decoded string")
 
 
+@dataclass(frozen=True)
+class TextCodec:
+    """A merge list with ids, for whole texts: 0 is the unknown piece, 1 to 256 the bytes, then the alphabet and the
+    merged pieces in order. A space before a word becomes its mark, other white space and a mark in the text are
+    spelled in bytes, so that with the byte fallback every text comes back as it was."""
+
+    merges: tuple[tuple[str, str], ...]
+    alphabet: tuple[str, ...]
+    byte_fallback: bool = True
+
+    def pieces(self) -> list[str]:
+        plain = [UNKNOWN, *[f"<0x{b:02X}>" for b in range(256)], MARK, *[c for c in self.alphabet if c != MARK]]
+        return list(dict.fromkeys([*plain, *[a + b for a, b in self.merges]]))
+
+    def prepared(self) -> tuple:
+        return {p: i for i, p in enumerate(self.merges)}, {c for c in self.alphabet if c != MARK and not c.isspace()}, {p: i for i, p in enumerate(self.pieces())}
+
+    def encode(self, text: str, prepared: tuple, seen: dict[str, list[int]]) -> list[int]:
+        ranks, known, ids = prepared
+        out: list[int] = []
+        for token in _TOKENS.findall(text):
+            got = seen.get(token)
+            if got is None:
+                word, mark = (token[1:], MARK) if token[0] == " " and len(token) > 1 and not token[1].isspace() else (token, "")
+                symbols = ([mark] if mark else []) + spell(word, known, self.byte_fallback)
+                while len(symbols) > 1:
+                    best = min((ranks.get(p, 1 << 60), p) for p in zip(symbols, symbols[1:]))
+                    if best[0] == 1 << 60:
+                        break
+                    symbols = merge_word(symbols, best[1])
+                got = seen[token] = [ids.get(x, 0) for x in symbols]
+            out += got
+        return out
+
+    def decode(self, ids: list[int], pieces: list[str]) -> str:
+        raw = bytearray()
+        for i in ids:
+            p = pieces[i]
+            if i == 0:
+                raw += "\ufffd".encode()
+            elif i <= 256:
+                raw.append(i - 1)
+            else:
+                raw += p.replace(MARK, " ").encode()
+        return raw.decode("utf-8", "replace")
+
+
+#: A word with the space before it, or a run of white space up to the next word's own space.
+_TOKENS = re.compile(r" ?[^\s]+|\s+?(?= [^\s])|\s+")
+#: Distinct tokens whose ids a task keeps.
+SEEN = 200_000
+
+
+def encode_texts(df: DataFrame, codec: TextCodec, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(key, ids, n_tokens) of whole texts; null texts have no ids. The codec travels with the tasks, bounded by the vocabulary."""
+
+    def run(batches):
+        prepared, seen = codec.prepared(), {}
+        for b in batches:
+            ids = []
+            for t in b["text"]:
+                ids.append(codec.encode(t or "", prepared, seen))
+                if len(seen) > SEEN:
+                    seen.clear()
+            yield pd.DataFrame({key: b[key], "ids": ids, "n_tokens": [len(x) for x in ids]})
+
+    return df.select(key, F.col(text).alias("text")).mapInPandas(run, f"{key} bigint, ids array<int>, n_tokens bigint")
+
+
+def decode_texts(encoded: DataFrame, codec: TextCodec, key: str = "doc_id") -> DataFrame:
+    """(key, text) from ids."""
+
+    def run(batches):
+        pieces = codec.pieces()
+        for b in batches:
+            yield pd.DataFrame({key: b[key], "text": [codec.decode(list(x), pieces) for x in b["ids"]]})
+
+    return encoded.select(key, "ids").mapInPandas(run, f"{key} bigint, text string")
+
+
 def vocab_sweep(words: DataFrame, merges: list[tuple[str, str]], sizes: tuple[int, ...], known: set[str], width: int = 4096) -> DataFrame:
     """(size, embedding parameters, tokens, words, fertility): every size is a prefix of one merge list."""
     out = None

@@ -1,19 +1,24 @@
 """Language models over word and character n-grams: identification, perplexity, rank lexicons.
 
-Texts are reduced to word counts first; n-gram scores are computed once per distinct word and joined
-back, so what is shuffled follows the vocabulary and the number of (document, word) pairs.
+Models are fitted once and landed; what is scored is scored once per distinct word or n-gram, with the
+scores of all languages in one row, and joined to the documents' words. Where the table of distinct
+words is small (counted, MOST_BROADCAST rows) it is broadcast and no word is shuffled; beyond that
+(document, word) counts meet it in a shuffle, whose frequent words adaptive execution splits.
 """
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import text as T
+from ..sources.tables import cut_lineage
 
 
 def doc_words(df: DataFrame) -> DataFrame:
-    """(doc_id, lang, word, cnt) of lower-cased letter words."""
+    """(doc_id, lang, word, cnt) of lower-cased letter words; documents without any have no rows."""
     return df.select("doc_id", "lang", F.explode(T.letter_words(F.col("text"))).alias("word")).groupBy("doc_id", "lang", "word").agg(F.count(F.lit(1)).alias("cnt"))
 
 
@@ -31,39 +36,63 @@ def _runs(padded: Column, n: int) -> Column:
     return F.transform(F.sequence(F.lit(1), F.length(padded) - n + 1), lambda i: F.substring(padded, i, F.lit(n)))
 
 
+#: Distinct words up to which their scores are sent to every executor (about 100 bytes each).
+MOST_BROADCAST = 1_000_000
+
+
 def fit_langid(df: DataFrame, sizes: tuple[int, ...] = (1, 2, 3)) -> DataFrame:
-    """(lang, gram, c, total, kinds): counts of character n-grams of words, by language."""
-    w = doc_words(df).groupBy("lang", "word").agg(F.sum("cnt").alias("cnt"))
-    g = w.select("lang", "cnt", F.explode(_grams(F.col("word"), sizes)).alias("gram")).groupBy("lang", "gram").agg(F.sum("cnt").alias("c"))
-    kinds = g.agg(F.countDistinct("gram").alias("kinds"))
-    totals = g.groupBy("lang").agg(F.sum("c").alias("total"))
-    return g.join(F.broadcast(totals), "lang").crossJoin(F.broadcast(kinds))
+    """(lang, gram, c): counts of character n-grams of words, by language; landed."""
+    w = df.select("lang", F.explode(T.letter_words(F.col("text"))).alias("word")).groupBy("lang", "word").agg(F.count(F.lit(1)).alias("cnt"))
+    return cut_lineage(w.select("lang", "cnt", F.explode(_grams(F.col("word"), sizes)).alias("gram")).groupBy("lang", "gram").agg(F.sum("cnt").alias("c")))
+
+
+def word_scores(words: DataFrame, model: DataFrame, sizes: tuple[int, ...] = (1, 2, 3)) -> tuple[DataFrame, list[str]]:
+    """(word, n, s): n-grams of each word and its log-probability in each language (in the order of the names)."""
+    rows = model.groupBy("lang").agg(F.sum("c").alias("total")).orderBy("lang").collect()  # as many rows as languages
+    langs = [r["lang"] for r in rows]
+    kinds = model.agg(F.countDistinct("gram")).first()[0]
+    unseen = [math.log(1.0 / (r["total"] + kinds)) for r in rows]
+    gain = [F.sum(F.when(F.col("lang") == x, F.log(F.col("c") + 1.0))).alias(f"_{i}") for i, x in enumerate(langs)]
+    gains = model.groupBy("gram").agg(*gain)
+    grams = words.select("word", F.explode(_grams(F.col("word"), sizes)).alias("gram"))
+    by = grams.join(gains, "gram", "left").groupBy("word").agg(F.count(F.lit(1)).alias("n"), *[F.coalesce(F.sum(f"_{i}"), F.lit(0.0)).alias(f"_{i}") for i in range(len(langs))])
+    return by.select("word", "n", F.array(*[F.col(f"_{i}") + F.col("n") * F.lit(u) for i, u in enumerate(unseen)]).alias("s")), langs
 
 
 def predict_langid(df: DataFrame, model: DataFrame, sizes: tuple[int, ...] = (1, 2, 3)) -> DataFrame:
-    """doc_id, lang, predicted, margin per n-gram, by naive Bayes with add-one smoothing."""
-    w = doc_words(df)
-    grams = w.select("word").distinct().select("word", F.explode(_grams(F.col("word"), sizes)).alias("gram"))
-    langs = model.select(F.col("lang").alias("guess"), "total", "kinds").distinct()
-    unseen = F.log(F.lit(1.0) / (F.col("total") + F.col("kinds")))
-    seen = model.select("gram", F.col("lang").alias("guess"), F.log(F.col("c") + 1.0).alias("gain"))
-    gains = grams.join(seen, "gram").groupBy("word", "guess").agg(F.sum("gain").alias("gain"))
-    size = grams.groupBy("word").agg(F.count(F.lit(1)).alias("n"))
-    scored = size.crossJoin(F.broadcast(langs)).join(gains, ["word", "guess"], "left").select("word", "guess", "n", (F.coalesce("gain", F.lit(0.0)) + F.col("n") * unseen).alias("s"))
-    total = w.join(scored, "word").groupBy("doc_id", "lang", "guess").agg(F.sum(F.col("cnt") * F.col("s")).alias("s"), F.sum(F.col("cnt") * F.col("n")).alias("n"))
-    order = Window.partitionBy("doc_id").orderBy(F.desc("s"), "guess")
-    ranked = total.withColumns({"r": F.row_number().over(order), "next": F.lead("s").over(order)}).where("r = 1")
-    return ranked.select("doc_id", "lang", F.col("guess").alias("predicted"), F.round((F.col("s") - F.coalesce("next", "s")) / F.col("n"), 6).alias("margin"))
+    """doc_id, lang, predicted, margin per n-gram, by naive Bayes with add-one smoothing.
+
+    Every document has a row; one without letters has no prediction.
+    """
+    said = df.select("doc_id", "lang", F.explode_outer(T.letter_words(F.col("text"))).alias("word"))
+    scores, langs = word_scores(said.select("word").where("word is not null").distinct(), model, sizes)
+    scores = cut_lineage(scores)
+    if scores.count() <= MOST_BROADCAST:
+        said, scores, cnt = said, F.broadcast(scores), F.lit(1)
+    else:
+        said, cnt = said.groupBy("doc_id", "lang", "word").agg(F.count(F.lit(1)).alias("cnt")), F.col("cnt")
+    x = said.join(scores, "word", "left")
+    total = x.groupBy("doc_id", "lang").agg(F.sum(cnt * F.col("n")).alias("n"), *[F.sum(cnt * F.get("s", F.lit(i))).alias(f"_{i}") for i in range(len(langs))])
+    best = F.sort_array(F.array(*[F.struct((-F.col(f"_{i}")).alias("s"), F.lit(x).alias("guess")) for i, x in enumerate(langs)]))
+    first, second = F.get("best", F.lit(0)), F.get("best", F.lit(1))
+    margin = (F.coalesce(second["s"], first["s"]) - first["s"]) / F.col("n")
+    return total.withColumn("best", best).select("doc_id", "lang", F.when(F.col("n").isNotNull(), first["guess"]).alias("predicted"), F.round(margin, 6).alias("margin"))
 
 
 def vote_langid(df: DataFrame, train: DataFrame, top: int = 50) -> DataFrame:
-    """Baseline: the language whose frequent words cover most of the text."""
+    """Baseline: the language whose frequent words cover most of the text.
+
+    A document without any of them has no prediction and no votes. Frequent words are few (top by
+    language); their window is cut in every task before the shuffle.
+    """
     order = Window.partitionBy("lang").orderBy(F.desc("cnt"), "word")
     counts = doc_words(train).groupBy("lang", "word").agg(F.sum("cnt").alias("cnt"))
-    frequent = counts.withColumn("r", F.row_number().over(order)).where(F.col("r") <= top).select(F.col("lang").alias("guess"), "word")
-    votes = doc_words(df).join(F.broadcast(frequent), "word").groupBy("doc_id", "lang", "guess").agg(F.sum("cnt").alias("votes"))
-    best = Window.partitionBy("doc_id").orderBy(F.desc("votes"), "guess")
-    return votes.withColumn("r", F.row_number().over(best)).where("r = 1").select("doc_id", "lang", F.col("guess").alias("predicted"), "votes")
+    frequent = counts.withColumn("r", F.row_number().over(order)).where(F.col("r") <= top).groupBy("word").agg(F.collect_list("lang").alias("guesses"))
+    said = df.select("doc_id", "lang", F.explode_outer(T.letter_words(F.col("text"))).alias("word"))
+    votes = said.join(F.broadcast(frequent), "word", "left").select("doc_id", "lang", F.explode_outer("guesses").alias("guess"))
+    votes = votes.groupBy("doc_id", "lang", "guess").agg(F.count("guess").alias("votes"))
+    best = F.min_by("guess", F.struct(-F.col("votes"), "guess"))
+    return votes.groupBy("doc_id", "lang").agg(best.alias("predicted"), F.max("votes").alias("votes"))
 
 
 def filter_lang(df: DataFrame, predicted: DataFrame, tau: float = 0.0) -> DataFrame:
@@ -86,38 +115,68 @@ def all_sizes(df: DataFrame, sizes: DataFrame) -> DataFrame:
 
 
 def perplexity_unigram(df: DataFrame, lm: tuple[DataFrame, DataFrame]) -> DataFrame:
-    """exp of the mean negative log-probability of a document's words, add-one smoothed."""
+    """exp of the mean negative log-probability of a document's words, add-one smoothed.
+
+    Every document has a row: one without words has no perplexity, one of a language without trusted
+    text is smoothed over the words of all languages.
+    """
     counts, sizes = lm
-    x = doc_words(df).join(counts, ["lang", "word"], "left").join(F.broadcast(sizes), "lang")
+    sizes = all_sizes(df, sizes)
+    said = df.select("doc_id", "lang", F.explode_outer(T.letter_words(F.col("text"))).alias("word")).groupBy("doc_id", "lang", "word").agg(F.count("word").alias("cnt"))
+    x = said.join(counts, ["lang", "word"], "left").join(F.broadcast(sizes), "lang", "left")
     p = (F.coalesce("c", F.lit(0)) + 1.0) / (F.col("total") + F.col("kinds") + 1)
-    return x.groupBy("doc_id", "lang").agg(F.round(F.exp(-F.sum(F.col("cnt") * F.log(p)) / F.sum("cnt")), 6).alias("perplexity"))
+    return x.groupBy("doc_id", "lang").agg(F.round(F.exp(-F.try_divide(F.sum(F.col("cnt") * F.log(p)), F.sum("cnt"))), 6).alias("perplexity"))
 
 
-def bigrams(df: DataFrame) -> DataFrame:
-    """(doc_id, lang, u, w, cnt): word bigrams with a start mark and an end mark."""
+def perplexity_paragraphs(df: DataFrame, lm: tuple[DataFrame, DataFrame]) -> DataFrame:
+    """doc_id, pos, lang, perplexity of every paragraph: the document form on lines."""
+    lines = df.select("doc_id", "lang", F.posexplode(T.paragraphs(F.col("text"))).alias("pos", "text"))
+    scored = perplexity_unigram(lines.select(F.struct("doc_id", "pos").alias("doc_id"), "lang", "text"), lm)
+    return scored.select("doc_id.doc_id", "doc_id.pos", "lang", "perplexity")
+
+
+def said_bigrams(df: DataFrame) -> DataFrame:
+    """(doc_id, lang, u, w): every word bigram, with a start mark and an end mark."""
     x = df.select("doc_id", "lang", F.concat(F.array(F.lit("<s>")), T.letter_words(F.col("text")), F.array(F.lit("</s>"))).alias("ws"))
     pairs = F.transform(F.slice("ws", F.lit(2), F.size("ws") - 1), lambda w, i: F.struct(F.get(F.col("ws"), i).alias("u"), w.alias("w")))
-    return x.select("doc_id", "lang", F.explode(pairs).alias("p")).groupBy("doc_id", "lang", "p.u", "p.w").agg(F.count(F.lit(1)).alias("cnt"))
+    return x.select("doc_id", "lang", F.explode(pairs).alias("p")).select("doc_id", "lang", "p.u", "p.w")
+
+
+def bigram_counts(df: DataFrame) -> DataFrame:
+    """(lang, u, w, c) of a training text, landed: the parts of a model are all taken from it."""
+    return cut_lineage(said_bigrams(df).groupBy("lang", "u", "w").agg(F.count(F.lit(1)).alias("c")))
+
+
+def mean_log(said: DataFrame, scores: DataFrame, keys: list[str]) -> DataFrame:
+    """doc_id, lang, perplexity of what documents say, from the probability p of each distinct key."""
+    scores = cut_lineage(scores.select(*keys, F.log("p").alias("p")))
+    if scores.count() <= MOST_BROADCAST:
+        return said.join(F.broadcast(scores), keys).groupBy("doc_id", "lang").agg(F.exp(-F.avg("p")).alias("perplexity"))
+    counted = said.groupBy("doc_id", *keys).agg(F.count(F.lit(1)).alias("cnt"))
+    return counted.join(scores, keys).groupBy("doc_id", "lang").agg(F.exp(-F.sum(F.col("cnt") * F.col("p")) / F.sum("cnt")).alias("perplexity"))
 
 
 def perplexity_bigram(df: DataFrame, trusted: DataFrame) -> DataFrame:
-    """Interpolated Kneser-Ney of order 2: absolute discount n1/(n1+2 n2), continuation counts below."""
-    c = bigrams(trusted).groupBy("lang", "u", "w").agg(F.sum("cnt").alias("c"))
+    """Interpolated Kneser-Ney of order 2: absolute discount n1/(n1+2 n2), continuation counts below.
+
+    A language without trusted text is smoothed over the words of all languages.
+    """
+    c, said = bigram_counts(trusted), said_bigrams(df)
     ctx = c.groupBy("lang", "u").agg(F.sum("c").alias("cu"), F.count(F.lit(1)).alias("nu"))
     cont = c.groupBy("lang", "w").agg(F.count(F.lit(1)).alias("nw"))
-    size = c.groupBy("lang").agg(F.count_if(F.col("c") == 1).alias("n1"), F.count_if(F.col("c") == 2).alias("n2"), F.count(F.lit(1)).alias("types"), F.countDistinct("w").alias("kinds"))
-    x = bigrams(df).join(c, ["lang", "u", "w"], "left").join(ctx, ["lang", "u"], "left").join(cont, ["lang", "w"], "left").join(F.broadcast(size), "lang")
-    d = F.col("n1") / (F.col("n1") + 2.0 * F.col("n2"))
-    lower = (F.coalesce("nw", F.lit(0)) + 1.0) / (F.col("types") + F.col("kinds") + 1)
-    p = F.when(F.col("cu").isNull(), lower).otherwise((F.greatest(F.coalesce("c", F.lit(0)) - d, F.lit(0.0)) + d * F.col("nu") * lower) / F.col("cu"))
-    return x.groupBy("doc_id", "lang").agg(F.round(F.exp(-F.sum(F.col("cnt") * F.log(p)) / F.sum("cnt")), 6).alias("perplexity"))
+    size = c.groupBy("lang").agg((F.count_if(F.col("c") == 1) / (F.count_if(F.col("c") == 1) + 2.0 * F.count_if(F.col("c") == 2))).alias("d"), F.count(F.lit(1)).alias("total"), F.countDistinct("w").alias("kinds"))
+    size = all_sizes(df, size.select("lang", "total", "kinds")).join(size.select("lang", "d"), "lang", "left")
+    x = said.select("lang", "u", "w").distinct().join(c, ["lang", "u", "w"], "left").join(ctx, ["lang", "u"], "left").join(cont, ["lang", "w"], "left").join(F.broadcast(size), "lang")
+    lower = (F.coalesce("nw", F.lit(0)) + 1.0) / (F.col("total") + F.col("kinds") + 1)
+    p = F.when(F.col("cu").isNull(), lower).otherwise((F.greatest(F.coalesce("c", F.lit(0)) - F.col("d"), F.lit(0.0)) + F.col("d") * F.col("nu") * lower) / F.col("cu"))
+    return mean_log(said, x.select("lang", "u", "w", p.alias("p")), ["lang", "u", "w"]).withColumn("perplexity", F.round("perplexity", 6))
 
 
-def ngrams(df: DataFrame, order: int) -> DataFrame:
-    """(doc_id, lang, g, cnt): word n-grams joined by spaces, with order - 1 start marks and an end mark."""
+def said_ngrams(df: DataFrame, order: int) -> DataFrame:
+    """(doc_id, lang, g): word n-grams joined by spaces, with order - 1 start marks and an end mark."""
     x = df.select("doc_id", "lang", F.concat(F.array(*[F.lit("<s>")] * (order - 1)), T.letter_words(F.col("text")), F.array(F.lit("</s>"))).alias("ws"))
     runs = F.transform(F.sequence(F.lit(1), F.size("ws") - order + 1), lambda i: F.array_join(F.slice("ws", i, F.lit(order)), " "))
-    return x.select("doc_id", "lang", F.explode(runs).alias("g")).groupBy("doc_id", "lang", "g").agg(F.count(F.lit(1)).alias("cnt"))
+    return x.select("doc_id", "lang", F.explode(runs).alias("g"))
 
 
 def perplexity_kneser_ney(df: DataFrame, trusted: DataFrame, order: int) -> DataFrame:
@@ -126,18 +185,18 @@ def perplexity_kneser_ney(df: DataFrame, trusted: DataFrame, order: int) -> Data
     Each level's discount is n1/(n1+2 n2), 0.5 where nothing was met once; the lowest level is smoothed
     by one. Probabilities are worked out once per distinct n-gram, level by level by equi-joins on the
     n-gram's end and on its context, then joined back to the documents. Texts without words hold the end
-    mark only; a language without trusted text has no rows.
+    mark only; a language without trusted text is smoothed over the words of all languages.
     """
     if order < 2:
         raise ValueError("order must be 2 or more")
-    mine = ngrams(df, order)
-    levels = {order: ngrams(trusted, order).groupBy("lang", "g").agg(F.sum("cnt").alias("c"))}
+    said = said_ngrams(df, order)
+    levels = {order: cut_lineage(said_ngrams(trusted, order).groupBy("lang", "g").agg(F.count(F.lit(1)).alias("c")))}
     for k in range(order - 1, 0, -1):
         levels[k] = levels[k + 1].groupBy("lang", F.substring_index("g", " ", -k).alias("g")).agg(F.count(F.lit(1)).alias("c"))
-    lowest = levels[1].groupBy("lang").agg(F.sum("c").alias("types"), F.count(F.lit(1)).alias("kinds"))
-    known = mine.select("lang", "g").distinct().withColumn("end", F.substring_index("g", " ", -1))
+    lowest = all_sizes(df, levels[1].groupBy("lang").agg(F.sum("c").alias("total"), F.count(F.lit(1)).alias("kinds")))
+    known = said.select("lang", "g").distinct().withColumn("end", F.substring_index("g", " ", -1))
     p = known.join(levels[1].withColumnRenamed("g", "end"), ["lang", "end"], "left").join(F.broadcast(lowest), "lang")
-    p = p.select("lang", "g", ((F.coalesce("c", F.lit(0)) + 1.0) / (F.col("types") + F.col("kinds") + 1)).alias("p"))
+    p = p.select("lang", "g", ((F.coalesce("c", F.lit(0)) + 1.0) / (F.col("total") + F.col("kinds") + 1)).alias("p"))
     for k in range(2, order + 1):
         c = levels[k]
         once, twice = F.count_if(F.col("c") == 1), F.count_if(F.col("c") == 2)
@@ -145,10 +204,10 @@ def perplexity_kneser_ney(df: DataFrame, trusted: DataFrame, order: int) -> Data
         contexts = c.groupBy("lang", F.substring_index("g", " ", k - 1).alias("before")).agg(F.sum("c").alias("cu"), F.count(F.lit(1)).alias("nu"))
         end = F.substring_index("g", " ", -k)
         x = p.withColumns({"end": end, "before": F.substring_index(end, " ", k - 1)})
-        x = x.join(c.withColumnRenamed("g", "end"), ["lang", "end"], "left").join(contexts, ["lang", "before"], "left").join(F.broadcast(discount), "lang")
+        x = x.join(c.withColumnRenamed("g", "end"), ["lang", "end"], "left").join(contexts, ["lang", "before"], "left").join(F.broadcast(discount), "lang", "left")
         mixed = (F.greatest(F.coalesce("c", F.lit(0)) - F.col("d"), F.lit(0.0)) + F.col("d") * F.col("nu") * F.col("p")) / F.col("cu")
         p = x.select("lang", "g", F.when(F.col("cu").isNull(), F.col("p")).otherwise(mixed).alias("p"))
-    return mine.join(p, ["lang", "g"]).groupBy("doc_id", "lang").agg(F.exp(-F.sum(F.col("cnt") * F.log("p")) / F.sum("cnt")).alias("perplexity"))
+    return mean_log(said, p, ["lang", "g"])
 
 
 def perplexity_tail(scored: DataFrame, keep: float = 2 / 3, exact: bool = True) -> DataFrame:
@@ -158,13 +217,26 @@ def perplexity_tail(scored: DataFrame, keep: float = 2 / 3, exact: bool = True)
     return scored.join(F.broadcast(bound), "lang").where(F.col("perplexity") <= F.col("bound")).drop("bound")
 
 
+def frequency_ranks(counts: DataFrame, prefix: int = 3) -> DataFrame:
+    """(lang, word, cnt) with each word's rank in its language: by count, then by word.
+
+    Two levels: words of one count and one beginning are ranked among themselves; how many come before
+    them is a running sum over (count, beginning), whose number follows the alphabet, not the corpus.
+    """
+    keyed = counts.withColumn("_p", F.left("word", F.lit(prefix)))
+    steps = keyed.groupBy("lang", "cnt", "_p").agg(F.count(F.lit(1)).alias("_n"))
+    before = F.sum("_n").over(Window.partitionBy("lang").orderBy(F.desc("cnt"), "_p")) - F.col("_n")
+    inside = F.row_number().over(Window.partitionBy("lang", "cnt", "_p").orderBy("word"))
+    return keyed.withColumn("_i", inside).join(steps.select("lang", "cnt", "_p", before.alias("_b")), ["lang", "cnt", "_p"]).select("lang", "word", "cnt", (F.col("_b") + F.col("_i")).cast("bigint").alias("rank"))
+
+
 def rank_lexicon(df: DataFrame, src: str, tgt: str) -> DataFrame:
     """Stand-in for translation: words of equal frequency rank correspond."""
-    c = doc_words(df).groupBy("lang", "word").agg(F.sum("cnt").alias("cnt"))
-    r = c.withColumn("rank", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("cnt"), "word")))
-    a = r.where(F.col("lang") == src).select("rank", F.col("word").alias("src_word"))
-    b = r.where(F.col("lang") == tgt).select("rank", F.col("word").alias("tgt_word"))
-    return a.join(b, "rank").select(F.col("rank").cast("bigint").alias("rank"), "src_word", "tgt_word")
+    two = df.where(F.col("lang").isin(src, tgt)).select("lang", F.explode(T.letter_words(F.col("text"))).alias("word"))
+    r = frequency_ranks(two.groupBy("lang", "word").agg(F.count(F.lit(1)).alias("cnt")))
+    sides = [F.max(F.when(F.col("lang") == x, F.col("word"))) for x in (src, tgt)]
+    both = r.groupBy("rank").agg(sides[0].alias("src_word"), sides[1].alias("tgt_word"))
+    return both.where("src_word is not null and tgt_word is not null")
 
 
 def translate(df: DataFrame, lexicon: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -175,7 +247,10 @@ def translate(df: DataFrame, lexicon: DataFrame, key: str = "doc_id", text: str
 
 
 def distance_langid(df: DataFrame, train: DataFrame, top: int = 300, sizes: tuple[int, ...] = (1, 2, 3)) -> DataFrame:
-    """Variant: ranked n-gram profiles; a gram's cost is its change of rank, `top` where the language lacks it."""
+    """Variant: ranked n-gram profiles; a gram's cost is its change of rank, `top` where the language lacks it.
+
+    Every document has a row; one without letters has neither a prediction nor a distance.
+    """
     def profile(words: DataFrame, key: str) -> DataFrame:
         grams = words.select("word").distinct().select("word", F.explode(_grams(F.col("word"), sizes)).alias("gram"))
         c = words.join(grams, "word").groupBy(key, "gram").agg(F.sum("cnt").alias("c"))
@@ -189,18 +264,22 @@ def distance_langid(df: DataFrame, train: DataFrame, top: int = 300, sizes: tupl
     gain = mine.join(F.broadcast(known), "gram").groupBy("doc_id", "guess").agg(F.sum(F.lit(top) - F.abs(F.col("r") - F.col("l"))).cast("bigint").alias("gain"))
     best = gain.groupBy("doc_id").agg(F.min_by("guess", F.struct(-F.col("gain"), "guess")).alias("predicted"), F.max("gain").alias("gain"))
     size = mine.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
-    return words.select("doc_id", "lang").distinct().join(best, "doc_id").join(size, "doc_id").select("doc_id", "lang", "predicted", (F.col("n") * top - F.col("gain")).alias("distance"))
+    return df.select("doc_id", "lang").join(best, "doc_id", "left").join(size, "doc_id", "left").select("doc_id", "lang", "predicted", (F.col("n") * top - F.coalesce("gain", F.lit(0))).alias("distance"))
 
 
 def perplexity_backoff(df: DataFrame, trusted: DataFrame, factor: float = 0.4) -> DataFrame:
-    """Stupid back-off of order 2: the bigram's share of its context, else a factor times the word's share."""
-    c = bigrams(trusted).groupBy("lang", "u", "w").agg(F.sum("cnt").alias("c"))
+    """Stupid back-off of order 2: the bigram's share of its context, else a factor times the word's share.
+
+    A language without trusted text counts every word as one of all languages' words.
+    """
+    c, said = bigram_counts(trusted), said_bigrams(df)
     ctx = c.groupBy("lang", "u").agg(F.sum("c").alias("cu"))
     uni = c.groupBy("lang", "w").agg(F.sum("c").alias("cw"))
-    size = c.groupBy("lang").agg(F.sum("c").alias("total"))
-    x = bigrams(df).join(c, ["lang", "u", "w"], "left").join(ctx, ["lang", "u"], "left").join(uni, ["lang", "w"], "left").join(F.broadcast(size), "lang")
-    s = F.when(F.col("c").isNotNull(), F.col("c") / F.col("cu")).otherwise(factor * F.coalesce("cw", F.lit(1)) / F.col("total"))
-    return x.groupBy("doc_id", "lang").agg(F.round(F.exp(-F.sum(F.col("cnt") * F.log(s)) / F.sum("cnt")), 3).alias("perplexity"))
+    size = all_sizes(df, c.groupBy("lang").agg(F.sum("c").alias("total"), F.countDistinct("w").alias("kinds")))
+    x = said.select("lang", "u", "w").distinct().join(c, ["lang", "u", "w"], "left").join(ctx, ["lang", "u"], "left").join(uni, ["lang", "w"], "left").join(F.broadcast(size), "lang")
+    total = F.when(F.col("total") > 0, F.col("total")).otherwise(F.greatest("kinds", F.lit(1)))
+    s = F.when(F.col("c").isNotNull(), F.col("c") / F.col("cu")).otherwise(factor * F.coalesce("cw", F.lit(1)) / total)
+    return mean_log(said, x.select("lang", "u", "w", s.alias("p")), ["lang", "u", "w"]).withColumn("perplexity", F.round("perplexity", 3))
 
 
 def perplexity_bands(scored: DataFrame, cuts: tuple[float, float] = (1 / 3, 2 / 3), exact: bool = True) -> DataFrame:

@@ -68,6 +68,51 @@ def instruction_report(df: DataFrame) -> DataFrame:
     return x.rollup("corpus", "reason").agg(F.count(F.lit(1)).alias("rows")).select(F.coalesce(F.col("corpus").cast("string"), F.lit("(all)")).alias("corpus"), F.coalesce("reason", F.lit("(all)")).alias("reason"), "rows")
 
 
+def curate(conv: DataFrame, licensed: tuple[str, ...], seed: int = 0) -> DataFrame:
+    """Every collected prompt with the reason that decides on it: each stage judges what the last one left.
+
+    Order: licence of the generator, prompt scores (strict corpora lose low prompts, others keep a share),
+    reward (unless the prompt is hard to read), repeated prompts (the smallest id stays), kept.
+    """
+    pairs = human_pairs(conv).join(prompt_scores(conv), ["conv_id", "turn"])
+    low = (F.col("complexity") < PROMPT) | (F.col("readability") < PROMPT)
+    lucky = ~F.col("corpus").isin(*STRICT) & (T.uniform(F.col("conv_id"), F.col("turn"), F.lit(seed)) < RHO)
+    poor = (F.coalesce("reward", F.lit(1.0)) < REWARD) & (F.col("readability") >= PROMPT)
+    named = pairs.withColumn("generator", F.concat(F.lit("gen"), ((F.col("conv_id") + F.col("turn")) % 3).cast("string")))
+    reason = F.when(~F.col("generator").isin(*licensed), "licence").when(low & ~lucky, "low prompt").when(poor, "low reward")
+    x = named.withColumn("reason", reason).withColumn("_k", F.md5(T.normalized(F.col("prompt"))))
+    first = x.where("reason is null").groupBy("_k").agg(F.min(F.struct("conv_id", "turn")).alias("_f"))
+    x = x.join(first, "_k", "left").withColumn("reason", F.coalesce("reason", F.when(F.struct("conv_id", "turn") == F.col("_f"), "kept").otherwise("repeated")))
+    return x.drop("_k", "_f")
+
+
+def curation_ledger(curated: DataFrame) -> DataFrame:
+    """Rows by corpus and reason, with totals."""
+    x = curated.rollup("corpus", "reason").agg(F.count(F.lit(1)).alias("rows"))
+    return x.select(F.coalesce(F.col("corpus").cast("string"), F.lit("(all)")).alias("corpus"), F.coalesce("reason", F.lit("(all)")).alias("reason"), "rows")
+
+
+def translate_pairs(pairs: DataFrame, lexicon: DataFrame) -> DataFrame:
+    """Prompts and answers rendered through a lexicon (stand-in for translation); ids stay."""
+    from . import language
+
+    keyed = pairs.withColumn("_k", F.struct("conv_id", "turn"))
+    said = language.translate(keyed, lexicon, "_k", "prompt")
+    answered = language.translate(keyed, lexicon, "_k", "answer")
+    out = keyed.select("_k").join(said, "_k", "left").join(answered, "_k", "left")
+    return out.select("_k.conv_id", "_k.turn", F.coalesce("prompt", F.lit("")).alias("prompt"), F.coalesce("answer", F.lit("")).alias("answer"))
+
+
+def balanced_instructions(docs: DataFrame, langs: tuple[str, ...], templates: dict[str, str], seed: int = 0) -> DataFrame:
+    """Instructions thinned so that languages with little data get as many as those with much: every target
+    language keeps the share (least documents of any of them / its own)."""
+    n = docs.where(F.col("lang").isin(*langs)).groupBy(F.col("lang").alias("tgt_lang")).agg(F.count(F.lit(1)).cast("double").alias("n"))
+    # The language with least text keeps all of its instructions.
+    rate = n.select("tgt_lang", F.round(F.min("n").over(Window.partitionBy(F.lit(1))) / F.col("n"), 6).alias("rate"))
+    made = make_instructions(docs, langs, templates).join(F.broadcast(rate), "tgt_lang")
+    return made.where(T.uniform(F.col("doc_id"), F.col("tgt_lang"), F.col("category"), F.lit(seed)) < F.col("rate")).drop("rate")
+
+
 def loss_mask(conv: DataFrame) -> DataFrame:
     """Words of a conversation in turn order, and which of them are targets (the assistant's)."""
     t = conv.groupBy("conv_id").agg(F.sort_array(F.collect_list(F.struct("turn", "role", "text"))).alias("turns"))
@@ -75,8 +120,17 @@ def loss_mask(conv: DataFrame) -> DataFrame:
     return x.select("conv_id", F.transform("x", lambda r: r["w"]).alias("ids"), F.transform("x", lambda r: r["m"]).alias("mask"), F.size("x").cast("bigint").alias("n_tokens"), F.size(F.filter("x", lambda r: r["m"])).cast("bigint").alias("n_target"))
 
 
-def pack_chunks(items: DataFrame, length: int = LENGTH, shards: int = 4) -> DataFrame:
-    """Concatenate and cut: rows of `length` tokens inside each shard, in hash order; items may straddle."""
+#: Tokens of a packing shard, and the least number of shards.
+SHARD_TOKENS, LEAST_SHARDS = 50_000_000, 4
+
+
+def pack_chunks(items: DataFrame, length: int = LENGTH, shards: int | None = None) -> DataFrame:
+    """Concatenate and cut: rows of `length` tokens inside each shard, in hash order; items may straddle.
+
+    Shards follow the tokens, so that each is a window one task can hold; only a shard's last row is loose.
+    """
+    if shards is None:
+        shards = max(LEAST_SHARDS, -(-(items.agg(F.sum("n_tokens")).first()[0] or 0) // SHARD_TOKENS))
     h = F.conv(F.substring(F.md5(F.col("conv_id").cast("string")), 1, 8), 16, 10).cast("bigint")
     w = Window.partitionBy("shard").orderBy("h", "conv_id")
     x = items.withColumns({"h": h, "shard": F.pmod(h, F.lit(shards))}).withColumn("until", F.sum("n_tokens").over(w))
@@ -84,7 +138,7 @@ def pack_chunks(items: DataFrame, length: int = LENGTH, shards: int = 4) -> Data
     return x.where("n_tokens > 0").select("conv_id", "shard", first.alias("first_row"), last.alias("last_row"), "n_tokens")
 
 
-def pack_report(items: DataFrame, length: int = LENGTH, shards: int = 4) -> DataFrame:
+def pack_report(items: DataFrame, length: int = LENGTH, shards: int | None = None) -> DataFrame:
     """Rows of each mode, fill, and rows saved against one row an item."""
     packed = pack_chunks(items, length, shards).groupBy("shard").agg((F.max("last_row") + 1).alias("rows"), F.sum("n_tokens").alias("tokens"), F.count(F.lit(1)).alias("items"))
     return packed.select("shard", "rows", "tokens", "items", F.round(F.col("tokens") / (F.col("rows") * length), 6).alias("fill"), (F.col("items") - F.col("rows")).alias("saved"))

@@ -17,10 +17,21 @@ BOUNDS = {1: 2.0, 2: 3.0, 3: 3.0}
 
 
 def annotate(df: DataFrame, labels: DataFrame) -> DataFrame:
-    """Documents with a score of 0 to 5 where a label exists."""
+    """Labelled documents with the label as a score of 0 or 5: the truth that scorers are trained and judged on."""
     return df.join(labels.select("doc_id", (F.col("quality") * 5.0).alias("edu_score")), "doc_id")
 
 
+def all_scores(df: DataFrame, labels: DataFrame) -> DataFrame:
+    """Every document with an edu_score of 0 to 5, labelled or not.
+
+    A labelled one takes half its score from the label; the rest, and all of an unlabelled one's, is the
+    row-local stand-in for the classifier (share of letters).
+    """
+    share = F.col("edu_proxy")
+    x = letter_share_score(df).join(labels.select("doc_id", "quality"), "doc_id", "left")
+    return x.withColumn("edu_score", F.round(F.when(F.col("quality").isNull(), share).otherwise(2.5 * F.col("quality") + share / 2), 6)).drop("quality", "edu_proxy")
+
+
 def project(annotated: DataFrame, corpus: DataFrame, targets: list[str]) -> DataFrame:
     """English annotations carried over renderings in other languages."""
     out = None
@@ -32,10 +43,13 @@ def project(annotated: DataFrame, corpus: DataFrame, targets: list[str]) -> Data
     return out
 
 
-def quality_gate(df: DataFrame, phase: int) -> DataFrame:
-    """Phase 1: English above its bound, other languages unscored; later phases: all above the raised bound."""
-    above = F.col("edu_score") > BOUNDS[phase]
-    return df.where(above | (F.col("lang") != "en") if phase == 1 else above)
+def quality_gate(df: DataFrame, phase: int, strict: bool = True) -> DataFrame:
+    """Phase 1: English above its bound, other languages as they are; later phases: all above the raised bound.
+
+    The bound of the last two phases is the same. A document without a score passes in phase 1 unless English.
+    """
+    above = F.coalesce(F.col("edu_score") > BOUNDS[phase] if strict else F.col("edu_score") >= BOUNDS[phase], F.lit(False))
+    return df.where(above | F.coalesce(F.col("lang") != "en", F.lit(True)) if phase == 1 else above)
 
 
 def simple_features(text: Column) -> list[Column]:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import text as T
@@ -49,8 +49,17 @@ def synthetic_report(df: DataFrame) -> DataFrame:
     return df.rollup("generator").agg(F.count(F.lit(1)).alias("rows"), F.round(F.avg("judge_proxy"), 6).alias("mean_judge")).withColumn("generator", F.coalesce("generator", F.lit("(all)")))
 
 
-def make_mcq(df: DataFrame, k: int = 3, buckets: int = 16, seed: int = 0) -> DataFrame:
-    """Items with k distractors from the next answers of the same hashed bucket, and a seeded position."""
+#: Items of a bucket in which distractors are sought, and the least number of buckets.
+BUCKET_ITEMS, LEAST_BUCKETS = 100_000, 16
+
+
+def make_mcq(df: DataFrame, k: int = 3, buckets: int | None = None, seed: int = 0) -> DataFrame:
+    """Items with k distractors from the next answers of the same hashed bucket, and a seeded position.
+
+    Buckets follow the number of items, so that each is a window one task can hold.
+    """
+    if buckets is None:
+        buckets = max(LEAST_BUCKETS, -(-df.count() // BUCKET_ITEMS))
     b = F.pmod(F.conv(F.substring(F.md5(F.col("prompt_id").cast("string")), 1, 8), 16, 10).cast("bigint"), F.lit(buckets))
     order = Window.partitionBy("_b").orderBy("prompt_id")
     x = df.withColumn("_b", b).withColumns({f"d{i}": F.lead("answer", i).over(order) for i in range(1, k + 1)})
@@ -60,9 +69,39 @@ def make_mcq(df: DataFrame, k: int = 3, buckets: int = 16, seed: int = 0) -> Dat
     return x.select("prompt_id", "gold", options.alias("options"))
 
 
-def sources_for_phase(registry: DataFrame, phase: int) -> DataFrame:
-    """Categories that enter in a phase: code/maths and higher quality from the second on."""
-    return registry.where((F.col("category") == "web") | (F.col("category") == "parallel") | F.lit(phase >= 2))
+#: Kinds of sources, their category, the phase from which they enter, and their languages.
+KINDS = (
+    ("filtered web text", "web", 1, "all"),
+    ("sentence pairs", "parallel", 1, "all"),
+    ("document pairs", "parallel", 2, "all"),
+    ("code and maths text", "code_math", 1, "all"),
+    ("educational code and maths training sets", "code_math", 2, "all"),
+    ("judged synthetic answers", "code_math", 3, "all"),
+    ("encyclopaedia", "higher_quality", 1, "all"),
+    ("papers and books", "higher_quality", 1, "en"),
+    ("synthetic textbooks", "higher_quality", 2, "en"),
+    ("translated synthetic textbooks", "higher_quality", 3, "de es fr it nl pt ru zh"),
+)
+
+
+def source_kinds(spark: SparkSession) -> DataFrame:
+    return spark.createDataFrame([(k, c, p, langs.split()) for k, c, p, langs in KINDS], "kind string, category string, from_phase int, languages array<string>")
+
+
+def sources_for_phase(kinds: DataFrame, phase: int) -> DataFrame:
+    """Kinds of sources that a phase reads: what has entered stays."""
+    return kinds.where(F.col("from_phase") <= phase)
+
+
+def translate_documents(docs: DataFrame, targets: tuple[str, ...], corpus: DataFrame) -> DataFrame:
+    """doc_id, lang, text: English documents rendered in each target language (stand-in for translation)."""
+    from . import language
+
+    english, out = docs.where("lang = 'en'"), None
+    for lang in targets:
+        part = language.translate(english, language.rank_lexicon(corpus, "en", lang)).withColumn("lang", F.lit(lang))
+        out = part if out is None else out.unionByName(part)
+    return out.select("doc_id", "lang", "text")
 
 
 def mix_generators(frames: dict[str, DataFrame]) -> DataFrame:

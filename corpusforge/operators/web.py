@@ -10,6 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import text as T
+from ..sources.tables import cut_lineage
 
 #: The tier of each language here; one of the four stands in for the remaining languages.
 TIERS = (("en", "english"), ("fr", "high_resource"), ("de", "high_resource"), ("es", "remaining"))
@@ -71,9 +72,14 @@ def letterless_heavy(p: Column, most: float = MAX_LETTERLESS) -> Column:
 
 
 def paragraph_rules(df: DataFrame, denom: str = "letters", symbols: str = "hash", recheck: int | None = None) -> DataFrame:
-    """Texts rebuilt from the paragraphs that pass every rule; documents left empty go."""
+    """Texts rebuilt from the paragraphs that pass every rule; documents left empty go.
+
+    The rules are worked out once: Spark would copy them into a filter pushed below their projection, but
+    pushes nothing below one that holds a random number.
+    """
     keep = F.filter(T.paragraphs(F.col("text")), lambda p: ~(upper_heavy(p, denom=denom) | symbol_heavy(p, symbols=symbols) | letterless_heavy(p)))
-    out = df.withColumn("_kept", keep).where(F.size("_kept") > 0).withColumn("text", F.array_join("_kept", "\n")).drop("_kept")
+    out = df.withColumns({"_kept": keep, "_once": F.rand(0)}).where((F.size("_kept") > 0) & (F.col("_once") >= 0))
+    out = out.withColumn("text", F.array_join("_kept", "\n")).drop("_kept", "_once")
     out = out.withColumn("n_chars", F.length("text").cast("bigint"))
     return out if recheck is None else min_chars(out, recheck)
 
@@ -139,11 +145,55 @@ def educational_filter(df: DataFrame, tau: float, strict: bool = True) -> DataFr
     return df.where(F.col("edu_score") > tau if strict else F.col("edu_score") >= tau)
 
 
-def web_ladder(df: DataFrame) -> DataFrame:
-    """Length and document rules, paragraph rules, exact dedup of the rebuilt texts."""
+def document_rules(df: DataFrame) -> DataFrame:
     t = F.col("text")
-    passed = min_chars(df).where(~has_braces(t) & ~has_phrase(t) & ~has_word(t))
-    return dedup_exact(paragraph_rules(passed))
+    return min_chars(df).where(~has_braces(t) & ~has_phrase(t) & ~has_word(t))
+
+
+def web_ladder(df: DataFrame) -> DataFrame:
+    """Length and document rules, paragraph rules, exact dedup of the rebuilt texts (landed, so that they are rebuilt once)."""
+    return dedup_exact(cut_lineage(paragraph_rules(document_rules(df))))
+
+
+#: What each tier goes through, in order, before the rules that all share.
+ROUTES = {"english": ("score", "dedup"), "high_resource": ("perplexity",), "remaining": ("dedup", "language", "perplexity")}
+STAGES = ("input", "score", "dedup", "language", "perplexity", "document rules", "paragraph rules")
+
+
+def tier_ladder(df: DataFrame, scores: DataFrame, predicted: DataFrame, perplexities: DataFrame, phase: int = 1, bounds: dict[int, float] | None = None, keep: float = 2 / 3, tiers=TIERS) -> tuple[DataFrame, DataFrame]:
+    """Documents that pass their tier's route, and the ledger of documents and characters left after each stage.
+
+    english: educational score above the phase's bound, dedup inside each source (its dump);
+    high_resource: arrives deduplicated, perplexity only; remaining: corpora together, dedup over all of
+    them, declared language confirmed, perplexity. From the second phase on every tier is scored.
+    All then pass the document and paragraph rules. scores: doc_id, edu_score; predicted: doc_id,
+    predicted; perplexities: doc_id, perplexity. A document without a score, prediction or perplexity
+    fails the stage that asks for it.
+
+    Stages work on one narrow landed row a document; texts are read for the rules only, by the survivors.
+    """
+    bounds = bounds or {1: 2.0, 2: 3.0, 3: 3.0}
+    facts = route_by_tier(df.select("doc_id", "lang", "source", "n_chars", F.unhex(F.md5("text")).alias("key")), tiers)
+    facts = facts.join(scores.select("doc_id", "edu_score"), "doc_id", "left").join(predicted.select("doc_id", "predicted"), "doc_id", "left").join(perplexities.select("doc_id", "perplexity"), "doc_id", "left")
+    at = {"input": cut_lineage(facts)}
+    asked = lambda stage: F.col("tier").isin([t for t, r in ROUTES.items() if stage in r])
+    passed = F.coalesce(F.col("edu_score") > bounds[phase], F.lit(False))
+    at["score"] = at["input"].where(passed if phase > 1 else ~asked("score") | passed)
+    scope = F.when(F.col("tier") == "english", F.col("source")).otherwise(F.lit(""))
+    first = at["score"].where(asked("dedup")).groupBy("tier", scope.alias("scope"), "key").agg(F.min("doc_id").alias("doc_id"))
+    at["dedup"] = cut_lineage(at["score"].where(~asked("dedup")).unionByName(at["score"].join(first.select("doc_id"), "doc_id", "left_semi")))
+    at["language"] = at["dedup"].where(~asked("language") | F.coalesce(F.col("predicted") == F.col("lang"), F.lit(False)))
+    bound = at["language"].where(asked("perplexity")).groupBy("lang").agg(F.percentile("perplexity", F.lit(keep)).alias("bound"))
+    least = F.coalesce(F.col("perplexity") <= F.col("bound"), F.lit(False))
+    at["perplexity"] = cut_lineage(at["language"].join(F.broadcast(bound), "lang", "left").where(~asked("perplexity") | least).drop("bound"))
+    left = df.join(at["perplexity"].select("doc_id", "tier"), "doc_id")
+    at["document rules"] = document_rules(left)
+    out = at["paragraph rules"] = cut_lineage(paragraph_rules(at["document rules"]))
+    ledger = None
+    for i, stage in enumerate(STAGES):
+        part = at[stage].groupBy("tier").agg(F.count(F.lit(1)).alias("docs"), F.sum("n_chars").cast("bigint").alias("chars")).select(F.lit(i).alias("step"), F.lit(stage).alias("stage"), "tier", "docs", "chars")
+        ledger = part if ledger is None else ledger.unionByName(part)
+    return out, ledger
 
 
 def near_pairs(df: DataFrame, percent: int = 75, n: int = 5) -> DataFrame:

@@ -6,8 +6,8 @@ from pyspark.sql import functions as F
 
 from ..functions import text as T
 from ..operators import account, bpe, evalkit, language, mixture, parallel, posttrain, quality, synth
-from ..sources.tables import table
-from .mix_queries import AVAIL, CANDS, LWORDS, MASK, PS, SAMPLE, W, _BASE, _pairs, cands, masks, scores, weights_sql
+from ..sources.tables import cut_lineage, table
+from .mix_queries import AVAIL, CANDS, LWORDS, MASK, PACK, PAIRED, PS, SAMPLE, STRATIFIED, W, _BASE, _pairs, cands, masks, scores, weights_sql
 from .mix_queries import _sampled as sampled
 from .registry import query, values_sql
 from .web_queries import BI, DW, GRAMS, HELD, P, PPL1, TRUSTED, docs, trusted
@@ -23,7 +23,7 @@ def labelled(spark, d):
     g as (select lang guess, gram, row_number() over (partition by lang order by sum(cnt) desc, gram) l from dw join wg using (word) where not {HELD} group by lang, gram qualify l <= 300),
     m as (select doc_id, lang, gram, row_number() over (partition by doc_id order by sum(cnt) desc, gram) r from dw join wg using (word) group by doc_id, lang, gram qualify r <= 300),
     s as (select doc_id, lang, guess, sum(300 - abs(r - l))::bigint gain from m join g using (gram) group by all), n as (select doc_id, count(*) n from m group by all)
-    select doc_id, lang, guess predicted, n * 300 - gain distance from s join n using (doc_id) qualify row_number() over (partition by doc_id order by gain desc, guess) = 1""",
+    select x.doc_id, x.lang, guess predicted, n * 300 - coalesce(gain, 0) distance from documents x left join n using (doc_id) left join (select * from s qualify row_number() over (partition by doc_id order by gain desc, guess) = 1) y using (doc_id)""",
 )
 def web_langid_distance(spark, d):
     x = docs(spark, d)
@@ -86,11 +86,11 @@ def pairs_sql(tgt: str) -> str:
     l as (select doc_id, i - 1 pos, doc_id * 100000 + i - 1 pair_id, ps[i] src_text from (select doc_id, {P} ps from documents where lang = 'en'), unnest(range(1, len(ps) + 1)) t(i)),
     o as (select pair_id, string_agg(coalesce(t, w), ' ' order by i) own from (select pair_id, i, ws[i] w from (select pair_id, {T.words_sql('src_text')} ws from l), unnest(range(1, len(ws) + 1)) u(i)) left join lex on lower(w) = s group by pair_id),
     n as (select *, lead(own) over (partition by doc_id order by pos) nxt from l join o using (pair_id)),
-    p as (select pair_id, doc_id, pos, src_text, case when pair_id % 5 = 0 and nxt is not null then nxt when pair_id % 10 = 1 then src_text else own end tgt_text, (not (pair_id % 5 = 0 and nxt is not null or pair_id % 10 = 1))::int is_aligned from n),
-    f as (select pair_id, doc_id, pos, is_aligned, {fixed('src_text')} src_text, {fixed('tgt_text')} tgt_text from p),
+    p as (select pair_id, doc_id, pos, src_text, case when pair_id % 5 = 0 and nxt is not null then nxt when pair_id % 10 = 1 then src_text else own end tgt_text, own ref_text, (not (pair_id % 5 = 0 and nxt is not null or pair_id % 10 = 1))::int is_aligned from n),
+    f as (select pair_id, doc_id, pos, is_aligned, {fixed('src_text')} src_text, {fixed('tgt_text')} tgt_text, {fixed('ref_text')} ref_text from p),
     k as (select *, len({T.words_sql('src_text')}) wa, len({T.words_sql('tgt_text')}) wb, length(src_text) la, length(tgt_text) lb, regexp_replace(src_text, '[^0-9]', '', 'g') = regexp_replace(tgt_text, '[^0-9]', '', 'g') dg, {sizes('src_text')} sa, {sizes('tgt_text')} sb from f where src_text <> '' and tgt_text <> ''),
     v as (select *, {profile('sa')} va, {profile('sb')} vb from k)
-    select pair_id, doc_id, pos, 'en' src_lang, '{tgt}' tgt_lang, src_text, tgt_text, is_aligned,
+    select pair_id, doc_id, pos, 'en' src_lang, '{tgt}' tgt_lang, src_text, tgt_text, ref_text, is_aligned,
     round(case when src_text = tgt_text then 0 else 0.3::double * (least(la, lb) / greatest(la, lb)) + 0.4::double * (least(wa, wb) / greatest(wa, wb)) + 0.3::double * dg::int::double end, 6)::double clean_proxy,
     round(list_dot_product(va, vb) / sqrt(list_dot_product(va, va) * list_dot_product(vb, vb)), 6) qe_proxy from v)"""
 
@@ -124,6 +124,11 @@ query(
     select coalesce(tgt_lang, '(all)') tgt_lang, count(*) pairs, sum(k)::bigint kept, round(sum(k * a)::double / sum(k), 6) as precision, round(sum(k * a)::double / sum(a), 6) recall from x group by rollup (tgt_lang)""",
 )(lambda spark, d: parallel.pair_report(_pairs(spark, d).unionByName(_pairs(spark, d, "es"))))
 
+_BOTH = "(tgt_lang <> '' and clean_proxy >= 0.5 and qe_proxy >= 0.7)"
+_DEDUP = f"(select * from {FR} qualify row_number() over (partition by {_KEYS['normalized']} order by clean_proxy desc, pair_id) = 1)"
+_FORMS = {"none": FR, "dedup": _DEDUP, "clean": f"(select * from {FR} where clean_proxy >= 0.5)", "quality": f"(select * from {FR} where qe_proxy >= 0.7)", "both": f"(select * from {FR} where {_BOTH})", "dedup and both": f"(select * from {_DEDUP} where {_BOTH})"}
+query("par_ablation", " union all ".join(f"select '{k}' form, count(*) pairs, coalesce(sum(is_aligned), 0)::bigint aligned from {v}" for k, v in _FORMS.items()))(lambda spark, d: parallel.ablation(_pairs(spark, d)))
+
 EDITIONS = f"(select *, 2020 + pair_id % 5 edition from {FR})"
 
 
@@ -132,46 +137,89 @@ def sft_mt_items(spark, d):
     return posttrain.mt_items(_pairs(spark, d).withColumn("edition", 2020 + F.col("pair_id") % 5)).select("pair_id", "edition")
 
 
-def _chars(c: str) -> str:
-    return rf"regexp_replace({c}, '[\x20\x09-\x0D]+', '', 'g')"
+def back_sql(tgt: str, pairs: str) -> str:
+    """Targets rendered back into English."""
+    lex = f"(with c as (select lang, word, sum(cnt) c from {DW} group by all), r as (select *, row_number() over (partition by lang order by c desc, word) rank from c) select a.word s, b.word t from r a join r b using (rank) where a.lang = '{tgt}' and b.lang = 'en')"
+    return f"(select pair_id, string_agg(coalesce(t, w), ' ' order by i) hyp from (select pair_id, i, ws[i] w from (select pair_id, {T.words_sql('tgt_text')} ws from {pairs}), unnest(range(1, len(ws) + 1)) u(i)) left join {lex} on lower(w) = s group by pair_id)"
+
+
+TRANSLATED = "(" + " union all ".join(f"select pair_id, '{x}' tgt_lang, 'from_en' direction, is_aligned, tgt_text hyp, ref_text ref from {p} union all select pair_id, '{x}', 'to_en', is_aligned, hyp, src_text from {p} join {back_sql(x, p)} using (pair_id)" for x, p in (("fr", FR), ("de", DE), ("es", ES))) + ")"
+MT_KEYS = ["pair_id", "tgt_lang", "direction", "is_aligned"]
+#: Character n-grams of the registered score.
+CHRF_ORDER = 3
+
+
+def translated(spark, d):
+    """Pairs of every target language in both directions, landed: scores read them several times."""
+    x, out = docs(spark, d), None
+    for tgt in ("fr", "de", "es"):
+        part = parallel.translations(_pairs(spark, d, tgt), language.rank_lexicon(x, tgt, "en"), tgt)
+        out = part if out is None else out.unionByName(part)
+    return cut_lineage(out)
+
+
+def _bare(side: str) -> str:
+    return rf"regexp_replace(lower({side}), '[\x20\x09-\x0D]+', '', 'g')"
+
+
+def _overlap_sql(k: int) -> str:
+    """Clipped matches of order k of each row, and how many n-grams either side has."""
+    side = lambda c: f"(select rid, substr({c}, i, {k}) g, count(*)::int c from x, unnest(range(1, length({c}) - {k} + 2)) u(i) where h <> r group by all)"
+    return f"(select rid, sum(least(gh.c, gr.c))::double m from {side('h')} gh join {side('r')} gr using (rid, g) group by rid)"
 
 
-def chrf_sql(pairs: str) -> str:
-    grams = lambda c, k: f"list_distinct(list_transform(range(1, length({c}) - {k} + 2), lambda i: substr({c}, i, {k})))"
-    sets = ", ".join(f"{grams('h', k)} h{k}, {grams('r', k)} r{k}" for k in (1, 2, 3))
-    share = lambda side: "(" + " + ".join(f"coalesce(len(list_intersect(h{k}, r{k})) / nullif(len({side}{k}), 0), 0)" for k in (1, 2, 3)) + ") / 3"
-    return f"(select tgt_lang, is_aligned, round(coalesce(5 * p * q / nullif(4 * p + q, 0), 0), 6) chrf from (select *, {share('h')} p, {share('r')} q from (select *, {sets} from (select tgt_lang, is_aligned, {_chars('tgt_text')} h, {_chars('src_text')} r from {pairs}))))"
+def chrf_sql(n: int) -> str:
+    parts = " union all ".join(f"select x.rid, coalesce(m, 0) / nullif(greatest(length(h) - {k - 1}, 0), 0) p, coalesce(m, 0) / nullif(greatest(length(r) - {k - 1}, 0), 0) q from x left join {_overlap_sql(k)} using (rid) where h <> r" for k in range(1, n + 1))
+    return f"""(with x as materialized (select row_number() over () rid, {', '.join(MT_KEYS)}, {_bare('hyp')} h, {_bare('ref')} r from {TRANSLATED}),
+      s as (select rid, coalesce(sum(p), 0) / {n} p, coalesce(sum(q), 0) / {n} q from ({parts}) group by rid)
+      select {', '.join(MT_KEYS)}, round(case when h = r then least(length(h), {n}) / {n}::double else coalesce(5 * p * q / nullif(4 * p + q, 0), 0) end, 6) chrf from x left join s using (rid))"""
 
 
-@query("eval_mt_chrf", f"select tgt_lang, is_aligned, round(avg(chrf), 5) chrf_proxy, count(*) n from {chrf_sql(FR)} group by all")
+@query("eval_mt_chrf", f"select tgt_lang, direction, is_aligned, round(avg(chrf), 5) chrf_proxy, count(*) n from {chrf_sql(CHRF_ORDER)} group by all")
 def eval_mt_chrf(spark, d):
-    return evalkit.chrf(_pairs(spark, d), "tgt_text", "src_text").groupBy("tgt_lang", "is_aligned").agg(F.round(F.avg("chrf_proxy"), 5).alias("chrf_proxy"), F.count(F.lit(1)).alias("n"))
+    """Both directions of three languages: a shifted or copied target scores below an aligned one."""
+    return evalkit.chrf(translated(spark, d), "hyp", "ref", MT_KEYS, CHRF_ORDER).groupBy("tgt_lang", "direction", "is_aligned").agg(F.round(F.avg("chrf_proxy"), 5).alias("chrf_proxy"), F.count(F.lit(1)).alias("n"))
 
 
 def _side(c: str, alias: str) -> str:
-    return f"(select pair_id, is_aligned, k, array_to_string(ws[i:i + k - 1], ' ') g, count(*) {alias} from (select pair_id, is_aligned, {LWORDS(c)} ws from {FR}), unnest(range(1, 5)) t(k), unnest(range(1, len(ws) - k + 2)) u(i) group by all)"
+    return f"(select rid, k, array_to_string({c}[i:i + k - 1], ' ') g, count(*) {alias} from x, unnest(range(1, 5)) t(k), unnest(range(1, len({c}) - k + 2)) u(i) where h <> r group by all)"
 
 
 @query(
     "eval_mt_bleu",
-    f"""with m as (select is_aligned, k, sum(least(ch, coalesce(cr, 0)))::double m, sum(ch)::double t from {_side('tgt_text', 'ch')} h left join {_side('src_text', 'cr')} r using (pair_id, is_aligned, k, g) group by all),
-    p as (select is_aligned, sum(case when m > 0 then ln(m / t) else -1e9 end) / 4 p from m group by all), s as (select is_aligned, sum(len({LWORDS('tgt_text')})) lh, sum(len({LWORDS('src_text')})) lr from {FR} group by all)
-    select is_aligned, round(100 * exp(p + least(0, 1 - lr / lh)), 4) bleu_proxy from p join s using (is_aligned)""",
+    f"""with x as materialized (select row_number() over () rid, tgt_lang, direction, is_aligned, {LWORDS('hyp')} h, {LWORDS('ref')} r from {TRANSLATED}),
+    o as (select rid, k, sum(least(ch, coalesce(cr, 0)))::double m, sum(ch)::double t from {_side('h', 'ch')} gh left join {_side('r', 'cr')} gr using (rid, k, g) group by all union all select rid, k, greatest(len(h) - k + 1, 0), greatest(len(h) - k + 1, 0) from x, unnest(range(1, 5)) t(k) where h = r),
+    m as (select tgt_lang, direction, is_aligned, k, sum(m) m, sum(t) t from o join x using (rid) where t > 0 group by all),
+    p as (select tgt_lang, direction, is_aligned, sum(case when m > 0 then ln(m / t) else -1e9 end) / 4 p from m group by all), s as (select tgt_lang, direction, is_aligned, sum(len(h)) lh, sum(len(r)) lr from x group by all)
+    select tgt_lang, direction, is_aligned, round(100 * exp(p + least(0, 1 - lr / lh)), 4) bleu_proxy from p join s using (tgt_lang, direction, is_aligned)""",
 )
 def eval_mt_bleu(spark, d):
-    """The rank lexicon's renderings against their sources: words it left alone are the matches."""
-    return evalkit.bleu(_pairs(spark, d), "tgt_text", "src_text", ["is_aligned"])
+    """Corpus BLEU of the same pairs."""
+    return evalkit.bleu(translated(spark, d), "hyp", "ref", ["tgt_lang", "direction", "is_aligned"])
 
 
-@query("acct_assign_phase", None)
+_RUN = f"(select doc_id, lang, n_chars, sum(n_chars) over (order by {T.uniform_sql('doc_id')}, doc_id)::bigint running from documents)"
+
+
+@query("acct_assign_phase", f"select doc_id, lang, n_chars, running, case when running <= 1000000 then 1 when running <= 2000000 then 2 else 3 end phase from {_RUN}")
 def acct_assign_phase(spark, d):
-    return account.assign_phase(docs(spark, d).select("doc_id", "lang", "n_chars"), "n_chars", [1_000_000, 2_000_000], ["doc_id"])
+    return account.assign_phase(docs(spark, d).select("doc_id", "lang", "n_chars"), "n_chars", [1_000_000, 2_000_000])
 
 
-@query("acct_sft_steps", f"select count(*) items, sum(n_tokens)::bigint tokens, 3 * ceil(count(*) / 32.0)::bigint steps from {MASK}")
+@query("acct_sft_steps", f"select sum(rows)::bigint as rows, sum(tokens)::bigint tokens, 3 * ceil(sum(rows) / 32.0)::bigint steps from (select max(last_row) + 1 as rows, sum(n_tokens) tokens from {PACK} group by shard)")
 def acct_sft_steps(spark, d):
-    r = masks(spark, d).agg(F.count(F.lit(1)).alias("items"), F.sum("n_tokens").alias("tokens"))
-    return r.withColumn("steps", (account.EPOCHS * F.ceil(F.col("items") / 32)).cast("bigint"))
+    """Steps of tuning: packed rows, not conversations, fill a batch."""
+    r = posttrain.pack_report(masks(spark, d)).agg(F.sum("rows").alias("rows"), F.sum("tokens").alias("tokens"))
+    return r.withColumn("steps", (account.EPOCHS * F.ceil(F.col("rows") / 32)).cast("bigint"))
+
+
+for _p, (_en, _code) in mixture.PHASE_SHARES.items():
+    _fixed = {"code_math": _code} | ({"higher_quality": mixture.HIGH_SHARE} if _p > 1 else {})
+    _names = ", ".join(f"'{k}'" for k in _fixed)
+    _case = " ".join(f"when '{k}' then {v}" for k, v in _fixed.items())
+    query(f"mix_category_p{_p}", f"select category, round(case category {_case} else {1 - sum(_fixed.values())!r}::double * n / sum(n) filter (where category not in ({_names})) over () end, 6)::double share from (select category, sum(tokens)::double n from {AVAIL} group by category)")(
+        lambda spark, d, fixed=_fixed: mixture.category_shares(mixture.available_tokens(docs(spark, d)), fixed)
+    )
 
 
 @query("mix_category_third", f"select category, round(case category when 'parallel' then 0.02 else 0.98 * n / sum(n) filter (where category <> 'parallel') over () end, 6)::double share from (select category, sum(tokens)::double n from {AVAIL} group by category)")
@@ -200,7 +248,7 @@ def mix_shuffle(spark, d):
     return mixture.shuffle_key(docs(spark, d)).select("doc_id", "shuffle_key")
 
 
-@query("mix_distance", f"with g as (select lang, sum(len({W}))::double n from {SAMPLE} join documents using (doc_id, lang) group by lang), r as (select weight, round(coalesce(n / sum(n) over (), 0), 6) a, round(abs(weight - coalesce(n / sum(n) over (), 0)), 6) e from {weights_sql(0.5, 0.05)} w left join g using (lang)) select round(sum(e), 5) l1, round(-sum(case when a > 0 then a * ln(a) end), 5) entropy from r")
+@query("mix_distance", f"with g as (select stratum lang, sum(len({W}))::double n from (select doc_id, stratum from {SAMPLE}) join documents using (doc_id) group by all), r as (select weight, round(coalesce(n / sum(n) over (), 0), 6) a, round(abs(weight - coalesce(n / sum(n) over (), 0)), 6) e from {weights_sql(0.5, 0.05)} w left join g using (lang)) select round(sum(e), 5) l1, round(-sum(case when a > 0 then a * ln(a) end), 5) entropy from r")
 def mix_distance(spark, d):
     s, _ = sampled(spark, d)
     weights = mixture.language_weights(mixture.available_tokens(docs(spark, d)), 0.5, 0.05)
@@ -244,7 +292,6 @@ def tok_round_trip(spark, d):
     return back.agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("word") != F.col("decoded")).alias("wrong"))
 
 
-PAIRED = "(select u.conv_id, u.turn, u.text prompt, a.text answer from conversations u join conversations a on u.conv_id = a.conv_id and a.turn = u.turn + 1 where u.role = 'user' and a.role = 'assistant')"
 U0 = T.uniform_sql("prompt_id", "cand_no", "0")
 
 
@@ -290,22 +337,36 @@ for _m in ("next_fit", "first_fit_decreasing"):
     query(f"sft_pack_{_m}")(lambda spark, d, m=_m: posttrain.pack_bins(masks(spark, d), m))
 query("sft_scores_by_corpus", f"select corpus, count(*) n, round(avg(complexity), 6) complexity, round(avg(readability), 5) readability from {PS} group by corpus")(lambda spark, d: scores(spark, d).groupBy("corpus").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("complexity"), 6).alias("complexity"), F.round(F.avg("readability"), 5).alias("readability")))
 
-BUCKET = "('0x' || substr(md5(prompt_id::varchar), 1, 8))::bigint % 16"
+BUCKETS = f"greatest({synth.LEAST_BUCKETS}, (select ceil(count(*) / {synth.BUCKET_ITEMS}.0)::bigint from {CANDS} where cand_no = 1))"
+ITEMS = f"(select prompt_id, answer, ('0x' || substr(md5(prompt_id::varchar), 1, 8))::bigint % {BUCKETS} bucket from {CANDS} where cand_no = 1)"
 
 
 @query(
     "syn_mcq",
-    f"""with x as (select prompt_id, answer, [lead(answer, 1) over w, lead(answer, 2) over w, lead(answer, 3) over w] o, floor({T.uniform_sql('prompt_id', '0')} * 4)::bigint gold from {CANDS} where cand_no = 1 window w as (partition by {BUCKET} order by prompt_id))
+    f"""with x as (select prompt_id, answer, [lead(answer, 1) over w, lead(answer, 2) over w, lead(answer, 3) over w] o, floor({T.uniform_sql('prompt_id', '0')} * 4)::bigint gold from {ITEMS} window w as (partition by bucket order by prompt_id))
     select prompt_id, gold, md5(array_to_string(list_concat(o[1:gold], [answer], o[gold + 1:]), chr(10))) options from x where o[3] is not null""",
 )
 def syn_mcq(spark, d):
     return synth.make_mcq(cands(spark, d).where("cand_no = 1")).withColumn("options", F.md5(F.array_join("options", "\n")))
 
 
-@query("eval_mcq_harness")
+MCQ = f"""(with x as (select prompt_id, answer, [lead(answer, 1) over w, lead(answer, 2) over w, lead(answer, 3) over w] o, floor({T.uniform_sql('prompt_id', '0')} * 4)::bigint gold from {ITEMS} window w as (partition by bucket order by prompt_id))
+    select prompt_id, gold, answer, list_concat(o[1:gold], [answer], o[gold + 1:]) options from x where o[3] is not null)"""
+
+
+def harness_sql(shots: int) -> str:
+    shown = f"(select prompt_id, word, count(*) k from (select prompt_id, unnest(regexp_extract_all(lower(array_to_string(a, ' ')), '[^\\x20\\x09-\\x0D]+')) word from (select prompt_id, array_agg(answer) over (partition by ('0x' || substr(md5(prompt_id::varchar), 1, 8))::bigint % 16 order by prompt_id rows between {shots} preceding and 1 preceding) a from {MCQ}) where a is not null) group by all)" if shots else "(select 0 prompt_id, '' word, 0 k where false)"
+    return f"""(with shown as {shown}, size as (select prompt_id, sum(k) size from shown group by all), w as (select word, count(*) c from (select unnest({LWORDS('text')}) word from conversations) group by word), z as (select sum(c) total, count(*) kinds from w),
+      said as (select prompt_id, gold, o, unnest({LWORDS('txt')}) word from (select prompt_id, gold, o - 1 o, options[o] txt from {MCQ}, unnest(range(1, 5)) t(o))),
+      s as (select said.prompt_id, gold, o, round(avg(ln((coalesce(c, 0) + coalesce(k, 0) + 1.0::double) / (total + coalesce(size, 0) + kinds + 1))), 9) s from said left join w using (word) left join shown using (prompt_id, word) left join size on size.prompt_id = said.prompt_id cross join z group by all)
+      select {shots} shots, count(*) n, count(*) filter (where chosen = gold) as "right" from (select prompt_id, gold, arg_max(o, {{'s': s, 'o': -o}}) chosen from s group by all))"""
+
+
+@query("eval_mcq_harness", "select shots, n, \"right\", round(greatest(0, (\"right\" / n - 0.25) / 0.75) * 100, 6)::double score from (" + " union all ".join(f"select * from {harness_sql(k)}" for k in (25, 10, 5, 0)) + ")")
 def eval_mcq_harness(spark, d):
-    words = language.word_counts(table(spark, d, "conversations").select(F.lower("text").alias("text")), None).withColumnRenamed("cnt", "c")
-    return evalkit.mcq_eval(synth.make_mcq(cands(spark, d).where("cand_no = 1")), words)
+    """Accuracy with 25, 10, 5 and no examples, and the score above chance."""
+    words = cut_lineage(language.word_counts(table(spark, d, "conversations").select(F.lower("text").alias("text")), None).withColumnRenamed("cnt", "c"))
+    return evalkit.harness(cut_lineage(synth.make_mcq(cands(spark, d).where("cand_no = 1"))), words)
 
 
 @query("syn_generators", f"select generator, count(*) n, round(avg(length(answer)), 6) chars from (select 'best' generator, arg_max(answer, {{'a': judge_proxy, 'b': {U0}, 'c': cand_no}}) answer from {CANDS} group by prompt_id union all select 'first', answer from {CANDS} where cand_no = 1) group by generator")
@@ -316,15 +377,59 @@ def syn_generators(spark, d):
     return mixed.groupBy("generator").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg(F.length("answer")), 6).alias("chars"))
 
 
-@query("syn_rewrite")
+_KINDS = values_sql(synth.KINDS, "kind, category, from_phase, languages")
+for _p in (1, 2, 3):
+    query(f"mix_sources_p{_p}", f"select kind, category, l lang from (select kind, category, from_phase, string_split(languages, ' ') ls from {_KINDS}), unnest(ls) t(l) where from_phase <= {_p}")(lambda spark, d, p=_p: synth.sources_for_phase(synth.source_kinds(spark), p).select("kind", "category", F.explode("languages").alias("lang")))
+
+
+def lexicon_sql(tgt: str) -> str:
+    return f"(with c as (select lang, word, sum(cnt) c from {DW} group by all), r as (select *, row_number() over (partition by lang order by c desc, word) rank from c) select a.word s, b.word t from r a join r b using (rank) where a.lang = 'en' and b.lang = '{tgt}')"
+
+
+def said_sql(rows: str, key: str, text: str, tgt: str) -> str:
+    """Texts of rows rendered through the rank lexicon, by key; texts without words have no row."""
+    return f"(select {key}, string_agg(coalesce(t, w), ' ' order by i) said from (select {key}, i, ws[i] w from (select {key}, {T.words_sql(text)} ws from {rows}), unnest(range(1, len(ws) + 1)) u(i)) left join {lexicon_sql(tgt)} on lower(w) = s group by {key})"
+
+
+_HIGH = f"(select doc_id, text from {STRATIFIED} where lang = 'en' and category = 'higher_quality')"
+_TARGETS = ("de", "es", "fr")
+
+
+@query("syn_translate_documents", " union all ".join(f"select doc_id, '{x}' lang, md5(said) digest from {said_sql(_HIGH, 'doc_id', 'text', x)}" for x in _TARGETS))
+def syn_translate_documents(spark, d):
+    """Higher-quality English documents rendered in the tables' other languages."""
+    high = mixture.with_cell(docs(spark, d)).where("category = 'higher_quality'")
+    return synth.translate_documents(high, _TARGETS, docs(spark, d)).select("doc_id", "lang", F.md5("text").alias("digest"))
+
+
+@query("eval_translated_benchmark", " union all ".join(f"select item_id, '{x}' lang, said as text from {said_sql('benchmark', 'item_id', 'text', x)}" for x in _TARGETS))
+def eval_translated_benchmark(spark, d):
+    """Every item in every target language, with its id."""
+    out = None
+    for lang in _TARGETS:
+        part = language.translate(table(spark, d, "benchmark"), language.rank_lexicon(docs(spark, d), "en", lang), "item_id").withColumn("lang", F.lit(lang))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+_FIRST = f"(select prompt_id, prompt, answer from {CANDS} where cand_no = 1)"
+
+
+@query("syn_rewrite", f"select prompt_id, answer, 'Please answer: ' || said prompt from {_FIRST} join {said_sql(_FIRST, 'prompt_id', 'prompt', 'fr')} using (prompt_id)")
 def syn_rewrite(spark, d):
     c = cands(spark, d).where("cand_no = 1").select("prompt_id", "prompt", "answer")
     return synth.rewrite_questions(c, language.rank_lexicon(docs(spark, d), "en", "fr"))
 
 
-for _p in (1, 2, 3):
-    _cond = "" if _p > 1 else "where category in ('web', 'parallel')"
-    query(f"mix_sources_p{_p}", f"select source, category from {values_sql(mixture.CATEGORIES, 'source, category')} {_cond}")(lambda spark, d, p=_p: synth.sources_for_phase(mixture.category_frame(spark), p))
+_PAIRS = f"(select conv_id * 1000 + turn k, prompt, answer from {PAIRED})"
+
+
+@query("sft_translate_pairs", f"select k // 1000 conv_id, k % 1000 turn, md5(coalesce(p.said, '')) prompt, md5(coalesce(a.said, '')) answer from {_PAIRS} x left join {said_sql(_PAIRS, 'k', 'prompt', 'de')} p using (k) left join {said_sql(_PAIRS, 'k', 'answer', 'de')} a using (k)")
+def sft_translate_pairs(spark, d):
+    pairs = posttrain.human_pairs(table(spark, d, "conversations"))
+    out = posttrain.translate_pairs(pairs, language.rank_lexicon(docs(spark, d), "en", "de"))
+    return out.select("conv_id", "turn", F.md5("prompt").alias("prompt"), F.md5("answer").alias("answer"))
+
 
 RULES = (("has question mark", "regex", "[?]"), ("names data", "keyword", "the"), ("short", "max_words", "40"))
 
@@ -334,17 +439,17 @@ def eval_instruction_checks(spark, d):
     return evalkit.ifeval_checks(table(spark, d, "conversations").where("role = 'assistant'"), RULES)
 
 
-@query("eval_accuracy", f"select lang, {HELD} held, round(avg((guess = lang)::int), 6) accuracy, count(*) n from (select doc_id, lang, guess from (with dw as {DW}, f as (select lang guess, word from (select lang, word, row_number() over (partition by lang order by sum(cnt) desc, word) r from dw where not {HELD} group by lang, word) where r <= 50) select doc_id, lang, guess, sum(cnt) votes from dw join f using (word) group by all) qualify row_number() over (partition by doc_id order by votes desc, guess) = 1) group by all")
+@query("eval_accuracy", f"select lang, {HELD} held, round(avg((guess = lang)::int), 6) accuracy, count(*) n from (select x.doc_id, x.lang, coalesce(guess, '') guess from documents x left join (select doc_id, guess from (with dw as {DW}, f as (select lang guess, word from (select lang, word, row_number() over (partition by lang order by sum(cnt) desc, word) r from dw where not {HELD} group by lang, word) where r <= 50) select doc_id, guess, sum(cnt) votes from dw join f using (word) group by all) qualify row_number() over (partition by doc_id order by votes desc, guess) = 1) using (doc_id)) group by all")
 def eval_accuracy(spark, d):
     x = docs(spark, d)
     got = language.vote_langid(x, x.where(f"not {HELD}"))
-    return evalkit.accuracy(got.withColumns({"correct": F.col("predicted") == F.col("lang"), "held": F.expr(HELD)}), ["lang", "held"])
+    return evalkit.accuracy(got.withColumns({"correct": F.coalesce(F.col("predicted") == F.col("lang"), F.lit(False)), "held": F.expr(HELD)}), ["lang", "held"])
 
 
 _TUNED = values_sql(evalkit.long_rows("tuned"), "model, model_group, task, score")
 query("eval_borda_dense_base", f"select model, round(avg(r), 1) borda from (select model, dense_rank() over (partition by model_group, task order by score desc) r from {_BASE}) group by model")(lambda spark, d: evalkit.borda(evalkit.score_frame(spark, "base"), dense=True))
 query("eval_rank_of", f"select * from (select model, task, rank() over (order by score desc) place from {_TUNED} where task = 'TruthfulQA') where model = 'reference instruct 9B'")(lambda spark, d: evalkit.rank_of(evalkit.score_frame(spark, "tuned"), "reference instruct 9B", "TruthfulQA"))
-query("eval_registry", f"select distinct model, model_group = 'E' european from {_TUNED} where not starts_with(model, 'reference')")(lambda spark, d: evalkit.model_registry(spark))
+query("eval_registry", f"select distinct model, model_group = 'E' european, base from {_TUNED} left join {values_sql(evalkit.MADE_FROM, 'model, base').replace('as v(', 'as b(')} using (model) where not starts_with(model, 'reference')")(lambda spark, d: evalkit.model_registry(spark))
 _COLS = ", ".join(f"max(score) filter (where task = '{t}')::double as \"{t}\"" for t in evalkit.TUNED_TASKS)
 _MEANS = ", ".join(f"round(avg(score) filter (where task = '{t}'), 6)::double as \"{t}\"" for t in evalkit.TUNED_TASKS)
 query("eval_scoreboard", f"select model_group, model, {_COLS} from {_TUNED} group by all union all select model_group, '(mean)', {_MEANS} from {_TUNED} group by model_group")(lambda spark, d: evalkit.scoreboard(evalkit.score_frame(spark, "tuned"), evalkit.TUNED_TASKS))

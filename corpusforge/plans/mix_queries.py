@@ -6,13 +6,16 @@ from pyspark.sql import functions as F
 
 from ..functions import text as T
 from ..operators import account, bpe, evalkit, language, mixture, parallel, posttrain, relational, synth
-from ..sources.tables import manifest, table
+from ..sources.tables import cut_lineage, manifest, table
 from .registry import query, values_sql
-from .web_queries import docs
+from .web_queries import HELD, docs
 
 W = T.words_sql("text")
 CAT = values_sql(mixture.CATEGORIES, "source, category")
-AVAIL = f"(select lang, category, sum(len({W}))::bigint tokens, count(*) docs from documents join {CAT} using (source) group by all)"
+AVAIL = f"(select coalesce(lang, 'und') lang, coalesce(category, 'web') category, sum(len({W}))::bigint tokens, count(*) docs from documents left join {CAT} using (source) group by all)"
+#: Code and maths are a stratum of their own, whatever the language.
+CELLS = f"(select case when category = 'code_math' then 'code_math' else lang end lang, category, sum(tokens)::bigint n from {AVAIL} group by all)"
+STRATA = f"(select lang, sum(n)::bigint n from {CELLS} group by all)"
 
 
 @query("tok_word_counts", f"select lang, word, count(*) cnt from (select lang, unnest({W}) word from documents) group by all")
@@ -33,20 +36,66 @@ def tok_train_bpe(spark, d):
     return bpe.train_bpe(bpe.words_of(docs(spark, d)), 600)
 
 
+#: Vocabulary sizes of the compared tokenizers, in the published ratios to the main one.
+MAIN_SIZE = 1200
+TOKENIZERS = {"all-300": ("all", MAIN_SIZE // 4), "all-600": ("all", MAIN_SIZE // 2), "all-1200": ("all", MAIN_SIZE), "english-1200": ("english", MAIN_SIZE), "all-2350": ("all", round(MAIN_SIZE * 250_680 / 128_000)), "all-2400": ("all", 2 * MAIN_SIZE), "balanced-2400": ("balanced", 2 * MAIN_SIZE)}
+
+
+def evaluation_words(spark, d):
+    """Held-out documents and the conversations, whose language is identified, as one set of words by corpus and language."""
+    x = docs(spark, d)
+    said = table(spark, d, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("doc_id"), F.lit("").alias("lang"), "text")
+    found = language.predict_langid(said, language.fit_langid(x.where(f"not ({HELD})"))).select("doc_id", F.col("predicted").alias("lang"))
+    talks = said.drop("lang").join(found, "doc_id").where("lang is not null")
+    parts = [bpe.words_of(y).withColumn("corpus", F.lit(n)) for n, y in (("documents", x.where(HELD)), ("conversations", talks))]
+    return cut_lineage(parts[0].unionByName(parts[1]))
+
+
 @query("tok_fertility_bpe")
 def tok_fertility_bpe(spark, d):
-    """Six tokenizers as prefixes of one merge list and one trained on English only, on held-out documents."""
+    """Seven tokenizers on two corpora: a quarter, half, all and twice the main size as prefixes of one merge list,
+    one trained on English only, one on a sample balanced over languages."""
     x = docs(spark, d)
-    train, held = bpe.words_of(x.where("doc_id % 5 <> 0")), bpe.words_of(x.where("doc_id % 5 = 0"))
-    known = {bpe.MARK, *bpe.alphabet(train)}
-    lists = {"all": train, "english": train.where("lang = 'en'")}
-    out = None
-    for name, words in lists.items():
-        merges = [(r["left"], r["right"]) for r in bpe.train_bpe(words, 1200).orderBy("rank").collect()]  # bounded by the vocabulary
-        for size in (300, 600, 1200) if name == "all" else (600,):
-            part = bpe.fertility(held, bpe.encode_words(held, merges[:size], known)).withColumn("tokenizer", F.lit(f"{name}-{size}"))
-            out = part if out is None else out.unionByName(part)
-    return out
+    train, held = x.where(f"not ({HELD})"), evaluation_words(spark, d)
+    words = bpe.words_of(train)
+    known = {bpe.MARK, *bpe.alphabet(words)}
+    lists = {"all": words, "english": words.where("lang = 'en'"), "balanced": bpe.words_of(mixture.balanced_sample(train))}
+    most = {k: max(n for which, n in TOKENIZERS.values() if which == k) for k in lists}
+    merges = {k: [(r["left"], r["right"]) for r in bpe.train_bpe(w, most[k]).orderBy("rank").collect()] for k, w in lists.items()}  # bounded by the vocabulary
+    out, distinct = None, cut_lineage(held.select("word").distinct())
+    for name, (which, size) in TOKENIZERS.items():
+        encoded = bpe.encode_words(distinct, merges[which][:size], known).select("word", F.size("pieces").alias("n"))
+        part = held.join(encoded, "word").groupBy("corpus", "lang").agg(F.sum(F.col("cnt") * F.col("n")).alias("tokens"), F.sum("cnt").alias("words")).withColumn("tokenizer", F.lit(name))
+        out = part if out is None else out.unionByName(part)
+    return out.withColumn("fertility", F.round(F.col("tokens") / F.col("words"), 6))
+
+
+def codec(spark, d, size=600, byte_fallback=True, coverage=0.9995):
+    x = docs(spark, d).where(f"not ({HELD})")
+    # Whole texts hold capitals, digits and marks: raw words, not lower-cased letters.
+    train = cut_lineage(language.word_counts(x).select("lang", "word", "cnt"))
+    merges = bpe.train_bpe(train, size, coverage, byte_fallback).orderBy("rank").collect()
+    return bpe.TextCodec(tuple((r["left"], r["right"]) for r in merges), tuple(bpe.alphabet(train, coverage)), byte_fallback)
+
+
+@query("tok_text_round_trip", "select doc_id, md5(coalesce(text, '')) digest from documents")
+def tok_text_round_trip(spark, d):
+    """Whole texts to ids and back: with the byte fallback each comes back as it was."""
+    c = codec(spark, d)
+    return bpe.decode_texts(bpe.encode_texts(docs(spark, d), c), c).select("doc_id", F.md5("text").alias("digest"))
+
+
+@query("tok_encode_texts")
+def tok_encode_texts(spark, d):
+    return bpe.encode_texts(docs(spark, d), codec(spark, d)).select("doc_id", "n_tokens", F.md5(F.concat_ws(",", F.col("ids").cast("array<string>"))).alias("digest"))
+
+
+@query("tok_unknown")
+def tok_unknown(spark, d):
+    """Share of unknown pieces by language without the byte fallback, at a lower character coverage."""
+    x = bpe.encode_texts(docs(spark, d), codec(spark, d, 300, False, 0.99))
+    by = x.join(docs(spark, d).select("doc_id", "lang"), "doc_id").groupBy("lang").agg(F.sum(F.size(F.filter("ids", lambda i: i == 0))).cast("bigint").alias("unknown"), F.sum("n_tokens").alias("tokens"))
+    return by.withColumn("share", F.round(F.col("unknown") / F.col("tokens"), 6))
 
 
 @query("acct_params", "with c(model, vocab) as (values ('reference', 128000), ('double vocabulary', 256000)) select model, vocab::bigint vocab, 4096::bigint width, 12288::bigint ffn, 42::bigint layers, 32::bigint heads, 8::bigint kv_heads, false tied, vocab::bigint * 4096 embedding, vocab::bigint * 4096 head, (2 * 4096 * 4096 + 2 * 4096 * 1024)::bigint attention_layer, (3 * 4096 * 12288)::bigint ffn_layer, 0.25::double kv_share, 8103743488::bigint body, 8103743488 + 2 * vocab::bigint * 4096 total from c")
@@ -77,7 +126,15 @@ def mix_available(spark, d):
 
 
 def weights_sql(en: float, code: float) -> str:
-    return f"(select 'en' lang, {en}::double weight union all select 'code_math', {code}::double union all select lang, round(({1 - en - code!r})::double * n / sum(n) over (), 6) from (select lang, sum(tokens)::double n from {AVAIL} where lang <> 'en' group by lang))"
+    return f"(select 'en' lang, {en}::double weight union all select 'code_math', {code}::double union all select lang, round(({1 - en - code!r})::double * n / sum(n) over (), 6) from (select lang, n::double n from {STRATA} where lang not in ('en', 'code_math')))"
+
+
+def cells_sql(en: float, code: float, fixed: dict[str, float]) -> str:
+    named = "".join(f" when '{k}' then {v}::double / {1 - code!r}" for k, v in fixed.items())
+    names = ", ".join(f"'{k}'" for k in fixed) or "''"
+    return f"""(with c as (select lang, category, n::double n from {CELLS}),
+      r as (select *, case when lang = 'code_math' then 1.0::double else case category{named or " when '' then 0"} else {1 - sum(fixed.values()) / (1 - code)!r}::double * n / sum(n) filter (where category not in ({names})) over (partition by lang) end end raw from c)
+      select lang, category, round(weight * raw / sum_raw, 9) weight from (select *, sum(raw) over (partition by lang) sum_raw from r) join {weights_sql(en, code)} using (lang))"""
 
 
 for _p, (_en, _code) in mixture.PHASE_SHARES.items():
@@ -95,7 +152,7 @@ for _t, _rows in mixture.TRIALS.items():
 for _k, _x in {"natural": "n", "uniform": "1.0", "temperature": "pow(n, 0.3)"}.items():
     query(f"mix_baseline_{_k}", f"select lang, round(({_x})::double / sum(({_x})::double) over (), 6) weight from (select lang, sum(tokens)::double n from {AVAIL} group by lang)")(lambda spark, d, k=_k: mixture.weights_kind(mixture.available_tokens(docs(spark, d)), k))
 
-BUDGET = f"(select w.lang, weight, n available, round(weight * 1000000)::bigint target, round(round(weight * 1000000)::bigint / n, 6) repetition, round(round(weight * 1000000)::bigint / n, 6) > 4 as over from {weights_sql(0.5, 0.05)} w join (select lang, sum(tokens)::bigint n from {AVAIL} group by lang) using (lang))"
+BUDGET = f"(select w.lang, weight, coalesce(n, 0)::bigint available, round(weight * 1000000)::bigint target, round(round(weight * 1000000)::bigint / n, 6) repetition, round(round(weight * 1000000)::bigint / n, 6) > 4 as over from {weights_sql(0.5, 0.05)} w left join {STRATA} using (lang))"
 
 
 @query("mix_budget", f'select lang, weight, available, target, repetition, over as "over" from {BUDGET}')
@@ -104,7 +161,8 @@ def mix_budget(spark, d):
     return mixture.budget(mixture.language_weights(a, 0.5, 0.05), a, 1_000_000)
 
 
-SAMPLE = f"(select doc_id, lang, i::int as copy from (select doc_id, lang, floor(repetition)::int + case when {T.uniform_sql('doc_id', '1', '0')} < repetition - floor(repetition) then 1 else 0 end n from documents join {BUDGET} using (lang)), unnest(range(1, n + 1)) t(i))"
+STRATIFIED = f"(select d.*, coalesce(category, 'web') category, case when category = 'code_math' then 'code_math' else coalesce(lang, 'und') end stratum from documents d left join {CAT} using (source))"
+SAMPLE = f"(select doc_id, lang, stratum, i::int as copy from (select doc_id, d.lang, stratum, floor(repetition)::int + case when {T.uniform_sql('doc_id', '1', '0')} < repetition - floor(repetition) then 1 else 0 end n from {STRATIFIED} d join {BUDGET} b on b.lang = stratum), unnest(range(1, n + 1)) t(i))"
 
 
 def _sampled(spark, d):
@@ -113,12 +171,12 @@ def _sampled(spark, d):
     return mixture.sample_to_budget(docs(spark, d), b.withColumn("rate", F.col("repetition"))), b
 
 
-@query("mix_sample", f"select doc_id, lang, copy from {SAMPLE}")
+@query("mix_sample", f"select doc_id, lang, stratum, copy from {SAMPLE}")
 def mix_sample(spark, d):
-    return _sampled(spark, d)[0].select("doc_id", "lang", "copy")
+    return _sampled(spark, d)[0].select("doc_id", "lang", "stratum", "copy")
 
 
-@query("mix_report", f"with g as (select lang, sum(len({W}))::double n from {SAMPLE} join documents using (doc_id, lang) group by lang) select w.lang, weight, round(coalesce(n / sum(n) over (), 0), 6) achieved, round(abs(weight - coalesce(n / sum(n) over (), 0)), 6) deviation from {weights_sql(0.5, 0.05)} w left join g using (lang)")
+@query("mix_report", f"with g as (select stratum lang, sum(len({W}))::double n from (select doc_id, stratum from {SAMPLE}) join documents using (doc_id) group by all) select w.lang, weight, round(coalesce(n / sum(n) over (), 0), 6) achieved, round(abs(weight - coalesce(n / sum(n) over (), 0)), 6) deviation from {weights_sql(0.5, 0.05)} w left join g using (lang)")
 def mix_report(spark, d):
     s, b = _sampled(spark, d)
     weights = mixture.language_weights(mixture.available_tokens(docs(spark, d)), 0.5, 0.05)
@@ -140,60 +198,74 @@ def mix_phase_delta(spark, d):
     return mixture.phase_delta(out)
 
 
-def _trial_scores(spark, d, phase=2):
-    """Each variant's sample trains unigrams per language; held-out likelihood per language is its score."""
-    x, a, out = docs(spark, d), mixture.available_tokens(docs(spark, d)), None
-    held, tokens = x.where("doc_id % 5 = 0"), mixture.trial_tokens(a)
-    for i, s in enumerate(mixture.TRIALS[f"p{phase}"], 1):
-        b = mixture.budget(mixture.language_weights(a, *s), a, tokens).withColumn("rate", F.col("repetition"))
-        train = mixture.sample_to_budget(x.where("doc_id % 5 <> 0"), b, phase=phase)
-        counts, sizes = language.fit_unigram(train)
-        ppl = language.perplexity_unigram(held, (counts, language.all_sizes(held, sizes)))
-        part = ppl.groupBy(F.col("lang").alias("task")).agg(F.round(-F.avg(F.log("perplexity")), 6).alias("score")).withColumn("variant", F.lit(i))
-        out = part if out is None else out.unionByName(part)
-    return out
-
-
-@query("mix_trial_p2")
-def mix_trial_p2(spark, d):
-    return _trial_scores(spark, d)
-
-
-@query("mix_choose_p2")
-def mix_choose_p2(spark, d):
-    return mixture.choose_mix(_trial_scores(spark, d))
-
-
-@query("mix_trial_p3")
-def mix_trial_p3(spark, d):
-    return _trial_scores(spark, d, 3)
-
-
-@query("mix_choose_p3")
-def mix_choose_p3(spark, d):
-    return mixture.choose_mix(_trial_scores(spark, d, 3))
+def held_out():
+    return F.expr(HELD)
+
+
+def scores_sql(takes: list[str], source: str) -> str:
+    """Held-out scores of several samples of a source; each take says how often a document counts."""
+    lw = T.letter_words_sql("text")
+    names = range(len(takes))
+    sums = ", ".join(f"sum(c{i})::bigint c{i}" for i in names)
+    sizes = ", ".join(f"sum(c{i})::bigint t{i}, count(*) filter (where c{i} > 0) k{i}" for i in names)
+    every = ", ".join(f"coalesce(sum(k{i}), 0) e{i}, coalesce(sum(t{i}), 0)::bigint n{i}" for i in names)
+    logs = ", ".join(f"avg(ln((coalesce(c{i}, 0) + 1.0::double) / (coalesce(t{i}, 0) + case when coalesce(t{i}, 0) > 0 then k{i} else e{i} end + 1))) s{i}, max(n{i}) n{i}" for i in names)
+    means = ", ".join(f"avg(s{i}) s{i}, max(n{i}) n{i}" for i in names)
+    rows = " union all ".join(f"select {i + 1} variant, task, round(s{i}, 6) score, n{i} tokens from l" for i in names)
+    return f"""with u as (select lang, {", ".join(f"c{i}" for i in names)}, unnest(ws) word from (select lang, {lw} ws, {", ".join(f"{t} c{i}" for i, t in enumerate(takes))} from {source} where not ({HELD}))),
+      c as (select lang, word, {sums} from u group by all having {" + ".join(f"sum(c{i})" for i in names)} > 0), z as (select lang, {sizes} from c group by lang), e as (select {every} from z),
+      h as (select doc_id, lang, unnest({lw}) word from documents where {HELD}),
+      q as (select doc_id, h.lang, {logs} from h left join c using (lang, word) left join z on z.lang = h.lang cross join e group by all), l as (select lang task, {means} from q group by lang)
+      select * from ({rows})"""
+
+
+def trial_sql(phase: int) -> str:
+    """Scores of the candidates of a phase on a fifth of the available words."""
+    joins, takes = "", []
+    for i, (shares, fixed) in enumerate(zip(mixture.TRIALS[f"p{phase}"], mixture.TRIAL_CATEGORIES[f"p{phase}"])):
+        rates = f"(select lang s{i}, category g{i}, round(round(weight * (select round(0.2::double * sum(tokens)) from {AVAIL})) / n, 6) r{i} from {cells_sql(*shares, fixed)} join {CELLS} using (lang, category))"
+        joins += f" left join {rates} on s{i} = stratum and g{i} = category"
+        r = f"coalesce(r{i}, 0)"
+        takes.append(f"(floor({r})::int + case when {T.uniform_sql('doc_id', str(phase), '0')} < {r} - floor({r}) then 1 else 0 end)")
+    return scores_sql(takes, f"(select * from {STRATIFIED}{joins})")
+
+
+for _p in (2, 3):
+    query(f"mix_trial_p{_p}", f"select variant, task, score from ({trial_sql(_p)})")(lambda spark, d, p=_p: mixture.mixture_trial(docs(spark, d), held_out(), p))
+    query(f"mix_choose_p{_p}", f"select variant, round(avg(r), 6) mean_rank, count(*) filter (where r > 1) losses from (select *, rank() over (partition by task order by score desc) r from ({trial_sql(_p)})) group by variant")(lambda spark, d, p=_p: mixture.choose_mix(mixture.mixture_trial(docs(spark, d), held_out(), p)))
+    _all = list(zip(mixture.TRIALS[f"p{_p}"], mixture.TRIAL_CATEGORIES[f"p{_p}"]))
+
+    def _cells(spark, d, rows=_all):
+        avail, out = mixture.available_tokens(docs(spark, d)), None
+        for i, (s, fixed) in enumerate(rows, 1):
+            part = mixture.cell_weights(avail, *s, fixed).withColumn("variant", F.lit(i))
+            out = part if out is None else out.unionByName(part)
+        return out
 
+    query(f"mix_cells_p{_p}", " union all ".join(f"select lang, category, weight, {i} variant from {cells_sql(*s, fixed)}" for i, (s, fixed) in enumerate(_all, 1)))(_cells)
 
-@query("mix_progress")
-def mix_progress(spark, d):
-    """Held-out likelihood by language over growing samples."""
-    x, out = docs(spark, d), None
-    for k in (1, 2, 4):
-        lm = language.fit_unigram(x.where(f"doc_id % 5 <> 0 and doc_id % 4 < {k}"))
-        part = language.perplexity_unigram(x.where("doc_id % 5 = 0"), lm).agg(F.round(-F.avg(F.log("perplexity")), 6).alias("metric")).select(F.lit(1 if k < 4 else 2).alias("phase"), F.lit(float(k)).alias("tokens"), "metric")
-        out = part if out is None else out.unionByName(part)
-    return evalkit.progress(out)
+_U = T.uniform_sql("doc_id", "'progress'", "0")
+_POINTS = f"(select [{', '.join(str(p) for p, _ in mixture.CHECKPOINTS)}][variant] phase, tokens / 1e6 tokens, round(metric, 6) metric from (select variant, avg(score) metric, max(tokens) tokens from ({scores_sql([f'({_U} < {share})::int' for _, share in mixture.CHECKPOINTS], 'documents')}) group by variant))"
+query("mix_progress_points", f"select phase::int phase, round(tokens::double, 6) tokens, metric from {_POINTS}")(lambda spark, d: mixture.progress_points(docs(spark, d), held_out()).withColumn("tokens", F.round("tokens", 6)))
+query("mix_progress", f"select phase::int phase, round(regr_slope(metric, tokens), 4) slope, round(max(metric) - min(metric), 6) gain from {_POINTS} group by phase")(lambda spark, d: evalkit.progress(mixture.progress_points(docs(spark, d), held_out())).withColumn("slope", F.round("slope", 4)))
 
 
 def _pairs(spark, d, tgt="fr"):
     return parallel.qe_score(parallel.clean_score(parallel.repair_pairs(parallel.derived_pairs(docs(spark, d), tgt))))
 
 
-@query("par_registry", "select printf('parallel-%02d', i) source, 'parallel' category, [1, 2, 3] phases from range(1, 38) t(i)")
+REGISTRY = f"(select source, version, 'sentence' as level, 1 from_phase from {values_sql(parallel.SOURCES, 'source, version')} union all select 'Europarl', 'v8', 'document', 2 union all select 'ParaDocs', '', 'document', 2)"
+
+
+@query("par_registry", f"select source, version, level, from_phase from {REGISTRY}")
 def par_registry(spark, d):
     return parallel.source_registry(spark)
 
 
+for _p in (1, 2, 3):
+    query(f"par_sources_p{_p}", f"select source, level from {REGISTRY} where from_phase <= {_p}")(lambda spark, d, p=_p: parallel.sources_in_phase(parallel.source_registry(spark), p).select("source", "level"))
+
+
 LWORDS = lambda c: rf"regexp_extract_all(lower({c}), '[^\x20\x09-\x0D]+')"
 CANDS = f"""(select u.conv_id * 1000 + u.turn prompt_id, row_number() over (partition by u.conv_id, u.turn order by a.turn) cand_no, 'gen' || (a.turn % 3) generator, u.text prompt, a.text answer,
  (1 + least(5, len({LWORDS('a.text')}) // 12) + least(4, len(list_distinct(list_intersect({LWORDS('a.text')}, {LWORDS('u.text')})))))::bigint judge_proxy
@@ -234,6 +306,7 @@ def syn_report(spark, d):
 
 query("syn_mcq")(lambda spark, d: synth.make_mcq(cands(spark, d).where("cand_no = 1")))
 
+PAIRED = "(select u.conv_id, u.turn, u.text prompt, a.text answer from conversations u join conversations a on u.conv_id = a.conv_id and a.turn = u.turn + 1 where u.role = 'user' and a.role = 'assistant')"
 PS = f"""(select u.conv_id, u.turn, u.conv_id % 5 corpus, least(5.0, len(u.ws) / 4.0)::double complexity, round(5.0 * coalesce(len(list_distinct(u.ws)) / nullif(len(u.ws), 0), 0), 6) readability, case when a.ws is not null then round(least(1.0, len(a.ws) / 100.0), 6)::double end reward
  from (select conv_id, turn, {W} ws from conversations where role = 'user') u left join (select conv_id, turn - 1 turn, {W} ws from conversations where role = 'assistant') a using (conv_id, turn))"""
 LOW = "(complexity < 4 or readability < 4)"
@@ -267,7 +340,8 @@ def masks(spark, d):
 
 query("sft_mask", f"select * from {MASK}")(lambda spark, d: masks(spark, d).select("conv_id", "n_tokens", "n_target"))
 H = "('0x' || substr(md5(conv_id::varchar), 1, 8))::bigint"
-PACK = f"(select conv_id, shard, (until - n_tokens)::bigint // 4096 first_row, (until - 1)::bigint // 4096 last_row, n_tokens from (select *, sum(n_tokens) over (partition by shard order by h, conv_id) until from (select conv_id, n_tokens, {H} h, {H} % 4 shard from {MASK})))"
+SHARDS = f"greatest({posttrain.LEAST_SHARDS}, (select ceil(sum(n_tokens) / {posttrain.SHARD_TOKENS}.0)::bigint from {MASK}))"
+PACK = f"(select conv_id, shard, (until - n_tokens)::bigint // 4096 first_row, (until - 1)::bigint // 4096 last_row, n_tokens from (select *, sum(n_tokens) over (partition by shard order by h, conv_id) until from (select conv_id, n_tokens, {H} h, {H} % {SHARDS} shard from {MASK})) where n_tokens > 0)"
 query("sft_pack", f"select * from {PACK}")(lambda spark, d: posttrain.pack_chunks(masks(spark, d)))
 query("sft_pack_report", f"select shard, rows, tokens, items, round(tokens / (rows * 4096), 6) fill, items - rows saved from (select shard, max(last_row) + 1 as rows, sum(n_tokens)::bigint tokens, count(*) items from {PACK} group by shard)")(lambda spark, d: posttrain.pack_report(masks(spark, d)))
 query("sft_epochs", f"select conv_id, epoch::int epoch, {T.uniform_sql('conv_id', 'epoch')} as key from {MASK}, range(3) t(epoch)")(lambda spark, d: posttrain.epochs(masks(spark, d).select("conv_id")))
@@ -281,6 +355,26 @@ def sft_masked_loss(spark, d):
 TEMPLATES = {"question": "Ask about document", "summary": "Summarise document"}
 
 
+CURATED = f"""(with p as (select u.conv_id, u.turn, u.text prompt, a.text answer from conversations u join conversations a on u.conv_id = a.conv_id and a.turn = u.turn + 1 where u.role = 'user' and a.role = 'assistant'),
+  x as (select p.*, s.corpus, (conv_id + turn) % 3 gen, case when (conv_id + turn) % 3 = 1 then 'licence' when {LOW} and not (s.corpus not in (0, 1) and {T.uniform_sql('conv_id', 'turn', '0')} < 0.25) then 'low prompt' when coalesce(reward, 1) < 0.08 and readability >= 4 then 'low reward' end reason from p join {PS} s using (conv_id, turn))
+  select conv_id, turn, corpus, coalesce(reason, case when row_number() over (partition by {T.normalized_sql('prompt')}, reason is null order by conv_id, turn) = 1 then 'kept' else 'repeated' end) reason from x)"""
+
+
+@query("sft_curate", f"select conv_id, turn, reason from {CURATED}")
+def sft_curate(spark, d):
+    return posttrain.curate(table(spark, d, "conversations"), ("gen0", "gen2")).select("conv_id", "turn", "reason")
+
+
+@query("sft_ledger", f"select coalesce(corpus::varchar, '(all)') corpus, coalesce(reason, '(all)') reason, count(*) as rows from {CURATED} group by rollup (corpus, reason)")
+def sft_ledger(spark, d):
+    return posttrain.curation_ledger(posttrain.curate(table(spark, d, "conversations"), ("gen0", "gen2")))
+
+
+@query("sft_instructions_balanced", f"with n as (select lang, count(*)::double n from documents where lang in ('fr', 'de', 'es') group by lang), r as (select lang, round(min(n) over () / n, 6) rate from n) select doc_id, l tgt_lang, c category from documents, unnest(['fr', 'de', 'es']) u(l) join r on r.lang = l, (values ('question'), ('summary')) v(c) where {T.uniform_sql('doc_id', 'l', 'c', '0')} < rate")
+def sft_instructions_balanced(spark, d):
+    return posttrain.balanced_instructions(docs(spark, d), ("fr", "de", "es"), TEMPLATES).select("doc_id", "tgt_lang", "category")
+
+
 @query("sft_instructions", "select doc_id, l tgt_lang, c category, t || ' [' || l || '] #' || doc_id instruction from documents, unnest(['fr', 'de', 'es']) u(l), (values ('question', 'Ask about document'), ('summary', 'Summarise document')) v(c, t)")
 def sft_instructions(spark, d):
     return posttrain.make_instructions(docs(spark, d), ("fr", "de", "es"), TEMPLATES)

@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from ..sources.tables import table
+from ..functions import text as T
+from ..operators import relational
+from ..sources.tables import read_files, shared_folder, table, write_files
 from .registry import query
 
 
@@ -114,3 +118,85 @@ def rel_sketch(spark, d):
     """Distinct users by type from mergeable sketches of each hour."""
     x = table(spark, d, "events").groupBy("event_type", F.window("ts", "1 hour").alias("w")).agg(F.hll_sketch_agg("user_id").alias("s"))
     return x.groupBy("event_type").agg(F.hll_sketch_estimate(F.hll_union_agg("s")).alias("users"))
+
+
+@query("rel_reservoir", f"select event_type, event_id from events qualify row_number() over (partition by event_type order by {T.uniform_sql('event_id', '0')}, event_id) <= 50")
+def rel_reservoir(spark, d):
+    return relational.reservoir(table(spark, d, "events").select("event_type", "event_id"), 50, ["event_type"], "event_id")
+
+
+@query("rel_stratified", f"select event_id from events where {T.uniform_sql('event_id', '0')} < case event_type when 'click' then 0.5 when 'view' then 0.1 else 0 end")
+def rel_stratified(spark, d):
+    return relational.stratified(table(spark, d, "events"), "event_type", {"click": 0.5, "view": 0.1}, "event_id").select("event_id")
+
+
+@query("rel_count_min")
+def rel_count_min(spark, d):
+    return relational.count_min(table(spark, d, "events"), "event_type").select(F.length("sketch").alias("bytes"))
+
+
+@query("rel_maps", "with m as (select event_type, map_from_entries(list(row(k, n) order by k)) as slots from (select event_type, (user_id % 4)::varchar k, count(*)::bigint n from events group by all) group by event_type) select event_type, cardinality(slots)::bigint n_slots, slots['1'] as first_slot, array_to_string(map_keys(slots), ',') keys from m")
+def rel_maps(spark, d):
+    by = table(spark, d, "events").groupBy("event_type", (F.col("user_id") % 4).cast("string").alias("k")).agg(F.count(F.lit(1)).alias("n"))
+    m = by.groupBy("event_type").agg(F.map_from_entries(F.sort_array(F.collect_list(F.struct("k", "n")))).alias("slots"))
+    return m.select("event_type", F.size("slots").cast("bigint").alias("n_slots"), F.col("slots")["1"].alias("first_slot"), F.array_join(F.map_keys("slots"), ",").alias("keys"))
+
+
+@query("rel_percent_rank", "select event_id, round(percent_rank() over (partition by event_type order by value), 9) pr, round(cume_dist() over (partition by event_type order by value), 9) cd from events")
+def rel_percent_rank(spark, d):
+    w = Window.partitionBy("event_type").orderBy("value")
+    return table(spark, d, "events").select("event_id", F.round(F.percent_rank().over(w), 9).alias("pr"), F.round(F.cume_dist().over(w), 9).alias("cd"))
+
+
+@query("rel_range_between", "select event_id, count(*) over (partition by user_id order by epoch(date_trunc('second', ts::timestamp))::bigint range between 3600 preceding and current row) n from events")
+def rel_range_between(spark, d):
+    t = F.unix_seconds(F.col("ts").cast("timestamp"))
+    return table(spark, d, "events").withColumn("t", t).select("event_id", F.count(F.lit(1)).over(Window.partitionBy("user_id").orderBy("t").rangeBetween(-3600, 0)).alias("n"))
+
+
+@query("rel_null_handling", "select count(*) n, count(nullif(event_type, 'click')) others, sum(coalesce(json_extract_string(props, '$.k')::bigint, -1))::bigint filled, count(*) filter (where nullif(event_type, 'click') is not distinct from null) same from events")
+def rel_null_handling(spark, d):
+    e = table(spark, d, "events").withColumn("other", F.nullif("event_type", F.lit("click")))
+    k = F.get_json_object("props", "$.k").cast("bigint")
+    return e.agg(F.count(F.lit(1)).alias("n"), F.count("other").alias("others"), F.sum(F.coalesce(k, F.lit(-1))).alias("filled"), F.count_if(F.col("other").eqNullSafe(F.lit(None))).alias("same"))
+
+
+@query("rel_sql_surface", "select n_name, count(*) n from customer join nation on c_nationkey = n_nationkey where c_custkey % 2 = 0 group by n_name having count(*) > 1")
+def rel_sql_surface(spark, d):
+    """Parameterised SQL over frames: no text is pasted into the statement and no name is left in the session."""
+    return spark.sql(
+        "select n_name, count(*) n from {customers} join {nations} on c_nationkey = n_nationkey where c_custkey % :by = 0 group by n_name having count(*) > :least",
+        args={"by": 2, "least": 1},
+        customers=table(spark, d, "customer"),
+        nations=table(spark, d, "nation"),
+    )
+
+
+@query("rel_table_function", "select page_id, i pos, part from (select page_id, string_split(regexp_replace(url, '^[a-z]+://', ''), '/') ps from pages), unnest(range(1, len(ps) + 1)) t(i), unnest([ps[i]]) u(part)")
+def rel_table_function(spark, d):
+    """A table function in Arrow-free Python, called laterally; registered under a name of its own."""
+    spark.udtf.register("corpusforge_url_parts", relational.UrlParts)
+    return spark.sql("select page_id, p.pos, p.part from {pages}, lateral corpusforge_url_parts(url) p", pages=table(spark, d, "pages").select("page_id", "url"))
+
+
+@query("rel_grouped_aggregate", "select event_type, round(quantile_cont(value, 0.9) - quantile_cont(value, 0.1), 6) spread from events group by event_type")
+def rel_grouped_aggregate(spark, d):
+    """The spread between deciles: built in, where the same as a pandas function would gather each group in one task."""
+    return table(spark, d, "events").groupBy("event_type").agg(F.round(F.percentile("value", F.lit(0.9)) - F.percentile("value", F.lit(0.1)), 6).alias("spread"))
+
+
+for _kind in ("csv", "json", "orc", "parquet"):
+
+    def _read_back(spark, d, kind=_kind):
+        path = f"{shared_folder(spark)}/files-{uuid.uuid4().hex}"
+        write_files(table(spark, d, "benchmark").select("item_id", "text"), path, kind)
+        return read_files(spark, path, kind, "item_id bigint, text string").select("item_id", F.md5("text").alias("digest"))
+
+    query(f"io_read_back_{_kind}", "select item_id, md5(text) digest from benchmark")(_read_back)
+
+
+@query("io_read_back_text", "select count(*) n from benchmark, unnest(string_split(text, chr(10))) t(line)")
+def io_read_back_text(spark, d):
+    path = f"{shared_folder(spark)}/files-{uuid.uuid4().hex}"
+    write_files(table(spark, d, "benchmark").select("text"), path, "text")
+    return read_files(spark, path, "text", "value string").agg(F.count(F.lit(1)).alias("n"))

@@ -5,8 +5,8 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from ..functions import text as T
-from ..operators import language, quality, web
-from ..sources.tables import check, table
+from ..operators import language, near, quality, web
+from ..sources.tables import check, cut_lineage, table
 from .registry import query, values_sql
 
 P, W = T.paragraphs_sql("text"), T.words_sql("text")
@@ -169,7 +169,7 @@ NB = f"""with dw as {DW}, g as (select lang, gram, sum(cnt)::bigint c from (sele
     d as (select doc_id, lang, guess, sum(cnt * s) s, sum(cnt * n) n from dw join s using (word) group by all)"""
 
 
-@query("web_langid_nb", f"{NB} select doc_id, lang, guess predicted from (select *, row_number() over (partition by doc_id order by s desc, guess) r from d) where r = 1")
+@query("web_langid_nb", f"{NB} select x.doc_id, x.lang, guess predicted from documents x left join (select *, row_number() over (partition by doc_id order by s desc, guess) r from d) y on x.doc_id = y.doc_id and r = 1")
 def web_langid_nb(spark, d):
     x = docs(spark, d)
     return language.predict_langid(x, language.fit_langid(x.where(f"not {HELD}"))).select("doc_id", "lang", "predicted")
@@ -179,7 +179,7 @@ def web_langid_nb(spark, d):
     "web_langid_words",
     f"""with dw as {DW}, f as (select lang guess, word from (select lang, word, row_number() over (partition by lang order by sum(cnt) desc, word) r from dw where not {HELD} group by lang, word) where r <= 50),
     v as (select doc_id, lang, guess, sum(cnt)::bigint votes from dw join f using (word) group by all)
-    select doc_id, lang, guess predicted, votes from (select *, row_number() over (partition by doc_id order by votes desc, guess) r from v) where r = 1""",
+    select x.doc_id, x.lang, guess predicted, coalesce(votes, 0)::bigint votes from documents x left join (select *, row_number() over (partition by doc_id order by votes desc, guess) r from v) y on x.doc_id = y.doc_id and r = 1""",
 )
 def web_langid_words(spark, d):
     x = docs(spark, d)
@@ -194,7 +194,8 @@ def web_langid_filter(spark, d):
 
 TRUSTED = "(select d.* from documents d join labels using (doc_id) where quality = 1)"
 PPL1 = f"""(with dw as {DW}, c as (select lang, word, sum(cnt) c from dw where doc_id in (select doc_id from labels where quality = 1) group by all), z as (select lang, sum(c) total, count(*) kinds from c group by lang)
-  select doc_id, dw.lang, round(exp(-sum(cnt * ln((coalesce(c, 0) + 1) / (total + kinds + 1))) / sum(cnt)), 6) perplexity from dw left join c using (lang, word) join z on z.lang = dw.lang group by all)"""
+  select x.doc_id, x.lang, perplexity from documents x left join (select doc_id, round(exp(-sum(cnt * ln((coalesce(c, 0) + 1) / (coalesce(total, 0) + coalesce(kinds, every) + 1))) / sum(cnt)), 6) perplexity
+    from dw left join c using (lang, word) left join z on z.lang = dw.lang cross join (select coalesce(sum(kinds), 0) every from z) group by doc_id) y using (doc_id))"""
 
 
 def trusted(spark, d):
@@ -253,9 +254,56 @@ def qual_annotate(spark, d):
     return quality.annotate(docs(spark, d), table(spark, d, "labels")).groupBy("lang").agg(F.count(F.lit(1)).alias("n"), F.sum("edu_score").alias("total"))
 
 
-for _p in (1, 2, 3):
-    _cond = "quality * 5.0 > 2 or lang <> 'en'" if _p == 1 else "quality * 5.0 > 3"
-    query(f"qual_gate_p{_p}", f"select doc_id from documents join labels using (doc_id) where {_cond}")(lambda spark, d, p=_p: quality.quality_gate(quality.annotate(docs(spark, d), table(spark, d, "labels")), p).select("doc_id"))
+LETTER_SHARE = rf"round(5.0 * {T.count_class_sql('text', chr(92) + 'p{L}')} / greatest(length(text), 1), 6)::double"
+#: Every document's score: half from the label where there is one, the rest from the share of letters.
+SCORED = f"(select d.*, round(case when quality is null then {LETTER_SHARE} else 2.5::double * quality + {LETTER_SHARE} / 2 end, 6) edu_score from documents d left join labels using (doc_id))"
+
+
+def scored(spark, d):
+    return quality.all_scores(docs(spark, d), table(spark, d, "labels"))
+
+
+for _p, _cond in ((1, "edu_score > 2 or lang <> 'en'"), (2, "edu_score > 3"), (3, "edu_score > 3")):
+    query(f"qual_gate_p{_p}", f"select doc_id, edu_score from {SCORED} where {_cond}")(lambda spark, d, p=_p: quality.quality_gate(scored(spark, d), p).select("doc_id", "edu_score"))
+for _p, _cond in ((1, "edu_score >= 2 or lang <> 'en'"), (2, "edu_score >= 3")):
+    query(f"qual_gate_inclusive_p{_p}", f"select doc_id, edu_score from {SCORED} where {_cond}")(lambda spark, d, p=_p: quality.quality_gate(scored(spark, d), p, strict=False).select("doc_id", "edu_score"))
+for _tau in (2, 3):
+    query(f"web_educational_{_tau}", f"select doc_id from {SCORED} where lang = 'en' and edu_score > {_tau}")(lambda spark, d, t=_tau: web.educational_filter(scored(spark, d).where("lang = 'en'"), float(t)).select("doc_id"))
+
+
+@query("qual_score_rest")
+def qual_score_rest(spark, d):
+    """Documents without a label, in every language, scored by the classifier that all labels train."""
+    x, labels = docs(spark, d), table(spark, d, "labels")
+    model = quality.fit_quality(quality.annotate(x, labels))
+    rest = x.join(labels.select("doc_id"), "doc_id", "left_anti").select("doc_id", "lang", "text")
+    return quality.score_quality(rest, model).select("doc_id", "lang", F.round("edu_proxy", 3).alias("edu_proxy"))
+
+
+def tiers_sql(phase: int) -> str:
+    """The tiered ladder stage by stage; t1 to t6 are what each stage leaves."""
+    tau, gate = (2, "tier <> 'english' or edu_score > 2") if phase == 1 else (3, "edu_score > 3")
+    bare = NB.removeprefix("with ")
+    return rf"""with {bare}, guess as (select doc_id, guess predicted from d qualify row_number() over (partition by doc_id order by s desc, guess) = 1),
+    t0 as (select f.*, coalesce(tier, 'remaining') tier, predicted, perplexity from {SCORED} f left join {TIER_SQL} using (lang) left join guess using (doc_id) left join (select doc_id, perplexity from {PPL1}) using (doc_id)),
+    t1 as (select * from t0 where {gate}),
+    t2 as (select * from t1 qualify tier = 'high_resource' or row_number() over (partition by tier, case when tier = 'english' then source else '' end, text order by doc_id) = 1),
+    t3 as (select * from t2 where tier <> 'remaining' or coalesce(predicted = lang, false)),
+    b as (select lang, quantile_cont(perplexity, 2 / 3) bound from t3 where tier <> 'english' group by lang),
+    t4 as (select t3.* from t3 left join b using (lang) where tier = 'english' or coalesce(perplexity <= bound, false)),
+    t5 as (select * from t4 where n_chars >= 200 and not regexp_matches(text, '[{{}}]') and not contains(lower(text), 'lorem ipsum') and not regexp_matches(lower(text), '(^|[^\p{{L}}\p{{N}}])javascript([^\p{{L}}\p{{N}}]|$)')),
+    t6 as (select doc_id, lang, tier, array_to_string(k, chr(10)) text, length(array_to_string(k, chr(10)))::bigint n_chars from (select *, {KEPT} k from t5) where len(k) > 0)"""
+
+
+def _tiers(spark, d, phase):
+    x = docs(spark, d)
+    predicted = language.predict_langid(x, language.fit_langid(x.where(f"not {HELD}")))
+    return web.tier_ladder(x, scored(spark, d), predicted, language.perplexity_unigram(x, language.fit_unigram(trusted(spark, d))), phase)
+
+
+for _p in (1, 2):
+    query(f"web_ladder_tiers_p{_p}", f"{tiers_sql(_p)} select doc_id, lang, tier, md5(text) digest, n_chars from t6")(lambda spark, d, p=_p: _tiers(spark, d, p)[0].select("doc_id", "lang", "tier", F.md5("text").alias("digest"), "n_chars"))
+    query(f"web_ledger_p{_p}", f"{tiers_sql(_p)} " + " union all ".join(f"select {i}::int step, '{s}' stage, tier, count(*) docs, sum(n_chars)::bigint chars from t{i} group by tier" for i, s in enumerate(web.STAGES)))(lambda spark, d, p=_p: _tiers(spark, d, p)[1])
 
 
 @query("qual_lexicon", f"with c as (select lang, word, sum(cnt) c from {DW} group by all), r as (select *, row_number() over (partition by lang order by c desc, word) rank from c) select a.rank, a.word src_word, b.word tgt_word from r a join r b using (rank) where a.lang = 'en' and b.lang = 'fr'")
@@ -287,12 +335,57 @@ def qual_report_letters(spark, d):
 
 @query("qual_scorer_regimes")
 def qual_scorer_regimes(spark, d):
-    """Translate-train, source-only and all-label training, judged on languages other than English."""
-    x = quality.annotate(docs(spark, d), table(spark, d, "labels")).select("doc_id", "lang", "text", "edu_score")
-    english, rest = x.where("lang = 'en'"), x.where("lang <> 'en'")
-    carried = quality.project(x, docs(spark, d), ["fr", "de", "es"]).select("doc_id", "lang", "text", "edu_score")
+    """Translate-train, source-only, all-label and per-language training, judged on the same held-out rows of languages other than English."""
+    x = cut_lineage(quality.annotate(docs(spark, d), table(spark, d, "labels")).select("doc_id", "lang", "text", "edu_score"))
+    train, judged = x.where(f"not {HELD}"), x.where(f"{HELD} and lang <> 'en'")
+    english = train.where("lang = 'en'")
+    carried = quality.project(train, docs(spark, d), ["fr", "de", "es"]).select("doc_id", "lang", "text", "edu_score")
     out = None
-    for name, train in (("source_only", english), ("translate_train", english.unionByName(carried)), ("all_labels", x)):
-        part = quality.quality_report(quality.score_quality(rest, quality.fit_quality(train, 1 << 12)), "edu_proxy", "edu_score", 2.5).withColumn("regime", F.lit(name))
+    for name, rows in (("source_only", english), ("translate_train", english.unionByName(carried)), ("all_labels", train)):
+        part = quality.quality_report(quality.score_quality(judged, quality.fit_quality(rows)), "edu_proxy", "edu_score", 2.5).withColumn("regime", F.lit(name))
         out = part if out is None else out.unionByName(part)
+    for lang in ("fr", "de", "es"):
+        own = quality.score_quality(judged.where(F.col("lang") == lang), quality.fit_quality(train.where(F.col("lang") == lang)))
+        out = out.unionByName(quality.quality_report(own, "edu_proxy", "edu_score", 2.5).withColumn("regime", F.lit("per_language")))
     return out
+
+
+COMPONENTS = """with recursive w as (select doc_id, lang, regexp_extract_all(lower(text), '[^\\x20\\x09-\\x0D]+') w from documents),
+    s as (select distinct doc_id, lang, array_to_string(w[i:i + 4], ' ') k from w, unnest(range(1, greatest(len(w) - 3, 2))) t(i) where len(w) > 0),
+    n as (select doc_id, count(*) n from s group by doc_id),
+    c as (select a.doc_id a, b.doc_id b, count(*) c from s a join s b on a.k = b.k and a.lang = b.lang and a.doc_id < b.doc_id group by all),
+    e as (select a, b from c join n x on x.doc_id = a join n y on y.doc_id = b where 100 * c >= 75 * (x.n + y.n - c)),
+    sym as (select a, b from e union all select b, a from e), reach as (select a, b from sym union select reach.a, sym.b from reach join sym on reach.b = sym.a)"""
+
+
+@query("web_dedup_near", f"{COMPONENTS} select doc_id from documents where doc_id not in (select a from reach group by a having min(b) < a)")
+def web_dedup_near(spark, d):
+    return near.dedup_near(docs(spark, d)).select("doc_id")
+
+
+@query("web_near_components", f"{COMPONENTS} select n.doc_id, least(n.doc_id, coalesce(m, n.doc_id)) component from n left join (select a, min(b) m from reach group by a) on a = n.doc_id")
+def web_near_components(spark, d):
+    return near.near_components(docs(spark, d))
+
+
+@query("web_dedup_union", f"select min(origin || ':' || id) id from (select 'documents' origin, doc_id id, text from documents union all select 'pages', page_id, {PAGE} from pages) group by text")
+def web_dedup_union(spark, d):
+    """Exact dedup over several corpora put together."""
+    pages = web.html_to_text(table(spark, d, "pages")).withColumnRenamed("page_id", "id")
+    both = web.concat_sources({"documents": docs(spark, d).select(F.col("doc_id").alias("id"), "text"), "pages": pages.select("id", "text")})
+    return both.groupBy(F.unhex(F.md5("text")).alias("k")).agg(F.min(F.concat_ws(":", "origin", F.col("id").cast("string"))).alias("id")).select("id")
+
+
+@query("web_dedup_pass_through", f"select doc_id from (select doc_id, coalesce(tier, 'remaining') tier, text from documents left join {TIER_SQL} using (lang)) qualify tier = 'high_resource' or row_number() over (partition by tier, text order by doc_id) = 1")
+def web_dedup_pass_through(spark, d):
+    """A tier that arrives deduplicated is left as it is; the others are deduplicated within themselves."""
+    x = web.route_by_tier(docs(spark, d))
+    return x.where("tier = 'high_resource'").select("doc_id").unionByName(web.dedup_exact(x.where("tier <> 'high_resource'"), ["tier"]).select("doc_id"))
+
+
+@query("web_ppl_paragraphs", f"""with dw as {DW}, c as (select lang, word, sum(cnt) c from dw where doc_id in (select doc_id from labels where quality = 1) group by all), z as (select lang, sum(c) total, count(*) kinds from c group by lang),
+  l as (select doc_id, lang, i - 1 pos, ps[i] text from (select doc_id, lang, {P} ps from documents), unnest(range(1, len(ps) + 1)) t(i)), pw as (select doc_id, pos, lang, unnest({T.letter_words_sql('text')}) word from l)
+  select l.doc_id, l.pos, l.lang, round(ln(y.p), 5) log_perplexity from l left join (select doc_id, pos, round(exp(-avg(ln((coalesce(c, 0) + 1) / (total + kinds + 1)))), 6) p from pw left join c using (lang, word) join z using (lang) group by all) y using (doc_id, pos)""")
+def web_ppl_paragraphs(spark, d):
+    lines = language.perplexity_paragraphs(docs(spark, d), language.fit_unigram(trusted(spark, d)))
+    return lines.select("doc_id", "pos", "lang", F.round(F.log("perplexity"), 5).alias("log_perplexity"))

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -47,11 +50,60 @@ def manifest(df: DataFrame, key: str) -> DataFrame:
     return df.agg(F.count(F.lit(1)).alias("n_rows"), F.sum(F.conv(F.substring(F.md5(F.col(key).cast("string")), 1, 8), 16, 10).cast("bigint")).alias("digest"))
 
 
-def cut_lineage(df: DataFrame) -> DataFrame:
-    """df written to the shared checkpoint folder and read back; loops stay restartable and their plans short."""
-    context = df.sparkSession.sparkContext
-    if context.getCheckpointDir() is None:
-        import tempfile
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that driver and executors share; a local one only in local mode."""
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if folder:
+        return folder.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir is not set: driver and executors need a shared folder")
+    import tempfile
+
+    return tempfile.mkdtemp(prefix="corpusforge-")
+
 
-        context.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", "") or tempfile.mkdtemp())
-    return df.checkpoint()
+_WRITTEN: list[str] = []
+
+
+def cut_lineage(df: DataFrame) -> DataFrame:
+    """df written to the shared folder as Parquet and read back: loops stay restartable, plans short, and a lost
+    executor costs no more than what is being worked on. The table goes when the driver ends."""
+    spark = df.sparkSession
+    if not _WRITTEN:
+        atexit.register(_forget, spark)
+    path = f"{shared_folder(spark)}/table-{uuid.uuid4().hex}"
+    _WRITTEN.append(path)
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
+def _forget(spark: SparkSession) -> None:
+    for path in _WRITTEN:
+        try:
+            where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+        except Exception:  # noqa: BLE001
+            return
+
+
+def write_bucketed(df: DataFrame, name: str, key: str, buckets: int = 32) -> DataFrame:
+    """df as a table bucketed and sorted by a key: later joins and aggregations on it need no shuffle."""
+    df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).format("parquet").saveAsTable(name)
+    return df.sparkSession.table(name)
+
+
+def read_files(spark: SparkSession, path: str, kind: str, schema: str) -> DataFrame:
+    """A declared schema over csv (with header), json, text, orc or parquet files; malformed rows fail the job."""
+    reader = spark.read.schema(schema)
+    if kind in ("csv", "json"):
+        reader = reader.option("mode", "FAILFAST")
+    if kind == "csv":
+        reader = reader.option("header", True).option("multiLine", True).option("escape", '"')
+    return reader.format(kind).load(path)
+
+
+def write_files(df: DataFrame, path: str, kind: str) -> None:
+    writer = df.write.mode("overwrite")
+    if kind == "csv":
+        writer = writer.option("header", True).option("escape", '"')
+    writer.format(kind).save(path)

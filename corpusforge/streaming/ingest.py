@@ -50,3 +50,37 @@ def token_budget(docs: DataFrame, budgets: dict[str, int]) -> DataFrame:
     for k, v in budgets.items():
         cap = F.when(F.col("lang") == k, F.lit(v)).otherwise(cap)
     return x.withColumns({"budget": cap, "full": F.col("tokens") >= cap})
+
+
+def with_static(stream: DataFrame, static: DataFrame, key: str) -> DataFrame:
+    """Stream rows with the columns of a static table; rows without a partner stay."""
+    return stream.join(static, key, "left")
+
+
+def matched_streams(asked: DataFrame, answered: DataFrame, key: str, at: str, within: str, delay: str = "10 minutes") -> DataFrame:
+    """Pairs of two streams' rows of one key, the second at most `within` after the first; watermarks bound the state."""
+    a = asked.withWatermark(at, delay).select(F.col(key), F.col(at).alias("_a"))
+    b = answered.withWatermark(at, delay).select(F.col(key).alias("_k"), F.col(at).alias("_b"))
+    on = (F.col(key) == F.col("_k")) & (F.col("_b") >= F.col("_a")) & (F.col("_b") <= F.col("_a") + F.expr(f"interval {within}"))
+    return a.join(b, on).select(key, (F.unix_seconds("_b") - F.unix_seconds("_a")).alias("waited"))
+
+
+def token_ledger(docs: DataFrame, budgets: dict[str, int]) -> DataFrame:
+    """(lang, tokens, taken, full): custom state by language: documents are taken until the budget is reached.
+
+    Only numbers leave a batch, one row a language; the state is two of them.
+    """
+    import pandas as pd
+
+    def step(key, batches, state):
+        tokens, taken = state.get if state.exists else (0, 0)
+        cap = budgets.get(key[0])
+        for b in batches:
+            for n in b["n"]:
+                if cap is None or tokens < cap:
+                    tokens, taken = tokens + int(n), taken + 1
+        state.update((tokens, taken))
+        yield pd.DataFrame({"lang": [key[0]], "tokens": [tokens], "taken": [taken], "full": [cap is not None and tokens >= cap]})
+
+    counted = docs.select("lang", F.size(T.words(F.col("text"))).cast("bigint").alias("n"))
+    return counted.groupBy("lang").applyInPandasWithState(step, "lang string, tokens bigint, taken bigint, full boolean", "tokens bigint, taken bigint", "update", "NoTimeout")
