@@ -58,7 +58,10 @@ def language_weights(avail: DataFrame, share_en: float, share_code: float) -> Da
 
 def cell_weights(avail: DataFrame, share_en: float, share_code: float, fixed: dict[str, float] | None = None) -> DataFrame:
     """(lang, category, weight): strata as in `language_weights`; inside each, some categories hold a share of
-    the whole mix and the others are raised or cut in proportion to what is available."""
+    the whole mix and the others are raised or cut in proportion to what is available.
+
+    A stratum without documents of a category that holds a share gives that part to its other categories.
+    """
     fixed = fixed or {}
     cells = avail.withColumn("lang", F.when(F.col("category") == CODE, CODE).otherwise(F.col("lang"))).groupBy("lang", "category").agg(F.sum("tokens").cast("double").alias("n"))
     named = F.lit(None).cast("double")

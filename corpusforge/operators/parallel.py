@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import text as T
-from . import language
+from . import language, near
 
 #: Thresholds of the two scores; es stands in for the exception language.
 CLEAN, QE = 0.5, 0.7
@@ -72,6 +72,36 @@ def dedup_pairs(pairs: DataFrame, mode: str = "normalized") -> DataFrame:
     return pairs.join(best, "pair_id", "left_semi")
 
 
+def dedup_near_pairs(pairs: DataFrame) -> DataFrame:
+    """Best-scored pair of each group whose source sides are near copies (five words, similarity 0.75)."""
+    sides = pairs.select(F.col("pair_id").alias("doc_id"), F.col("tgt_lang").alias("lang"), F.col("src_text").alias("text"))
+    found = near.near_components(sides).withColumnRenamed("doc_id", "pair_id")
+    best = pairs.select("pair_id", "clean_proxy").join(found, "pair_id").groupBy("component").agg(F.max_by("pair_id", F.struct("clean_proxy", -F.col("pair_id"))).alias("pair_id"))
+    return pairs.join(best.select("pair_id"), "pair_id", "left_semi")
+
+
+def lexicon_coverage(pairs: DataFrame, lexicon: DataFrame) -> DataFrame:
+    """pair_id, coverage: the share of a source's distinct known words whose rendering stands in the target; a
+    pair without a known word has none."""
+    words = lambda c: F.array_distinct(T.words(F.lower(c)))
+    x = pairs.select("pair_id", F.explode_outer(words("src_text")).alias("src_word"), words("tgt_text").alias("there"))
+    x = x.join(lexicon.select("src_word", "tgt_word"), "src_word", "left")
+    hit = F.array_contains("there", F.col("tgt_word"))
+    return x.groupBy("pair_id").agg(F.round(F.try_divide(F.count_if(hit).cast("double"), F.count("tgt_word")), 6).alias("coverage"))
+
+
+def clean_score_lexicon(pairs: DataFrame, lexicon: DataFrame) -> DataFrame:
+    """Variant of the pair classifier's stand-in: hard rules (equal sides, links that differ), then a logistic curve
+    over the lexicon's coverage, the ratio of lengths and agreement of digits."""
+    links = lambda c: F.sort_array(F.regexp_extract_all(c, F.lit(r"(https?://[^\x20\x09-\x0D]+)"), F.lit(1)))
+    a, b = F.length("src_text"), F.length("tgt_text")
+    digits = (F.regexp_replace("src_text", "[^0-9]", "") == F.regexp_replace("tgt_text", "[^0-9]", "")).cast("double")
+    x = pairs.join(lexicon_coverage(pairs, lexicon), "pair_id", "left")
+    z = 6.0 * F.coalesce("coverage", F.lit(0.5)) + 2.0 * F.least(a, b) / F.greatest(a, b) + digits - 5.0
+    bad = (F.col("src_text") == F.col("tgt_text")) | (links("src_text") != links("tgt_text"))
+    return x.withColumn("clean_lexicon_proxy", F.round(F.when(bad, 0.0).otherwise(1 / (1 + F.exp(-z))), 6))
+
+
 def bound_of(lang: Column, default: float = CLEAN, overrides: dict[str, float] = OVERRIDES) -> Column:
     out = F.lit(default)
     for k, v in overrides.items():

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import text as T
+from ..sources.tables import cut_lineage
 
 #: Prompt and reward bounds, sequence length, epochs. RHO is ours.
 PROMPT, REWARD, LENGTH, EPOCHS, RHO = 4.0, 0.08, 4096, 3, 0.25
@@ -49,15 +50,26 @@ def retention_curve(df: DataFrame, bounds: list[float]) -> DataFrame:
     return x.groupBy("bound").agg(F.count_if(keep).alias("kept"), F.round(F.avg(F.when(keep, F.col("reward"))), 6).alias("mean_reward"))
 
 
+#: Distinct benchmark runs up to which they are sent to every executor (16 bytes each).
+MOST_RUNS = 2_000_000
+
+
 def decontaminate(df: DataFrame, bench: DataFrame, key: str = "doc_id", k: int = 8) -> DataFrame:
-    """Rows that share no run of k words with any benchmark item. Benchmarks are small and shuffled by gram."""
-    def grams(df: DataFrame, *keep: str) -> DataFrame:
-        # The words are a column of their own: a lambda would cut the text again for every position.
+    """Rows that share no run of k words with any benchmark item.
+
+    Runs are compared by two 64-bit hashes over the words' hashes. The benchmark's are counted: while they
+    are few they are broadcast, and no run of the corpus is shuffled.
+    """
+    def runs(df: DataFrame, *keep: str) -> DataFrame:
+        # Words and their hashes are columns of their own: a lambda would work them out again for every position.
         x = df.select(*keep, T.words(F.lower("text")).alias("w")).where(F.size("w") >= k)
-        runs = F.transform(F.sequence(F.lit(1), F.size("w") - k + 1), lambda i: F.md5(F.array_join(F.slice("w", i, F.lit(k)), " ")))
-        return x.select(*keep, F.explode(F.array_distinct(runs)).alias("g"))
+        x = x.select(*keep, F.transform("w", lambda a: F.xxhash64(a)).alias("h"))
+        at = lambda i, n: F.get(F.col("h"), i + n)
+        grams = F.transform(F.sequence(F.lit(0), F.size("h") - k), lambda i: F.struct(F.xxhash64(*[at(i, n) for n in range(k)]).alias("a"), F.xxhash64(F.lit(1), *[at(i, n) for n in reversed(range(k))]).alias("b")))
+        return x.select(*keep, F.explode(grams).alias("g")).select(*keep, "g.a", "g.b")
 
-    hit = grams(df, key).join(grams(bench).distinct(), "g", "left_semi").select(key).distinct()
+    known = cut_lineage(runs(bench).distinct())
+    hit = runs(df, key).join(F.broadcast(known) if known.count() <= MOST_RUNS else known, ["a", "b"], "left_semi").select(key).distinct()
     return df.join(hit, key, "left_anti")
 
 

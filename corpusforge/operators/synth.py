@@ -119,3 +119,13 @@ def rewrite_questions(df: DataFrame, lexicon: DataFrame) -> DataFrame:
 
     said = language.translate(df, lexicon, "prompt_id", "prompt")
     return df.drop("prompt").join(said, "prompt_id").withColumn("prompt", F.concat(F.lit("Please answer: "), "prompt"))
+
+
+def translate_items(items: DataFrame, lexicon: DataFrame) -> DataFrame:
+    """Multiple-choice items with every option rendered through a lexicon; ids and right answers stay."""
+    from . import language
+
+    options = items.select("prompt_id", F.posexplode("options").alias("o", "text")).select(F.struct("prompt_id", "o").alias("key"), "text")
+    said = options.select("key").join(language.translate(options, lexicon, "key"), "key", "left")
+    by = said.groupBy(F.col("key.prompt_id").alias("prompt_id")).agg(F.transform(F.sort_array(F.collect_list(F.struct(F.col("key.o").alias("o"), F.coalesce("text", F.lit("")).alias("t")))), lambda x: x["t"]).alias("options"))
+    return items.select("prompt_id", "gold").join(by, "prompt_id")

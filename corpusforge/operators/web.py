@@ -118,9 +118,10 @@ def dedup_paragraphs(df: DataFrame, min_len: int = 0) -> DataFrame:
     """Only the first (doc_id, position) of each normalised paragraph stays; texts are rebuilt."""
     lines = df.select("doc_id", F.posexplode(T.paragraphs(F.col("text"))).alias("pos", "para"))
     keyed = lines.select("doc_id", "pos", F.length("para").alias("n"), F.unhex(F.md5(T.normalized(F.col("para")))).alias("k"))
-    first = keyed.where(F.col("n") >= min_len).groupBy("k").agg(F.min(F.struct("doc_id", "pos")).alias("f")).select("f.*")
-    short = keyed.where(F.col("n") < min_len).select("doc_id", "pos")
-    kept = first.union(short).groupBy("doc_id").agg(F.sort_array(F.collect_list("pos")).alias("at"))
+    first = (keyed.where(F.col("n") >= min_len) if min_len else keyed).groupBy("k").agg(F.min(F.struct("doc_id", "pos")).alias("f")).select("f.*")
+    if min_len:
+        first = first.union(keyed.where(F.col("n") < min_len).select("doc_id", "pos"))
+    kept = first.groupBy("doc_id").agg(F.sort_array(F.collect_list("pos")).alias("at"))
     out = df.join(kept, "doc_id").withColumn("_ps", T.paragraphs(F.col("text")))
     return out.withColumn("text", F.array_join(F.transform("at", lambda i: F.get("_ps", i)), "\n")).drop("_ps", "at")
 

@@ -10,7 +10,7 @@ from ..sources.tables import cut_lineage, table
 from .mix_queries import AVAIL, CANDS, LWORDS, MASK, PACK, PAIRED, PS, SAMPLE, STRATIFIED, W, _BASE, _pairs, cands, masks, scores, weights_sql
 from .mix_queries import _sampled as sampled
 from .registry import query, values_sql
-from .web_queries import BI, DW, GRAMS, HELD, P, PPL1, TRUSTED, docs, trusted
+from .web_queries import BI, COMPONENTS, DW, GRAMS, HELD, P, PPL1, TRUSTED, docs, trusted
 
 
 def labelled(spark, d):
@@ -95,6 +95,10 @@ def pairs_sql(tgt: str) -> str:
     round(list_dot_product(va, vb) / sqrt(list_dot_product(va, va) * list_dot_product(vb, vb)), 6) qe_proxy from v)"""
 
 
+def lexicon_sql(tgt: str) -> str:
+    return f"(with c as (select lang, word, sum(cnt) c from {DW} group by all), r as (select *, row_number() over (partition by lang order by c desc, word) rank from c) select a.word s, b.word t from r a join r b using (rank) where a.lang = 'en' and b.lang = '{tgt}')"
+
+
 FR, DE, ES = pairs_sql("fr"), pairs_sql("de"), pairs_sql("es")
 
 
@@ -129,6 +133,25 @@ _DEDUP = f"(select * from {FR} qualify row_number() over (partition by {_KEYS['n
 _FORMS = {"none": FR, "dedup": _DEDUP, "clean": f"(select * from {FR} where clean_proxy >= 0.5)", "quality": f"(select * from {FR} where qe_proxy >= 0.7)", "both": f"(select * from {FR} where {_BOTH})", "dedup and both": f"(select * from {_DEDUP} where {_BOTH})"}
 query("par_ablation", " union all ".join(f"select '{k}' form, count(*) pairs, coalesce(sum(is_aligned), 0)::bigint aligned from {v}" for k, v in _FORMS.items()))(lambda spark, d: parallel.ablation(_pairs(spark, d)))
 
+
+
+@query("par_dedup_near", f"""{COMPONENTS.replace('select doc_id, lang, regexp_extract_all(lower(text)', 'select pair_id doc_id, tgt_lang lang, regexp_extract_all(lower(src_text)').replace('from documents)', f'from {FR})')},
+    g as (select n.doc_id pair_id, least(n.doc_id, coalesce(m, n.doc_id)) component from n left join (select a, min(b) m from reach group by a) on a = n.doc_id)
+    select pair_id from g join {FR} using (pair_id) qualify row_number() over (partition by component order by clean_proxy desc, pair_id) = 1""")
+def par_dedup_near(spark, d):
+    return parallel.dedup_near_pairs(cut_lineage(_pairs(spark, d))).select("pair_id")
+
+
+_COVER = f"(select pair_id, round(count(*) filter (where list_contains(there, t)) / nullif(count(t), 0), 6) coverage from (select pair_id, unnest(list_distinct({LWORDS('src_text')})) w, list_distinct({LWORDS('tgt_text')}) there from {FR}) left join {lexicon_sql('fr')} on w = s group by pair_id)"
+
+
+@query("par_scores_lexicon", f"""select pair_id, coverage, round(case when src_text = tgt_text or list_sort(regexp_extract_all(src_text, 'https?://[^\\x20\\x09-\\x0D]+')) <> list_sort(regexp_extract_all(tgt_text, 'https?://[^\\x20\\x09-\\x0D]+')) then 0::double
+      else 1 / (1 + exp(-(6.0::double * coalesce(coverage, 0.5) + 2.0::double * least(length(src_text), length(tgt_text)) / greatest(length(src_text), length(tgt_text)) + (regexp_replace(src_text, '[^0-9]', '', 'g') = regexp_replace(tgt_text, '[^0-9]', '', 'g'))::int - 5.0::double))) end, 6) clean_lexicon_proxy
+    from {FR} left join {_COVER} using (pair_id)""")
+def par_scores_lexicon(spark, d):
+    return parallel.clean_score_lexicon(_pairs(spark, d), language.rank_lexicon(docs(spark, d), "en", "fr")).select("pair_id", "coverage", "clean_lexicon_proxy")
+
+
 EDITIONS = f"(select *, 2020 + pair_id % 5 edition from {FR})"
 
 
@@ -168,9 +191,9 @@ def _overlap_sql(k: int) -> str:
     return f"(select rid, sum(least(gh.c, gr.c))::double m from {side('h')} gh join {side('r')} gr using (rid, g) group by rid)"
 
 
-def chrf_sql(n: int) -> str:
+def chrf_sql(n: int, source: str | None = None) -> str:
     parts = " union all ".join(f"select x.rid, coalesce(m, 0) / nullif(greatest(length(h) - {k - 1}, 0), 0) p, coalesce(m, 0) / nullif(greatest(length(r) - {k - 1}, 0), 0) q from x left join {_overlap_sql(k)} using (rid) where h <> r" for k in range(1, n + 1))
-    return f"""(with x as materialized (select row_number() over () rid, {', '.join(MT_KEYS)}, {_bare('hyp')} h, {_bare('ref')} r from {TRANSLATED}),
+    return f"""(with x as materialized (select row_number() over () rid, {', '.join(MT_KEYS)}, {_bare('hyp')} h, {_bare('ref')} r from {source or TRANSLATED}),
       s as (select rid, coalesce(sum(p), 0) / {n} p, coalesce(sum(q), 0) / {n} q from ({parts}) group by rid)
       select {', '.join(MT_KEYS)}, round(case when h = r then least(length(h), {n}) / {n}::double else coalesce(5 * p * q / nullif(4 * p + q, 0), 0) end, 6) chrf from x left join s using (rid))"""
 
@@ -181,6 +204,15 @@ def eval_mt_chrf(spark, d):
     return evalkit.chrf(translated(spark, d), "hyp", "ref", MT_KEYS, CHRF_ORDER).groupBy("tgt_lang", "direction", "is_aligned").agg(F.round(F.avg("chrf_proxy"), 5).alias("chrf_proxy"), F.count(F.lit(1)).alias("n"))
 
 
+_RENDERED = f"(select pair_id, 'fr' tgt_lang, 'from_en' direction, is_aligned, tgt_text hyp, ref_text ref from {FR})"
+
+
+@query("par_qe_lexicon", f"select pair_id, is_aligned, chrf qe_lexicon_proxy from {chrf_sql(CHRF_ORDER, _RENDERED)}")
+def par_qe_lexicon(spark, d):
+    """Variant of the quality estimate: how much of the target's n-grams the lexicon's rendering has."""
+    return evalkit.chrf(_pairs(spark, d), "tgt_text", "ref_text", ["pair_id", "is_aligned"], CHRF_ORDER).withColumnRenamed("chrf_proxy", "qe_lexicon_proxy")
+
+
 def _side(c: str, alias: str) -> str:
     return f"(select rid, k, array_to_string({c}[i:i + k - 1], ' ') g, count(*) {alias} from x, unnest(range(1, 5)) t(k), unnest(range(1, len({c}) - k + 2)) u(i) where h <> r group by all)"
 
@@ -382,10 +414,6 @@ for _p in (1, 2, 3):
     query(f"mix_sources_p{_p}", f"select kind, category, l lang from (select kind, category, from_phase, string_split(languages, ' ') ls from {_KINDS}), unnest(ls) t(l) where from_phase <= {_p}")(lambda spark, d, p=_p: synth.sources_for_phase(synth.source_kinds(spark), p).select("kind", "category", F.explode("languages").alias("lang")))
 
 
-def lexicon_sql(tgt: str) -> str:
-    return f"(with c as (select lang, word, sum(cnt) c from {DW} group by all), r as (select *, row_number() over (partition by lang order by c desc, word) rank from c) select a.word s, b.word t from r a join r b using (rank) where a.lang = 'en' and b.lang = '{tgt}')"
-
-
 def said_sql(rows: str, key: str, text: str, tgt: str) -> str:
     """Texts of rows rendered through the rank lexicon, by key; texts without words have no row."""
     return f"(select {key}, string_agg(coalesce(t, w), ' ' order by i) said from (select {key}, i, ws[i] w from (select {key}, {T.words_sql(text)} ws from {rows}), unnest(range(1, len(ws) + 1)) u(i)) left join {lexicon_sql(tgt)} on lower(w) = s group by {key})"
@@ -412,6 +440,26 @@ def eval_translated_benchmark(spark, d):
     return out
 
 
+_OPTIONS = f"(select prompt_id * 10 + o - 1 k, options[o] txt from {MCQ}, unnest(range(1, 5)) t(o))"
+
+
+@query("eval_translated_items", f"select prompt_id, gold, md5(string_agg(coalesce(said, ''), chr(10) order by k)) options from {MCQ} join (select k // 10 prompt_id, k, said from {_OPTIONS} left join {said_sql(_OPTIONS, 'k', 'txt', 'de')} using (k)) using (prompt_id) group by all")
+def eval_translated_items(spark, d):
+    """Multiple-choice items with all their options rendered in another language."""
+    items = synth.make_mcq(cands(spark, d).where("cand_no = 1"))
+    return synth.translate_items(items, language.rank_lexicon(docs(spark, d), "en", "de")).select("prompt_id", "gold", F.md5(F.array_join("options", "\n")).alias("options"))
+
+
+_ENGLISH = "(select doc_id, text, quality * 5.0 y from documents join labels using (doc_id) where lang = 'en')"
+
+
+@query("qual_project", " union all ".join(f"select doc_id, '{x}' lang, y::double edu_score, md5(said) digest from {_ENGLISH} join {said_sql(_ENGLISH, 'doc_id', 'text', x)} using (doc_id)" for x in ("fr", "de", "es")))
+def qual_project(spark, d):
+    """English annotations carried over renderings in the other languages."""
+    x = docs(spark, d)
+    return quality.project(labelled(spark, d).select("doc_id", "lang", "text", "edu_score"), x, ["fr", "de", "es"]).select("doc_id", "lang", "edu_score", F.md5("text").alias("digest"))
+
+
 _FIRST = f"(select prompt_id, prompt, answer from {CANDS} where cand_no = 1)"
 
 

@@ -142,6 +142,13 @@ def rel_maps(spark, d):
     return m.select("event_type", F.size("slots").cast("bigint").alias("n_slots"), F.col("slots")["1"].alias("first_slot"), F.array_join(F.map_keys("slots"), ",").alias("keys"))
 
 
+@query("rel_variant", "select event_type, count(json_extract_string(props, '$.k')) n, sum(json_extract_string(props, '$.k')::bigint)::bigint total from events group by event_type")
+def rel_variant(spark, d):
+    """The same field through the variant type: parsed once, read by path and type."""
+    k = F.try_variant_get(F.try_parse_json("props"), "$.k", "bigint")
+    return table(spark, d, "events").groupBy("event_type").agg(F.count(k).alias("n"), F.sum(k).alias("total"))
+
+
 @query("rel_percent_rank", "select event_id, round(percent_rank() over (partition by event_type order by value), 9) pr, round(cume_dist() over (partition by event_type order by value), 9) cd from events")
 def rel_percent_rank(spark, d):
     w = Window.partitionBy("event_type").orderBy("value")

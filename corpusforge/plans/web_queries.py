@@ -161,12 +161,18 @@ DW = f"(select doc_id, lang, word, count(*) cnt from (select doc_id, lang, unnes
 GRAMS = "unnest(list_concat(list_transform(range(1, length(p) + 1), lambda i: substr(p, i, 1)), list_transform(range(1, length(p)), lambda i: substr(p, i, 2)), list_transform(range(1, length(p) - 1), lambda i: substr(p, i, 3))))"
 
 
-#: Score of every language for every document, by a model of the documents that aren't held out.
-NB = f"""with dw as {DW}, g as (select lang, gram, sum(cnt)::bigint c from (select lang, cnt, {GRAMS} gram from (select lang, '^' || word || '$' p, sum(cnt) cnt from dw where not {HELD} group by all)) group by all),
+def nb_sql(said: str | None = None) -> str:
+    """Score of every language for every document (or for what is said), by a model of the documents that aren't held out."""
+    judged = f"q as {said}, " if said else ""
+    of = "q" if said else "dw"
+    return f"""with dw as {DW}, {judged}g as (select lang, gram, sum(cnt)::bigint c from (select lang, cnt, {GRAMS} gram from (select lang, '^' || word || '$' p, sum(cnt) cnt from dw where not {HELD} group by all)) group by all),
     t as (select lang guess, sum(c) total from g group by lang), k as (select count(distinct gram) kinds from g),
-    wg as (select word, {GRAMS} gram from (select distinct word, '^' || word || '$' p from dw)),
+    wg as (select word, {GRAMS} gram from (select distinct word, '^' || word || '$' p from {of})),
     s as (select word, guess, count(*) n, sum(ln((coalesce(c, 0) + 1) / (total + kinds))) s from wg cross join t cross join k left join g on g.gram = wg.gram and g.lang = t.guess group by all),
-    d as (select doc_id, lang, guess, sum(cnt * s) s, sum(cnt * n) n from dw join s using (word) group by all)"""
+    d as (select doc_id, lang, guess, sum(cnt * s) s, sum(cnt * n) n from {of} join s using (word) group by all)"""
+
+
+NB = nb_sql()
 
 
 @query("web_langid_nb", f"{NB} select x.doc_id, x.lang, guess predicted from documents x left join (select *, row_number() over (partition by doc_id order by s desc, guess) r from d) y on x.doc_id = y.doc_id and r = 1")
@@ -192,6 +198,17 @@ def web_langid_filter(spark, d):
     return language.filter_lang(x, language.predict_langid(x, language.fit_langid(x.where(f"not {HELD}"))), 0.01).select("doc_id", "lang")
 
 
+LINES = f"(select doc_id * 100000 + i - 1 doc_id, lang, ps[i] text from (select doc_id, lang, {P} ps from documents), unnest(range(1, len(ps) + 1)) t(i))"
+
+
+@query("web_langid_paragraphs", f"{nb_sql(f'(select doc_id, lang, word, count(*) cnt from (select doc_id, lang, unnest({LW}) word from {LINES}) group by all)')} select x.doc_id para_id, x.lang, guess predicted from {LINES} x left join (select *, row_number() over (partition by doc_id order by s desc, guess) r from d) y on x.doc_id = y.doc_id and r = 1")
+def web_langid_paragraphs(spark, d):
+    """The document's method on every paragraph."""
+    x = docs(spark, d)
+    lines = x.select("doc_id", "lang", F.posexplode(T.paragraphs(F.col("text"))).alias("pos", "text")).withColumn("doc_id", F.col("doc_id") * 100_000 + F.col("pos"))
+    return language.predict_langid(lines, language.fit_langid(x.where(f"not {HELD}"))).select(F.col("doc_id").alias("para_id"), "lang", "predicted")
+
+
 TRUSTED = "(select d.* from documents d join labels using (doc_id) where quality = 1)"
 PPL1 = f"""(with dw as {DW}, c as (select lang, word, sum(cnt) c from dw where doc_id in (select doc_id from labels where quality = 1) group by all), z as (select lang, sum(c) total, count(*) kinds from c group by lang)
   select x.doc_id, x.lang, perplexity from documents x left join (select doc_id, round(exp(-sum(cnt * ln((coalesce(c, 0) + 1) / (coalesce(total, 0) + coalesce(kinds, every) + 1))) / sum(cnt)), 6) perplexity
