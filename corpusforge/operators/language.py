@@ -27,13 +27,11 @@ def word_counts(df: DataFrame, lang_col: str | None = "lang") -> DataFrame:
     return df.select(*keys, F.explode(T.words(F.col("text"))).alias("word")).groupBy(*keys, "word").agg(F.count(F.lit(1)).alias("cnt"))
 
 
-def _grams(word: Column, sizes: tuple[int, ...]) -> Column:
-    padded = F.concat(F.lit("^"), word, F.lit("$"))
-    return F.flatten(F.array(*[F.when(F.length(padded) >= n, _runs(padded, n)).otherwise(F.array().cast("array<string>")) for n in sizes]))
-
-
-def _runs(padded: Column, n: int) -> Column:
-    return F.transform(F.sequence(F.lit(1), F.length(padded) - n + 1), lambda i: F.substring(padded, i, F.lit(n)))
+def gram_rows(words: DataFrame, sizes: tuple[int, ...]) -> DataFrame:
+    """words (with a column word) with one row for each of its character n-grams, begin and end marked."""
+    x = words.withColumn("_p", F.concat(F.lit("^"), F.col("word"), F.lit("$")))
+    x = x.withColumn("_i", F.explode(F.sequence(F.lit(1), F.length("_p")))).withColumn("_n", F.explode(F.array(*[F.lit(n) for n in sizes])))
+    return x.where(F.col("_i") + F.col("_n") - 1 <= F.length("_p")).withColumn("gram", F.substring(F.col("_p"), F.col("_i"), F.col("_n"))).drop("_p", "_i", "_n")
 
 
 #: Distinct words up to which their scores are sent to every executor (about 100 bytes each).
@@ -43,7 +41,7 @@ MOST_BROADCAST = 1_000_000
 def fit_langid(df: DataFrame, sizes: tuple[int, ...] = (1, 2, 3)) -> DataFrame:
     """(lang, gram, c): counts of character n-grams of words, by language; landed."""
     w = df.select("lang", F.explode(T.letter_words(F.col("text"))).alias("word")).groupBy("lang", "word").agg(F.count(F.lit(1)).alias("cnt"))
-    return cut_lineage(w.select("lang", "cnt", F.explode(_grams(F.col("word"), sizes)).alias("gram")).groupBy("lang", "gram").agg(F.sum("cnt").alias("c")))
+    return cut_lineage(gram_rows(w, sizes).groupBy("lang", "gram").agg(F.sum("cnt").alias("c")))
 
 
 def word_scores(words: DataFrame, model: DataFrame, sizes: tuple[int, ...] = (1, 2, 3)) -> tuple[DataFrame, list[str]]:
@@ -54,7 +52,7 @@ def word_scores(words: DataFrame, model: DataFrame, sizes: tuple[int, ...] = (1,
     unseen = [math.log(1.0 / (r["total"] + kinds)) for r in rows]
     gain = [F.sum(F.when(F.col("lang") == x, F.log(F.col("c") + 1.0))).alias(f"_{i}") for i, x in enumerate(langs)]
     gains = model.groupBy("gram").agg(*gain)
-    grams = words.select("word", F.explode(_grams(F.col("word"), sizes)).alias("gram"))
+    grams = gram_rows(words.select("word"), sizes)
     by = grams.join(gains, "gram", "left").groupBy("word").agg(F.count(F.lit(1)).alias("n"), *[F.coalesce(F.sum(f"_{i}"), F.lit(0.0)).alias(f"_{i}") for i in range(len(langs))])
     return by.select("word", "n", F.array(*[F.col(f"_{i}") + F.col("n") * F.lit(u) for i, u in enumerate(unseen)]).alias("s")), langs
 
@@ -147,13 +145,18 @@ def bigram_counts(df: DataFrame) -> DataFrame:
     return cut_lineage(said_bigrams(df).groupBy("lang", "u", "w").agg(F.count(F.lit(1)).alias("c")))
 
 
-def mean_log(said: DataFrame, scores: DataFrame, keys: list[str]) -> DataFrame:
-    """doc_id, lang, perplexity of what documents say, from the probability p of each distinct key."""
-    scores = cut_lineage(scores.select(*keys, F.log("p").alias("p")))
-    if scores.count() <= MOST_BROADCAST:
-        return said.join(F.broadcast(scores), keys).groupBy("doc_id", "lang").agg(F.exp(-F.avg("p")).alias("perplexity"))
-    counted = said.groupBy("doc_id", *keys).agg(F.count(F.lit(1)).alias("cnt"))
-    return counted.join(scores, keys).groupBy("doc_id", "lang").agg(F.exp(-F.sum(F.col("cnt") * F.col("p")) / F.sum("cnt")).alias("perplexity"))
+def mean_log(said: DataFrame, keys: list[str], model: DataFrame, probability) -> DataFrame:
+    """doc_id, lang, perplexity of what documents say.
+
+    probability(rows, near) adds the column p to rows that have the keys; `near` marks the model's tables, which
+    are hashed by partition, so that what documents say is never sorted. A model of up to MOST_BROADCAST
+    rows meets every word; a larger one meets each distinct key once, and the documents then meet the scores.
+    """
+    by_hash = lambda t: t.hint("shuffle_hash")
+    if model.count() <= MOST_BROADCAST:
+        return probability(said, by_hash).groupBy("doc_id", "lang").agg(F.exp(-F.avg(F.log("p"))).alias("perplexity"))
+    scores = cut_lineage(probability(said.select(*keys).distinct(), by_hash).select(*keys, F.log("p").alias("p")))
+    return said.join(by_hash(scores), keys).groupBy("doc_id", "lang").agg(F.exp(-F.avg("p")).alias("perplexity"))
 
 
 def perplexity_bigram(df: DataFrame, trusted: DataFrame) -> DataFrame:
@@ -161,15 +164,18 @@ def perplexity_bigram(df: DataFrame, trusted: DataFrame) -> DataFrame:
 
     A language without trusted text is smoothed over the words of all languages.
     """
-    c, said = bigram_counts(trusted), said_bigrams(df)
+    c = bigram_counts(trusted)
     ctx = c.groupBy("lang", "u").agg(F.sum("c").alias("cu"), F.count(F.lit(1)).alias("nu"))
     cont = c.groupBy("lang", "w").agg(F.count(F.lit(1)).alias("nw"))
     size = c.groupBy("lang").agg((F.count_if(F.col("c") == 1) / (F.count_if(F.col("c") == 1) + 2.0 * F.count_if(F.col("c") == 2))).alias("d"), F.count(F.lit(1)).alias("total"), F.countDistinct("w").alias("kinds"))
     size = all_sizes(df, size.select("lang", "total", "kinds")).join(size.select("lang", "d"), "lang", "left")
-    x = said.select("lang", "u", "w").distinct().join(c, ["lang", "u", "w"], "left").join(ctx, ["lang", "u"], "left").join(cont, ["lang", "w"], "left").join(F.broadcast(size), "lang")
-    lower = (F.coalesce("nw", F.lit(0)) + 1.0) / (F.col("total") + F.col("kinds") + 1)
-    p = F.when(F.col("cu").isNull(), lower).otherwise((F.greatest(F.coalesce("c", F.lit(0)) - F.col("d"), F.lit(0.0)) + F.col("d") * F.col("nu") * lower) / F.col("cu"))
-    return mean_log(said, x.select("lang", "u", "w", p.alias("p")), ["lang", "u", "w"]).withColumn("perplexity", F.round("perplexity", 6))
+
+    def probability(rows: DataFrame, near) -> DataFrame:
+        x = rows.join(near(c), ["lang", "u", "w"], "left").join(near(ctx), ["lang", "u"], "left").join(near(cont), ["lang", "w"], "left").join(F.broadcast(size), "lang")
+        lower = (F.coalesce("nw", F.lit(0)) + 1.0) / (F.col("total") + F.col("kinds") + 1)
+        return x.withColumn("p", F.when(F.col("cu").isNull(), lower).otherwise((F.greatest(F.coalesce("c", F.lit(0)) - F.col("d"), F.lit(0.0)) + F.col("d") * F.col("nu") * lower) / F.col("cu")))
+
+    return mean_log(said_bigrams(df), ["lang", "u", "w"], c, probability).withColumn("perplexity", F.round("perplexity", 6))
 
 
 def said_ngrams(df: DataFrame, order: int) -> DataFrame:
@@ -189,25 +195,29 @@ def perplexity_kneser_ney(df: DataFrame, trusted: DataFrame, order: int) -> Data
     """
     if order < 2:
         raise ValueError("order must be 2 or more")
-    said = said_ngrams(df, order)
-    levels = {order: cut_lineage(said_ngrams(trusted, order).groupBy("lang", "g").agg(F.count(F.lit(1)).alias("c")))}
+    top = cut_lineage(said_ngrams(trusted, order).groupBy("lang", "g").agg(F.count(F.lit(1)).alias("c")))
+    levels = {order: top}
     for k in range(order - 1, 0, -1):
         levels[k] = levels[k + 1].groupBy("lang", F.substring_index("g", " ", -k).alias("g")).agg(F.count(F.lit(1)).alias("c"))
     lowest = all_sizes(df, levels[1].groupBy("lang").agg(F.sum("c").alias("total"), F.count(F.lit(1)).alias("kinds")))
-    known = said.select("lang", "g").distinct().withColumn("end", F.substring_index("g", " ", -1))
-    p = known.join(levels[1].withColumnRenamed("g", "end"), ["lang", "end"], "left").join(F.broadcast(lowest), "lang")
-    p = p.select("lang", "g", ((F.coalesce("c", F.lit(0)) + 1.0) / (F.col("total") + F.col("kinds") + 1)).alias("p"))
-    for k in range(2, order + 1):
-        c = levels[k]
-        once, twice = F.count_if(F.col("c") == 1), F.count_if(F.col("c") == 2)
-        discount = c.groupBy("lang").agg(F.when(once > 0, once / (once + 2.0 * twice)).otherwise(0.5).alias("d"))
-        contexts = c.groupBy("lang", F.substring_index("g", " ", k - 1).alias("before")).agg(F.sum("c").alias("cu"), F.count(F.lit(1)).alias("nu"))
-        end = F.substring_index("g", " ", -k)
-        x = p.withColumns({"end": end, "before": F.substring_index(end, " ", k - 1)})
-        x = x.join(c.withColumnRenamed("g", "end"), ["lang", "end"], "left").join(contexts, ["lang", "before"], "left").join(F.broadcast(discount), "lang", "left")
-        mixed = (F.greatest(F.coalesce("c", F.lit(0)) - F.col("d"), F.lit(0.0)) + F.col("d") * F.col("nu") * F.col("p")) / F.col("cu")
-        p = x.select("lang", "g", F.when(F.col("cu").isNull(), F.col("p")).otherwise(mixed).alias("p"))
-    return mean_log(said, p, ["lang", "g"])
+
+    def probability(rows: DataFrame, near) -> DataFrame:
+        x = rows.withColumn("end", F.substring_index("g", " ", -1))
+        x = x.join(near(levels[1].withColumnRenamed("g", "end")), ["lang", "end"], "left").join(F.broadcast(lowest), "lang")
+        p = x.withColumn("p", (F.coalesce("c", F.lit(0)) + 1.0) / (F.col("total") + F.col("kinds") + 1)).drop("end", "c", "total", "kinds")
+        for k in range(2, order + 1):
+            c = levels[k]
+            once, twice = F.count_if(F.col("c") == 1), F.count_if(F.col("c") == 2)
+            discount = c.groupBy("lang").agg(F.when(once > 0, once / (once + 2.0 * twice)).otherwise(0.5).alias("d"))
+            contexts = c.groupBy("lang", F.substring_index("g", " ", k - 1).alias("before")).agg(F.sum("c").alias("cu"), F.count(F.lit(1)).alias("nu"))
+            end = F.substring_index("g", " ", -k)
+            x = p.withColumns({"end": end, "before": F.substring_index(end, " ", k - 1)})
+            x = x.join(near(c.withColumnRenamed("g", "end")), ["lang", "end"], "left").join(near(contexts), ["lang", "before"], "left").join(F.broadcast(discount), "lang", "left")
+            mixed = (F.greatest(F.coalesce("c", F.lit(0)) - F.col("d"), F.lit(0.0)) + F.col("d") * F.col("nu") * F.col("p")) / F.col("cu")
+            p = x.withColumn("p", F.when(F.col("cu").isNull(), F.col("p")).otherwise(mixed)).drop("end", "before", "c", "cu", "nu", "d")
+        return p
+
+    return mean_log(said_ngrams(df, order), ["lang", "g"], top, probability)
 
 
 def perplexity_tail(scored: DataFrame, keep: float = 2 / 3, exact: bool = True) -> DataFrame:
@@ -252,7 +262,7 @@ def distance_langid(df: DataFrame, train: DataFrame, top: int = 300, sizes: tupl
     Every document has a row; one without letters has neither a prediction nor a distance.
     """
     def profile(words: DataFrame, key: str) -> DataFrame:
-        grams = words.select("word").distinct().select("word", F.explode(_grams(F.col("word"), sizes)).alias("gram"))
+        grams = gram_rows(words.select("word").distinct(), sizes)
         c = words.join(grams, "word").groupBy(key, "gram").agg(F.sum("cnt").alias("c"))
         r = F.row_number().over(Window.partitionBy(key).orderBy(F.desc("c"), "gram"))
         return c.withColumn("r", r).where(F.col("r") <= top).select(key, "gram", "r")
@@ -272,14 +282,17 @@ def perplexity_backoff(df: DataFrame, trusted: DataFrame, factor: float = 0.4) -
 
     A language without trusted text counts every word as one of all languages' words.
     """
-    c, said = bigram_counts(trusted), said_bigrams(df)
+    c = bigram_counts(trusted)
     ctx = c.groupBy("lang", "u").agg(F.sum("c").alias("cu"))
     uni = c.groupBy("lang", "w").agg(F.sum("c").alias("cw"))
     size = all_sizes(df, c.groupBy("lang").agg(F.sum("c").alias("total"), F.countDistinct("w").alias("kinds")))
-    x = said.select("lang", "u", "w").distinct().join(c, ["lang", "u", "w"], "left").join(ctx, ["lang", "u"], "left").join(uni, ["lang", "w"], "left").join(F.broadcast(size), "lang")
-    total = F.when(F.col("total") > 0, F.col("total")).otherwise(F.greatest("kinds", F.lit(1)))
-    s = F.when(F.col("c").isNotNull(), F.col("c") / F.col("cu")).otherwise(factor * F.coalesce("cw", F.lit(1)) / total)
-    return mean_log(said, x.select("lang", "u", "w", s.alias("p")), ["lang", "u", "w"]).withColumn("perplexity", F.round("perplexity", 3))
+
+    def probability(rows: DataFrame, near) -> DataFrame:
+        x = rows.join(near(c), ["lang", "u", "w"], "left").join(near(ctx), ["lang", "u"], "left").join(near(uni), ["lang", "w"], "left").join(F.broadcast(size), "lang")
+        total = F.when(F.col("total") > 0, F.col("total")).otherwise(F.greatest("kinds", F.lit(1)))
+        return x.withColumn("p", F.when(F.col("c").isNotNull(), F.col("c") / F.col("cu")).otherwise(factor * F.coalesce("cw", F.lit(1)) / total))
+
+    return mean_log(said_bigrams(df), ["lang", "u", "w"], c, probability).withColumn("perplexity", F.round("perplexity", 3))
 
 
 def perplexity_bands(scored: DataFrame, cuts: tuple[float, float] = (1 / 3, 2 / 3), exact: bool = True) -> DataFrame:
