@@ -137,7 +137,9 @@ def _votes(kind: str, m: Column, before: Column) -> dict[str, Column]:
         mixed = (m.contains("(") & m.contains("[")) | m.rlike(r"at[)\]].*[a-z0-9]\.[a-z0-9]")
         return {"v_shape": _vote(m.rlike(r"^[A-Za-z][A-Za-z0-9._%+-]+"), m.rlike(r"^(?:[0-9._%+-]|.\x20?[(\[])")), "v_gazetteer": _vote(last.isin(TOP_DOMAINS), ~last.rlike("^[a-z]{2,6}$")), "v_context": context, "v_make": _vote(alike, mixed)}
     if kind == "phone":
-        separators = F.size(F.array_distinct(F.regexp_extract_all(m, F.lit(r"[\x20.-]"), F.lit(0))))
+        # What stands after an area code in brackets says whether the number is written in one way.
+        after = F.regexp_replace(m, r"^\([0-9]+\)\x20?", "")
+        separators = F.size(F.array_distinct(F.regexp_extract_all(after, F.lit(r"[\x20.-]"), F.lit(0))))
         return {"v_shape": _vote(digits.between(9, 15), ~digits.between(9, 15)), "v_gazetteer": _vote(m.rlike(r"^(?:\(|0)"), m.rlike(r"^(?:19|20)[0-9][0-9][\x20.-]|^97[89]")), "v_context": context, "v_make": _vote(separators == 1, separators > 1)}
     known = F.lit(False)
     for p in TOKEN_PREFIXES:
@@ -166,8 +168,8 @@ def _candidates(df: DataFrame, text: str) -> DataFrame:
 
 
 def _free_of(base: Column, added: Column) -> Column:
-    """Of `added` the spans that meet none of `base` (both of k, s, e)."""
-    part = lambda a, mine: F.transform(a, lambda x: F.struct(x["s"].alias("s"), F.lit(mine).alias("mine"), x["e"].alias("e"), x["k"].alias("k")))
+    """Those of `added` that meet none of `base` (structs with s and e), by start."""
+    part = lambda a, mine: F.transform(a, lambda x, i: F.struct(x["s"].alias("s"), F.lit(mine).alias("mine"), x["e"].alias("e"), i.alias("i")))
 
     def kept(a: Column) -> Column:
         # Base ends so far, base starts from here on; at equal starts the base comes first.
@@ -178,12 +180,19 @@ def _free_of(base: Column, added: Column) -> Column:
         return once(both, alone)
 
     free = once(F.sort_array(F.concat(part(base, 0), part(added, 1))), kept)
-    return F.transform(free, lambda x: F.struct(x["k"].alias("k"), x["s"].alias("s"), x["e"].alias("e")))
+    return F.transform(free, lambda x: F.get(added, x["i"]))
+
+
+def _base(text: str) -> Column:
+    """All base spans, by kind and start."""
+    span = lambda k: lambda x: F.struct(F.lit(k).alias("k"), x["s"].alias("s"), x["e"].alias("e"))
+    found = lambda k: F.filter(_found(F.col(text), BASE[k], NEEDS[k]), lambda x: PASSES[k](x["m"]))
+    return F.concat(*[F.transform(found(k), span(KINDS.index(k))) for k in BASE])
 
 
 @dataclass
 class SpanModel:
-    """Reliabilities per kind and labeler, P(vote | personal or not), and the classifier's weights."""
+    """Reliabilities per kind and labeler, P(+1 | it votes, personal or not), and the classifier's weights."""
 
     reliability: dict = field(default_factory=dict)
     weights: dict = field(default_factory=dict)
@@ -197,10 +206,12 @@ class SpanModel:
         return 1 / (1 + F.exp(-z))
 
 
-def expectation_maximisation(rows: list[tuple], rounds: int = 30) -> tuple[dict, list[float]]:
+def expectation_maximisation(rows: list[tuple], rounds: int = 30, faith: float = 4.0) -> tuple[dict, list[float]]:
     """rows: (kind, votes..., long, count). Reliabilities and a posterior for each row.
 
-    Votes are taken as independent given the class; estimates are smoothed by one pseudo-count a cell.
+    Votes are taken as independent given the class, and an abstention (0) as no evidence: a labeler that cannot
+    speak about some candidates doesn't make them a class of their own. Estimates start from the majority and
+    carry `faith` pseudo-votes for a labeler being right against one for its being wrong.
     """
     posts = [1 / (1 + math.exp(-sum(r[1:5]))) for r in rows]
     table: dict = {}
@@ -209,16 +220,18 @@ def expectation_maximisation(rows: list[tuple], rounds: int = 30) -> tuple[dict,
         for k in {r[0] for r in rows}:
             own = [(r, p) for r, p in zip(rows, posts) if r[0] == k]
             total = sum(r[6] for r, _ in own)
-            prior = (sum(r[6] * p for r, p in own) + 1) / (total + 2)
-            table[k] = {"prior": prior}
+            table[k] = {"prior": (sum(r[6] * p for r, p in own) + 1) / (total + 2)}
             for j, name in enumerate(VOTES, 1):
                 for y in (0, 1):
-                    weight = lambda r, p: r[6] * (p if y else 1 - p)  # noqa: B023, E731
-                    mass = sum(weight(r, p) for r, p in own)
-                    table[k][name, y] = {v: (sum(weight(r, p) for r, p in own if r[j] == v) + 1) / (mass + 3) for v in (-1, 0, 1)}
+                    up, down = (sum(r[6] * (p if y else 1 - p) for r, p in own if r[j] == v) for v in (1, -1))
+                    table[k][name, y] = (up + (faith if y else 1.0)) / (up + down + faith + 1.0)
         for i, r in enumerate(rows):
             t = table[r[0]]
-            odds = math.log(t["prior"] / (1 - t["prior"])) + sum(math.log(t[n, 1][r[j]] / t[n, 0][r[j]]) for j, n in enumerate(VOTES, 1))
+            odds = math.log(t["prior"] / (1 - t["prior"]))
+            for j, n in enumerate(VOTES, 1):
+                if r[j]:
+                    yes, no = (t[n, 1], t[n, 0]) if r[j] > 0 else (1 - t[n, 1], 1 - t[n, 0])
+                    odds += math.log(yes / no)
             posts[i] = 1 / (1 + math.exp(-max(-40.0, min(40.0, odds))))
     return table, posts
 
@@ -244,9 +257,14 @@ def train_classifier(rows: list[tuple], posts: list[float], rounds: int = 300, r
 
 
 def fit_spans(docs: DataFrame, text: str = "text") -> SpanModel:
-    """One pass over all documents for the counts of vote patterns; the rest is small arithmetic."""
-    t = docs.select(F.coalesce(F.col(text).cast("string"), F.lit("")).alias("_text"))
-    seen = _candidates(t, "_text").select(F.explode("_c").alias("c")).select("c.*")
+    """One pass over all documents for the counts of vote patterns; the rest is small arithmetic.
+
+    Candidates that meet a base span are settled already and have no vote.
+    """
+    t = docs.select(F.coalesce(F.col(f"`{text}`").cast("string"), F.lit("")).alias("_text"))
+    both = F.struct(F.col("_c").alias("c"), _base("_text").alias("base"))
+    open_ones = F.when(F.size("_c") > 0, once(both, lambda x: _free_of(x["base"], x["c"])))
+    seen = _candidates(t, "_text").select(F.explode(open_ones).alias("c")).select("c.*")
     table = seen.groupBy("k", *VOTES, "long").agg(F.count(F.lit(1)).alias("n")).collect()
     rows = sorted(tuple(r) for r in table)
     if not rows:
@@ -259,13 +277,7 @@ def fit_spans(docs: DataFrame, text: str = "text") -> SpanModel:
 def find_spans(docs: DataFrame, model: SpanModel, text: str = "text") -> DataFrame:
     """docs with base and all: arrays of struct<k,s,e>, by kind and start; k indexes KINDS."""
     df = docs.withColumn("_text", F.coalesce(F.col(text).cast("string"), F.lit("")))
-    df = _with_matches(df, "_text", {f"_{k}": p for k, p in BASE.items()})
-    span = lambda k: lambda x: F.struct(F.lit(k).alias("k"), x["s"].alias("s"), x["e"].alias("e"))
-
-    def passing(k: str) -> Column:
-        return F.transform(F.filter(f"_{k}", lambda x: PASSES[k](x["m"])), span(KINDS.index(k)))
-
-    df = _candidates(df.withColumn("base", F.concat(*[passing(k) for k in BASE])).drop(*[f"_{k}" for k in BASE]), "_text")
+    df = _candidates(df.withColumn("base", _base("_text")), "_text")
     likely = F.transform(F.filter("_c", lambda c: model.score(c) > model.threshold), lambda c: F.struct(c["k"].alias("k"), c["s"].alias("s"), c["e"].alias("e")))
     both = F.struct(F.col("base").alias("base"), likely.alias("added"))
     every = once(both, lambda x: F.when(F.size(x["added"]) == 0, x["base"]).otherwise(F.sort_array(F.concat(x["base"], _free_of(x["base"], x["added"])))))
