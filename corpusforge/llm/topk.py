@@ -6,7 +6,7 @@
    cell are taken over all its rows.
 2. Each query first meets the part that it stands in; that gives it a first kth score.
 3. It is then sent to those cells only whose bound <q,p> + |q| r (and |q| times the greatest length)
-   reaches that score. Data are copied for each group of `query_group` queries.
+   reaches that score. Data are copied for each group of `query_group` queries that asks for their part.
 4. Where queries and a part meet, both are indexed by cover trees: farthest-first centres, each node's
    members within its covering radius, radii halved from level to level or as far as FANOUT children
    allow. A pair of nodes (Q, P) is skipped when even <q,p> + |q| r_P + |p| r_Q + r_Q r_P is below the
@@ -323,11 +323,14 @@ def top_k(vectors: DataFrame, is_query, *, k: int = 10, scale: int = 1024, vec_i
     near = landed(data.select("cell", "part", "vec_id", "x").groupBy("cell", "part").cogroup(mine.groupBy("cell", "part")).applyInArrow(search, RESULT), "near")
     kth = near.groupBy("query_id").agg(F.when(F.count(F.lit(1)) >= k, F.min("score")).alias("kth"))
     known = mine.drop("kth").join(kth, mine["vec_id"] == kth["query_id"], "left").select("vec_id", "x", "kth", F.col("cell").alias("own_cell"), F.col("part").alias("own_part"))
-    sent = _routed(known, pivots, {r["cell"]: (r["dist"], r["length"]) for r in stats} or {0: (0.0, 0.0)}).withColumn("cell", F.explode("cells")).drop("cells")
-    sent = sent.withColumn("part", F.explode(F.sequence(F.lit(0), parts[F.col("cell")] - 1))).where("cell <> own_cell or part <> own_part")
+    routed = landed(_routed(known, pivots, {r["cell"]: (r["dist"], r["length"]) for r in stats} or {0: (0.0, 0.0)}), "routed")
     groups = max(1, -(-asked // query_group))
-    sent = sent.withColumn("grp", F.pmod(F.xxhash64("vec_id"), F.lit(groups)).cast("int")).select("cell", "part", "grp", "vec_id", "x", "kth")
-    copied = data.select("cell", "part", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))).alias("grp"), "vec_id", "x")
+    sent = routed.withColumn("grp", F.pmod(F.xxhash64("vec_id"), F.lit(groups)).cast("int")).withColumn("cell", F.explode("cells")).drop("cells")
+    sent = sent.withColumn("part", F.explode(F.sequence(F.lit(0), parts[F.col("cell")] - 1))).where("cell <> own_cell or part <> own_part")
+    # Data go to the groups that ask for their part, and to no others.
+    wanted = sent.select("cell", "part", "grp").distinct().toDF("w_cell", "w_part", "w_grp")
+    copied = data.join(wanted, (data["cell"] == wanted["w_cell"]) & (data["part"] == wanted["w_part"])).select("cell", "part", F.col("w_grp").alias("grp"), "vec_id", "x")
+    sent = sent.select("cell", "part", "grp", "vec_id", "x", "kth")
     far = copied.groupBy("cell", "part", "grp").cogroup(sent.groupBy("cell", "part", "grp")).applyInArrow(search, RESULT)
     w = Window.partitionBy("query_id").orderBy(F.desc("score"), F.asc_nulls_last("vec_id"))
     return near.union(far).withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
