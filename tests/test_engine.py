@@ -413,3 +413,33 @@ def test_shared_folder_is_asked_for(spark):
 
 def test_every_sql_has_a_query():
     assert set(SQL) <= set(QUERIES) and len(QUERIES) > 90
+
+
+def test_array_training_and_encoding_agree_with_the_plain_forms():
+    import random
+
+    import numpy as np
+
+    draw = random.Random(5)
+    for letters, known, fallback in (("ab", "ab", True), ("abé<unk>▁\0", "ab<", True), ("abé<unk>", "ab<unk>", False)):
+        rows = sorted({"".join(draw.choice(letters) for _ in range(draw.randint(1, 12))): draw.randint(1, 9) for _ in range(200)}.items())
+        known = {bpe.MARK, *known}
+        want = bpe.learn(rows, 60, known, fallback)
+        batches = [([w for w, _ in part], np.array([n for _, n in part])) for part in (rows[:50], rows[50:])]
+        assert bpe.learn_arrays(batches, 60, known, fallback) == want
+        merges = [(a, b) for a, b, _ in want]
+        ranks, sizes = bpe.Ranks(merges, known), (0, 5, 20, 60)
+        table = ranks.symbols.table(known, fallback)
+        flat = bpe.spell_all([bpe.SET_MARK + w for w, _ in rows], table)
+        (x, n), by = ranks.run(flat), ranks.run(flat, sizes)[1]
+        for j, (w, _) in enumerate(rows):
+            plain = lambda k: bpe.encode_word(w, {p: i for i, p in enumerate(merges[:k])}, known, fallback)  # noqa: B023, E731
+            assert [ranks.symbols.names[i] for i in x.s[x.start[j] : x.start[j] + n[j]]] == plain(60)
+            assert [by[i][j] for i in range(len(sizes))] == [len(plain(k)) for k in sizes]
+
+
+def test_an_encoding_pass_counts_all_sizes(spark):
+    words = spark.createDataFrame([("low", 3), ("lower", 2), ("newest", 4)], "word string, cnt bigint")
+    merges = [(bpe.MARK, "l"), ("o", "w"), (bpe.MARK + "l", "ow")]
+    got = {r.word: list(r.n) for r in bpe.count_pieces(words, merges, {bpe.MARK, *"lowernst"}, (0, 1, 3)).collect()}
+    assert got == {"low": [4, 3, 1], "lower": [6, 5, 3], "newest": [7, 7, 7]}
