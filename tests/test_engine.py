@@ -443,3 +443,24 @@ def test_an_encoding_pass_counts_all_sizes(spark):
     merges = [(bpe.MARK, "l"), ("o", "w"), (bpe.MARK + "l", "ow")]
     got = {r.word: list(r.n) for r in bpe.count_pieces(words, merges, {bpe.MARK, *"lowernst"}, (0, 1, 3)).collect()}
     assert got == {"low": [4, 3, 1], "lower": [6, 5, 3], "newest": [7, 7, 7]}
+
+
+def test_accounts_and_ranks_read_a_table(spark):
+    for name in ("acct_params", "acct_phase_steps", *[f"acct_lr_{k}" for k in ("constant", "cosine", "trapezoid", "two_phase")], "eval_borda_base", "eval_borda_tuned", "eval_borda_all_base", "eval_borda_all_tuned", "eval_borda_dense_base", "eval_leads_base"):
+        assert any("documents" in f for f in QUERIES[name](spark, SF).inputFiles()), name
+
+
+def test_documents_are_laid_over_the_calendar(spark):
+    docs = spark.createDataFrame([(i, 10) for i in range(404)], "doc_id bigint, n_chars bigint")
+    s = account.Schedule()
+    rows = account.laid_over(docs, "n_chars").orderBy("step").collect()
+    assert rows[0].step == 0 and rows[0].lr == 0 and rows[-1].step == 403 * (s.main + s.last) // 404 and [r.phase for r in rows] == sorted(r.phase for r in rows)
+    steps = {r.phase: (r.tokens, r.steps) for r in account.phase_steps_of(docs, "n_chars", sequences=1, length=100).collect()}
+    assert steps == {1: (3600, 36), 2: (400, 4), 3: (40, 1)}
+
+
+def test_sources_are_scored_by_their_letters(spark):
+    docs = spark.createDataFrame([("a", "en", "AbcD12"), ("a", "en", "xy"), ("b", "en", None), ("c", "fr", "1é")], "source string, lang string, text string")
+    groups = spark.createDataFrame([("a", "code")], "source string, category string")
+    got = {(r.model, r.model_group, r.task): r.score for r in evalkit.source_scores(docs, groups).collect()}
+    assert got == {("a", "code", "en letters"): 75.0, ("a", "code", "en lower"): 66.6667, ("c", "web", "fr letters"): 50.0, ("c", "web", "fr lower"): 100.0}
