@@ -464,3 +464,22 @@ def test_sources_are_scored_by_their_letters(spark):
     groups = spark.createDataFrame([("a", "code")], "source string, category string")
     got = {(r.model, r.model_group, r.task): r.score for r in evalkit.source_scores(docs, groups).collect()}
     assert got == {("a", "code", "en letters"): 75.0, ("a", "code", "en lower"): 66.6667, ("c", "web", "fr letters"): 50.0, ("c", "web", "fr lower"): 100.0}
+
+
+def test_distances_shuffle_no_document(spark):
+    docs = spark.createDataFrame([(1, "en", "the cat sat on the mat"), (2, "fr", "le chat été 12"), (3, "en", "12")], "doc_id bigint, lang string, text string")
+    found = language.distance_langid(docs, docs.where("doc_id < 3"), top=9)
+    assert "Exchange" not in found._jdf.queryExecution().executedPlan().toString()
+    from collections import Counter
+
+    def profile(text):
+        grams = Counter(p[i : i + n] for w in text.split() for p in [f"^{w}$"] for n in (1, 2, 3) for i in range(len(p) - n + 1))
+        return sorted(grams, key=lambda g: (-grams[g], g))[:9]
+
+    en, fr = profile("the cat sat on the mat"), profile("le chat été")
+    gain = {1: {"en": 81}, 2: {"fr": 81}, 3: {}}
+    got = {r.doc_id: (r.predicted, r.distance) for r in found.collect()}
+    assert got == {1: ("en", 9 * len(en) - gain[1]["en"]), 2: ("fr", 9 * len(fr) - gain[2]["fr"]), 3: (None, None)}
+    crossed = sum(9 - abs(en.index(g) - fr.index(g)) for g in en if g in fr)
+    only = language.distance_langid(docs.where("doc_id = 1"), docs.where("doc_id = 2"), top=9).first()
+    assert (only.predicted, only.distance) == ("fr", 81 - crossed)
