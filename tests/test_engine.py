@@ -483,3 +483,39 @@ def test_distances_shuffle_no_document(spark):
     crossed = sum(9 - abs(en.index(g) - fr.index(g)) for g in en if g in fr)
     only = language.distance_langid(docs.where("doc_id = 1"), docs.where("doc_id = 2"), top=9).first()
     assert (only.predicted, only.distance) == ("fr", 81 - crossed)
+
+
+def test_pairs_are_rendered_and_scored_where_they_are_read(spark, monkeypatch):
+    """Neither a word nor an n-gram of the pairs is shuffled, and a lexicon too large to travel gives the same rows."""
+    docs = spark.createDataFrame([(1, "en", "The cat\n\nsat on https://a.b\nThe  the cat."), (2, "en", "on cat\nCAT on 7"), (3, "en", None)], "doc_id bigint, lang string, text string")
+    lexicon = spark.createDataFrame([("the", "le"), ("cat", "chat"), ("on", "sur")], "src_word string, tgt_word string")
+    back = lexicon.toDF("tgt_word", "src_word")
+
+    def made():
+        pairs = parallel.derived_pairs(docs, "fr", lexicon)
+        both = parallel.translations(pairs, back, "fr")
+        return pairs, parallel.clean_score_lexicon(pairs, lexicon), both, evalkit.chrf(both, "hyp", "ref", ["pair_id", "direction"], 3), evalkit.bleu(both, "hyp", "ref", ["direction"])
+
+    found = made()
+    for x in found[:4]:
+        assert "Exchange" not in x._jdf.queryExecution().executedPlan().toString()
+    assert found[4]._jdf.queryExecution().executedPlan().toString().count("Exchange hash") == 1  # of sums
+    rows = [sorted(map(tuple, x.collect()), key=str) for x in found]
+    got = {r.pair_id: (r.tgt_text, r.ref_text, r.is_aligned) for r in found[0].collect()}
+    assert got == {100_000: ("sat sur https://a.b", "le chat", 0), 100_001: ("sat on https://a.b", "sat sur https://a.b", 0), 100_002: ("le le cat.", "le le cat.", 1), 200_000: ("chat sur 7", "sur chat", 0), 200_001: ("CAT on 7", "chat sur 7", 0)}
+    assert {r.pair_id: r.coverage for r in found[1].collect()} == {100_000: 0, 100_001: 0, 100_002: 1, 200_000: 1, 200_001: 0}
+    monkeypatch.setattr(language, "MOST_BROADCAST", 2)
+    assert [sorted(map(tuple, x.collect()), key=str) for x in made()] == rows
+
+
+def test_matches_are_counted_exactly():
+    from collections import Counter
+
+    import numpy as np
+
+    draw = np.random.default_rng(3)
+    for kinds in (2, 5, 1 << 30):  # the last needs its n-grams numbered anew
+        h, r = [[draw.integers(0, 3, int(n)) * (kinds // 3 + 1) for n in draw.integers(0, 9, 40)] for _ in range(2)]
+        got = evalkit.clipped_matches(np.concatenate(h), np.array([len(x) for x in h]), np.concatenate(r), np.array([len(x) for x in r]), 4)
+        grams = lambda x, k: Counter(tuple(x[i : i + k].tolist()) for i in range(len(x) - k + 1))
+        assert got.tolist() == [[(grams(x, k) & grams(y, k)).total() for x, y in zip(h, r)] for k in range(1, 5)]
