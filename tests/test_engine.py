@@ -519,3 +519,25 @@ def test_matches_are_counted_exactly():
         got = evalkit.clipped_matches(np.concatenate(h), np.array([len(x) for x in h]), np.concatenate(r), np.array([len(x) for x in r]), 4)
         grams = lambda x, k: Counter(tuple(x[i : i + k].tolist()) for i in range(len(x) - k + 1))
         assert got.tolist() == [[(grams(x, k) & grams(y, k)).total() for x, y in zip(h, r)] for k in range(1, 5)]
+
+
+def test_near_pairs_compare_classes_and_lose_none(spark, monkeypatch):
+    """Copies meet nobody but as one class, common beginnings go last, and the pairs are those of all sets compared."""
+    import random
+
+    draw = random.Random(7)
+    base = [[f"w{draw.randint(0, 400)}" for _ in range(40)] for _ in range(6)]
+    texts = [" ".join(base[i % 6][:30] + (["x" + str(i)] if i % 4 == 0 else []) + base[i % 6][30:]) for i in range(24)] + ["a common phrase of five words " + " ".join(b) for b in base] + ["one two", "One  two", "", None]
+    docs = spark.createDataFrame([(i, "en" if i % 11 else "fr", t) for i, t in enumerate(texts)], "doc_id bigint, lang string, text string")
+    words = [(t or "").lower().split() for t in texts]
+    sets = [{tuple(w[i : i + 5]) for i in range(max(len(w) - 4, 1))} if w else set() for w in words]
+    lang = lambda i: bool(i % 11)
+    want = sorted((i, j, round(len(sets[i] & sets[j]) / len(sets[i] | sets[j]), 6)) for j in range(len(texts)) for i in range(j) if sets[i] and sets[j] and lang(i) == lang(j) and 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j]))
+    assert len(want) > 40
+    for crowd in (100, 1):
+        monkeypatch.setattr(web, "CROWD", crowd)
+        assert sorted(map(tuple, web.near_pairs(docs).collect())) == want
+    compared = []
+    monkeypatch.setattr(web.near, "checked", lambda pairs, s, percent, f=web.near.checked: compared.append(pairs.count()) or f(pairs, s, percent))
+    copies = spark.createDataFrame([(i, "en", texts[0] + " end" * (i == 50)) for i in range(51)], "doc_id bigint, lang string, text string")
+    assert web.near_pairs(copies).count() == 51 * 50 // 2 and compared == [1]
