@@ -1,5 +1,8 @@
 """Literals, boundary rows and properties of the engine's own operators."""
 
+import random
+
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -141,6 +144,23 @@ def test_words_met_once_are_trained_on(spark, tmp_path, monkeypatch):
     assert [(r.left, r.right, r.freq) for r in QUERIES["tok_train_bpe"](spark, str(tmp_path)).orderBy("rank").collect()] == want
 
 
+def test_training_looks_at_the_neighbours_of_a_merge_only(monkeypatch):
+    draw = random.Random(5)
+    for n in range(60):
+        monkeypatch.setattr(bpe, "AT_A_TIME", draw.choice([1, 3, 200_000]), raising=False)
+        letters = draw.choice(["ab", "abcdefgh", "a\u2581b", "a\u00e9b"])
+        words = {"".join(draw.choices(letters, k=draw.randint(0, 700 if n == 7 else 12))): draw.randint(1, 9) for _ in range(25)}
+        known = {bpe.MARK, *letters[: draw.randint(1, len(letters))]}
+        batches = [(list(words)[i::2], np.array(list(words.values())[i::2])) for i in (0, 1)]
+        assert bpe.learn_arrays(iter(batches), 60, known, n % 2 == 0) == bpe.learn(list(words.items()), 60, known, n % 2 == 0)
+    monkeypatch.setattr(bpe, "AT_A_TIME", 200_000, raising=False)
+    seen, counted = [], bpe.counted_pairs
+    monkeypatch.setattr(bpe, "counted_pairs", lambda parts: seen.append(sum(len(k) for k, _ in parts)) or counted(parts))
+    words = [f"xy{i:06d}".replace("0", "k").translate(str.maketrans("123456789", "abcdefghi")) + "qrstuvwz" * 40 for i in range(300)]
+    assert len(bpe.learn_arrays(iter([(words, np.ones(300, np.int64))]), 5, {bpe.MARK, *"abcdefghijklmnopqrstuvwxyz"})) == 5
+    assert sum(seen) < 300 * 300  # every pair of every word a merge meets would be more
+
+
 def test_mixture_trials_grow_and_keep_languages(spark, tmp_path):
     rows = [(i, f"the cat sat on mat number x{i % 7} and y{i % 3}", "en") for i in range(40)] + [(5, "hyvää päivää", "fi")]
     x = spark.createDataFrame([(i, t, lang, "src0", len(t)) for i, t, lang in rows], "doc_id bigint, text string, lang string, source string, n_chars bigint")
