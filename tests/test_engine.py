@@ -227,6 +227,13 @@ def test_larger_vocabularies_need_fewer_pieces(spark):
     assert all(a.fertility >= b.fertility for a, b in zip(rows, rows[1:])) and rows[-1].embedding == 16 * rows[0].embedding
 
 
+def test_training_words_are_spelled_out_once(spark, monkeypatch):
+    calls, alphabet = [], bpe.alphabet
+    monkeypatch.setattr(bpe, "alphabet", lambda *a: calls.append(a) or alphabet(*a))
+    held, merges, known = curation_queries._trained(spark, SF, 20)
+    assert len(calls) == 1 and len(merges) == 20 and {a for a, _ in merges if len(a) == 1} <= known
+
+
 def test_kneser_ney_orders(spark):
     docs = spark.createDataFrame([(1, "en", "the cat sat on the mat the cat ran"), (2, "en", "the dog sat on a mat"), (3, "en", ""), (4, "en", None), (5, "fr", "le chat"), (6, "en", "wholly unseen words")], "doc_id bigint, lang string, text string")
     seen = docs.where("doc_id <= 2")
