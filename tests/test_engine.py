@@ -234,6 +234,13 @@ def test_training_words_are_spelled_out_once(spark, monkeypatch):
     assert len(calls) == 1 and len(merges) == 20 and {a for a, _ in merges if len(a) == 1} <= known
 
 
+def test_unknown_pieces_are_counted_before_they_travel(spark):
+    out = QUERIES["tok_unknown"](spark, SF)
+    plan = out._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.index("filter(ids") > plan.index("Join")
+    assert all(0 < r.unknown < r.tokens for r in out.collect())
+
+
 def test_kneser_ney_orders(spark):
     docs = spark.createDataFrame([(1, "en", "the cat sat on the mat the cat ran"), (2, "en", "the dog sat on a mat"), (3, "en", ""), (4, "en", None), (5, "fr", "le chat"), (6, "en", "wholly unseen words")], "doc_id bigint, lang string, text string")
     seen = docs.where("doc_id <= 2")
