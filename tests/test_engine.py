@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from corpusforge.operators import account, bpe, evalkit, language, mixture, parallel, posttrain, synth, web
+from corpusforge.operators import account, bpe, evalkit, kneser, language, mixture, parallel, posttrain, synth, web
 from corpusforge.plans import curation_queries, mix_queries, surface_queries, web_queries  # noqa: F401
 from corpusforge.plans.registry import QUERIES, SQL
 from corpusforge.sources.tables import check, table
@@ -252,6 +252,40 @@ def test_kneser_ney_orders(spark):
     assert language.perplexity_kneser_ney(docs.where("false"), seen, 3).count() == 0
 
 
+def test_ngrams_travel_as_numbers(spark, monkeypatch):
+    draw = random.Random(3)
+    say = lambda: " ".join(draw.choices(["the", "cat", "sat", "on", "A", "mat", "\u00e9t\u00e9", "x1y"], [9, 5, 4, 3, 3, 2, 1, 1], k=draw.randint(0, 30)))
+    rows = [(i, draw.choice(["en", "fr"]), say()) for i in range(60)] + [(60, "en", None), (61, None, "the cat"), (62, "de", "the cat"), (63, "en", "unheard of the cat"), (64, "en", "..."), (7, "fr", "the mat")]
+    docs = spark.createDataFrame(rows, "doc_id bigint, lang string, text string").repartition(3)
+    seen = docs.where("doc_id % 3 = 0")
+    value = lambda x: {(r.doc_id, r.lang): r.perplexity for r in x.collect()}
+    want = {n: value(language.joined_kneser_ney(docs, seen, n)) for n in (3, 5)}
+    assert len(want[3]) == 63 and (63, "en") in want[3] and (62, "de") in want[3]
+    moved = []
+    said = language.said_ngrams
+    monkeypatch.setattr(language, "said_ngrams", lambda *a: moved.append(a) or said(*a))
+    for n, together, a_part in ((3, 2_000_000, 1_000_000), (5, 40, 10)):
+        with monkeypatch.context() as m:
+            m.setattr(kneser, "TOGETHER", together)
+            m.setattr(kneser, "A_PART", a_part)
+            assert value(language.perplexity_kneser_ney(docs, seen, n)) == pytest.approx(want[n], rel=1e-9)
+    assert value(language.perplexity_kneser_ney(docs, docs.where("false"), 3)) == pytest.approx(value(language.joined_kneser_ney(docs, docs.where("false"), 3)))
+    assert len([a for a in moved if a[0] is docs]) == 1  # the joins that it was compared with
+    for name in ("MOST_WORDS", "MOST_AFTER"):
+        with monkeypatch.context() as m:
+            m.setattr(kneser, name, 3)
+            assert value(language.perplexity_kneser_ney(docs, seen, 3)) == pytest.approx(want[3], rel=1e-9)
+
+
+def test_documents_without_a_text_have_perplexities(spark, tmp_path):
+    rows = [(1, "the cat sat", "en", "src0", 11), (2, None, "en", "src0", 0), (3, "", "en", "src0", 0)]
+    spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string, n_chars bigint").write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([(1, 1, 0), (2, 1, 0)], "doc_id bigint, quality int, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    for n in (3, 5):
+        got = {r.doc_id: r.log_perplexity for r in QUERIES[f"web_ppl_order{n}"](spark, str(tmp_path)).collect()}
+        assert set(got) == {1, 2, 3} and got[2] == got[3]
+
+
 def test_documents_without_words_keep_their_rows(spark):
     docs = spark.createDataFrame([(1, "en", "the cat sat on the mat"), (2, "fr", "le chat est sur la table"), (3, "en", "12 34"), (4, "en", None), (5, "xx", "the mat"), (6, None, "cat")], "doc_id bigint, lang string, text string")
     train = docs.where("doc_id <= 2")
