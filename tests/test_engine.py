@@ -277,6 +277,18 @@ def test_ngrams_travel_as_numbers(spark, monkeypatch):
             assert value(language.perplexity_kneser_ney(docs, seen, 3)) == pytest.approx(want[3], rel=1e-9)
 
 
+def test_rows_of_a_model_are_in_order(monkeypatch):
+    draw = np.random.default_rng(2)
+    monkeypatch.setattr(np, "lexsort", None)  # contexts are numbered in order: nothing is sorted again
+    for n in (1, 50, 5000):
+        columns = [draw.integers(1, 6, n).astype(np.int32) for _ in range(5)]
+        *rows, counts = kneser.Model(columns, np.ones(n, np.int32)).rows()
+        want, met = np.unique(np.stack(columns, 1), axis=0, return_counts=True)
+        assert np.array_equal(np.stack(rows, 1), want) and np.array_equal(counts, met)
+        back = kneser.unpack(kneser.pack([*rows, counts]), 6)
+        assert all(np.array_equal(a, b) for a, b in zip(back, [*rows, counts]))
+
+
 def test_documents_without_a_text_have_perplexities(spark, tmp_path):
     rows = [(1, "the cat sat", "en", "src0", 11), (2, None, "en", "src0", 0), (3, "", "en", "src0", 0)]
     spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string, n_chars bigint").write.parquet(str(tmp_path / "documents.parquet"))
