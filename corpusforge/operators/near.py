@@ -12,21 +12,83 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import text as T
 from ..sources.tables import cut_lineage
+from .language import MOST_BROADCAST
 
 BANDS, ROWS, SMALL, STAR = 24, 3, 32, 2048
-
-
-def shingle_sets(df: DataFrame, n: int = 5) -> DataFrame:
-    """doc_id, lang, h: sorted distinct hashes of n-word shingles (a shorter text is one shingle); texts without words have no row."""
-    w = df.select("doc_id", F.coalesce("lang", F.lit("")).alias("lang"), T.words(F.lower("text")).alias("w")).where(F.size("w") > 0)
-    span = F.sequence(F.lit(1), F.greatest(F.size("w") - n + 1, F.lit(1)))
-    grams = F.transform(span, lambda i: F.xxhash64(F.array_join(F.slice("w", i, F.lit(n)), " ")))
-    return w.select("doc_id", "lang", F.sort_array(F.array_distinct(grams)).alias("h"))
+#: Words of texts that are shingled together, beyond the first text.
+WORDS = 250_000
+#: Ids of a block of the exact check, about.
+TILE = 256
+
+
+def _mixed(x: np.ndarray) -> np.ndarray:
+    """Every bit of a 64-bit number depends on every other; no two numbers become one."""
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+def _sets(words: np.ndarray, lens: np.ndarray, seeds: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted distinct hashes of the n-word shingles of texts, one after the other, and where each text's begin; words: hashes of
+    their words, lens: how many each has (one at least)."""
+    weights = [np.uint64((0x9E3779B97F4A7C15 * (2 * j + 1) ** 3 + 0x632BE59BD9B4E019 * j) % 2**64 | 1) for j in range(n)]
+    ends = np.cumsum(lens)
+    many = np.maximum(lens - n + 1, 1)
+    of = np.repeat(np.arange(len(lens)), many)
+    at = np.arange(len(of)) - np.repeat(np.cumsum(many) - many, many) + (ends - lens)[of]
+    words = np.concatenate([words, np.zeros(n, np.uint64)])
+    h = words[at] * weights[0]
+    short = np.flatnonzero(lens < n)
+    for j in range(1, n):
+        h += words[at + j] * weights[j]
+    firsts = np.cumsum(many) - many
+    for d in short.tolist():
+        w = words[ends[d] - lens[d] : ends[d]]
+        h[firsts[d]] = sum((w[j : j + 1] * weights[j] for j in range(len(w))), np.zeros(1, np.uint64))[0]
+    h = _mixed(h + seeds[of]).view(np.int64)
+    for i, j in zip(firsts.tolist(), (firsts + many).tolist()):
+        h[i:j].sort()
+    new = np.ones(len(h), bool)
+    new[1:] = (h[1:] != h[:-1]) | (of[1:] != of[:-1])
+    return h[new], np.append(0, np.cumsum(np.bincount(of[new], minlength=len(lens))))
+
+
+def shingle_sets(df: DataFrame, n: int = 5, then: Callable | None = None, schema: str = "") -> DataFrame:
+    """doc_id, lang, h: sorted distinct hashes of n-word shingles (a shorter text is one shingle) of one language; texts without
+    words have no row. then gets (ids, languages, hashes, edges) of some documents at a time where they are made, and returns
+    batches of the schema instead."""
+    w = df.select("doc_id", F.coalesce("lang", F.lit("")).alias("lang"), T.words(F.lower("text")).alias("w"))
+    w = w.select("doc_id", "lang", F.xxhash64("lang"), F.transform("w", lambda x: F.xxhash64(x)))
+    if then is None:
+        schema = f"doc_id {df.schema['doc_id'].dataType.simpleString()}, lang string, h array<bigint>"
+
+    def listed(sets):
+        for ids, langs, h, edges in sets:
+            yield pa.RecordBatch.from_arrays([ids, langs, pa.ListArray.from_arrays(pa.array(edges, pa.int32()), pa.array(h))], names=["doc_id", "lang", "h"])
+
+    def some(batches):
+        for b in batches:
+            words, edges = b.column(3).values.to_numpy(zero_copy_only=False).view(np.uint64), b.column(3).offsets.to_numpy()
+            seeds, i = b.column(2).to_numpy(zero_copy_only=False).view(np.uint64), 0
+            while i < b.num_rows:
+                j = max(i + 1, int(np.searchsorted(edges, edges[i] + WORDS, "right")) - 1)
+                lens = np.diff(edges[i : j + 1]).astype(np.int64)
+                has = np.flatnonzero(lens)
+                if len(has):
+                    h, cuts = _sets(words[edges[i] : edges[j]], lens[has], seeds[i:j][has], n)
+                    yield b.column(0)[i:j].take(pa.array(has)), b.column(1)[i:j].take(pa.array(has)), h, cuts
+                i = j
+
+    return w.mapInArrow(lambda batches: (then or listed)(some(batches)), schema)
 
 
 def band_rows(sets: DataFrame) -> DataFrame:
@@ -37,13 +99,74 @@ def band_rows(sets: DataFrame) -> DataFrame:
     return minima.select("id", F.explode(keys).alias("key"))
 
 
+def _shared(sets: dict, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """How many hashes the sets a and b of each pair share, and how many each has."""
+    ids = np.array(sorted(sets), np.int64)
+    h = [sets[i] for i in ids.tolist()]
+    n = np.array([len(x) for x in h], np.int64)
+    starts = np.cumsum(n) - n
+    kinds, flat = np.unique(np.concatenate(h), return_inverse=True)
+    mark, c = np.zeros(len(kinds), bool), np.zeros(len(a), np.int64)
+    a, b = np.searchsorted(ids, a), np.searchsorted(ids, b)
+    by = np.argsort(a, kind="stable")
+    cuts = np.append(np.flatnonzero(np.append(True, a[by][1:] != a[by][:-1])), len(by))
+    for i, j in zip(cuts[:-1].tolist(), cuts[1:].tolist()):
+        x, y = int(a[by[i]]), b[by[i:j]]
+        own = flat[starts[x] : starts[x] + n[x]]
+        mark[own] = True
+        ends = np.cumsum(n[y])
+        at = np.arange(ends[-1]) + np.repeat(starts[y] - (ends - n[y]), n[y])
+        c[by[i:j]] = np.add.reduceat(mark[flat[at]], ends - n[y], dtype=np.int64)
+        mark[own] = False
+    return c, n[a], n[b]
+
+
 def checked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) whose sets reach the similarity, with it."""
-    s = sets.select("id", "h", F.size("h").alias("n"))
-    both = pairs.join(s.toDF("a", "ha", "na"), "a").join(s.toDF("b", "hb", "nb"), "b")
-    both = both.where(100 * F.least("na", "nb") >= percent * F.greatest("na", "nb"))
-    both = both.select("a", "b", "na", "nb", F.size(F.array_intersect("ha", "hb")).alias("c"))
-    return both.where(100 * F.col("c") >= percent * (F.col("na") + F.col("nb") - F.col("c"))).select("a", "b", "c", "na", "nb")
+    """Pairs (a, b) whose sets reach the similarity, with it.
+
+    A set doesn't travel once a pair: ids with the same smallest neighbour are a block (of about TILE ids; larger ones are sliced
+    by hash), a pair belongs to the tile of its two blocks, and a set goes once to every tile that has a pair of it.
+    """
+    kind = pairs.schema["a"].dataType.simpleString()
+    few = lambda x: F.broadcast(x) if x.count() <= MOST_BROADCAST else x
+    ends = pairs.select("a", "b").union(pairs.select("b", "a")).groupBy("a").agg(F.least("a", F.min("b")).alias("label"))
+    slices = ends.groupBy("label").agg(F.ceil(F.count(F.lit(1)) / TILE).alias("slices"))
+    blocks = cut_lineage(ends.join(slices, "label").select(F.col("a").alias("id"), F.xxhash64("label", F.pmod(F.xxhash64("a"), "slices")).alias("block")))
+    tiled = pairs.select("a", "b").join(few(blocks.toDF("a", "x")), "a").join(few(blocks.toDF("b", "y")), "b")
+    tiled = cut_lineage(tiled.select(F.xxhash64(F.least("x", "y"), F.greatest("x", "y")).alias("tile"), "a", "b"))
+    members = cut_lineage(tiled.select("tile", F.explode(F.array("a", "b")).alias("id")).distinct())
+    sent = sets.select("id", "h").join(few(members), "id").select("tile", F.col("id").cast("bigint").alias("a"), F.lit(None).cast("bigint").alias("b"), "h")
+    asked = tiled.select("tile", F.col("a").cast("bigint").alias("a"), F.col("b").cast("bigint").alias("b"), F.lit(None).cast("array<bigint>").alias("h"))
+
+    def run(batches):
+        now, own, links = None, {}, []
+
+        def done():
+            if links:
+                a, b = (np.concatenate(x) for x in zip(*links))
+                c, na, nb = _shared(own, a, b)
+                to = 100 * c >= percent * (na + nb - c)
+                yield pa.RecordBatch.from_arrays([pa.array(x[to]) for x in (a, b, c, na, nb)], names=["a", "b", "c", "na", "nb"])
+
+        for x in batches:
+            tile, a = x.column(0).to_numpy(), x.column(1).to_numpy()
+            b, alone = x.column(2).fill_null(0).to_numpy(), x.column(2).is_null().to_numpy(zero_copy_only=False)
+            cuts = np.append(np.flatnonzero(np.append(True, tile[1:] != tile[:-1])), len(tile)).tolist()
+            for i, j in zip(cuts[:-1], cuts[1:]):
+                if tile[i] != now:
+                    yield from done()
+                    now, own, links = tile[i], {}, []
+                k = i + int(alone[i:j].sum())
+                for at in range(i, k):
+                    own[int(a[at])] = x.column(3)[at].values.to_numpy()
+                if k < j:
+                    links.append((a[k:j], b[k:j]))
+        yield from done()
+
+    parts = int(pairs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    together = sent.unionByName(asked).repartition(parts, "tile").sortWithinPartitions("tile", F.col("b").asc_nulls_first())
+    found = together.mapInArrow(run, "a bigint, b bigint, c bigint, na bigint, nb bigint")
+    return found.select(F.col("a").cast(kind).alias("a"), F.col("b").cast(kind).alias("b"), "c", "na", "nb")
 
 
 def components(links: DataFrame) -> DataFrame:

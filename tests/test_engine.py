@@ -621,3 +621,41 @@ def test_near_pairs_compare_classes_and_lose_none(spark, monkeypatch):
     monkeypatch.setattr(web.near, "checked", lambda pairs, s, percent, f=web.near.checked: compared.append(pairs.count()) or f(pairs, s, percent))
     copies = spark.createDataFrame([(i, "en", texts[0] + " end" * (i == 50)) for i in range(51)], "doc_id bigint, lang string, text string")
     assert web.near_pairs(copies).count() == 51 * 50 // 2 and compared == [1]
+
+
+def test_near_pairs_that_share_too_little_in_their_heads_are_not_checked(spark, monkeypatch):
+    """A common phrase brings no pair to the exact check; without broadcasts the pairs are the same."""
+    from corpusforge.operators import near
+
+    phrase = " ".join(f"common{i}" for i in range(10))
+    texts = [phrase + " " + " ".join(f"d{i}w{j}" for j in range(60)) for i in range(40)]
+    texts += [texts[0] + " end", "one two three", "one two three"]
+    docs = spark.createDataFrame([(i, "en", t) for i, t in enumerate(texts)], "doc_id bigint, lang string, text string")
+    want = [(0, 40, round(66 / 67, 6)), (41, 42, 1.0)]
+    compared = []
+    monkeypatch.setattr(web.near, "checked", lambda pairs, s, percent, f=near.checked: compared.append(pairs.count()) or f(pairs, s, percent))
+    assert sorted(map(tuple, web.near_pairs(docs).collect())) == want and compared == [1]
+    for module in (web, near):
+        monkeypatch.setattr(module, "MOST_BROADCAST", 0)
+    assert sorted(map(tuple, web.near_pairs(docs).collect())) == want
+
+
+def test_a_set_goes_once_to_a_tile(spark, monkeypatch):
+    """30 near copies are 435 pairs, and their sets go to the exact check 30 times; tiles of any size lose no pair."""
+    import random
+
+    from corpusforge.operators import near
+
+    draw = random.Random(5)
+    sets = {i: sorted(draw.sample(range(120), 100)) for i in range(30)} | {i: sorted(draw.sample(range(1000, 1020), 18)) for i in range(40, 60)}
+    pairs = [(i, j) for j in sets for i in sets if i < j and (i < 40) == (j < 40)]
+    share = lambda i, j: len({*sets[i]} & {*sets[j]})
+    want = sorted((i, j, share(i, j), len(sets[i]), len(sets[j])) for i, j in pairs if 100 * share(i, j) >= 75 * (len(sets[i]) + len(sets[j]) - share(i, j)))
+    assert 0 < len(want) < len(pairs)
+    both = spark.createDataFrame(pairs, "a bigint, b bigint"), spark.createDataFrame([*sets.items()], "id bigint, h array<bigint>")
+    sent = []
+    monkeypatch.setattr(near, "cut_lineage", lambda df, f=near.cut_lineage: (sent.append(df.count()) if df.columns == ["tile", "id"] else None) or f(df))
+    for tile, most in ((256, 50), (4, 50 * 14)):
+        monkeypatch.setattr(near, "TILE", tile)
+        assert sorted(map(tuple, near.checked(*both, 75).collect())) == want
+        assert sent.pop() <= most
